@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from modelsort.llm import simhash
+from modelsort.llm import decontaminate, simhash
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -19,8 +19,21 @@ def op1_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", F.lower(F.lpad(F.hex("print"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def op2_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    match = F.col("match")
+    return decontaminate.with_matches(docs, table(spark, sf_dir, "benchmark")).select(
+        "doc_id",
+        match["n_words"].alias("n_words"),
+        match["n_hit"].alias("n_hit"),
+        F.size(match["items"]).cast("long").alias("n_items"),
+        decontaminate.items_digest(match["items"]).alias("items_sha256"),
+        decontaminate.is_contaminated(match).alias("contaminated"),
+    )
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_simhash_near_dedup,)}
+    return {f.__name__: f for f in (op1_simhash_near_dedup, op2_benchmark_decontamination)}
 
 
 def oracle_sql() -> dict[str, str]:
