@@ -83,10 +83,14 @@ def _powers(n: int) -> np.ndarray:
 _POWERS = np.ones(1, np.uint64)
 
 
-def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """64-bit hash of each word: a polynomial over random byte codes, then mixed."""
+def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, prefixes: tuple[int, ...] = ()) -> np.ndarray:
+    """64-bit hash of each word: a polynomial over random byte codes, then mixed.
+
+    With ``prefixes`` a column follows for each length, the hash of the word's
+    first bytes, or 0 where the word is not longer.
+    """
     if not len(starts):
-        return np.zeros(0, np.uint64)
+        return np.zeros((0, 1 + len(prefixes)) if prefixes else 0, np.uint64)
     with np.errstate(over="ignore"):
         # Powers run from a word's start, so equal words hash alike anywhere.
         lengths = (ends - starts).astype(np.int32)
@@ -94,8 +98,16 @@ def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nd
         place = np.arange(lengths.sum(), dtype=np.int32) - np.repeat(at.astype(np.int32), lengths)
         where = place + np.repeat(starts.astype(np.int32), lengths)
         terms = _BYTE_CODE[data[where]] * _powers(int(lengths.max()))[place]
-        sums = np.add.reduceat(terms, at)
-        return mix(sums + lengths.astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93))
+        whole = mix(np.add.reduceat(terms, at) + lengths.astype(np.uint64) * np.uint64(0xD6E8FEB86659FD93))
+        if not prefixes:
+            return whole
+        out = np.zeros((len(starts), 1 + len(prefixes)), np.uint64)
+        out[:, 0] = whole
+        sums = np.append(np.uint64(0), np.cumsum(terms))
+        for k, size in enumerate(prefixes, 1):
+            longer = np.flatnonzero(lengths > size)
+            out[longer, k] = mix(sums[at[longer] + size] - sums[at[longer]] + np.uint64(size + (1 << 20)) * np.uint64(0xD6E8FEB86659FD93))
+        return out
 
 
 def mix(x: np.ndarray) -> np.ndarray:

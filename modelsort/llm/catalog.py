@@ -4,10 +4,11 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from modelsort.llm import chat, decontaminate, simhash, warc
+from modelsort.llm import chat, decontaminate, langid, quality, simhash, toxicity, warc
+from modelsort.llm.samples import fold_of
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -59,6 +60,26 @@ FROM marked GROUP BY conv_id
 """
 
 
+def op4_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    model = toxicity.train(docs, table(spark, sf_dir, "labels"))
+    scored = docs.select("doc_id", toxicity.toxicity(F.col("text"), model, spark).alias("found"))
+    score = F.col("found")["score"]
+    return scored.select("doc_id", held_out(5, 0), score.alias("score"), (score >= 0.5).cast("int").alias("predicted"), F.col("found")["segments"].alias("segments"))
+
+
+def held_out(parts: int, which: int) -> Column:
+    """Whether the id's fold is ``which``; a null id is in no fold and teaches nothing."""
+    return F.coalesce(fold_of("doc_id", parts) == which, F.lit(False)).alias("held_out")
+
+
+def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    trees = langid.train(docs.where(fold_of("doc_id", 3) != 1))
+    scored = docs.select("doc_id", langid.predict(F.col("text"), trees, spark).alias("found"))
+    return scored.select("doc_id", held_out(3, 1), F.col("found")["lang"].alias("lang_pred"), F.col("found")["score"].alias("score"))
+
+
 def op6_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     records = warc.read_archives(warc.write_archives(table(spark, sf_dir, "pages")))
     return records.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
@@ -76,8 +97,16 @@ FROM pages_ JOIN winner USING (hex)
 """
 
 
+def op9_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    net = quality.train(docs, table(spark, sf_dir, "labels"))
+    scored = docs.select("doc_id", quality.quality(F.col("text"), net, spark).alias("found"))
+    score = F.col("found")["score"]
+    return scored.select("doc_id", held_out(5, 0), score.alias("score"), (score >= quality.THRESHOLD).cast("int").alias("predicted"), F.col("found")["n_passages"].alias("n_passages"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_simhash_near_dedup, op2_benchmark_decontamination, op3_chat_formatting, op6_warc)}
+    return {f.__name__: f for f in (op1_simhash_near_dedup, op2_benchmark_decontamination, op3_chat_formatting, op4_toxicity, op5_language_id, op6_warc, op9_quality_classifier)}
 
 
 def oracle_sql() -> dict[str, str]:
