@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from modelsort.llm import chat, decontaminate, langid, quality, simhash, toxicity, warc
+from modelsort.llm import balltree, chat, decontaminate, langid, licences, mixing, quality, simhash, toxicity, warc
 from modelsort.llm.samples import fold_of
 
 
@@ -97,6 +97,35 @@ FROM pages_ JOIN winner USING (hex)
 """
 
 
+def op7_mixing_to_targets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Languages as domains, learned from the labelled documents, mixed to equal token shares."""
+    docs = table(spark, sf_dir, "documents")
+    rates, _, _ = mixing.mix(docs, labelled_languages(docs, table(spark, sf_dir, "labels")))
+    return rates
+
+
+def labelled_languages(docs: DataFrame, labels: DataFrame) -> DataFrame:
+    """Columns ``doc_id, domain`` of the labelled documents."""
+    return docs.select("doc_id", F.col("lang").alias("domain")).join(labels.select("doc_id"), "doc_id", "left_semi")
+
+
+def op8_exact_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
+    is_query = F.col("vec_id") % balltree.QUERY_EVERY == 0
+    return balltree.top_inner_products(table(spark, sf_dir, "embeddings"), is_query)
+
+
+OP8_SQL = """
+WITH v AS (
+  SELECT vec_id, list_transform(embedding, lambda x: CAST(floor(256 * CAST(x AS DOUBLE)) AS DOUBLE)) AS q FROM embeddings
+  WHERE embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0
+), scored AS (
+  SELECT a.vec_id AS query_id, b.vec_id, CAST(list_inner_product(a.q, b.q) AS BIGINT) AS score
+  FROM v a JOIN v b ON a.vec_id % 50 = 0 AND a.vec_id <> b.vec_id
+), ranked AS (SELECT *, CAST(row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS INTEGER) AS rank FROM scored)
+SELECT query_id, rank, vec_id, score FROM ranked WHERE rank <= 5
+"""
+
+
 def op9_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     net = quality.train(docs, table(spark, sf_dir, "labels"))
@@ -105,9 +134,24 @@ def op9_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     return scored.select("doc_id", held_out(5, 0), score.alias("score"), (score >= quality.THRESHOLD).cast("int").alias("predicted"), F.col("found")["n_passages"].alias("n_passages"))
 
 
+def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return licences.scan(table(spark, sf_dir, "documents"), licences.known_table(spark))
+
+
+def op10_sql() -> str:
+    known = ", ".join("('" + name + "', '" + text.replace("'", "''") + "')" for name, text in licences.KNOWN)
+    return f"""
+WITH known(license_id, text) AS (VALUES {known}),
+digests AS (SELECT sha256(form) AS digest, min(license_id) AS license_id FROM (SELECT license_id, {licences.canonical_sql("text")} AS form FROM known) WHERE form <> '' GROUP BY 1),
+forms AS (SELECT doc_id, {licences.canonical_sql("text")} AS form FROM documents)
+SELECT doc_id, CAST(length(form) AS BIGINT) AS canonical_chars, sha256(form) AS digest, license_id
+FROM forms LEFT JOIN digests ON sha256(form) = digests.digest
+"""
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_simhash_near_dedup, op2_benchmark_decontamination, op3_chat_formatting, op4_toxicity, op5_language_id, op6_warc, op9_quality_classifier)}
+    return {f.__name__: f for f in (op1_simhash_near_dedup, op2_benchmark_decontamination, op3_chat_formatting, op4_toxicity, op5_language_id, op6_warc, op7_mixing_to_targets, op8_exact_top_k, op9_quality_classifier, op10_license_scan)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_chat_formatting": OP3_SQL, "op6_warc": OP6_SQL}
+    return {"op3_chat_formatting": OP3_SQL, "op6_warc": OP6_SQL, "op8_exact_top_k": OP8_SQL, "op10_license_scan": op10_sql()}
