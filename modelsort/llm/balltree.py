@@ -32,7 +32,7 @@ SEEDS = 4_096
 LEAF = 256
 #: Components beyond this (before scaling) would not leave room for exact scores; their vectors take no part.
 MOST = float(1 << 20)
-NONE = np.iinfo(np.int64).min
+NONE = np.iinfo(np.int64).min + 1  # its negative must exist
 
 
 def quantised(embedding: Column) -> Column:
