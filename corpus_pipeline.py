@@ -1,23 +1,68 @@
-"""Corpus pipeline: toxicity, quality, near-dedup, decontamination, mixing."""
+"""Corpus pipeline: toxicity, quality, near-duplicates, decontamination, mixing.
+
+Every stage works on all that its predecessor kept; classifiers learn from the
+labelled documents among its input. All but the last return the columns of
+``documents``; the last adds the fitted ``rate`` and whole ``copies`` of each
+document and leaves out those of rate 0.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from modelsort.llm import decontaminate, mixing, quality, simhash, toxicity
+from modelsort.llm.catalog import labelled_languages
+from modelsort.plans.durable import materialize
+
+
+def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+
+
+def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents whose maximum-scoring segments don't make them toxic."""
+    return toxicity.keep_clean(docs, toxicity.train(docs, _table(spark, sf_dir, "labels")))
 
-from modelsort.llm import simhash
+
+def keep_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the attention network scores at its threshold or above."""
+    return quality.keep_good(docs, quality.train(docs, _table(spark, sf_dir, "labels")))
 
 
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keep one document of each SimHash group."""
+    """One document of each SimHash group, that of least id."""
     return simhash.deduplicate(docs)
 
 
-STAGES = [("near_dedup", near_dedup)]
+def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents without contamination by benchmark windows."""
+    return decontaminate.decontaminate(docs, _table(spark, sf_dir, "benchmark"))
+
+
+def mix_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents with rates that give every language the same expected tokens."""
+    rates, _, _ = mixing.mix(docs, labelled_languages(docs, _table(spark, sf_dir, "labels")))
+    rates = rates.select(F.col("doc_id").alias("__id"), "rate", "copies")
+    return docs.join(rates, docs["doc_id"].eqNullSafe(rates["__id"])).where("rate > 0").drop("__id")
+
+
+STAGES = [
+    ("toxicity", drop_toxic),
+    ("quality classifier", keep_quality),
+    ("SimHash near-dedup", near_dedup),
+    ("benchmark decontamination", drop_contaminated),
+    ("mixing sources to target weights", mix_languages),
+]
+#: Learned scores and graph components have no SQL; tests compare with brute force.
 ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for _, stage in STAGES:
+    """All stages on ``documents``, each written and read again before the next."""
+    docs = _table(spark, sf_dir, "documents")
+    for number, (_, stage) in enumerate(STAGES):
         docs = stage(spark, docs, sf_dir)
+        if number < len(STAGES) - 1:
+            docs = materialize(docs, "pipeline")
     return docs
