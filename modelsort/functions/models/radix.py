@@ -10,30 +10,36 @@ from pyspark.sql import functions as F
 
 from modelsort.functions.models.base import Model
 
+#: The largest double below 2**63.
+_MOST = 9223372036854774784.0
+
 
 @dataclass
 class RadixBucket(Model):
-    """The top digits of ``floor(x) - low``; nothing is trained but the range."""
+    """``floor(x) >> shift`` from its least value on; nothing is trained but the range.
+
+    Digits are shifted before they are subtracted, so a range over 63 bits can't overflow.
+    """
 
-    low: int
+    base: int
     shift: int
     digits: int
 
     @classmethod
     def fit(cls, low: float, high: float, bits: int = 8) -> RadixBucket:
-        low_, high_ = int(np.floor(max(low, -(2.0**62)))), int(np.floor(min(high, 2.0**62)))
-        shift = max(0, (high_ - low_).bit_length() - bits)
-        return cls(low_, shift, ((high_ - low_) >> shift) + 1)
+        a, b = (int(np.floor(np.clip(v, -_MOST, _MOST))) for v in (low, high))
+        shift = max(0, (b - a).bit_length() - bits)
+        return cls(a >> shift, shift, (b >> shift) - (a >> shift) + 1)
 
     @property
     def buckets(self) -> int:
         return self.digits
 
     def column(self, x: Column) -> Column:
-        held = F.least(F.greatest(x, F.lit(float(self.low))), F.lit(float(self.low + (self.digits << self.shift))))
-        digit = F.shiftright(F.floor(held).cast("long") - F.lit(self.low), self.shift)
-        return F.least(F.lit(self.digits - 1), F.greatest(F.lit(0), digit.cast("int")))
+        held = F.least(F.greatest(x, F.lit(-_MOST)), F.lit(_MOST))
+        digit = F.shiftright(F.floor(held).cast("long"), self.shift)
+        return (F.least(F.lit(self.base + self.digits - 1), F.greatest(F.lit(self.base), digit)) - F.lit(self.base)).cast("int")
 
     def predict(self, x: np.ndarray) -> np.ndarray:
-        held = np.clip(x, float(self.low), float(self.low + (self.digits << self.shift)))
-        return np.clip((np.floor(held).astype(np.int64) - self.low) >> self.shift, 0, self.digits - 1)
+        digit = np.floor(np.clip(x, -_MOST, _MOST)).astype(np.int64) >> self.shift
+        return np.clip(digit, self.base, self.base + self.digits - 1) - self.base

@@ -12,15 +12,15 @@ from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from modelsort.functions import sampling
 from modelsort.functions.keys import KeySpec, as_key, numeric, order_bits, valid
-from modelsort.functions.models import Composite, EcdfBucket, LinearBucket, Model, RadixBucket, Rmi, SplitterTree, WithHeavy
+from modelsort.functions.models import EcdfBucket, LinearBucket, Model, RadixBucket, Rmi, SplitterTree, WithHeavy
 from modelsort.functions.models.linear import FITS
 from modelsort.plans.durable import materialize
-from modelsort.plans.partitioner import BUCKET, PART, Histogram, Packing, assign, histogram, pack, scatter
+from modelsort.plans.partitioner import PART, Histogram, Packing, assign, histogram, pack, scatter
 from modelsort.plans.refine import Trace, refine
 
 
@@ -95,7 +95,7 @@ def _statistics(df: DataFrame, key: KeySpec) -> tuple[int, int, float, float]:
 
 def finish(df: DataFrame, key: KeySpec, model: Model, sizes: Histogram, parts: int, trace: Trace) -> SortedFrame:
     """Pack the buckets, scatter the payload once, and sort within parts."""
-    splittable = sizes.one_value() if not key.ties and not df.sparkSession.conf.get("modelsort.keep", None) else None
+    splittable = sizes.one_value() if not key.ties else None
     packing = pack(sizes.rows, parts, splittable)
     salted = bool((packing.spread > 1).any())
     salt = F.xxhash64(*(F.col(c) for c in df.columns)) if salted else None
@@ -342,5 +342,3 @@ def sorted_by(column: str, method: str = "linear", **options) -> Callable[[DataF
     sorter = {"linear": linear_partition_sort, "tree": tree_sample_sort, "radix": radix_partition_sort, "ecdf": ecdf_two_pass_sort, "auto": auto_sort}[method]
     return lambda df: sorter(df, KeySpec(column), **options).rows()
 
-
-__all__ = ["BUCKET", "Column", "Composite"] and [n for n in dir() if n.endswith("_sort") or n in ("SortConfig", "SortedFrame", "merge_runs", "sorted_by", "sort_with", "ideal_place")]
