@@ -1,15 +1,807 @@
-"""Queries of the reference's own operators and their SQL."""
+"""Queries of the reference's own operators, and DuckDB SQL for what SQL can express.
+
+Sorted outputs carry positions, whose SQL needs no model; fitted models are held
+against the same search written in SQL.
+"""
 
 from __future__ import annotations
 
 from collections.abc import Callable
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from modelsort.functions import sampling
+from modelsort.functions import sql as sql_functions
+from modelsort.functions.keys import KeySpec, numeric, order_bits
+from modelsort.functions.models import EcdfBucket, LinearBucket, RadixBucket, Rmi, SplitterTree, WithHeavy, exact_ecdf, tune_rmi
+from modelsort.functions.models.linear import lsq_by_group, min_conflict_distributed
+from modelsort.operators import aggs, blocks, joins, lookup, metrics, rank, sorters, topk, verify
+from modelsort.operators.sorters import SortConfig
+from modelsort.plans.durable import new_folder
+from modelsort.plans.partitioner import utilisation
+from modelsort.sources import datasets, io, sinks
+from modelsort.streaming import buckets as streaming
+
+Query = Callable[[SparkSession, str], DataFrame]
+_QUERIES: dict[str, Query] = {}
+_SQL: dict[str, str] = {}
 
+LINE_TIES = ("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "l_extendedprice")
+#: A line for events.value, as fitted on the portable sample.
+LINE = LinearBucket(1.4823460752845055, -1.5496352494893415, 256, 12)
+LINE_SQL = "CAST(floor(least(255.0, greatest(0.0, 1.4823460752845055 * CAST(value AS DOUBLE) + -1.5496352494893415))) AS INTEGER)"
+#: Fixed splitters for events.value.
+SPLITTERS = [2.0, 5.0, 10.0, 20.0, 40.0, 80.0, 160.0]
+#: Keys, line and buffers of the worked example.
+EXAMPLE = [18, 39, 33, 28, 25, 34, 11, 27, 47, 2, 48, 50, 10, 6, 36, 13, 9, 12, 22, 29]
+EXAMPLE_LINE = LinearBucket(0.15, -1.55, 4)
+EXAMPLE_BLOCK = 2
 
-def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {}
+
+def queries() -> dict[str, Query]:
+    return dict(_QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(_SQL)
+
+
+def register(name: str, sql: str | None = None) -> Callable[[Query], Query]:
+    def add(query: Query) -> Query:
+        _QUERIES[name] = query
+        if sql:
+            _SQL[name] = sql
+        return query
+
+    return add
+
+
+def table(spark: SparkSession, sf: str, name: str, *columns: str) -> DataFrame:
+    return io.read(spark, sf, name, list(columns))
+
+
+# ---------------------------------------------------------------- sorters
+
+
+def _sorted(name: str, source: str, key: KeySpec, sorter: Callable, mode: str = "counter", key_sql: str | None = None, **options) -> None:
+    """Register a sort whose result is the ties and their position."""
+    order = f"{key_sql or key.column} {'ASC' if key.ascending else 'DESC'} NULLS {'FIRST' if key.nulls_first else 'LAST'}"
+    ties = ", ".join(key.ties)
+
+    def query(spark: SparkSession, sf: str) -> DataFrame:
+        df = table(spark, sf, source, *dict.fromkeys([key.column, *key.ties]))
+        return rank.global_position(sorter(df, key, **options), mode=mode).select(*key.ties, "position")
+
+    register(name, f"SELECT {ties}, row_number() OVER (ORDER BY {order}, {ties}) AS position FROM {source}")(query)
+
+
+VALUE = KeySpec("value", ties=("event_id",))
+_sorted("linear_partition_sort_events_value", "events", VALUE, sorters.linear_partition_sort)
+_sorted("linear_partition_sort_window_position", "events", VALUE, sorters.linear_partition_sort, mode="window")
+_sorted("linear_partition_sort_totalprice", "orders", KeySpec("o_totalprice", ties=("o_orderkey",)), sorters.linear_partition_sort)
+_sorted("linear_partition_sort_acctbal", "customer", KeySpec("c_acctbal", ties=("c_custkey",)), sorters.linear_partition_sort)
+_sorted("linear_partition_sort_n_chars", "documents", KeySpec("n_chars", ties=("doc_id",)), sorters.linear_partition_sort)
+_sorted("linear_partition_sort_ts", "events", KeySpec("ts", ties=("event_id",)), sorters.linear_partition_sort)
+_sorted("linear_partition_sort_shipdate", "lineitem", KeySpec("l_shipdate", ties=LINE_TIES), sorters.linear_partition_sort)
+_sorted("linear_partition_sort_extendedprice", "lineitem", KeySpec("l_extendedprice", ties=LINE_TIES[:4]), sorters.linear_partition_sort)
+_sorted("linear_partition_sort_discount_no_equality", "lineitem", KeySpec("l_discount", ties=LINE_TIES), sorters.linear_partition_sort, config=SortConfig(equality=False))
+_sorted("linear_least_squares_sort", "events", VALUE, sorters.linear_partition_sort, fit="lsq")
+_sorted("linear_min_max_sort", "events", VALUE, sorters.linear_partition_sort, fit="minmax")
+_sorted("linear_balanced_sort", "events", VALUE, sorters.linear_partition_sort, fit="balanced")
+_sorted("linear_sampled_histogram_sort", "events", VALUE, sorters.linear_partition_sort, config=SortConfig(histogram_share=0.2))
+_sorted("tree_sample_sort_heap", "events", VALUE, sorters.tree_sample_sort, mode="window")
+_sorted("tree_equality_sort_quantity", "lineitem", KeySpec("l_quantity", ties=LINE_TIES), sorters.tree_sample_sort)
+_sorted("tree_no_equality_sort_discount", "lineitem", KeySpec("l_discount", ties=LINE_TIES), lambda df, key: sorters.tree_sample_sort(df, key, equality=False))
+_sorted("tree_sample_sort_case", "events", VALUE, lambda df, key: sorters.tree_sample_sort(df, key, mode="case"))
+_sorted("tree_sample_sort_arrow", "events", VALUE, lambda df, key: sorters.tree_sample_sort(df, key, mode="arrow"))
+_sorted("quantile_sketch_sort", "events", VALUE, sorters.quantile_sort)
+_sorted("two_way_sort", "events", VALUE, sorters.two_way_sort)
+_sorted("radix_sort_user_id", "events", KeySpec("user_id", ties=("event_id",)), sorters.radix_partition_sort)
+_sorted("radix_double_bits_sort", "events", VALUE, sorters.radix_partition_sort)
+_sorted("ecdf_two_pass_sort_value", "events", VALUE, sorters.ecdf_two_pass_sort)
+_sorted("ecdf_two_pass_sort_n_chars", "documents", KeySpec("n_chars", ties=("doc_id",)), sorters.ecdf_two_pass_sort)
+_sorted("classic_copy_sort", "events", VALUE, sorters.classic_copy_sort)
+_sorted("auto_sort_discount", "lineitem", KeySpec("l_discount", ties=LINE_TIES), sorters.auto_sort)
+_sorted("auto_sort_value", "events", VALUE, sorters.auto_sort)
+_sorted("sort_desc_totalprice", "orders", KeySpec("o_totalprice", False, False, ("o_orderkey",)), sorters.linear_partition_sort)
+_sorted("sort_string_names", "customer", KeySpec("c_name", ties=("c_custkey",)), sorters.linear_partition_sort)
+_sorted("sort_string_urls_desc", "pages", KeySpec("url", False, False, ("page_id",)), sorters.tree_sample_sort)
+_sorted("sort_multi_key", "orders", KeySpec("o_orderdate", ties=("o_totalprice", "o_orderkey")), sorters.linear_partition_sort)
+
+
+def _derived(name: str, source: str, columns: str, expression: str, duck: str, key: KeySpec, sorter: Callable = sorters.linear_partition_sort) -> None:
+    """Register a sort by a computed key ``k``."""
+    order = f"k {'ASC' if key.ascending else 'DESC'} NULLS {'FIRST' if key.nulls_first else 'LAST'}, {', '.join(key.ties)}"
+
+    def query(spark: SparkSession, sf: str) -> DataFrame:
+        df = table(spark, sf, source, *columns.split()).withColumn("k", F.expr(expression))
+        return rank.global_position(sorter(df, key)).select(*key.ties, "position")
+
+    register(name, f"SELECT {', '.join(key.ties)}, row_number() OVER (ORDER BY {order}) AS position FROM (SELECT *, {duck} AS k FROM {source})")(query)
+
+
+_derived("sort_nulls_first", "customer", "c_custkey c_acctbal", "CASE WHEN c_acctbal >= 0 THEN c_acctbal END", "CASE WHEN c_acctbal >= 0 THEN c_acctbal END", KeySpec("k", ties=("c_custkey",)))
+_derived("sort_nulls_last", "customer", "c_custkey c_acctbal", "CASE WHEN c_acctbal >= 0 THEN c_acctbal END", "CASE WHEN c_acctbal >= 0 THEN c_acctbal END", KeySpec("k", nulls_first=False, ties=("c_custkey",)))
+_derived("sort_desc_nulls_first", "customer", "c_custkey c_acctbal", "CASE WHEN c_acctbal >= 0 THEN c_acctbal END", "CASE WHEN c_acctbal >= 0 THEN c_acctbal END", KeySpec("k", False, True, ("c_custkey",)))
+_derived("sort_json_key", "events", "event_id props", "CAST(get_json_object(props, '$.k') AS INT)", "CAST(json_extract_string(props, '$.k') AS INTEGER)", KeySpec("k", ties=("event_id",)))
+_derived("sort_array_coordinate", "embeddings", "vec_id embedding", "CAST(embedding[0] AS DOUBLE)", "CAST(embedding[1] AS DOUBLE)", KeySpec("k", ties=("vec_id",)))
+_derived("sort_decimal_key", "orders", "o_orderkey o_totalprice", "CAST(o_totalprice AS DECIMAL(18,2))", "CAST(o_totalprice AS DECIMAL(18,2))", KeySpec("k", ties=("o_orderkey",)))
+_derived("sort_date_key", "orders", "o_orderkey o_orderdate", "CAST(o_orderdate AS DATE)", "CAST(o_orderdate AS DATE)", KeySpec("k", ties=("o_orderkey",)))
+
+POSITION_SQL = "SELECT event_id, row_number() OVER (ORDER BY value, event_id) AS position FROM events"
+
+
+@register("builtin_sort_value", POSITION_SQL)
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    ordered = sorters.builtin_sort(table(spark, sf, "events", "event_id", "value"), VALUE, sequential=True)
+    return ordered.select("event_id", (F.monotonically_increasing_id() + 1).alias("position"))
+
+
+@register("builtin_parallel_sort_descents", "SELECT CAST(0 AS BIGINT) AS descents")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    from pyspark.sql import Window
+
+    ordered = sorters.builtin_sort(table(spark, sf, "events", "event_id", "value"), VALUE).withColumn("n", F.monotonically_increasing_id())
+    return ordered.withColumn("last", F.lag("value").over(Window.orderBy("n"))).agg(F.count(F.when(F.col("value") < F.col("last"), 1)).alias("descents"))
+
+
+@register("sequential_linear_sort_value", "SELECT value, row_number() OVER (ORDER BY value) AS position FROM events")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return sorters.sequential_sort(table(spark, sf, "events", "value"), "value")
+
+
+@register("ideal_place_distinct", "SELECT event_id, event_id * 3 AS key, row_number() OVER (ORDER BY event_id) AS position FROM events")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return sorters.ideal_place(table(spark, sf, "events", "event_id").withColumn("key", F.col("event_id") * 3), "key")
+
+
+@register("merge_sorted_runs", POSITION_SQL)
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    df = table(spark, sf, "events", "event_id", "value")
+    runs = [sorters.linear_partition_sort(df.where(F.col("event_id") % 2 == i), VALUE) for i in (0, 1)]
+    return rank.global_position(sorters.merge_runs(runs)).select("event_id", "position")
+
+
+@register("counting_sort_repair", "SELECT event_id, row_number() OVER (ORDER BY value, event_id) - 1 AS place FROM events")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    df = table(spark, sf, "events", "event_id", "value").orderBy("event_id").coalesce(1)
+    sample = sampling.draw_fraction(df, F.col("value"), 0.1)
+    return sorters.counting_sort(df, "value", sorters.ecdf_model(sample)).select("event_id", "place")
+
+
+@register("page_of_order", "SELECT event_id, position FROM (SELECT event_id, row_number() OVER (ORDER BY value, event_id) AS position FROM events) WHERE position > 500 AND position <= 700")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return sorters.linear_partition_sort(table(spark, sf, "events", "event_id", "value"), VALUE).page(500, 200).select("event_id", "position")
+
+
+@register("transform_sorted_by", "SELECT count(*) AS rows, CAST(sum(event_id) AS BIGINT) AS ids FROM events")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return table(spark, sf, "events", "event_id", "value").transform(sorters.sorted_by("value")).agg(F.count("*").alias("rows"), F.sum("event_id").alias("ids"))
+
+
+@register("sort_proof", "SELECT CAST(0 AS BIGINT) AS within_parts, CAST(0 AS BIGINT) AS between_parts")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return verify.descents(sorters.linear_partition_sort(table(spark, sf, "events", "event_id", "value"), VALUE))
+
+
+# ---------------------------------------------------------------- ranks
+
+
+@register("rank_family_quantity", "SELECT DISTINCT l_quantity, rank() OVER w AS rank, dense_rank() OVER w AS dense_rank, round(percent_rank() OVER w, 9) AS percent_rank, round(cume_dist() OVER w, 9) AS cume_dist FROM lineitem WINDOW w AS (ORDER BY l_quantity)")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    sf_ = sorters.linear_partition_sort(table(spark, sf, "lineitem", *LINE_TIES, "l_quantity"), KeySpec("l_quantity", ties=LINE_TIES))
+    return rank.ranks(sf_).select("l_quantity", "rank", "dense_rank", F.round("percent_rank", 9).alias("percent_rank"), F.round("cume_dist", 9).alias("cume_dist")).distinct()
+
+
+@register("ntile_value", "SELECT event_id, CAST(ntile(7) OVER (ORDER BY value, event_id) AS INTEGER) AS tile FROM events")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return rank.ntile(sorters.linear_partition_sort(table(spark, sf, "events", "event_id", "value"), VALUE), 7).select("event_id", "tile")
+
+
+@register("ecdf_exact", "SELECT DISTINCT p_size, cume_dist() OVER (ORDER BY p_size) AS ecdf, CAST(round(cume_dist() OVER (ORDER BY p_size) * count(*) OVER ()) AS BIGINT) AS position FROM part")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return exact_ecdf(table(spark, sf, "part", "p_size"), "p_size").distinct()
+
+
+# ---------------------------------------------------------------- worked example
+
+EXAMPLE_SQL = "(SELECT CAST(unnest(generate_series(0, 19)) AS INTEGER) AS idx, CAST(unnest([" + ", ".join(map(str, EXAMPLE)) + "]) AS DOUBLE) AS key)"
+
+
+def _example(spark: SparkSession) -> DataFrame:
+    return spark.createDataFrame(list(enumerate(map(float, EXAMPLE))), "idx int, key double")
+
+
+@register("worked_example_buckets", f"SELECT idx, key, CAST(least(3, greatest(0, floor(0.15 * key + -1.55))) AS INTEGER) AS bucket FROM {EXAMPLE_SQL}")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return _example(spark).withColumn("bucket", EXAMPLE_LINE.column(F.col("key")))
+
+
+@register("worked_example_sizes", "SELECT * FROM (VALUES (0, CAST(7 AS BIGINT)), (1, 2), (2, 4), (3, 7)) t(bucket, rows)")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return metrics.bucket_counts(_example(spark), F.col("key"), EXAMPLE_LINE)
+
+
+@register("worked_example_blocks", "SELECT CAST(idx AS INTEGER) AS idx, key FROM (SELECT unnest(generate_series(0, 19)) AS idx, CAST(unnest([39, 33, 28, 25, 34, 47, 11, 2, 48, 50, 10, 6, 13, 9, 18, 22, 27, 29, 12, 36]) AS DOUBLE) AS key)")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    found = blocks.classify([float(x) for x in EXAMPLE], EXAMPLE_LINE, EXAMPLE_BLOCK)
+    return spark.createDataFrame(list(enumerate(found.array())), "idx int, key double")
+
+
+@register("worked_example_contiguous", "SELECT CAST(idx AS INTEGER) AS idx, key FROM (SELECT unnest(generate_series(0, 19)) AS idx, CAST(unnest([11, 2, 10, 6, 13, 9, 12, 18, 22, 28, 25, 27, 29, 39, 33, 34, 47, 48, 50, 36]) AS DOUBLE) AS key)")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    found = blocks.classify([float(x) for x in EXAMPLE], EXAMPLE_LINE, EXAMPLE_BLOCK).contiguous()
+    return spark.createDataFrame(list(enumerate(x for bucket in found for x in bucket)), "idx int, key double")
+
+
+@register("worked_example_sorted", f"SELECT key, row_number() OVER (ORDER BY key) AS position FROM {EXAMPLE_SQL}")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return rank.global_position(sorters.sort_with(_example(spark).select("key"), "key", EXAMPLE_LINE))
+
+
+@register("block_trace_function", "SELECT * FROM (VALUES (-1, 0, '12.0'), (-1, 3, '36.0'), (0, 3, '39.0,33.0'), (1, 2, '28.0,25.0'), (2, 3, '34.0,47.0'), (3, 0, '11.0,2.0'), (4, 3, '48.0,50.0'), (5, 0, '10.0,6.0'), (6, 0, '13.0,9.0'), (7, 1, '18.0,22.0'), (8, 2, '27.0,29.0')) t(step, bucket, keys)")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    sql_functions.register(spark)
+    keys = ", ".join(f"{x}.0D" for x in EXAMPLE)
+    return spark.sql(f"SELECT step, bucket, array_join(transform(keys, x -> CAST(x AS STRING)), ',') AS keys FROM block_trace(array({keys}), 0.15D, -1.55D, 4, 2)")
+
+
+# ---------------------------------------------------------------- fits
+
+PORTABLE = "(SELECT CAST({x} AS DOUBLE) AS x FROM {t} WHERE ({i} * 7919) % 10007 < 400)"
+
+
+def _conflict_sql(t: str, i: str, x: str) -> str:
+    """Least feasible degree by trying each: ranks D apart, joined."""
+    source = PORTABLE.format(t=t, i=i, x=x)
+    return f"""
+WITH r AS (SELECT x, row_number() OVER (ORDER BY x) - 1 AS i, count(*) OVER () AS s FROM {source}),
+d AS (SELECT CAST(unnest(generate_series(1, CAST(max(s) // 3 AS BIGINT))) AS BIGINT) AS d, max(s) AS s FROM r),
+w AS (SELECT d.d, d.s, (hi.x - lo.x) / 254 AS u, lo.x AS first FROM d JOIN r lo ON lo.i = d.d JOIN r hi ON hi.i = d.s - 1 - d.d),
+g AS (SELECT w.d, min(b.x - a.x) AS gap FROM w JOIN r a ON TRUE JOIN r b ON b.i = a.i + w.d GROUP BY w.d),
+ok AS (SELECT min(w.d) AS d FROM w JOIN g USING (d) WHERE gap >= u OR w.d = s // 3)
+SELECT CAST(d AS INTEGER) AS conflict, 1 / u AS slope, 1 - (1 / u) * first AS intercept FROM w JOIN ok USING (d)"""
+
+
+def _line_row(spark: SparkSession, line: LinearBucket) -> DataFrame:
+    return spark.createDataFrame([(line.conflict, line.slope, line.intercept)], "conflict int, slope double, intercept double")
+
+
+for _t, _i, _x in (("events", "event_id", "value"), ("documents", "doc_id", "n_chars"), ("customer", "c_custkey", "c_acctbal")):
+
+    @register(f"min_conflict_fit_{_x}", _conflict_sql(_t, _i, _x))
+    def _(spark: SparkSession, sf: str, t: str = _t, i: str = _i, x: str = _x) -> DataFrame:
+        rows = sampling.modular(table(spark, sf, t, i, x), i)
+        return _line_row(spark, LinearBucket.fit_min_conflict(sampling.draw_fraction(rows, F.col(x).cast("double"), 1.0), 256))
+
+
+@register("min_conflict_fit_distributed", _conflict_sql("events", "event_id", "value"))
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return _line_row(spark, min_conflict_distributed(sampling.modular(table(spark, sf, "events", "event_id", "value"), "event_id"), "value", 256))
+
+
+_S = PORTABLE.format(t="events", i="event_id", x="value")
+
+
+def _portable(spark: SparkSession, sf: str) -> np.ndarray:
+    return sampling.draw_fraction(sampling.modular(table(spark, sf, "events", "event_id", "value"), "event_id"), F.col("value"), 1.0)
+
+
+@register("lsq_fit_value", f"SELECT round(regr_slope(y, x), 6) AS slope, round(regr_intercept(y, x), 6) AS intercept FROM (SELECT x, 256 * (row_number() OVER (ORDER BY x) - 1) / count(*) OVER () AS y FROM {_S})")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    line = LinearBucket.fit_lsq(_portable(spark, sf), 256)
+    return spark.createDataFrame([(round(line.slope, 6), round(line.intercept, 6))], "slope double, intercept double")
+
+
+@register("minmax_fit_value", f"SELECT 256 / (max(x) - min(x)) AS slope, -(256 / (max(x) - min(x))) * min(x) AS intercept FROM {_S}")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    line = LinearBucket.fit_min_max(_portable(spark, sf), 256)
+    return spark.createDataFrame([(line.slope, line.intercept)], "slope double, intercept double")
+
+
+@register("balanced_fit_value")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    line = LinearBucket.fit_balanced(_portable(spark, sf), 256)
+    return spark.createDataFrame([(line.slope, line.intercept)], "slope double, intercept double")
+
+
+@register("lsq_fit_by_group", "SELECT event_type, round(regr_slope(y, x), 6) AS slope, round(regr_intercept(y, x), 6) AS intercept, count(*) AS rows FROM (SELECT event_type, value AS x, 16 * (row_number() OVER (PARTITION BY event_type ORDER BY value) - 1) / count(*) OVER (PARTITION BY event_type) AS y FROM events) GROUP BY event_type")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    found = lsq_by_group(table(spark, sf, "events", "event_type", "value"), "event_type", "value", 16)
+    return found.select("event_type", F.round("slope", 6).alias("slope"), F.round("intercept", 6).alias("intercept"), "rows")
+
+
+@register("splitters_value", f"SELECT x AS splitter FROM (SELECT x, row_number() OVER (ORDER BY x) - 1 AS i, count(*) OVER () AS s FROM {_S}) JOIN (SELECT unnest(generate_series(1, 15)) AS j) ON i = (j * s) // 16")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return spark.createDataFrame([(float(x),) for x in SplitterTree.fit(_portable(spark, sf), 16).splitters], "splitter double")
+
+
+@register("rmi_lines_value", f"""
+WITH r AS (SELECT x, (row_number() OVER (ORDER BY x) - 1) / count(*) OVER () AS y, count(*) OVER () AS s FROM {_S}),
+root AS (SELECT (max(y) - min(y)) / (max(x) - min(x)) AS a, min(x) AS x0, min(y) AS y0 FROM r),
+leaf AS (SELECT x, y, CAST(floor(least(0.9999999999999999, greatest(0, a * x + (y0 - a * x0))) * 8) AS INTEGER) AS leaf FROM r, root)
+SELECT leaf, round(CASE WHEN count(*) > 1 THEN (max(y) - min(y)) / (max(x) - min(x)) ELSE 0 END, 6) AS slope FROM leaf GROUP BY leaf""")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    sample = _portable(spark, sf)
+    model = Rmi.two_level(sample, 8)
+    used = sorted(set(model._owner(sample).tolist()))
+    return spark.createDataFrame([(i, round(float(model.slopes[1][i]), 6)) for i in used], "leaf int, slope double")
+
+
+@register("rmi_tuning")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    rows = tune_rmi(_portable(spark, sf), (4, 16, 64))
+    return spark.createDataFrame([(r["leaves"], r["root"], r["leaf"], r["mean_error"], r["max_error"]) for r in rows], "leaves int, root string, leaf string, mean_error double, max_error double")
+
+
+@register("fit_per_group")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return aggs.fit_per_group(table(spark, sf, "events", "event_type", "value"), "event_type", "value")
+
+
+@register("double_order_bits", "SELECT event_id, rank() OVER (ORDER BY value) AS place FROM events")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    from pyspark.sql import Window
+
+    coded = table(spark, sf, "events", "event_id", "value").withColumn("bits", order_bits(F.col("value")))
+    return coded.select("event_id", F.rank().over(Window.orderBy("bits")).cast("long").alias("place"))
+
+
+# ---------------------------------------------------------------- buckets and measures
+
+
+def _case_sql(splitters: list[float], x: str = "value") -> str:
+    return " + ".join(f"CAST({x} > {s} AS INTEGER)" for s in splitters)
+
+
+def _counts(name: str, model, bucket: str, t: str = "events", x: str = "value") -> None:
+    sql = f"WITH b AS (SELECT {bucket} AS bucket, count(*) AS rows FROM {t} GROUP BY 1) SELECT i.bucket, coalesce(rows, 0) AS rows FROM (SELECT CAST(unnest(generate_series(0, {model.buckets - 1})) AS INTEGER) AS bucket) i LEFT JOIN b ON b.bucket = i.bucket"
+    register(name, sql)(lambda spark, sf: metrics.bucket_counts(table(spark, sf, t, x), numeric(table(spark, sf, t, x), x), model))
+
+
+_counts("bucket_histogram_linear", LINE, LINE_SQL)
+_counts("bucket_histogram_mirrored", LINE.mirrored(), f"255 - {LINE_SQL}")
+_counts("bucket_histogram_tree", SplitterTree(np.array(SPLITTERS), np.zeros(0), "case"), _case_sql(SPLITTERS))
+_counts("bucket_histogram_tree_arrow", SplitterTree(np.array(SPLITTERS), np.zeros(0), "arrow"), _case_sql(SPLITTERS))
+_counts("bucket_histogram_equality", SplitterTree(np.array([10.0, 20.0, 30.0]), np.array([20.0]), "case"), f"{_case_sql([10, 20, 30], 'l_quantity')} + CAST(l_quantity > 20 AS INTEGER) + CAST(l_quantity = 20 AS INTEGER)", "lineitem", "l_quantity")
+_counts("bucket_histogram_heavy_line", WithHeavy(LinearBucket(0.1, -0.1, 5), np.array([7.0, 25.0])), "CAST(floor(least(4.0, greatest(0.0, CAST(0.1 AS DOUBLE) * l_quantity + CAST(-0.1 AS DOUBLE)))) AS INTEGER) + 2 * CAST(l_quantity > 7 AS INTEGER) + 2 * CAST(l_quantity > 25 AS INTEGER) + CAST(l_quantity IN (7, 25) AS INTEGER)", "lineitem", "l_quantity")
+_counts("bucket_histogram_radix", RadixBucket.fit(0, 255, 4), "CAST(least(15, greatest(0, CAST(floor(value) AS BIGINT) >> 4)) AS INTEGER)")
+
+
+@register("bucket_histogram_rmi")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    sample = _portable(spark, sf)
+    model = EcdfBucket(Rmi.two_level(sample, 16).monotone(sample), 64)
+    return metrics.bucket_counts(table(spark, sf, "events", "value"), F.col("value"), model)
+
+
+@register("balance_measures", f"WITH b AS (SELECT {LINE_SQL} AS bucket, count(*) AS rows FROM events GROUP BY 1) SELECT round(CAST(sum(rows * rows) AS DOUBLE) - CAST(sum(rows) AS DOUBLE) * sum(rows) / 256, 3) AS imbalance, max(rows) / sum(rows) AS max_share, (256 - count(*)) / 256 AS empty_share FROM b")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return metrics.balance(metrics.bucket_counts(table(spark, sf, "events", "value"), F.col("value"), LINE)).withColumn("imbalance", F.round("imbalance", 3))
+
+
+@register("bucket_mean_squared_error", f"SELECT round(avg(e), 6) AS mse FROM (SELECT pow({LINE_SQL} - 256.0 * (row_number() OVER (ORDER BY value, event_id) - 1) / count(*) OVER (), 2) AS e FROM events)")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return metrics.bucket_mse(table(spark, sf, "events", "event_id", "value"), F.col("value"), LINE, [F.col("event_id")]).select(F.round("mse", 6).alias("mse"))
+
+
+_LINE_SHARE = "least(1.0, greatest(0.0, CAST(0.005 AS DOUBLE) * value + CAST(0.25 AS DOUBLE)))"
+
+
+def _share(x):
+    return F.least(F.lit(1.0), F.greatest(F.lit(0.0), F.lit(0.005) * x + F.lit(0.25)))
+
+
+@register("ecdf_error", f"SELECT round(max(e), 9) AS max_error, round(avg(e), 9) AS mean_error, round(-log10(greatest(avg(e), 1e-15)), 6) AS last_mile FROM (SELECT abs({_LINE_SHARE} - cume_dist() OVER (ORDER BY value)) AS e FROM events)")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    found = metrics.ecdf_error(table(spark, sf, "events", "value"), F.col("value"), _share(F.col("value")))
+    return found.select(F.round("max_error", 9).alias("max_error"), F.round("mean_error", 9).alias("mean_error"), F.round("last_mile", 6).alias("last_mile"))
+
+
+@register("monotone_violations", "SELECT count(*) FILTER (WHERE f < b) AS violations FROM (SELECT f, lag(f) OVER (ORDER BY value) AS b FROM (SELECT value, pow(value - 40, 2) AS f FROM events))")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return metrics.violations(table(spark, sf, "events", "value"), F.col("value"), F.pow(F.col("value") - 40, F.lit(2)))
+
+
+@register("monotone_repair", "SELECT CAST(0 AS BIGINT) AS violations")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    sample = _portable(spark, sf)
+    return metrics.violations(table(spark, sf, "events", "value"), F.col("value"), Rmi.two_level(sample, 16, leaf="lsq").monotone(sample).column(F.col("value")))
+
+
+@register("collisions", f"SELECT CAST(coalesce(sum(rows) FILTER (WHERE keys > 1), 0) AS BIGINT) AS colliding_rows, CAST(coalesce(sum(rows - keys), 0) AS BIGINT) AS forced_rows FROM (SELECT count(*) AS rows, count(DISTINCT value) AS keys FROM events GROUP BY {LINE_SQL})")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return metrics.collisions(table(spark, sf, "events", "value"), F.col("value"), LINE.column(F.col("value")))
+
+
+@register("displacement", f"SELECT count(*) FILTER (WHERE k <> g) AS moved, max(abs(k - g)) AS farthest, count(*) FILTER (WHERE value < last) AS inversions FROM (SELECT *, lag(value) OVER (ORDER BY g) AS last FROM (SELECT value, row_number() OVER (ORDER BY value, event_id) AS k, row_number() OVER (ORDER BY {LINE_SQL}, event_id) AS g FROM events))")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return metrics.displacement(table(spark, sf, "events", "event_id", "value"), F.col("value"), LINE.column(F.col("value")), [F.col("event_id")])
+
+
+@register("worker_utilisation")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    df = table(spark, sf, "events", "event_id", "value")
+    found = [(name, utilisation(s.sizes.rows, 8), s.trace.rounds) for name, s in (("linear", sorters.linear_partition_sort(df, VALUE)), ("tree", sorters.tree_sample_sort(df, VALUE)), ("radix", sorters.radix_partition_sort(df, VALUE)))]
+    return spark.createDataFrame(found, "sorter string, busy double, rounds int")
+
+
+@register("refinement_trace")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    df = datasets.keys(spark, "zipf", 50_000).select(F.col("key").cast("double").alias("key"), "id")
+    trace = sorters.linear_partition_sort(df, KeySpec("key", ties=("id",)), config=SortConfig(parts=8, base_rows=1024)).trace
+    return spark.createDataFrame(list(enumerate(trace.largest)), "round int, largest long")
+
+
+@register("fit_ablation")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return spark.createDataFrame(metrics.fit_ablation(table(spark, sf, "events", "value"), "value"), "key string, k long, fit string, conflict long, imbalance double, max_share double, empty_share double")
+
+
+@register("sample_size_sweep")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    rows = metrics.sample_sweep(table(spark, sf, "events", "value"), "value", (0.01, 0.05, 0.25, 1.0))
+    return spark.createDataFrame(rows, "fraction double, sampled long, fit_s double, ecdf_error double, max_share double").drop("fit_s")
+
+
+@register("operation_model", "SELECT n, n * log2(n) AS comparison_sort, n * 8.0 AS radix_sort FROM (SELECT CAST(unnest([10000, 100000, 1000000]) AS BIGINT) AS n)")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    rows = [(n, metrics.op_model(n)["comparison_sort"], metrics.op_model(n)["radix_sort"]) for n in (10_000, 100_000, 1_000_000)]
+    return spark.createDataFrame(rows, "n long, comparison_sort double, radix_sort double")
+
+
+# ---------------------------------------------------------------- selection
+
+
+def _frame(spark: SparkSession, sf: str) -> tuple[DataFrame, sorters.SortedFrame]:
+    df = table(spark, sf, "events", "event_id", "user_id", "value")
+    return df, sorters.linear_partition_sort(df, VALUE)
+
+
+@register("topk_smallest", "SELECT event_id, value FROM events ORDER BY value, event_id LIMIT 100")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return topk.smallest(*_frame(spark, sf), 100).select("event_id", "value")
+
+
+@register("quantile_exact", "SELECT q, quantile_disc(value, q) AS value FROM events, (SELECT CAST(unnest([0.1, 0.5, 0.99]) AS DOUBLE) AS q) GROUP BY q" .replace("quantile_disc(value, q)", "CASE q WHEN 0.1 THEN quantile_disc(value, 0.1) WHEN 0.5 THEN quantile_disc(value, 0.5) ELSE quantile_disc(value, 0.99) END"))
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    df, frame = _frame(spark, sf)
+    return spark.createDataFrame([(q, topk.quantile(df, frame, q)) for q in (0.1, 0.5, 0.99)], "q double, value double")
+
+
+@register("quantile_approximate")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    df, frame = _frame(spark, sf)
+    return topk.approx_quantile(df, "value", 0.5).withColumn("by_model", F.lit(topk.model_quantile(frame, 0.5)))
+
+
+@register("topk_per_group", "SELECT user_id, event_id, rank FROM (SELECT user_id, event_id, CAST(row_number() OVER (PARTITION BY user_id ORDER BY value DESC, event_id) AS INTEGER) AS rank FROM events) WHERE rank <= 3")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return topk.per_group(_frame(spark, sf)[0], "user_id", "value", 3, ties=("event_id",)).select("user_id", "event_id", "rank")
+
+
+@register("range_filter_by_model", "SELECT event_id FROM events WHERE value BETWEEN 20 AND 25")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return topk.between(*_frame(spark, sf), 20.0, 25.0).select("event_id")
+
+
+@register("in_filter_by_model", "SELECT event_id FROM events WHERE user_id IN (3, 17, 101)")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    df = table(spark, sf, "events", "event_id", "user_id")
+    return topk.isin(df, sorters.linear_partition_sort(df, KeySpec("user_id", ties=("event_id",))), [3, 17, 101]).select("event_id")
+
+
+@register("clipped_rows", "SELECT count(*) FILTER (WHERE 0.1 * value - 1 < 0) AS below, count(*) FILTER (WHERE 0.1 * value - 1 >= 16) AS above FROM events")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    line = F.lit(0.1) * F.col("value") - 1
+    return table(spark, sf, "events", "value").agg(F.count(F.when(line < 0, 1)).alias("below"), F.count(F.when(line >= 16, 1)).alias("above"))
+
+
+@register("rmi_lookup", "SELECT c_custkey, row_number() OVER (ORDER BY c_acctbal, c_custkey) - 1 AS pos FROM customer QUALIFY c_acctbal IN (SELECT c_acctbal FROM customer WHERE c_custkey % 10 = 0)")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    df = table(spark, sf, "customer", "c_custkey", "c_acctbal")
+    index = lookup.RmiIndex.build(df, "c_acctbal", ("c_custkey",), leaves=16, block=64)
+    return index.lookup(df.where(F.col("c_custkey") % 10 == 0).select("c_acctbal")).select("c_custkey", "pos")
+
+
+@register("binary_search_lookup", _SQL["rmi_lookup"])
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    df = table(spark, sf, "customer", "c_custkey", "c_acctbal")
+    index = lookup.RmiIndex.build(df, "c_acctbal", ("c_custkey",), leaves=16, block=64)
+    return lookup.BinarySearch.build(index).lookup(df.where(F.col("c_custkey") % 10 == 0).select("c_acctbal")).select("c_custkey", "pos")
+
+
+# ---------------------------------------------------------------- joins
+
+_ORDERS, _LINES = "(SELECT o_orderkey AS k, o_totalprice FROM orders WHERE o_orderkey % 3 > 0)", "(SELECT l_orderkey AS k, l_extendedprice FROM lineitem WHERE l_orderkey % 5 > 0)"
+
+
+def _sides(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
+    orders = table(spark, sf, "orders", "o_orderkey", "o_totalprice").where("o_orderkey % 3 > 0").withColumnRenamed("o_orderkey", "k")
+    lines = table(spark, sf, "lineitem", "l_orderkey", "l_extendedprice").where("l_orderkey % 5 > 0").withColumnRenamed("l_orderkey", "k")
+    return orders, lines
+
+
+for _how in joins.HOW:
+    if _how in ("left_semi", "left_anti"):
+        _sql = f"SELECT k, o_totalprice FROM {_ORDERS} a WHERE {'NOT ' if _how == 'left_anti' else ''}EXISTS (SELECT 1 FROM {_LINES} b WHERE a.k = b.k)"
+    else:
+        _sql = f"SELECT k, o_totalprice, l_extendedprice FROM {_ORDERS} {_how.upper()} JOIN {_LINES} USING (k)"
+
+    @register(f"model_merge_join_{_how}", _sql)
+    def _(spark: SparkSession, sf: str, how: str = _how) -> DataFrame:
+        return joins.merge(*_sides(spark, sf), "k", how)
+
+
+@register("salted_join", f"SELECT k, o_totalprice, l_extendedprice FROM {_ORDERS} JOIN {_LINES} USING (k)")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return joins.salted(*reversed(_sides(spark, sf)), "k", heavy_share=0.0002).select("k", "o_totalprice", "l_extendedprice")
+
+
+@register("hash_join", _SQL["salted_join"])
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return joins.hashed(*_sides(spark, sf), "k")
+
+
+_A, _B = "(SELECT c_custkey, c_acctbal FROM customer)", "(SELECT s_suppkey, s_acctbal FROM supplier)"
+
+
+def _balances(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
+    return table(spark, sf, "customer", "c_custkey", "c_acctbal"), table(spark, sf, "supplier", "s_suppkey", "s_acctbal")
+
+
+@register("band_join", f"SELECT c_custkey, s_suppkey FROM {_A} JOIN {_B} ON abs(c_acctbal - s_acctbal) <= 25")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return joins.band(*_balances(spark, sf), "c_acctbal", "s_acctbal", 25.0).select("c_custkey", "s_suppkey")
+
+
+@register("interval_join", f"SELECT c_custkey, s_suppkey FROM {_A} JOIN {_B} ON c_acctbal BETWEEN s_acctbal AND s_acctbal + 40")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    a, b = _balances(spark, sf)
+    return joins.intervals(a, b.withColumn("until", F.col("s_acctbal") + 40), "c_acctbal", "s_acctbal", "until").select("c_custkey", "s_suppkey")
+
+
+@register("theta_join", f"SELECT c_custkey, s_suppkey FROM {_A} JOIN (SELECT * FROM {_B} WHERE s_suppkey <= 20) ON c_acctbal < s_acctbal")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    a, b = _balances(spark, sf)
+    return joins.theta(a, b.where("s_suppkey <= 20"), "c_acctbal", "s_acctbal", "<").select("c_custkey", "s_suppkey")
+
+
+_CLICKS, _VIEWS = "(SELECT event_id, user_id, value, event_id * 10 AS t FROM events WHERE event_id % 3 = 0)", "(SELECT event_id AS other, user_id, event_id * 10 + 4 AS u FROM events WHERE event_id % 7 = 1)"
+
+
+def _moments(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
+    ev = table(spark, sf, "events", "event_id", "user_id")
+    return ev.where("event_id % 3 = 0").withColumn("t", F.col("event_id") * 10), ev.where("event_id % 7 = 1").select(F.col("event_id").alias("other"), "user_id", (F.col("event_id") * 10 + 4).alias("u"))
+
+
+@register("asof_join_backward", f"SELECT a.event_id, b.other, b.u FROM {_CLICKS} a ASOF LEFT JOIN (SELECT other, u FROM {_VIEWS}) b ON a.t >= b.u")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    l, r = _moments(spark, sf)
+    return joins.asof(l, r, "t", "u", columns=("other",)).select("event_id", "other", "u")
+
+
+@register("asof_join_by_user", f"SELECT a.event_id, b.other, b.u FROM {_CLICKS} a ASOF LEFT JOIN {_VIEWS} b ON a.user_id = b.user_id AND a.t >= b.u")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    l, r = _moments(spark, sf)
+    return joins.asof(l, r, "t", "u", by="user_id", columns=("other",)).select("event_id", "other", "u")
+
+
+@register("asof_join_forward_tolerance", f"SELECT event_id, CASE WHEN u - t <= 25 THEN other END AS other, CASE WHEN u - t <= 25 THEN u END AS u FROM (SELECT a.event_id, a.t, b.other, b.u FROM {_CLICKS} a ASOF LEFT JOIN (SELECT other, u FROM {_VIEWS}) b ON a.t <= b.u)")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    l, r = _moments(spark, sf)
+    return joins.asof(l, r, "t", "u", columns=("other",), direction="forward", tolerance=25.0).select("event_id", "other", "u")
+
+
+# ---------------------------------------------------------------- aggregates
+
+
+@register("sort_aggregate", "SELECT user_id, count(*) AS rows, min(value) AS least, max(value) AS most FROM events GROUP BY user_id")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    frame = sorters.linear_partition_sort(table(spark, sf, "events", "event_id", "user_id", "value"), KeySpec("user_id", ties=("event_id",)))
+    return aggs.sorted_group(frame, F.count("*").alias("rows"), F.min("value").alias("least"), F.max("value").alias("most"))
+
+
+@register("hash_aggregate", _SQL["sort_aggregate"])
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return table(spark, sf, "events", "user_id", "value").groupBy("user_id").agg(F.count("*").alias("rows"), F.min("value").alias("least"), F.max("value").alias("most"))
+
+
+@register("bucket_distinct", "SELECT count(DISTINCT value) AS distinct_keys FROM events")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return aggs.distinct_count(_frame(spark, sf)[1])
+
+
+@register("approximate_distinct")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return aggs.approx_distinct(table(spark, sf, "events", "user_id"), "user_id")
+
+
+@register("duplicate_ratio", "SELECT 1 - count(DISTINCT l_quantity) / count(l_quantity) AS duplicate_ratio FROM lineitem")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return aggs.duplicate_ratio(table(spark, sf, "lineitem", "l_quantity"), "l_quantity")
+
+
+@register("heavy_hitters", "SELECT l_discount, count(*) AS rows FROM lineitem GROUP BY 1 HAVING count(*) >= 0.09 * (SELECT count(*) FROM lineitem)")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return aggs.heavy(table(spark, sf, "lineitem", "l_discount"), "l_discount", 0.09)
+
+
+@register("histogram_equal_width", "SELECT CAST(least(49, floor((p_size - lo) * 50 / (hi - lo))) AS INTEGER) AS bin, count(*) AS rows FROM (SELECT CAST(p_size AS DOUBLE) AS p_size, min(p_size) OVER () AS lo, max(p_size) OVER () AS hi FROM part) GROUP BY 1")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return aggs.histogram(table(spark, sf, "part", "p_size"), "p_size", 50)
+
+
+@register("histogram_equal_depth")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return aggs.histogram(table(spark, sf, "events", "value"), "value", 16, "depth")
+
+
+@register("histogram_model", f"SELECT {LINE_SQL} AS bin, count(*) AS rows FROM events GROUP BY 1")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return aggs.histogram(table(spark, sf, "events", "value"), "value", 256, "model", LINE)
+
+
+@register("regression_line", "SELECT round(regr_slope(l_extendedprice, l_quantity), 4) AS slope, round(regr_intercept(l_extendedprice, l_quantity), 4) AS intercept, round(regr_r2(l_extendedprice, l_quantity), 6) AS r2 FROM lineitem")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    found = aggs.line(table(spark, sf, "lineitem", "l_extendedprice", "l_quantity"), F.col("l_extendedprice"), F.col("l_quantity"))
+    return found.select(F.round("slope", 4).alias("slope"), F.round("intercept", 4).alias("intercept"), F.round("r2", 6).alias("r2"))
+
+
+_RESULTS_SQL = "(SELECT event_type AS family, CAST(user_id % 4 AS VARCHAR) AS dataset, CAST(user_id % 3 AS VARCHAR) AS sorter, CAST(event_id % 100 AS DOUBLE) AS keys_per_s FROM events)"
+
+
+def _results(spark: SparkSession, sf: str) -> DataFrame:
+    return table(spark, sf, "events", "event_id", "event_type", "user_id").select(F.col("event_type").alias("family"), (F.col("user_id") % 4).cast("string").alias("dataset"), (F.col("user_id") % 3).cast("string").alias("sorter"), (F.col("event_id") % 100).cast("double").alias("keys_per_s"))
+
+
+@register("leaderboard_grouping_sets", f"SELECT family, dataset, sorter, round(keys_per_s, 6) AS keys_per_s, CAST(level AS BIGINT) AS level, CAST(rank() OVER (PARTITION BY level, family, dataset ORDER BY round(keys_per_s, 9) DESC, sorter) AS INTEGER) AS rank FROM (SELECT family, dataset, sorter, avg(keys_per_s) AS keys_per_s, grouping_id(family, dataset, sorter) AS level FROM {_RESULTS_SQL} GROUP BY GROUPING SETS ((family, dataset, sorter), (family, sorter), (sorter)))")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return metrics.leaderboard(_results(spark, sf)).withColumn("keys_per_s", F.round("keys_per_s", 6))
+
+
+@register("leaderboard_rollup", f"SELECT family, sorter, round(avg(keys_per_s), 6) AS keys_per_s FROM {_RESULTS_SQL} GROUP BY ROLLUP (family, sorter)")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return _results(spark, sf).rollup("family", "sorter").agg(F.round(F.avg("keys_per_s"), 6).alias("keys_per_s"))
+
+
+@register("leaderboard_cube", f"SELECT family, sorter, max(keys_per_s) AS keys_per_s FROM {_RESULTS_SQL} GROUP BY CUBE (family, sorter)")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return _results(spark, sf).cube("family", "sorter").agg(F.max("keys_per_s").alias("keys_per_s"))
+
+
+# ---------------------------------------------------------------- data sets, sources, sinks, SQL
+
+
+@register("gen_root_dups", "SELECT event_id AS id, event_id % CAST(floor(sqrt((SELECT count(*) FROM events))) AS BIGINT) AS key FROM events")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return datasets.carrier(spark, sf, "root_dups")
+
+
+@register("gen_two_dups", "SELECT event_id AS id, ((event_id % n) * (event_id % n) + n // 2) % n AS key FROM events, (SELECT count(*) AS n FROM events)")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return datasets.carrier(spark, sf, "two_dups")
+
+
+for _name in ("popularity", "exponential", "network_ids", "uniform", "normal", "lognormal", "mixture", "chi_squared", "zipf"):
+
+    @register(f"carrier_{_name}")
+    def _(spark: SparkSession, sf: str, name: str = _name) -> DataFrame:
+        return datasets.carrier(spark, sf, name)
+
+
+@register("generated_families")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    every = None
+    for family, names in datasets.FAMILIES.items():
+        for name in names:
+            rows = datasets.keys(spark, name, 2_000).agg(F.count("key").alias("rows"), F.count_distinct("key").alias("keys"), F.avg(F.col("key").cast("double")).alias("mean")).select(F.lit(family).alias("family"), F.lit(name).alias("dataset"), "*")
+            every = rows if every is None else every.unionByName(rows)
+    return every
+
+
+@register("key_generator_source", "SELECT CAST(1000 AS BIGINT) AS rows, CAST(31 AS BIGINT) AS keys")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    datasets.register(spark)
+    rows = spark.read.format("keygen").option("dist", "root_dups").option("n", "1000").load()
+    return rows.agg(F.count("*").alias("rows"), F.count_distinct("key").alias("keys"))
+
+
+@register("ordered_sink_range", "SELECT event_id, value FROM events WHERE value BETWEEN 30 AND 33")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    path = new_folder(spark, "ordered")
+    sinks.write_ordered(sorters.linear_partition_sort(table(spark, sf, "events", "event_id", "value"), VALUE), path)
+    return sinks.read_range(spark, path, "value", 30.0, 33.0).select("event_id", "value")
+
+
+@register("bucketed_sink", f"SELECT count(*) AS rows FROM events WHERE {LINE_SQL} >= 0")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    path = new_folder(spark, "bucketed")
+    df, frame = _frame(spark, sf)
+    sinks.write_bucketed(df, frame, path)
+    return spark.read.parquet(path).agg(F.count("*").alias("rows"))
+
+
+@register("model_store", "SELECT CAST(256 AS INTEGER) AS k, 1.4823460752845055 AS slope, -1.5496352494893415 AS intercept".replace("1.4823460752845055", "CAST('1.4823460752845055' AS DOUBLE)").replace("-1.5496352494893415", "CAST('-1.5496352494893415' AS DOUBLE)"))
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    path = new_folder(spark, "model")
+    sinks.save_model(spark, LINE, path)
+    back = sinks.load_model(spark, path)
+    return spark.createDataFrame([(back.k, back.slope, back.intercept)], "k int, slope double, intercept double")
+
+
+@register("sql_linear_bucket", f"SELECT event_id, {LINE_SQL} AS bucket FROM events")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    sql_functions.register(spark)
+    table(spark, sf, "events", "event_id", "value").createOrReplaceTempView("modelsort_events")
+    return spark.sql(f"SELECT event_id, linear_bucket(value, {LINE.slope!r}D, {LINE.intercept!r}D, 256) AS bucket FROM modelsort_events")
+
+
+# ---------------------------------------------------------------- streams
+
+
+def _stream(spark: SparkSession, sf: str) -> DataFrame:
+    """Events replayed from one file; each call has a checkpoint of its own."""
+    schema = spark.read.parquet(f"{sf}/events.parquet").schema
+    return streaming.replay(spark, sf, schema, "events.parquet")
+
+
+def _wall_seconds(c: str):
+    """Seconds of a time stamp's local wall clock, the same in any session time zone."""
+    return (F.unix_date(F.to_date(c)) * 86400 + F.hour(c) * 3600 + F.minute(c) * 60 + F.second(c)).cast("long")
+
+
+def _memory(frame: DataFrame, mode: str = "complete") -> DataFrame:
+    import uuid
+
+    return streaming.run_to_table(frame, f"stream_{uuid.uuid4().hex}", mode)
+
+
+@register("stream_bucket_counts_tumbling", f"SELECT CAST(epoch(time_bucket(INTERVAL 1 HOUR, ts)) AS BIGINT) AS start, {LINE_SQL} AS bucket, count(*) AS rows FROM events GROUP BY 1, 2")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    found = _memory(streaming.bucket_counts(_stream(spark, sf), "value", LINE))
+    return found.select(_wall_seconds("start").alias("start"), "bucket", "rows")
+
+
+@register("stream_bucket_counts_sliding", "SELECT CAST(epoch(time_bucket(INTERVAL 30 MINUTES, ts)) AS BIGINT) - 1800 * i AS start, count(*) AS rows FROM events, (SELECT unnest([0, 1, 2, 3]) AS i) GROUP BY 1")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    found = _memory(streaming.bucket_counts(_stream(spark, sf), "value", LINE, window="2 hours", slide="30 minutes"))
+    return found.groupBy(_wall_seconds("start").alias("start")).agg(F.sum("rows").alias("rows"))
+
+
+@register("stream_session_counts", "SELECT user_id, count(*) AS sessions, CAST(sum(n) AS BIGINT) AS rows FROM (SELECT user_id, session, count(*) AS n FROM (SELECT user_id, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS session FROM (SELECT *, CASE WHEN ts >= lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL 30 MINUTES OR lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) IS NULL THEN 1 ELSE 0 END AS new FROM events)) GROUP BY 1, 2) GROUP BY 1")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    found = _memory(streaming.session_counts(_stream(spark, sf), "value", LINE, "user_id"))
+    return found.groupBy("user_id").agg(F.count("*").alias("sessions"), F.sum("rows").alias("rows"))
+
+
+@register("stream_dedup", "SELECT DISTINCT user_id, event_type FROM events")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return _memory(streaming.dedup(_stream(spark, sf), ["user_id", "event_type"], late="400 days").select("user_id", "event_type"), "append")
+
+
+@register("stream_drift")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    out: list[dict] = []
+    stream = _stream(spark, sf).writeStream.foreachBatch(streaming.drift_monitor("value", LINE, out)).trigger(availableNow=True).start()
+    stream.awaitTermination()
+    return spark.createDataFrame(out, "batch long, rows long, max_share double, end_share double, refit boolean")
+
+
+@register("stream_sorted_runs", "SELECT event_id, row_number() OVER (ORDER BY value, event_id) AS position FROM events")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    path = new_folder(spark, "runs")
+    stream = _stream(spark, sf).select("event_id", "value").writeStream.foreachBatch(streaming.sorted_runs(LINE, "value", path)).trigger(availableNow=True).start()
+    stream.awaitTermination()
+    runs = streaming.compact(spark, path, "value", LINE)
+    return rank.global_position(sorters.sort_with(runs.rows(), VALUE, LINE)).select("event_id", "position")
+
+
+@register("stream_interval_join", "SELECT a.event_id, b.event_id AS other FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts <= a.ts AND b.ts >= a.ts - INTERVAL 1 HOUR WHERE a.event_id % 3 = 0 AND b.event_id % 3 = 1")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    ev = _stream(spark, sf).select("event_id", "user_id", "ts")
+    left = ev.where("event_id % 3 = 0")
+    right = ev.where("event_id % 3 = 1").select(F.col("event_id").alias("other"), "user_id", F.col("ts").alias("other_ts"))
+    return _memory(streaming.interval_join(left, right, "user_id", "ts", "other_ts").select("event_id", "other"), "append")

@@ -14,6 +14,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from modelsort.functions import sampling
 from modelsort.functions.keys import KeySpec, as_key, numeric, order_bits, valid
@@ -249,7 +250,7 @@ def counting_sort(df: DataFrame, key: str, rmi: Rmi, low: float = 0.0, high: flo
     partition and returns rows in key order; where they differ the repair moved
     a row. ``df`` needs a double ``key`` without nulls.
     """
-    schema = df.schema.add("slot", "long").add("place", "long")
+    schema = T.StructType([*df.schema.fields, T.StructField("slot", T.LongType()), T.StructField("place", T.LongType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         parts = list(batches)
@@ -302,7 +303,7 @@ def sequential_sort(df: DataFrame, key: str, k: int = 256, base: int = 1 << 12)
         cuts = np.searchsorted(bucket[by], np.arange(k + 1))
         return [o for i in range(k) if cuts[i + 1] > cuts[i] for o in order_of(x, at[by[cuts[i] : cuts[i + 1]]])]
 
-    schema = df.schema.add("position", "long")
+    schema = T.StructType([*df.schema.fields, T.StructField("position", T.LongType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         parts = list(batches)

@@ -14,9 +14,9 @@ from modelsort.functions.models import Model
 from modelsort.operators.sorters import SortConfig, SortedFrame, sort_with
 
 
-def replay(spark: SparkSession, path: str, schema, files_per_trigger: int = 1) -> DataFrame:
-    """A folder of Parquet files as a stream; ``timestamp_ntz`` columns become time stamps, as watermarks need."""
-    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).parquet(path)
+def replay(spark: SparkSession, folder: str, schema, files: str = "*", files_per_trigger: int = 1) -> DataFrame:
+    """Parquet files of a folder whose names match ``files`` as a stream; ``timestamp_ntz`` columns become time stamps, as watermarks need."""
+    stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_trigger).option("pathGlobFilter", files).parquet(folder)
     return stream.withColumns({c: F.col(c).cast("timestamp") for c, kind in stream.dtypes if kind == "timestamp_ntz"})
 
 
