@@ -5,14 +5,25 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from modelsort.plans.durable import materialize
+
+
+#: Groups whose bounds are sent to every task; with more of them the rows are shuffled.
+BROADCAST_GROUPS = 10_000
+
 
 def least_hashes(rows: DataFrame, hash_col: str, n: int, group_col: str) -> DataFrame:
     """Per group, one row for each of the ``n`` least hashes.
 
-    Only hashes are ranked; the rows follow by a join with one bound a group.
+    Only hashes are ranked. The rows are then held against one bound a group,
+    which every task gets if the groups are counted few, so that texts outside
+    the sample stay where they are.
     """
     ranked = rows.select(group_col, hash_col).distinct().withColumn("__n", F.row_number().over(Window.partitionBy(group_col).orderBy(hash_col)))
     bound = ranked.where(F.col("__n") <= n).groupBy(group_col).agg(F.max(hash_col).alias("__most"))
+    bound = materialize(bound, "hash-bounds")
+    if bound.count() <= BROADCAST_GROUPS:
+        bound = F.broadcast(bound)
     return rows.join(bound, group_col).where(F.col(hash_col) <= F.col("__most")).dropDuplicates([group_col, hash_col]).drop("__most")
 
 
