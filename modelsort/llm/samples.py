@@ -19,11 +19,18 @@ def least_hashes(rows: DataFrame, hash_col: str, n: int, group_col: str) -> Data
     which every task gets if the groups are counted few, so that texts outside
     the sample stay where they are.
     """
-    ranked = rows.select(group_col, hash_col).distinct().withColumn("__n", F.row_number().over(Window.partitionBy(group_col).orderBy(hash_col)))
-    bound = ranked.where(F.col("__n") <= n).groupBy(group_col).agg(F.max(hash_col).alias("__most"))
-    bound = materialize(bound, "hash-bounds")
-    if bound.count() <= BROADCAST_GROUPS:
-        bound = F.broadcast(bound)
+    known = materialize(rows.select(group_col, hash_col).distinct(), "hashes")
+    # Counts per leading bits of the hash show how far down a group's n least reach; only those hashes are ranked.
+    top = F.shiftright(hash_col, 48)
+    tally = known.groupBy(group_col, top.alias("__top")).agg(F.count("*").alias("__n"))
+    along = Window.partitionBy(group_col).orderBy("__top").rowsBetween(Window.unboundedPreceding, -1)
+    few = tally.withColumn("__before", F.coalesce(F.sum("__n").over(along), F.lit(0))).where(F.col("__before") < n)
+    reach = materialize(few.groupBy(group_col).agg(F.max("__top").alias("__reach")), "hash-reach")
+    small = reach.count() <= BROADCAST_GROUPS
+    near = known.join(F.broadcast(reach) if small else reach, group_col).where(top <= F.col("__reach"))
+    ranked = near.withColumn("__n", F.row_number().over(Window.partitionBy(group_col).orderBy(hash_col))).where(F.col("__n") <= n)
+    bound = materialize(ranked.groupBy(group_col).agg(F.max(hash_col).alias("__most")), "hash-bounds")
+    bound = F.broadcast(bound) if small else bound
     return rows.join(bound, group_col).where(F.col(hash_col) <= F.col("__most")).dropDuplicates([group_col, hash_col]).drop("__most")
 
 
