@@ -12,12 +12,12 @@ from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from modelsort.functions import sampling
-from modelsort.functions.keys import KeySpec, as_key, numeric, order_bits, valid
+from modelsort.functions.keys import KeySpec, as_key, numeric, order_bits, order_bits_np, valid
 from modelsort.functions.models import EcdfBucket, LinearBucket, Model, RadixBucket, Rmi, SplitterTree, WithHeavy
 from modelsort.functions.models.linear import FITS
 from modelsort.plans.durable import materialize
@@ -87,25 +87,39 @@ class SortedFrame:
 
 
 def _statistics(df: DataFrame, key: KeySpec) -> tuple[int, int, float, float]:
-    """Rows, rows with a finite key, and the range of those."""
-    keys = df.select(numeric(df, key.column).alias("x"))
-    finite = valid(F.col("x")) & (F.abs("x") < float("inf"))
-    n, m, low, high = keys.agg(F.count("*"), F.count(F.when(finite, 1)), F.min(F.when(finite, F.col("x"))), F.max(F.when(finite, F.col("x")))).first()
+    """Rows, rows with a finite key, and the range of those, in one key-only scan."""
+    n, m, low, high = df.select(numeric(df, key.column).alias("x")).agg(*_measures()).first()
     return n, m, low, high
 
 
-def finish(df: DataFrame, key: KeySpec, model: Model, sizes: Histogram, parts: int, trace: Trace) -> SortedFrame:
-    """Pack the buckets, scatter the payload once, and sort within parts."""
-    splittable = sizes.one_value() if not key.ties else None
+def _measures() -> list[Column]:
+    finite = valid(F.col("x")) & (F.abs("x") < float("inf"))
+    return [F.count("*"), F.count(F.when(finite, 1)), F.min(F.when(finite, F.col("x"))), F.max(F.when(finite, F.col("x")))]
+
+
+def _observed_sample(df: DataFrame, key: KeySpec, config: SortConfig) -> tuple[int, int, float, float, np.ndarray]:
+    """Statistics and training sample from one scan: the rows are counted first, which Parquet answers from its footers."""
+    n = df.count()
+    seen = Observation()
+    names = ("n", "m", "low", "high")
+    keys = df.select(numeric(df, key.column).alias("x")).observe(seen, *(e.alias(c) for e, c in zip(_measures(), names, strict=True)))
+    sample = sampling.draw(keys, F.col("x"), sampling.sample_size(max(n, 2), config.k, config.oversampling), n, config.seed)
+    got = seen.get
+    return (*(got[c] for c in names), sample)
+
+
+def finish(df: DataFrame, key: KeySpec, model: Model, sizes: Histogram, parts: int, trace: Trace, raw: KeySpec | None = None) -> SortedFrame:
+    """Pack the buckets, scatter the payload once, and sort within parts, by ``raw`` if the key is coded."""
+    splittable = sizes.one_value() if not key.ties and raw is None else None
     packing = pack(sizes.rows, parts, splittable)
     salted = bool((packing.spread > 1).any())
     salt = F.xxhash64(*(F.col(c) for c in df.columns)) if salted else None
-    moved = scatter(assign(df, key, model), packing, salt).sortWithinPartitions(*key.order())
+    moved = scatter(assign(df, key, model), packing, salt).sortWithinPartitions(*(raw or key).order())
     offsets = None
     if not salted:
         per_part = np.bincount(packing.part, weights=sizes.rows, minlength=packing.parts).astype(np.int64)
         offsets = np.cumsum(per_part) - per_part
-    return SortedFrame(moved, key, packing.parts, offsets, model, packing, sizes, trace)
+    return SortedFrame(moved, raw or key, packing.parts, offsets, model, packing, sizes, trace)
 
 
 def partition_sort(df: DataFrame, key: KeySpec | str, fit: Callable[[np.ndarray, int], Model], config: SortConfig = SortConfig()) -> SortedFrame:
@@ -118,13 +132,10 @@ def partition_sort(df: DataFrame, key: KeySpec | str, fit: Callable[[np.ndarray,
     """
     key = as_key(key)
     parts = config.parts or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    n, m, low, high = _statistics(df, key)
-    x = numeric(df, key.column)
-    if not m or low == high:
+    n, m, low, high, sample = _observed_sample(df, key, config)
+    if not m or low == high or not len(sample):
         model: Model = LinearBucket.constant(1)
-        sample = np.zeros(0)
     else:
-        sample = sampling.draw(df, x, sampling.sample_size(m, config.k, config.oversampling), m, config.seed)
         heavy = sampling.heavy_keys(sample, config.k) if config.equality else np.zeros(0)
         light = sample[~np.isin(sample, heavy)]
         model = fit(light if len(light) else sample, config.k)
@@ -175,28 +186,32 @@ def quantile_sort(df: DataFrame, key: KeySpec | str, *, config: SortConfig = Sor
 def radix_partition_sort(df: DataFrame, key: KeySpec | str, *, bits: int = 8, extract: bool = True, config: SortConfig = SortConfig()) -> SortedFrame:
     """Most-significant digits of the key, or of its order-preserving bits if ``extract``."""
     key = as_key(key)
+    n, m, low, high = _statistics(df, key)
+    if not m or low == high:
+        return sort_with(df, key, LinearBucket.constant(1), config)
     x = numeric(df, key.column)
     if extract and dict(df.dtypes)[key.column] in ("double", "float"):
-        coded = df.withColumn("__bits", F.when(valid(x), order_bits(x)))
-        result = radix_partition_sort(coded, KeySpec("__bits", key.ascending, key.nulls_first, key.ties), bits=bits, extract=False, config=config) if not df.where(F.isnan(x)).limit(1).count() else None
-        if result is not None:
-            return replace(result, df=result.df.drop("__bits"), key=key)
-    n, m, low, high = _statistics(df, key)
-    model = RadixBucket.fit(low, high, bits) if m else LinearBucket.constant(1)
-    if m and low == high:
-        model = LinearBucket.constant(1)
-    return sort_with(df, key, model, config, lambda s, k: RadixBucket.fit(s[0], s[-1], bits))
+        # NaN keeps a slot of its own, so only what a model places is coded; the range is coded on the driver.
+        coded = df.withColumn("__bits", F.when(valid(x), order_bits(x).cast("double")).otherwise(x))
+        ends = order_bits_np(np.array([low, high])).astype(float)
+        code = KeySpec("__bits", key.ascending, key.nulls_first)
+        result = sort_with(coded, code, RadixBucket.fit(*ends, bits), config, lambda s, k: RadixBucket.fit(s[0], s[-1], bits), key)
+        return replace(result, df=result.df.drop("__bits"), model=None)  # the model reads coded keys only
+    return sort_with(df, key, RadixBucket.fit(low, high, bits), config, lambda s, k: RadixBucket.fit(s[0], s[-1], bits))
+
 
+def sort_with(df: DataFrame, key: KeySpec | str, model: Model, config: SortConfig = SortConfig(), fit: Callable[[np.ndarray, int], Model] = LinearBucket.fit_min_conflict, raw: KeySpec | None = None) -> SortedFrame:
+    """Sort by a model that is already there, as for appended data; large buckets are refined by ``fit``.
 
-def sort_with(df: DataFrame, key: KeySpec | str, model: Model, config: SortConfig = SortConfig(), fit: Callable[[np.ndarray, int], Model] = LinearBucket.fit_min_conflict) -> SortedFrame:
-    """Sort by a model that is already there, as for appended data; large buckets are refined by ``fit``."""
+    ``raw`` is the key to sort by within parts if ``key`` is only a coded form of it.
+    """
     key = as_key(key)
     parts = config.parts or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     asc = KeySpec(key.column)
     first = histogram(df, asc, model, config.histogram_share, config.seed)
     limit = max(config.base_rows, first.n // max(2 * parts, 1))
     model, sizes, trace = refine(df, key, model, fit, config.k, limit, config.depth, config.histogram_share, config.seed)
-    return finish(df, key, model, _in_output_order(sizes, model, key), parts, trace)
+    return finish(df, key, model, _in_output_order(sizes, model, key), parts, trace, raw)
 
 
 def classic_copy_sort(df: DataFrame, key: KeySpec | str, *, config: SortConfig = SortConfig()) -> SortedFrame:
