@@ -8,6 +8,8 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from modelsort.functions.literals import double_array, int_array
+
 
 class Model:
     """A non-decreasing map from a finite or infinite double to ``range(buckets)``."""
@@ -85,10 +87,10 @@ class Composite(Model):
         from modelsort.functions.models.linear import LinearBucket
 
         root = self.root.column(x)
-        start = F.element_at(F.array(*(F.lit(int(s)) for s in self.starts)), root + 1)
+        start = F.element_at(int_array(self.starts), root + 1)
         if all(isinstance(c, LinearBucket) and c.slope >= 0 for c in self.children.values()):
             lines = [self.children.get(b) for b in range(self.root.buckets)]
-            pick = lambda f, none: F.element_at(F.array(*(F.lit(f(c) if c else none) for c in lines)), root + 1)
+            pick = lambda f, none: F.element_at(double_array(f(c) if c else none for c in lines), root + 1)
             within = F.least(pick(lambda c: float(c.k - 1), 0.0), F.greatest(F.lit(0.0), F.floor(pick(lambda c: c.slope, 0.0) * F.greatest(F.lit(-1e300), F.least(F.lit(1e300), x)) + pick(lambda c: c.intercept, 0.0)).cast("double")))
             return (start + within.cast("int")).cast("int")
         within = F.lit(0)

@@ -9,6 +9,8 @@ import numpy as np
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
+from modelsort.functions.literals import double_array
+
 
 def _line(x: np.ndarray, y: np.ndarray, kind: str) -> tuple[float, float]:
     """Slope and intercept through the ends (``spline``, ``minmax``) or by least squares (``lsq``)."""
@@ -99,7 +101,7 @@ class Rmi:
         owner: Column = F.lit(0)
         top = F.lit(float(np.nextafter(1, 0)))
         x = F.greatest(F.lit(-1e300), F.least(F.lit(1e300), x))
-        pick = lambda values, at: F.element_at(F.array(*(F.lit(float(v)) for v in values)), at + 1)
+        pick = lambda values, at: F.element_at(double_array(values), at + 1)
         for level, width in enumerate(self.widths):
             line = pick(self.slopes[level], owner) * x + pick(self.intercepts[level], owner)
             if level == len(self.widths) - 1:

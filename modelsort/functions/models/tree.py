@@ -10,6 +10,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from modelsort.functions.literals import double_array
 from modelsort.functions.models.base import Model, balanced_case
 from modelsort.functions.sampling import equidistant
 
@@ -80,7 +81,7 @@ class SplitterTree(Model):
         if self.mode != "heap" or not len(self.splitters):
             return super().attach(df, x, name)
         heap, levels = self._heap()
-        array = F.array(*(F.lit(v) for v in heap))
+        array = double_array(heap)
         df = df.withColumn("__node", (F.lit(2) + (F.col(x) > F.element_at(array, F.lit(1))).cast("int")))
         for _ in range(levels - 1):
             df = df.withColumn("__node", 2 * F.col("__node") + (F.col(x) > F.element_at(array, F.col("__node"))).cast("int"))

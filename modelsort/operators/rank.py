@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from modelsort.functions.literals import int_array
 from modelsort.operators.sorters import SortedFrame
 from modelsort.plans.partitioner import PART
 
@@ -12,7 +13,7 @@ ROW_MASK = (1 << 33) - 1
 
 
 def _before(values: list[int], part: Column) -> Column:
-    return F.element_at(F.array(*(F.lit(int(v)) for v in values)), part + 1)
+    return F.element_at(int_array(values), part + 1)
 
 
 def global_position(sf: SortedFrame, name: str = "position", mode: str = "counter") -> DataFrame:

@@ -9,6 +9,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from modelsort.functions.keys import KeySpec, numeric, slotted
+from modelsort.functions.literals import int_array
 from modelsort.functions.models.base import Model
 
 PART, BUCKET, X = "__part", "__bucket", "__x"
@@ -88,9 +89,9 @@ def pack(rows: np.ndarray, parts: int, splittable: np.ndarray | None = None) ->
 def part_column(packing: Packing, salt: Column | None = None) -> Column:
     """Part of a bucket column, from literals; a spread bucket's rows go by ``salt``."""
     index = F.col(BUCKET) + 1
-    part = F.element_at(F.array(*(F.lit(int(p)) for p in packing.part)), index)
+    part = F.element_at(int_array(packing.part), index)
     if salt is not None and (packing.spread > 1).any():
-        part = part + F.pmod(salt, F.element_at(F.array(*(F.lit(int(s)) for s in packing.spread)), index)).cast("int")
+        part = part + F.pmod(salt, F.element_at(int_array(packing.spread), index)).cast("int")
     return part.cast("int")
 
 
