@@ -799,6 +799,28 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return rank.global_position(sorters.sort_with(runs.rows(), VALUE, LINE)).select("event_id", "position")
 
 
+@register("stream_late_rows", "WITH b AS (SELECT epoch(ts) AS t, CAST((event_id * 7919) % 10007 % 4 AS BIGINT) AS batch FROM events), m AS (SELECT batch, max(t) AS most FROM b GROUP BY 1) SELECT b.batch, count(*) AS rows, count(*) FILTER (WHERE t < (SELECT max(most) FROM m WHERE m.batch < b.batch) - 3600) AS late FROM b GROUP BY 1")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    path, events = new_folder(spark, "arrivals"), table(spark, sf, "events")
+    for i in range(4):  # a file each, so that arrival order differs from event order
+        events.where(F.pmod(F.col("event_id") * 7919, F.lit(10007)) % 4 == i).coalesce(1).write.mode("append").parquet(path)
+    out: list[dict] = []
+    stream = streaming.replay(spark, path, events.schema).writeStream.foreachBatch(streaming.late_counter("ts", 3600, out)).trigger(availableNow=True).start()
+    stream.awaitTermination()
+    return spark.createDataFrame(out, "batch long, rows long, late long")
+
+
+@register("stream_reservoir")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    name = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(name)
+    spark.conf.set(name, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")  # map state needs it; a session setting
+    try:
+        return _memory(streaming.reservoir(_stream(spark, sf), "event_id", "value"), "update")
+    finally:
+        spark.conf.set(name, before)
+
+
 @register("stream_interval_join", "SELECT a.event_id, b.event_id AS other FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts <= a.ts AND b.ts >= a.ts - INTERVAL 1 HOUR WHERE a.event_id % 3 = 0 AND b.event_id % 3 = 1")
 def _(spark: SparkSession, sf: str) -> DataFrame:
     ev = _stream(spark, sf).select("event_id", "user_id", "ts")
