@@ -33,6 +33,27 @@ def op2_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame
     )
 
 
+OP2_SQL = r"""
+WITH item_rows AS (
+  SELECT CAST(item_id AS VARCHAR) AS item_id, regexp_extract_all(translate(text, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS words
+  FROM benchmark WHERE item_id IS NOT NULL AND text IS NOT NULL
+), windows AS (
+  SELECT DISTINCT item_id, size, array_to_string(words[p : p + size - 1], ' ') AS gram
+  FROM (SELECT *, unnest(range(1, len(words) - size + 2)) AS p FROM (SELECT *, least(13, len(words)) AS size FROM item_rows WHERE len(words) > 0))
+), doc_words AS (
+  SELECT row_number() OVER () AS r, doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x00-\x2F\x3A-\x60\x7B-\x7F]+') AS words FROM documents
+), grams AS (
+  SELECT r, p, size, array_to_string(words[p : p + size - 1], ' ') AS gram
+  FROM (SELECT r, words, size, unnest(range(1, len(words) - size + 2)) AS p FROM doc_words, (SELECT DISTINCT size FROM windows))
+), found AS (SELECT r, p, size, item_id FROM grams JOIN windows USING (size, gram)),
+hits AS (SELECT r, count(DISTINCT w) AS n_hit FROM (SELECT r, unnest(range(p, p + size)) AS w FROM (SELECT DISTINCT r, p, size FROM found)) GROUP BY r),
+items AS (SELECT r, count(*) AS n_items, string_agg(item_id, ',' ORDER BY item_id) AS ids FROM (SELECT DISTINCT r, item_id FROM found) GROUP BY r)
+SELECT doc_id, CAST(len(words) AS BIGINT) AS n_words, CAST(coalesce(n_hit, 0) AS BIGINT) AS n_hit, CAST(coalesce(n_items, 0) AS BIGINT) AS n_items,
+  sha256(coalesce(ids, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AND 20 * coalesce(n_hit, 0) >= len(words) AS contaminated
+FROM doc_words LEFT JOIN hits USING (r) LEFT JOIN items USING (r)
+"""
+
+
 def op3_chat_formatting(spark: SparkSession, sf_dir: str) -> DataFrame:
     return chat.read_back(chat.format_conversations(with_probe(table(spark, sf_dir, "conversations"))))
 
@@ -154,4 +175,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_chat_formatting": OP3_SQL, "op6_warc": OP6_SQL, "op8_exact_top_k": OP8_SQL, "op10_license_scan": op10_sql()}
+    return {"op2_benchmark_decontamination": OP2_SQL, "op3_chat_formatting": OP3_SQL, "op6_warc": OP6_SQL, "op8_exact_top_k": OP8_SQL, "op10_license_scan": op10_sql()}
