@@ -15,12 +15,12 @@ from pyspark.sql import functions as F
 from modelsort.functions import sampling
 from modelsort.functions import sql as sql_functions
 from modelsort.functions.keys import KeySpec, numeric, order_bits
-from modelsort.functions.models import EcdfBucket, LinearBucket, RadixBucket, Rmi, SplitterTree, WithHeavy, exact_ecdf, tune_rmi
+from modelsort.functions.models import EcdfBucket, LinearBucket, RadixBucket, Rmi, SplitterTree, WithHeavy, tune_rmi
 from modelsort.functions.models.linear import lsq_by_group, min_conflict_distributed
 from modelsort.operators import aggs, blocks, joins, lookup, metrics, rank, sorters, topk, verify
 from modelsort.operators.sorters import SortConfig
 from modelsort.plans.durable import new_folder
-from modelsort.plans.partitioner import utilisation
+from modelsort.plans.partitioner import PART, utilisation
 from modelsort.sources import datasets, io, sinks
 from modelsort.streaming import buckets as streaming
 
@@ -141,10 +141,8 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
 
 @register("builtin_parallel_sort_descents", "SELECT CAST(0 AS BIGINT) AS descents")
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    from pyspark.sql import Window
-
-    ordered = sorters.builtin_sort(table(spark, sf, "events", "event_id", "value"), VALUE).withColumn("n", F.monotonically_increasing_id())
-    return ordered.withColumn("last", F.lag("value").over(Window.orderBy("n"))).agg(F.count(F.when(F.col("value") < F.col("last"), 1)).alias("descents"))
+    ordered = sorters.builtin_sort(table(spark, sf, "events", "event_id", "value"), VALUE).withColumn(PART, F.spark_partition_id()).withColumn("n", F.monotonically_increasing_id())
+    return metrics.falls(ordered, KeySpec("n"), "value").select(F.col("falls").alias("descents"))
 
 
 @register("sequential_linear_sort_value", "SELECT value, row_number() OVER (ORDER BY value) AS position FROM events")
@@ -202,7 +200,7 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
 
 @register("ecdf_exact", "SELECT DISTINCT p_size, cume_dist() OVER (ORDER BY p_size) AS ecdf, CAST(round(cume_dist() OVER (ORDER BY p_size) * count(*) OVER ()) AS BIGINT) AS position FROM part")
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    return exact_ecdf(table(spark, sf, "part", "p_size"), "p_size").distinct()
+    return rank.exact_ecdf(table(spark, sf, "part", "p_size"), "p_size").distinct()
 
 
 # ---------------------------------------------------------------- worked example
@@ -343,10 +341,8 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
 
 @register("double_order_bits", "SELECT event_id, rank() OVER (ORDER BY value) AS place FROM events")
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    from pyspark.sql import Window
-
     coded = table(spark, sf, "events", "event_id", "value").withColumn("bits", order_bits(F.col("value")))
-    return coded.select("event_id", F.rank().over(Window.orderBy("bits")).cast("long").alias("place"))
+    return rank.ranks(sorters.linear_partition_sort(coded, KeySpec("bits", ties=("event_id",)))).select("event_id", F.col("rank").alias("place"))
 
 
 # ---------------------------------------------------------------- buckets and measures
@@ -396,19 +392,19 @@ def _share(x):
 
 @register("ecdf_error", f"SELECT round(max(e), 9) AS max_error, round(avg(e), 9) AS mean_error, round(-log10(greatest(avg(e), 1e-15)), 6) AS last_mile FROM (SELECT abs({_LINE_SHARE} - cume_dist() OVER (ORDER BY value)) AS e FROM events)")
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    found = metrics.ecdf_error(table(spark, sf, "events", "value"), F.col("value"), _share(F.col("value")))
+    found = metrics.ecdf_error(table(spark, sf, "events", "value"), F.col("value"), _share)
     return found.select(F.round("max_error", 9).alias("max_error"), F.round("mean_error", 9).alias("mean_error"), F.round("last_mile", 6).alias("last_mile"))
 
 
 @register("monotone_violations", "SELECT count(*) FILTER (WHERE f < b) AS violations FROM (SELECT f, lag(f) OVER (ORDER BY value) AS b FROM (SELECT value, pow(value - 40, 2) AS f FROM events))")
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    return metrics.violations(table(spark, sf, "events", "value"), F.col("value"), F.pow(F.col("value") - 40, F.lit(2)))
+    return metrics.violations(table(spark, sf, "events", "value"), F.col("value"), lambda x: F.pow(x - 40, F.lit(2)))
 
 
 @register("monotone_repair", "SELECT CAST(0 AS BIGINT) AS violations")
 def _(spark: SparkSession, sf: str) -> DataFrame:
     sample = _portable(spark, sf)
-    return metrics.violations(table(spark, sf, "events", "value"), F.col("value"), Rmi.two_level(sample, 16, leaf="lsq").monotone(sample).column(F.col("value")))
+    return metrics.violations(table(spark, sf, "events", "value"), F.col("value"), Rmi.two_level(sample, 16, leaf="lsq").monotone(sample).column)
 
 
 @register("collisions", f"SELECT CAST(coalesce(sum(rows) FILTER (WHERE keys > 1), 0) AS BIGINT) AS colliding_rows, CAST(coalesce(sum(rows - keys), 0) AS BIGINT) AS forced_rows FROM (SELECT count(*) AS rows, count(DISTINCT value) AS keys FROM events GROUP BY {LINE_SQL})")
@@ -685,11 +681,39 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return datasets.carrier(spark, sf, "two_dups")
 
 
-for _name in ("popularity", "exponential", "network_ids", "uniform", "normal", "lognormal", "mixture", "chi_squared", "zipf"):
+_COORDINATES = "(SELECT vec_id * 64 + i - 1 AS id, CAST(embedding[i] AS DOUBLE) AS c, label FROM (SELECT *, unnest(range(1, 65)) AS i FROM embeddings))"
+_SQUARES = " + ".join(f"64 * CAST(embedding[{i}] AS DOUBLE) * CAST(embedding[{i}] AS DOUBLE)" for i in range(1, 5))
+_CARRIERS = {
+    "popularity": "SELECT doc_id AS id, n_chars AS key FROM documents",
+    "exponential": "SELECT event_id AS id, value / 100 AS key FROM events",
+    "network_ids": "SELECT event_id AS id, user_id AS key FROM events",
+    "normal": f"SELECT id, 8 * c AS key FROM {_COORDINATES}",
+    "lognormal": f"SELECT id, round(exp(4 * c), 9) AS key FROM {_COORDINATES}",
+    "mixture": f"SELECT id, 8 * c + 6 * (label % 5) AS key FROM {_COORDINATES}",
+    "chi_squared": f"SELECT vec_id AS id, {_SQUARES} AS key FROM embeddings",
+}
+#: Carriers without an id of their own: the rows of each key.
+_KEY_COUNTS = {
+    "uniform": "SELECT l_extendedprice AS key, count(*) AS rows FROM lineitem GROUP BY 1",
+    "location_ids": "SELECT l_orderkey AS key, count(*) AS rows FROM lineitem GROUP BY 1",
+    "quantity": "SELECT l_quantity AS key, count(*) AS rows FROM lineitem GROUP BY 1",
+    "discount": "SELECT l_discount AS key, count(*) AS rows FROM lineitem GROUP BY 1",
+    "zipf": r"SELECT key, CAST(sum(n) AS BIGINT) AS rows FROM (SELECT n, rank() OVER (ORDER BY n DESC) AS key FROM (SELECT word, count(*) AS n FROM (SELECT unnest(regexp_split_to_array(lower(text), '[^\p{L}]+')) AS word FROM documents) WHERE word <> '' GROUP BY word)) GROUP BY key",
+}
+
+for _name, _carrier_sql in _CARRIERS.items():
+
+    @register(f"carrier_{_name}", _carrier_sql)
+    def _(spark: SparkSession, sf: str, name: str = _name) -> DataFrame:
+        found = datasets.carrier(spark, sf, name)
+        return found.withColumn("key", F.round("key", 9)) if name == "lognormal" else found
+
+
+for _name, _carrier_sql in _KEY_COUNTS.items():
 
-    @register(f"carrier_{_name}")
+    @register(f"carrier_{_name}", _carrier_sql)
     def _(spark: SparkSession, sf: str, name: str = _name) -> DataFrame:
-        return datasets.carrier(spark, sf, name)
+        return datasets.carrier(spark, sf, name).groupBy("key").agg(F.count("*").alias("rows"))
 
 
 @register("generated_families")

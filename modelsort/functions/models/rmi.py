@@ -13,18 +13,25 @@ from modelsort.functions.literals import double_array
 
 
 def _line(x: np.ndarray, y: np.ndarray, kind: str) -> tuple[float, float]:
-    """Slope and intercept through the ends (``spline``, ``minmax``) or by least squares (``lsq``)."""
+    """Slope and intercept through the ends (``spline``, ``minmax``) or by least squares (``lsq``).
+
+    Keys too close for a finite rising line get their mean share, which is always non-decreasing.
+    """
+    flat = 0.0, float(y.mean()) if len(y) else 0.0
     if len(x) < 2 or x[0] == x[-1]:
-        return 0.0, float(y.mean()) if len(y) else 0.0
-    if kind == "lsq":
-        d = x - x.mean()
-        slope = float((d * (y - y.mean())).sum() / (d * d).sum())
-        return slope, float(y.mean() - slope * x.mean())
-    if kind == "minmax":
-        slope = 1.0 / (x[-1] - x[0])
-        return float(slope), float(-slope * x[0])
-    slope = float((y[-1] - y[0]) / (x[-1] - x[0]))
-    return slope, float(y[0] - slope * x[0])
+        return flat
+    with np.errstate(all="ignore"):
+        if kind == "lsq":
+            d = x - x.mean()
+            slope = (d * (y - y.mean())).sum() / (d * d).sum()
+            intercept = y.mean() - slope * x.mean()
+        elif kind == "minmax":
+            slope = 1.0 / (x[-1] - x[0])
+            intercept = -slope * x[0]
+        else:
+            slope = (y[-1] - y[0]) / (x[-1] - x[0])
+            intercept = y[0] - slope * x[0]
+    return (float(slope), float(intercept)) if 0 <= slope < np.inf and np.isfinite(intercept) else flat
 
 
 @dataclass

@@ -10,6 +10,8 @@ from pyspark.sql import functions as F
 
 #: Oversampling factor per binary logarithm of the rows.
 OVERSAMPLING = 0.2
+#: Keys that the driver holds of a sample by share at most, when a model is fitted on one.
+SHARE_MOST = 1 << 20
 
 
 def alpha(n: int, c: float = OVERSAMPLING) -> float:
@@ -36,8 +38,10 @@ def draw(df: DataFrame, x: Column, size: int, n: int, seed: int = 42) -> np.ndar
     return found
 
 
-def draw_fraction(df: DataFrame, x: Column, fraction: float = 0.01, seed: int = 42) -> np.ndarray:
-    """Sorted sample of a share of the keys, the eCDF baseline's training set."""
+def draw_fraction(df: DataFrame, x: Column, fraction: float = 0.01, seed: int = 42, most: int | None = None) -> np.ndarray:
+    """Sorted sample of a share of the keys, the eCDF baseline's training set; about ``most`` keys if that is fewer."""
+    if most is not None:
+        fraction = min(fraction, most / max(df.count(), 1))
     return _collect(df.select(x.alias("x")).where(F.col("x").isNotNull() & ~F.isnan("x")).sample(fraction, seed))
 
 

@@ -3,15 +3,20 @@
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 
 import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from modelsort.functions import sampling
-from modelsort.functions.keys import numeric
+from modelsort.functions.keys import KeySpec, numeric, valid
 from modelsort.functions.models import LinearBucket, Model, SampleEcdf
 from modelsort.functions.models.linear import FITS
+from modelsort.operators.rank import cumulative, global_position
+from modelsort.operators.sorters import SortedFrame, linear_partition_sort
+from modelsort.plans.durable import materialize
+from modelsort.plans.partitioner import PART
 
 
 def bucket_counts(df: DataFrame, x: Column, model: Model) -> DataFrame:
@@ -29,26 +34,45 @@ def balance(counts: DataFrame) -> DataFrame:
     return counts.agg(spread.alias("imbalance"), (F.max("rows") / n).alias("max_share"), (F.count(F.when(F.col("rows") == 0, 1)) / k).alias("empty_share"))
 
 
+def _in_order(df: DataFrame, x: Column, ties: list[Column], **more: Column) -> SortedFrame:
+    """Rows with a key, sorted by ``x`` and the ties ``t0, t1, ...`` in one shuffle."""
+    names = tuple(f"t{i}" for i in range(len(ties)))
+    rows = df.where(x.isNotNull()).select(x.alias("x"), *(t.alias(c) for t, c in zip(ties, names, strict=True)), *(c.alias(name) for name, c in more.items()))
+    return linear_partition_sort(rows, KeySpec("x", ties=names))
+
+
+def falls(df: DataFrame, key: KeySpec, value: str) -> DataFrame:
+    """Column ``falls``: rows whose ``value`` is under that of the row before in the order of parts and an ascending key."""
+    here = Window.partitionBy(PART).orderBy(*key.order())
+    rows = df.withColumn("__last", F.lag(value).over(here))
+    ends = F.struct(*(F.col(c) for c in (key.column, *key.ties)))
+    parts = rows.groupBy(PART).agg(F.count(F.when(F.col(value) < F.col("__last"), 1)).alias("inner"), F.min_by(value, ends).alias("first"), F.max_by(value, ends).alias("last"))
+    border = F.lag("last").over(Window.orderBy(PART))  # a row a part
+    return parts.withColumn("border", border).agg((F.coalesce(F.sum("inner"), F.lit(0)) + F.count(F.when(F.col("first") < F.col("border"), 1))).cast("long").alias("falls"))
+
+
 def bucket_mse(df: DataFrame, x: Column, model: Model, ties: list[Column]) -> DataFrame:
     """Mean squared distance between a row's bucket and k times its share of the order."""
-    n = F.count("*").over(Window.partitionBy())
-    rank = F.row_number().over(Window.orderBy(x, *ties)) - 1
-    target = F.lit(float(model.buckets)) * rank / n
-    return df.where(x.isNotNull()).select(F.pow(model.column(x) - target, 2).alias("e")).agg(F.avg("e").alias("mse"))
+    sf = _in_order(df, x, ties)
+    n = float(max(sf.sizes.n, 1))
+    placed = global_position(sf)
+    target = F.lit(float(model.buckets)) * (F.col("position") - 1) / F.lit(n)
+    return placed.select(F.pow(model.column(F.col("x")) - target, 2).alias("e")).agg(F.avg("e").alias("mse"))
 
 
-def ecdf_error(df: DataFrame, x: Column, predicted: Column) -> DataFrame:
-    """Largest and mean miss of an eCDF model, and the digits that the last mile leaves."""
-    exact = F.cume_dist().over(Window.orderBy(x))
-    miss = df.where(x.isNotNull()).select(F.abs(predicted - exact).alias("e"))
-    return miss.agg(F.max("e").alias("max_error"), F.avg("e").alias("mean_error"), (-F.log10(F.greatest(F.avg("e"), F.lit(1e-15)))).alias("last_mile"))
+def ecdf_error(df: DataFrame, x: Column, predicted: Callable[[Column], Column]) -> DataFrame:
+    """Largest and mean miss of an eCDF model over all rows, and the digits that the last mile leaves."""
+    steps, n = cumulative(df.select(x.alias("x")), "x")
+    miss = steps.select(F.abs(predicted(F.col("x")) - F.col("up_to") / F.lit(float(max(n, 1)))).alias("e"), "rows")
+    mean = F.sum(F.col("e") * F.col("rows")) / F.sum("rows")
+    return miss.agg(F.max("e").alias("max_error"), mean.alias("mean_error"), (-F.log10(F.greatest(mean, F.lit(1e-15)))).alias("last_mile"))
 
 
-def violations(df: DataFrame, x: Column, predicted: Column) -> DataFrame:
+def violations(df: DataFrame, x: Column, predicted: Callable[[Column], Column]) -> DataFrame:
     """Neighbours in key order whose predictions fall."""
-    seen = df.where(x.isNotNull()).select(x.alias("x"), predicted.alias("f"))
-    before = F.lag("f").over(Window.orderBy("x"))
-    return seen.withColumn("before", before).agg(F.count(F.when(F.col("f") < F.col("before"), 1)).alias("violations"))
+    keys = df.where(x.isNotNull()).select(x.alias("x")).distinct()
+    sf = linear_partition_sort(keys, KeySpec("x"))
+    return falls(sf.df.withColumn("f", predicted(F.col("x"))), sf.key, "f").select(F.col("falls").alias("violations"))
 
 
 def collisions(df: DataFrame, x: Column, slot: Column) -> DataFrame:
@@ -59,42 +83,51 @@ def collisions(df: DataFrame, x: Column, slot: Column) -> DataFrame:
 
 def displacement(df: DataFrame, x: Column, predicted: Column, ties: list[Column]) -> DataFrame:
     """Rows out of place in the order of the prediction, how far they are, and adjacent inversions."""
-    key_order = F.row_number().over(Window.orderBy(x, *ties))
-    given = F.row_number().over(Window.orderBy(predicted, *ties))
-    rows = df.where(x.isNotNull()).select(x.alias("x"), key_order.alias("k"), given.alias("g"))
-    last = F.lag("x").over(Window.orderBy("g"))
-    return rows.withColumn("last", last).agg(F.count(F.when(F.col("k") != F.col("g"), 1)).alias("moved"), F.max(F.abs(F.col("k") - F.col("g"))).cast("long").alias("farthest"), F.count(F.when(F.col("x") < F.col("last"), 1)).alias("inversions"))
+    placed = materialize(global_position(_in_order(df, x, ties, f=predicted), "k"), "key-order")
+    names = [c for c in placed.columns if c not in ("x", "f", "k")]
+    given = _in_order(placed, F.col("f"), [F.col(c) for c in names], key=F.col("x"), k=F.col("k"))
+    moved = global_position(given, "g").agg(F.count(F.when(F.col("k") != F.col("g"), 1)).alias("moved"), F.max(F.abs(F.col("k") - F.col("g"))).cast("long").alias("farthest"))
+    return moved.crossJoin(falls(given.df, given.key, "key").select(F.col("falls").alias("inversions")))  # a row each
 
 
 def sample_sweep(df: DataFrame, key: str, fractions: tuple[float, ...], k: int = 256, seed: int = 42) -> list[dict]:
-    """How a sample's share trades training time for eCDF error and balance."""
+    """How a sample's share trades training time for eCDF error and balance, both over all keys."""
     import time
 
     x = numeric(df, key)
-    everything = sampling.draw_fraction(df, x, 1.0)
-    truth = np.searchsorted(everything, everything, side="right") / max(len(everything), 1)
+    keys = df.select(x.alias("x")).where(valid(F.col("x")))
+    steps, n = cumulative(keys, "x")
+    steps = materialize(steps, "ecdf")
     rows = []
     for fraction in fractions:
         start = time.perf_counter()
         sample = sampling.draw_fraction(df, x, fraction, seed)
         model = LinearBucket.fit_min_conflict(sample, k)
         seconds = time.perf_counter() - start
-        counts = np.bincount(model.predict(everything), minlength=model.k)
-        rows.append({"fraction": fraction, "sampled": len(sample), "fit_s": seconds, "ecdf_error": float(np.abs(SampleEcdf(sample).predict(everything) - truth).mean()) if len(sample) else 1.0, "max_share": float(counts.max() / max(len(everything), 1))})
+        miss = F.abs(SampleEcdf(sample).column(F.col("x")) - F.col("up_to") / F.lit(float(max(n, 1))))
+        found = steps.agg((F.sum(miss * F.col("rows")) / F.sum("rows")).alias("e")).first()["e"]
+        largest = steps.groupBy(model.column(F.col("x")).alias("b")).agg(F.sum("rows").alias("rows")).agg(F.max("rows")).first()[0]
+        rows.append({"fraction": fraction, "sampled": len(sample), "fit_s": seconds, "ecdf_error": float(found) if found is not None and len(sample) else 1.0, "max_share": float((largest or 0) / max(n, 1))})
     return rows
 
 
 def fit_ablation(df: DataFrame, key: str, ks: tuple[int, ...] = (16, 64, 256, 1024), seed: int = 42) -> list[dict]:
-    """Balance of every line fit and number of buckets on all keys of a column."""
+    """Balance of every line fit and number of buckets on all keys of a column, counted in one pass."""
     x = numeric(df, key)
-    everything = sampling.draw_fraction(df, x, 1.0)
-    rows = []
+    keys = df.select(x.alias("x")).where(valid(F.col("x")))
+    n = keys.count()
+    tried = []
     for k in ks:
-        sample = np.sort(np.random.default_rng(seed).choice(everything, min(len(everything), sampling.sample_size(len(everything), k)), replace=False))
-        for name, fit in FITS.items():
-            model = fit(sample, k)
-            counts = np.bincount(model.predict(everything), minlength=k)
-            rows.append({"key": key, "k": k, "fit": name, "conflict": model.conflict, "imbalance": float(((counts - len(everything) / k) ** 2).sum()), "max_share": float(counts.max() / len(everything)), "empty_share": float((counts == 0).mean())})
+        sample = sampling.draw(df, x, sampling.sample_size(max(n, 2), k), n, seed)
+        tried += [(k, name, fit(sample, k)) for name, fit in FITS.items()]
+    buckets = F.posexplode(F.array(*(m.column(F.col("x")).cast("int") for _, _, m in tried))).alias("i", "bucket")
+    found = keys.select(buckets).groupBy("i", "bucket").agg(F.count("*").alias("rows")).toPandas()  # a row a bucket
+    rows = []
+    for i, (k, name, model) in enumerate(tried):
+        counts = np.zeros(k)
+        mine = found[found["i"] == i]
+        counts[mine["bucket"].to_numpy(int)] = mine["rows"].to_numpy(float)
+        rows.append({"key": key, "k": k, "fit": name, "conflict": model.conflict, "imbalance": float(((counts - n / k) ** 2).sum()), "max_share": float(counts.max() / max(n, 1)), "empty_share": float((counts == 0).mean())})
     return rows
 
 

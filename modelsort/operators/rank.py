@@ -5,8 +5,10 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from modelsort.functions.keys import KeySpec
 from modelsort.functions.literals import int_array
-from modelsort.operators.sorters import SortedFrame
+from modelsort.operators.sorters import SortedFrame, linear_partition_sort
+from modelsort.plans.durable import materialize
 from modelsort.plans.partitioner import PART
 
 ROW_MASK = (1 << 33) - 1
@@ -65,7 +67,29 @@ def ntile(sf: SortedFrame, tiles: int, name: str = "tile") -> DataFrame:
 
 def ranked_keys(keys: DataFrame) -> DataFrame:
     """Column ``x`` with its 0-based ``rank`` in the sorted order, by a partition sort."""
-    from modelsort.operators.sorters import linear_partition_sort
-
     placed = global_position(linear_partition_sort(keys.where("x is not null"), "x"), "rank")
     return placed.select("x", (F.col("rank") - 1).alias("rank"))
+
+
+def cumulative(df: DataFrame, key: str) -> tuple[DataFrame, int]:
+    """Distinct keys as ``x`` with their ``rows`` and the rows ``up_to`` them, and the rows of all keys.
+
+    Rows are counted by key before anything is sorted, so a key that holds many
+    of them weighs no more than another. Null keys are left out.
+    """
+    counts = df.where(F.col(key).isNotNull()).groupBy(F.col(key).alias("x")).agg(F.count("*").alias("rows"))
+    sf = linear_partition_sort(materialize(counts, "key-counts"), KeySpec("x"))
+    held = {r[PART]: r["n"] for r in sf.df.groupBy(PART).agg(F.sum("rows").alias("n")).collect()}  # a row a part
+    before, total = [], 0
+    for part in range(sf.parts):
+        before.append(total)
+        total += held.get(part, 0)
+    up_to = F.sum("rows").over(Window.partitionBy(PART).orderBy("x").rowsBetween(Window.unboundedPreceding, Window.currentRow))
+    return sf.df.select("x", "rows", (_before(before, F.col(PART)) + up_to).cast("long").alias("up_to")), total
+
+
+def exact_ecdf(df: DataFrame, key: str) -> DataFrame:
+    """``df`` with ``ecdf``, the share of keys at or below, and ``position`` = floor(N * ecdf); null keys are left out."""
+    steps, n = cumulative(df, key)
+    steps = steps.select(F.col("x").alias("__x"), (F.col("up_to") / F.lit(float(max(n, 1)))).alias("ecdf"), F.col("up_to").alias("position"))
+    return df.join(steps, df[key] == steps["__x"]).drop("__x")

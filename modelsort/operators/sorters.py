@@ -231,7 +231,7 @@ def builtin_sort(df: DataFrame, key: KeySpec | str, *, sequential: bool = False)
 
 def ideal_place(df: DataFrame, key: str) -> DataFrame:
     """One-pass ideal sort of distinct keys: every row's place is its exact distribution value."""
-    from modelsort.functions.models.ecdf import exact_ecdf
+    from modelsort.operators.rank import exact_ecdf
 
     return exact_ecdf(df, key).drop("ecdf")
 
@@ -249,7 +249,7 @@ def ecdf_two_pass_sort(df: DataFrame, key: KeySpec | str, *, k1: int = 32, k2: i
     key = as_key(key)
     parts = config.parts or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     x = numeric(df, key.column)
-    sample = sampling.draw_fraction(df, x, fraction, config.seed)
+    sample = sampling.draw_fraction(df, x, fraction, config.seed, sampling.SHARE_MOST)
     if len(sample) < 16:
         sample = sampling.draw(df, x, 1024, df.count(), config.seed)
     sample = sample[np.isfinite(sample)]

@@ -109,6 +109,13 @@ def test_repaired_rmi_is_monotone(values, leaf):
     assert (np.diff(EcdfBucket(model, 16).predict(probe)) >= 0).all()
 
 
+@pytest.mark.parametrize("leaf", ["spline", "lsq"])
+def test_repaired_rmi_of_keys_too_close_for_a_line(leaf):
+    for sample in (np.array([0.0, 5e-324, 1e-320, 1.0, 2.0]), np.array([-1e308, 0.0, 5e-324, 1e-300, 1e308]), np.array([0.0, 0.0, 1e-310, 1e-310, 2e-310])):
+        model = Rmi.two_level(sample, 8, leaf=leaf).monotone(sample)
+        assert (np.diff(model.predict(sample)) >= 0).all()
+
+
 def test_rmi_levels_and_tuning():
     sample = np.sort(np.random.default_rng(1).normal(size=2000))
     exact = np.arange(2000) / 2000
