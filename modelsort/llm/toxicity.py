@@ -2,8 +2,8 @@
 
 A token is a word or one of its leading byte strings, so that the forms of a stem
 share evidence. Every token has a score: its log-odds between toxic and clean
-labelled texts under an informative Dirichlet prior, kept where it stands out by
-its own standard error; a word takes the largest score among its tokens, less a
+labelled texts that hold it, repeats within a text apart, under an informative
+Dirichlet prior, kept where it stands out by its own standard error; a word takes the largest score among its tokens, less a
 constant drift. One linear scan gives all maximal scoring
 segments of a text. Scores of best segments of clean texts follow an extreme-
 value law; its two constants (the decay from the token distribution, the size
@@ -33,7 +33,8 @@ TRAIN_DOCS = 20_000
 TRAIN_BYTES = 200_000
 #: Tokens whose score is kept at most, those that stand out most.
 LEXICON = 100_000
-PRIOR_TOKENS = 2_000.0
+#: Weight of the Dirichlet prior against the labelled texts' own counts.
+PRIOR_SHARE = 0.02
 STAND_OUT = 3.0
 LEAST_DOCS = 3
 DRIFT = 0.5
@@ -179,16 +180,17 @@ def train(docs: DataFrame, labels: DataFrame, label: str = "toxic", n: int = TRA
     sample = materialize(labelled_sample(docs, labels, label, n, TRAIN_BYTES, text_col=text_col), "toxicity-sample")
     counts = sample.mapInArrow(_count, "token long, toxic long, clean long, toxic_docs long, clean_docs long").groupBy("token").agg(*(F.sum(c).alias(c) for c in ("toxic", "clean", "toxic_docs", "clean_docs")))
     counts = materialize(counts, "toxicity-counts")
-    totals = F.struct(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"))
+    totals = F.struct(*(F.sum(c).alias(c) for c in ("toxic_docs", "clean_docs", "clean")))
     size = counts.agg(totals.alias("n")).first()["n"]
-    n_toxic, n_clean = float(size["toxic"] or 0), float(size["clean"] or 0)
+    n_toxic, n_clean, clean_tokens = (float(size[c] or 0) for c in ("toxic_docs", "clean_docs", "clean"))
     lexicon, scores, share, decay = np.zeros(0, np.uint64), np.zeros(0), np.zeros(0), 1.0
     if n_toxic and n_clean:
-        prior = PRIOR_TOKENS * (F.col("toxic") + F.col("clean")) / (n_toxic + n_clean)
-        odds = lambda y, total: F.log((y + prior) / (total + PRIOR_TOKENS - y - prior))
-        delta = odds(F.col("toxic"), n_toxic) - odds(F.col("clean"), n_clean)
-        deviation = F.sqrt(1 / (F.col("toxic") + prior) + 1 / (F.col("clean") + prior))
-        kept = counts.where(F.col("toxic_docs") >= LEAST_DOCS).select("token", delta.alias("delta"), (delta / deviation).alias("z"), ((F.col("clean") + prior) / (n_clean + PRIOR_TOKENS)).alias("share"))
+        prior = PRIOR_SHARE * (F.col("toxic_docs") + F.col("clean_docs"))
+        mass = PRIOR_SHARE * (n_toxic + n_clean)
+        odds = lambda y, total: F.log((y + prior) / (total + mass - y - prior))
+        delta = odds(F.col("toxic_docs"), n_toxic) - odds(F.col("clean_docs"), n_clean)
+        deviation = F.sqrt(1 / (F.col("toxic_docs") + prior) + 1 / (F.col("clean_docs") + prior))
+        kept = counts.where(F.col("toxic_docs") >= LEAST_DOCS).select("token", delta.alias("delta"), (delta / deviation).alias("z"), ((F.col("clean") + prior) / (clean_tokens + mass)).alias("share"))
         rows = kept.where(F.col("z") >= STAND_OUT).orderBy(F.desc("z"), "token").limit(LEXICON).toPandas()
         lexicon, scores, share = rows["token"].to_numpy(np.int64).view(np.uint64), rows["delta"].to_numpy(float), rows["share"].to_numpy(float)
         decay = _decay(scores, share, 1 - share.sum(), DRIFT)
