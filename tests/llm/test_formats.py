@@ -82,7 +82,7 @@ def test_licences(spark):
 def test_queries_equal_sql(spark, name):
     sf = "/root/testdata/sf0.001"
     con = duckdb.connect()
-    for t in ("documents", "pages", "conversations", "embeddings"):
+    for t in ("documents", "benchmark", "pages", "conversations", "embeddings"):
         con.execute(f"CREATE VIEW {t} AS SELECT * FROM '{sf}/{t}.parquet'")
     found = catalog.queries()[name](spark, sf).toPandas()
     wanted = con.execute(catalog.oracle_sql()[name]).df()
