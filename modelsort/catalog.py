@@ -509,7 +509,22 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return lookup.BinarySearch.build(index).lookup(df.where(F.col("c_custkey") % 10 == 0).select("c_acctbal")).select("c_custkey", "pos")
 
 
+@register("rmi_lookup_whole", "SELECT c_custkey, row_number() OVER (ORDER BY c_acctbal, c_custkey) - 1 AS pos FROM customer QUALIFY c_acctbal IS NOT NULL")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    df = table(spark, sf, "customer", "c_custkey", "c_acctbal")
+    index = lookup.RmiIndex.build(df, "c_acctbal", ("c_custkey",), leaves=16, block=64)
+    return index.lookup(df.select("c_acctbal")).select("c_custkey", "pos")
+
+
+@register("binary_search_lookup_whole", _SQL["rmi_lookup_whole"])
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    df = table(spark, sf, "customer", "c_custkey", "c_acctbal")
+    index = lookup.RmiIndex.build(df, "c_acctbal", ("c_custkey",), leaves=16, block=64)
+    return lookup.BinarySearch.build(index).lookup(df.select("c_acctbal")).select("c_custkey", "pos")
+
+
 # ---------------------------------------------------------------- joins
+# Entries that end in _whole take all rows; those of the same name without it keep the id subsets of their SQL.
 
 _ORDERS, _LINES = "(SELECT o_orderkey AS k, o_totalprice FROM orders WHERE o_orderkey % 3 > 0)", "(SELECT l_orderkey AS k, l_extendedprice FROM lineitem WHERE l_orderkey % 5 > 0)"
 
@@ -541,6 +556,34 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return joins.hashed(*_sides(spark, sf), "k")
 
 
+_ALL_ORDERS, _ALL_LINES = "(SELECT o_orderkey AS k, o_totalprice FROM orders)", "(SELECT l_orderkey AS k, l_extendedprice FROM lineitem)"
+
+
+def _whole_sides(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
+    return table(spark, sf, "orders", "o_orderkey", "o_totalprice").withColumnRenamed("o_orderkey", "k"), table(spark, sf, "lineitem", "l_orderkey", "l_extendedprice").withColumnRenamed("l_orderkey", "k")
+
+
+for _how in joins.HOW:
+    if _how in ("left_semi", "left_anti"):
+        _sql = f"SELECT k, o_totalprice FROM {_ALL_ORDERS} a WHERE {'NOT ' if _how == 'left_anti' else ''}EXISTS (SELECT 1 FROM {_ALL_LINES} b WHERE a.k = b.k)"
+    else:
+        _sql = f"SELECT k, o_totalprice, l_extendedprice FROM {_ALL_ORDERS} {_how.upper()} JOIN {_ALL_LINES} USING (k)"
+
+    @register(f"model_merge_join_{_how}_whole", _sql)
+    def _(spark: SparkSession, sf: str, how: str = _how) -> DataFrame:
+        return joins.merge(*_whole_sides(spark, sf), "k", how)
+
+
+@register("salted_join_whole", _SQL["model_merge_join_inner_whole"])
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return joins.salted(*reversed(_whole_sides(spark, sf)), "k", heavy_share=0.0002).select("k", "o_totalprice", "l_extendedprice")
+
+
+@register("hash_join_whole", _SQL["model_merge_join_inner_whole"])
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return joins.hashed(*_whole_sides(spark, sf), "k")
+
+
 _A, _B = "(SELECT c_custkey, c_acctbal FROM customer)", "(SELECT s_suppkey, s_acctbal FROM supplier)"
 
 
@@ -591,6 +634,29 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return joins.asof(l, r, "t", "u", columns=("other",), direction="forward", tolerance=25.0).select("event_id", "other", "u")
 
 
+_ALL_CLICKS, _ALL_VIEWS = "(SELECT event_id, user_id, event_id * 10 AS t FROM events)", "(SELECT event_id AS other, user_id, event_id * 10 + 4 AS u FROM events)"
+
+
+def _whole_moments(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
+    ev = table(spark, sf, "events", "event_id", "user_id")
+    return ev.withColumn("t", F.col("event_id") * 10), ev.select(F.col("event_id").alias("other"), "user_id", (F.col("event_id") * 10 + 4).alias("u"))
+
+
+@register("asof_join_backward_whole", f"SELECT a.event_id, b.other, b.u FROM {_ALL_CLICKS} a ASOF LEFT JOIN (SELECT other, u FROM {_ALL_VIEWS}) b ON a.t >= b.u")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return joins.asof(*_whole_moments(spark, sf), "t", "u", columns=("other",)).select("event_id", "other", "u")
+
+
+@register("asof_join_by_user_whole", f"SELECT a.event_id, b.other, b.u FROM {_ALL_CLICKS} a ASOF LEFT JOIN {_ALL_VIEWS} b ON a.user_id = b.user_id AND a.t >= b.u")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return joins.asof(*_whole_moments(spark, sf), "t", "u", by="user_id", columns=("other",)).select("event_id", "other", "u")
+
+
+@register("asof_join_forward_tolerance_whole", f"SELECT event_id, CASE WHEN u - t <= 25 THEN other END AS other, CASE WHEN u - t <= 25 THEN u END AS u FROM (SELECT a.event_id, a.t, b.other, b.u FROM {_ALL_CLICKS} a ASOF LEFT JOIN (SELECT other, u FROM {_ALL_VIEWS}) b ON a.t <= b.u)")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return joins.asof(*_whole_moments(spark, sf), "t", "u", columns=("other",), direction="forward", tolerance=25.0).select("event_id", "other", "u")
+
+
 # ---------------------------------------------------------------- aggregates
 
 
@@ -851,3 +917,10 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     left = ev.where("event_id % 3 = 0")
     right = ev.where("event_id % 3 = 1").select(F.col("event_id").alias("other"), "user_id", F.col("ts").alias("other_ts"))
     return _memory(streaming.interval_join(left, right, "user_id", "ts", "other_ts").select("event_id", "other"), "append")
+
+
+@register("stream_interval_join_whole", "SELECT a.event_id, b.event_id AS other FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts <= a.ts AND b.ts >= a.ts - INTERVAL 1 HOUR")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    left = _stream(spark, sf).select("event_id", "user_id", "ts")
+    right = _stream(spark, sf).select(F.col("event_id").alias("other"), "user_id", F.col("ts").alias("other_ts"))
+    return _memory(streaming.interval_join(left, right, "user_id", "ts", "other_ts").select("event_id", "other"), "append")
