@@ -608,6 +608,11 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return joins.theta(a, b.where("s_suppkey <= 20"), "c_acctbal", "s_acctbal", "<").select("c_custkey", "s_suppkey")
 
 
+@register("theta_join_whole", f"SELECT c_custkey, s_suppkey FROM {_A} JOIN {_B} ON c_acctbal < s_acctbal")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return joins.theta(*_balances(spark, sf), "c_acctbal", "s_acctbal", "<").select("c_custkey", "s_suppkey")
+
+
 _CLICKS, _VIEWS = "(SELECT event_id, user_id, value, event_id * 10 AS t FROM events WHERE event_id % 3 = 0)", "(SELECT event_id AS other, user_id, event_id * 10 + 4 AS u FROM events WHERE event_id % 7 = 1)"
 
 

@@ -64,3 +64,20 @@ def test_unmatched_rows_of_merge_joins(spark, how):
         "left_anti": lonely,
     }[how]
     assert Counter(tuple(r) for r in joins.merge(a, b, "k", how).collect()) == Counter(wanted)
+
+
+def test_theta_join_takes_all_suppliers(spark):
+    data = "/root/testdata/sf0.01"  # the smallest size with more than 20 suppliers
+    found = catalog.queries()["theta_join_whole"](spark, data).groupBy("s_suppkey").count()
+    wanted = duckdb.execute(f"SELECT s_suppkey, count(*) FROM '{data}/customer.parquet' JOIN '{data}/supplier.parquet' ON c_acctbal < s_acctbal GROUP BY 1").fetchall()
+    assert {tuple(r) for r in found.collect()} == set(wanted) and len(wanted) > 20
+
+
+@pytest.mark.parametrize("op", ["<", "<=", ">", ">="])
+def test_theta_join_equals_brute_force(spark, op):
+    left, right = [1.0, 2.0, 2.0, 7.5, -3.0, None, float("nan")], [2.0, 0.0, 7.5, None, 100.0, float("nan")]
+    a, b = spark.createDataFrame(list(enumerate(left)), "i long, x double"), spark.createDataFrame(list(enumerate(right)), "j long, y double")
+    test = {"<": lambda x, y: x < y, "<=": lambda x, y: x <= y, ">": lambda x, y: x > y, ">=": lambda x, y: x >= y}[op]
+    wanted = {(i, j) for i, x in enumerate(left) for j, y in enumerate(right) if x is not None and y is not None and test(x, y)}
+    found = joins.theta(a, b, "x", "y", op).select("i", "j").collect()
+    assert {tuple(r) for r in found} == wanted and len(found) == len(wanted)
