@@ -16,7 +16,7 @@ from modelsort.functions import sampling
 from modelsort.functions import sql as sql_functions
 from modelsort.functions.keys import KeySpec, numeric, order_bits
 from modelsort.functions.models import EcdfBucket, LinearBucket, RadixBucket, Rmi, SplitterTree, WithHeavy, tune_rmi
-from modelsort.functions.models.linear import lsq_by_group, min_conflict_distributed
+from modelsort.functions.models.linear import lsq_by_group, lsq_distributed, min_conflict_distributed, min_max_distributed
 from modelsort.operators import aggs, blocks, joins, lookup, metrics, rank, sorters, topk, verify
 from modelsort.operators.sorters import SortConfig
 from modelsort.plans.durable import new_folder
@@ -280,6 +280,25 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return _line_row(spark, min_conflict_distributed(sampling.modular(table(spark, sf, "events", "event_id", "value"), "event_id"), "value", 256))
 
 
+@register("min_conflict_fit_distributed_whole")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return _line_row(spark, min_conflict_distributed(table(spark, sf, "events", "value"), "value", 256))
+
+
+def drawn(spark: SparkSession, sf: str, t: str = "events", x: str = "value", k: int = 256) -> np.ndarray:
+    """The training sample of a fit: random keys of the whole column, as many as the sorters take."""
+    df = table(spark, sf, t, x)
+    n = df.count()
+    return sampling.draw(df, numeric(df, x), sampling.sample_size(max(n, 2), k), max(n, 1))
+
+
+for _t, _x in (("events", "value"), ("documents", "n_chars"), ("customer", "c_acctbal")):
+
+    @register(f"min_conflict_fit_{_x}_whole")
+    def _(spark: SparkSession, sf: str, t: str = _t, x: str = _x) -> DataFrame:
+        return _line_row(spark, LinearBucket.fit_min_conflict(drawn(spark, sf, t, x), 256))
+
+
 _S = PORTABLE.format(t="events", i="event_id", x="value")
 
 
@@ -299,9 +318,21 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame([(line.slope, line.intercept)], "slope double, intercept double")
 
 
+@register("lsq_fit_value_whole", "SELECT round(regr_slope(y, x), 6) AS slope, round(regr_intercept(y, x), 6) AS intercept FROM (SELECT value AS x, 256 * (row_number() OVER (ORDER BY value) - 1) / count(*) OVER () AS y FROM events)")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    line = lsq_distributed(table(spark, sf, "events", "value"), "value", 256)
+    return spark.createDataFrame([(round(line.slope, 6), round(line.intercept, 6))], "slope double, intercept double")
+
+
+@register("minmax_fit_value_whole", "SELECT 256 / (max(value) - min(value)) AS slope, -(256 / (max(value) - min(value))) * min(value) AS intercept FROM events")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    line = min_max_distributed(table(spark, sf, "events", "value"), "value", 256)
+    return spark.createDataFrame([(line.slope, line.intercept)], "slope double, intercept double")
+
+
 @register("balanced_fit_value")
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    line = LinearBucket.fit_balanced(_portable(spark, sf), 256)
+    line = LinearBucket.fit_balanced(drawn(spark, sf), 256)
     return spark.createDataFrame([(line.slope, line.intercept)], "slope double, intercept double")
 
 
@@ -316,21 +347,34 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame([(float(x),) for x in SplitterTree.fit(_portable(spark, sf), 16).splitters], "splitter double")
 
 
+@register("splitters_value_whole")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return spark.createDataFrame([(float(x),) for x in SplitterTree.fit(drawn(spark, sf, k=16), 16).splitters], "splitter double")
+
+
 @register("rmi_lines_value", f"""
 WITH r AS (SELECT x, (row_number() OVER (ORDER BY x) - 1) / count(*) OVER () AS y, count(*) OVER () AS s FROM {_S}),
 root AS (SELECT (max(y) - min(y)) / (max(x) - min(x)) AS a, min(x) AS x0, min(y) AS y0 FROM r),
 leaf AS (SELECT x, y, CAST(floor(least(0.9999999999999999, greatest(0, a * x + (y0 - a * x0))) * 8) AS INTEGER) AS leaf FROM r, root)
 SELECT leaf, round(CASE WHEN count(*) > 1 THEN (max(y) - min(y)) / (max(x) - min(x)) ELSE 0 END, 6) AS slope FROM leaf GROUP BY leaf""")
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    sample = _portable(spark, sf)
+    return _rmi_lines(spark, _portable(spark, sf))
+
+
+def _rmi_lines(spark: SparkSession, sample: np.ndarray) -> DataFrame:
     model = Rmi.two_level(sample, 8)
     used = sorted(set(model._owner(sample).tolist()))
     return spark.createDataFrame([(i, round(float(model.slopes[1][i]), 6)) for i in used], "leaf int, slope double")
 
 
+@register("rmi_lines_value_whole")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return _rmi_lines(spark, drawn(spark, sf))
+
+
 @register("rmi_tuning")
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    rows = tune_rmi(_portable(spark, sf), (4, 16, 64))
+    rows = tune_rmi(drawn(spark, sf), (4, 16, 64))
     return spark.createDataFrame([(r["leaves"], r["root"], r["leaf"], r["mean_error"], r["max_error"]) for r in rows], "leaves int, root string, leaf string, mean_error double, max_error double")
 
 
@@ -368,7 +412,7 @@ _counts("bucket_histogram_radix", RadixBucket.fit(0, 255, 4), "CAST(least(15, gr
 
 @register("bucket_histogram_rmi")
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    sample = _portable(spark, sf)
+    sample = drawn(spark, sf)
     model = EcdfBucket(Rmi.two_level(sample, 16).monotone(sample), 64)
     return metrics.bucket_counts(table(spark, sf, "events", "value"), F.col("value"), model)
 
@@ -403,7 +447,7 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
 
 @register("monotone_repair", "SELECT CAST(0 AS BIGINT) AS violations")
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    sample = _portable(spark, sf)
+    sample = drawn(spark, sf)
     return metrics.violations(table(spark, sf, "events", "value"), F.col("value"), Rmi.two_level(sample, 16, leaf="lsq").monotone(sample).column)
 
 

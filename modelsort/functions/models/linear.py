@@ -165,6 +165,28 @@ def min_conflict_distributed(keys: DataFrame, x: str, k: int) -> LinearBucket:
     return LinearBucket(1 / span, 1 - (1 / span) * a, k, low)
 
 
+def lsq_distributed(keys: DataFrame, x: str, k: int) -> LinearBucket:
+    """Least squares on the target bucket k * rank / S of all keys, by aggregates over ranks that a partition sort gives."""
+    from modelsort.operators.rank import ranked_keys
+    from modelsort.plans.durable import materialize
+
+    ranked = materialize(ranked_keys(keys.select(F.col(x).cast("double").alias("x"))), "ranked-keys")
+    s, low_key, high_key, middle = ranked.agg(F.count("*"), F.min("x"), F.max("x"), F.avg("x")).first()
+    if not s or low_key == high_key:
+        return LinearBucket.constant(1)
+    target = F.col("rank") * F.lit(k / s)
+    slope, at_middle = ranked.select(target.alias("y"), (F.col("x") - F.lit(middle)).alias("x")).agg(F.regr_slope("y", "x"), F.regr_intercept("y", "x")).first()
+    if slope is None or not np.isfinite(slope) or slope < 0:
+        return LinearBucket.fit_min_max(np.array([low_key, high_key]), k)
+    return LinearBucket(slope, at_middle - slope * middle, k)
+
+
+def min_max_distributed(keys: DataFrame, x: str, k: int) -> LinearBucket:
+    """Equal key ranges between the least and the largest of all keys."""
+    ends = keys.select(F.col(x).cast("double").alias("x")).where(F.col("x").isNotNull() & ~F.isnan("x")).agg(F.min("x"), F.max("x")).first()
+    return LinearBucket.fit_min_max(np.array([v for v in ends if v is not None]), k)
+
+
 def lsq_by_group(df: DataFrame, group: str, x: str, k: int) -> DataFrame:
     """Least-squares lines per group from built-in regression aggregates."""
     w = Window.partitionBy(group)

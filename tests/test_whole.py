@@ -3,9 +3,13 @@
 from collections import Counter
 
 import duckdb
+import numpy as np
 import pytest
 
 from modelsort import catalog
+from modelsort.functions import sampling
+from modelsort.functions.models import LinearBucket, Rmi, SplitterTree
+from modelsort.functions.models.linear import lsq_distributed, min_max_distributed
 from modelsort.operators import joins
 
 DATA = "/root/testdata/sf0.001"
@@ -81,3 +85,52 @@ def test_theta_join_equals_brute_force(spark, op):
     wanted = {(i, j) for i, x in enumerate(left) for j, y in enumerate(right) if x is not None and y is not None and test(x, y)}
     found = joins.theta(a, b, "x", "y", op).select("i", "j").collect()
     assert {tuple(r) for r in found} == wanted and len(found) == len(wanted)
+
+
+def least_conflict(keys, k):
+    """Least feasible degree by trying each."""
+    s = len(keys)
+    for d in range(1, s // 3 + 1):
+        width = (keys[s - 1 - d] - keys[d]) / (k - 2)
+        if d == s // 3 or (keys[d:] - keys[: s - d]).min() >= width:
+            return d, 1 / width, 1 - keys[d] / width
+
+
+def test_distributed_fits_take_the_whole_column(spark, duck):
+    keys = np.array(duck.execute("SELECT value FROM events ORDER BY value").fetchnumpy()["value"])
+    row = catalog.queries()["min_conflict_fit_distributed_whole"](spark, DATA).first()
+    assert tuple(row) == pytest.approx(least_conflict(keys, 256))
+    row = catalog.queries()["lsq_fit_value_whole"](spark, DATA).first()
+    line = LinearBucket.fit_lsq(keys, 256)
+    assert tuple(row) == pytest.approx((line.slope, line.intercept), abs=1e-6)
+    row = catalog.queries()["minmax_fit_value_whole"](spark, DATA).first()
+    assert tuple(row) == pytest.approx((256 / (keys[-1] - keys[0]), -256 / (keys[-1] - keys[0]) * keys[0]))
+
+
+def test_distributed_fits_of_awkward_columns(spark):
+    for values in ([], [None], [3.0], [3.0, 3.0, None]):
+        df = spark.createDataFrame([(v,) for v in values], "value double")
+        assert lsq_distributed(df, "value", 8).buckets == min_max_distributed(df, "value", 8).buckets == 1
+
+
+@pytest.mark.parametrize(("t", "x"), [("events", "value"), ("documents", "n_chars"), ("customer", "c_acctbal")])
+def test_fits_take_the_sample_of_the_sorters(spark, t, x):
+    sample = catalog.drawn(spark, DATA, t, x)
+    n = spark.read.parquet(f"{DATA}/{t}.parquet").count()
+    assert 0.8 * min(n, sampling.sample_size(n, 256)) < len(sample) <= sampling.sample_size(n, 256)
+    row = catalog.queries()[f"min_conflict_fit_{x}_whole"](spark, DATA).first()
+    line = LinearBucket.fit_min_conflict(sample, 256)
+    assert tuple(row) == pytest.approx((line.conflict, line.slope, line.intercept))
+    assert row["conflict"] == least_conflict(sample, 256)[0]
+
+
+def test_sampled_models_are_fitted_on_random_keys(spark):
+    sample = catalog.drawn(spark, DATA)
+    query = lambda name: [tuple(r) for r in catalog.queries()[name](spark, DATA).collect()]
+    line = LinearBucket.fit_balanced(sample, 256)
+    assert query("balanced_fit_value") == [(line.slope, line.intercept)]
+    assert query("splitters_value_whole") == [(x,) for x in SplitterTree.fit(catalog.drawn(spark, DATA, k=16), 16).splitters]
+    slopes = Rmi.two_level(sample, 8).slopes[1]
+    assert all(slope == pytest.approx(slopes[leaf], abs=1e-6) for leaf, slope in query("rmi_lines_value_whole"))
+    assert sum(r[1] for r in query("bucket_histogram_rmi")) == 1000 and query("monotone_repair") == [(0,)]
+    assert len(query("rmi_tuning")) > 0
