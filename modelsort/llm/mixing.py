@@ -25,6 +25,7 @@ from modelsort.plans.durable import materialize
 TRAIN_DOCS = 10_000
 VOCABULARY = 20_000
 SMOOTHING = 0.5
+SPACE = r"[ \t\n\x0B\f\r]+"
 #: Words that a posterior counts as independent at most; longer texts get no surer than that.
 SURE_WORDS = 200
 MOST_STEPS = 40
@@ -32,8 +33,8 @@ TOLERANCE = 1e-9
 
 
 def words(text: Column) -> Column:
-    """Lower-cased pieces of the text between single blanks, empty ones included."""
-    return F.split(F.lower(text), " ", -1)
+    """Lower-cased pieces of the text between runs of white space; none for a blank text."""
+    return F.filter(F.split(F.lower(text), SPACE, -1), lambda word: word != "")
 
 
 @dataclass
@@ -69,7 +70,7 @@ def learn_domains(docs: DataFrame, labelled: DataFrame, n: int = TRAIN_DOCS, voc
 def memberships(docs: DataFrame, domains: Domains, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Columns ``doc_id, tokens, p`` of each id: whole-text words and the posterior array, in the order of names.
 
-    Null and empty texts have no tokens and the prior as posterior. Rows that
+    Null, empty and blank texts have no tokens and the prior as posterior. Rows that
     repeat an id count together, rows without id too. An empty table gives none.
     """
     text = F.when(F.length(text_col) > 0, F.col(text_col).cast("string"))

@@ -196,6 +196,17 @@ def test_mixing_awkward_rows(spark):
     assert empty.count() == 0 and names == []
 
 
+def test_mixing_splits_at_any_white_space(spark):
+    rows = [(1, "La la\nle\tla"), (2, "the  of\r\n\r\nthe "), (3, "le\nla\nle\nla"), (4, "\n\t "), (5, "\x0bthe\fof")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    labelled = spark.createDataFrame([(1, "fr"), (2, "en")], "doc_id long, domain string")
+    found = {r["doc_id"]: r for r in mixing.mix(docs, labelled)[0].collect()}
+    assert {i: r["tokens"] for i, r in found.items()} == {i: len(t.split()) for i, t in rows}
+    assert found[3]["domain"] == "fr" and found[5]["domain"] == "en"
+    known = mixing.learn_domains(docs, labelled).likelihoods.select("word").collect()
+    assert {r["word"] for r in known} == {"la", "le", "the", "of"}
+
+
 def brute_top(rows, k):
     ints = {i: [math.floor(256 * float(x)) for x in v] for i, v in rows if i is not None and v is not None and all(x is not None and math.isfinite(x) and abs(x) <= balltree.MOST for x in v)}
     out = set()
