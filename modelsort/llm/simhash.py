@@ -223,15 +223,23 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS) -> DataFrame:
     """Documents with one kept per group: the one of least id, and of its repeats one.
 
-    Documents without an id can't be told apart and all stay. Columns are unchanged.
+    An id with several fingerprints is a document for each of them. Documents
+    without an id can't be told apart and all stay. Columns are unchanged.
     """
-    keep = near_duplicates(docs.where(F.col(id_col).isNotNull()), id_col, text_col, radius).where("doc_id = component_id").select("doc_id").distinct()
     own = docs.withColumn("__keep", F.col(id_col).cast("long"))
-    kept = own.join(keep.select(F.col("doc_id").alias("__keep")), "__keep", "left_semi")
-    repeats = keep_one(kept, "__keep")
-    return repeats.unionByName(own.where("__keep is null")).select(*docs.columns)
-
-
-def keep_one(df: DataFrame, key: str) -> DataFrame:
+    prints = materialize(own.where("__keep is not null").select(F.col("__keep").alias("doc_id"), fingerprint(F.col(text_col)).alias("print")), "prints")
+    classes = prints.groupBy("print").agg(F.min("doc_id").alias("least"))
+    linked = connected_components(link_classes(classes.select("print", F.col("print").alias("node")), radius), "simhash-groups")
+    grouped = classes.join(linked.withColumnRenamed("node", "print"), "print", "left").withColumn("group", F.coalesce("component", "print"))
+    leads = grouped.groupBy("group").agg(F.min(F.struct("least", "print")).alias("lead")).select(F.col("lead")["least"].alias("doc_id"), F.col("lead")["print"].alias("__lead"))
+    texts = prints.groupBy("doc_id").agg((F.min("print") != F.max("print")).alias("__several"))
+    kept = own.join(leads.join(texts, "doc_id").withColumnRenamed("doc_id", "__keep"), "__keep")
+    # Only texts whose id has several fingerprints are read again.
+    kept = kept.withColumn("__print", fingerprint(F.when(F.col("__several"), F.col(text_col)))).where("not __several or __print = __lead")
+    repeats = keep_one(kept, "__keep", "__lead").select(*docs.columns)
+    return repeats.unionByName(own.where("__keep is null").select(*docs.columns))
+
+
+def keep_one(df: DataFrame, *key: str) -> DataFrame:
     """One row of each non-null key (Spark combines before the shuffle)."""
-    return df.dropDuplicates([key])
+    return df.dropDuplicates(list(key))

@@ -163,3 +163,14 @@ def test_queries_have_the_contract_columns(spark):
     assert all(len(r["fingerprint"]) == 16 for r in one.collect())
     two = catalog.op2_benchmark_decontamination(spark, "/root/testdata/sf0.001")
     assert dict(two.dtypes) == {"doc_id": "bigint", "n_words": "bigint", "n_hit": "bigint", "n_items": "bigint", "items_sha256": "string", "contaminated": "boolean"}
+
+
+def test_every_group_keeps_a_row_when_ids_repeat(spark):
+    a, b, c = ("alpha beta gamma delta " * 5, "one two three four five " * 5, "red green blue black white " * 5)
+    for rows, wanted in (
+        ([(3, a), (5, a), (5, b)], {(3, a), (5, b)}),  # a copy and a unique text of one id
+        ([(5, a), (5, b), (5, c), (5, b)], {(5, a), (5, b), (5, c)}),  # unique texts of one id, one of them twice
+        ([(5, a), (5, b), (7, a), (7, b), (9, c)], {(5, a), (5, b), (9, c)}),
+    ):
+        found = simhash.deduplicate(spark.createDataFrame(rows, "doc_id long, text string").repartition(3)).collect()
+        assert {tuple(r) for r in found} == wanted and len(found) == len(wanted)
