@@ -40,7 +40,7 @@ N_FEATURES = N_CLASSES + 5
 def describe(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Features of all passages of a block of texts, and the offsets of texts among them.
 
-    A text without words is one passage with zero features.
+    A text without words is one passage; every byte of a text belongs to its own passages.
     """
     starts, ends, bounds = word_bounds(data, offsets, NOT_SPACE)
     rows = len(offsets) - 1
@@ -52,16 +52,17 @@ def describe(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndar
     total = int(first[-1])
     words = np.bincount(passage, minlength=total).astype(float)
     x = np.zeros((total, N_FEATURES))
-    if not len(starts):
-        return x, first
-    # A byte belongs to the passage of the last word that starts at or before it; leading blanks to the first passage.
-    head = np.zeros(len(data), bool)
-    head[starts[np.flatnonzero(np.append(True, passage[1:] != passage[:-1]))]] = True
-    owner = np.unique(passage)
-    of_byte = owner[np.maximum(np.cumsum(head) - 1, 0)]
+    # A byte belongs to the passage of the last word of its text that starts at or before it; leading blanks to the first passage.
+    begin = np.empty(total, np.int64)
+    heads = np.flatnonzero(np.append(True, passage[1:] != passage[:-1])) if len(starts) else np.zeros(0, np.int64)
+    begin[passage[heads]] = starts[heads]
+    begin[first[:-1]] = offsets[:-1]
+    of_byte = np.repeat(np.arange(total), np.diff(np.append(begin, len(data))))
     x[:, :N_CLASSES] = np.bincount(of_byte * N_CLASSES + _CLASS[data], minlength=total * N_CLASSES).reshape(total, N_CLASSES)
     size = np.maximum(x[:, :N_CLASSES].sum(axis=1), 1.0)
     x[:, :N_CLASSES] = np.sqrt(x[:, :N_CLASSES] / size[:, None])
+    if not len(starts):
+        return x, first
     lengths = (ends - starts).astype(float)
     some = np.maximum(words, 1.0)
     x[:, N_CLASSES] = np.log1p(words)

@@ -142,6 +142,20 @@ def test_code_lengths_are_exact():
         assert got == pytest.approx([slow_code_length(counts[n], 4, text) for n in ("a", "b")], rel=1e-5)
 
 
+def test_features_of_a_text_are_its_own():
+    texts = ["aa bb", " cc", "", "   ", None, "\n\n", "word " * 300, "  lead " * 200, " ", "z"]
+
+    def features(some):
+        x, first = quality.describe(*utf8_view(pa.array(some, pa.string())))
+        return [x[a:b] for a, b in zip(first[:-1], first[1:], strict=True)]
+
+    alone = [features([t])[0] for t in texts]
+    for order in (texts, texts[::-1]):
+        together = features(order)[:: 1 if order is texts else -1]
+        assert all(np.allclose(a, b) for a, b in zip(alone, together, strict=True))
+    assert alone[3][0, quality._CLASS[ord(" ")]] == 1 and alone[0][0, quality._CLASS[ord(" ")]] == pytest.approx((1 / 5) ** 0.5)
+
+
 def test_gradients_of_the_network():
     rng = np.random.default_rng(0)
     x, first, y = rng.normal(size=(9, quality.N_FEATURES)), np.array([0, 2, 3, 9]), np.array([1.0, 0.0, 1.0])
