@@ -241,9 +241,10 @@ def ecdf_model(sample: np.ndarray, leaves: int = 128) -> Rmi:
 
 
 def ecdf_two_pass_sort(df: DataFrame, key: KeySpec | str, *, k1: int = 32, k2: int = 32, fraction: float = 0.01, leaves: int = 128, config: SortConfig = SortConfig()) -> SortedFrame:
-    """Two partitioning rounds by one eCDF, fused into one bucket number, then a model-based counting sort.
+    """Two partitioning rounds by one eCDF, fused into one bucket number, then Spark's local sort.
 
-    Buckets of one value are left as they are. The model is made monotone
+    The local sort stands in for the model-based counting sort, its correction and
+    the skipping of one-value buckets, none of which run here. The model is made monotone
     before the scatter, since a repair within parts can't mend across parts.
     """
     key = as_key(key)
