@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 from modelsort.functions import sampling
 from modelsort.functions import sql as sql_functions
 from modelsort.functions.keys import KeySpec, numeric, order_bits
-from modelsort.functions.models import EcdfBucket, LinearBucket, RadixBucket, Rmi, SplitterTree, WithHeavy, tune_rmi
+from modelsort.functions.models import Composite, EcdfBucket, LinearBucket, RadixBucket, Rmi, SplitterTree, WithHeavy, tune_rmi
 from modelsort.functions.models.linear import lsq_by_group, lsq_distributed, min_conflict_distributed, min_max_distributed
 from modelsort.operators import aggs, blocks, joins, lookup, metrics, rank, sorters, topk, verify
 from modelsort.operators.sorters import SortConfig
@@ -111,6 +111,32 @@ _sorted("sort_string_urls_desc", "pages", KeySpec("url", False, False, ("page_id
 _sorted("sort_multi_key", "orders", KeySpec("o_orderdate", ties=("o_totalprice", "o_orderkey")), sorters.linear_partition_sort)
 
 
+def _bare(name: str, source: str, key: str, sorter: Callable = sorters.linear_partition_sort, made: tuple[str, str] | None = None, **options) -> None:
+    """Register a sort without ties, whose result is the key and the place where its rows lie; ``made`` computes it in Spark and DuckDB."""
+
+    def query(spark: SparkSession, sf: str) -> DataFrame:
+        df = table(spark, sf, source)
+        df = df.select(F.expr(made[0]).alias(key)) if made else df.select(key)
+        return rank.global_position(sorter(df, key, **options)).select(key, "position")
+
+    register(name, f"SELECT {key}, row_number() OVER (ORDER BY {key}) AS position FROM (SELECT {made[1] if made else key} AS {key} FROM {source})")(query)
+
+
+_bare("bare_sort_names", "customer", "c_name")
+_bare("bare_sort_names_tree", "customer", "c_name", sorters.tree_sample_sort)
+_bare("bare_sort_urls", "pages", "url")
+_bare("bare_sort_urls_radix", "pages", "url", sorters.radix_partition_sort)
+_bare("bare_sort_urls_ecdf", "pages", "url", sorters.ecdf_two_pass_sort)
+_bare("bare_sort_texts", "documents", "text")
+_bare("bare_sort_priorities", "orders", "o_orderpriority")
+_bare("bare_sort_huge_integers", "orders", "k", made=("1152921504606846976L + o_orderkey % 8", "1152921504606846976 + o_orderkey % 8"))
+_FINE = "CAST(concat('1234567890123456789.', lpad(CAST(o_orderkey AS {text}), 10, '0')) AS DECIMAL(38,10))"
+_bare("bare_sort_fine_decimals", "orders", "k", made=(_FINE.format(text="STRING"), _FINE.format(text="VARCHAR")))
+_HOT = "CASE WHEN event_id % 5 < 4 THEN 7.0 ELSE value END"
+for _name in ("linear_partition_sort", "tree_sample_sort", "radix_partition_sort", "ecdf_two_pass_sort", "two_way_sort"):
+    _bare(f"bare_hot_{_name}", "events", "k", getattr(sorters, _name), (_HOT, f"CAST({_HOT} AS DOUBLE)"))
+
+
 def _derived(name: str, source: str, columns: str, expression: str, duck: str, key: KeySpec, sorter: Callable = sorters.linear_partition_sort) -> None:
     """Register a sort by a computed key ``k``."""
     order = f"k {'ASC' if key.ascending else 'DESC'} NULLS {'FIRST' if key.nulls_first else 'LAST'}, {', '.join(key.ties)}"
@@ -130,6 +156,8 @@ _derived("sort_array_coordinate", "embeddings", "vec_id embedding", "CAST(embedd
 _derived("sort_decimal_key", "orders", "o_orderkey o_totalprice", "CAST(o_totalprice AS DECIMAL(18,2))", "CAST(o_totalprice AS DECIMAL(18,2))", KeySpec("k", ties=("o_orderkey",)))
 _derived("sort_date_key", "orders", "o_orderkey o_orderdate", "CAST(o_orderdate AS DATE)", "CAST(o_orderdate AS DATE)", KeySpec("k", ties=("o_orderkey",)))
 
+_derived("sort_hot_key_by_ties", "events", "event_id value", f"CAST({_HOT} AS DOUBLE)", f"CAST({_HOT} AS DOUBLE)", KeySpec("k", False, ties=("event_id",)))
+
 POSITION_SQL = "SELECT event_id, row_number() OVER (ORDER BY value, event_id) AS position FROM events"
 
 
@@ -145,9 +173,11 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return metrics.falls(ordered, KeySpec("n"), "value").select(F.col("falls").alias("descents"))
 
 
-@register("sequential_linear_sort_value", "SELECT value, row_number() OVER (ORDER BY value) AS position FROM events")
-def _(spark: SparkSession, sf: str) -> DataFrame:
-    return sorters.sequential_sort(table(spark, sf, "events", "value"), "value")
+for _method in sorters.SEQUENTIAL:
+
+    @register(f"sequential_{_method}_sort_value", "SELECT value, row_number() OVER (ORDER BY value) AS position FROM events")
+    def _(spark: SparkSession, sf: str, method: str = _method) -> DataFrame:
+        return sorters.sequential_sort(table(spark, sf, "events", "value"), "value", method)
 
 
 @register("ideal_place_distinct", "SELECT event_id, event_id * 3 AS key, row_number() OVER (ORDER BY event_id) AS position FROM events")
@@ -162,11 +192,16 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return rank.global_position(sorters.merge_runs(runs)).select("event_id", "position")
 
 
-@register("counting_sort_repair", "SELECT event_id, row_number() OVER (ORDER BY value, event_id) - 1 AS place FROM events")
+#: Four lines as an eCDF of events.value; not monotone, so that there is something to correct.
+ECDF_LINES = Rmi([1, 4], [np.array([0.004]), np.array([0.02, 0.002, 0.001, 0.0005])], [np.array([0.0]), np.array([0.05, 0.4, 0.55, 0.8])])
+_LEAF = "CAST(floor(least(0.9999999999999999, greatest(0.0, CAST('0.004' AS DOUBLE) * value)) * 4) AS INTEGER) + 1"
+_ECDF_SQL = f"least(0.9999999999999999, greatest(0.0, (CAST([0.02, 0.002, 0.001, 0.0005] AS DOUBLE[]))[{_LEAF}] * value + (CAST([0.05, 0.4, 0.55, 0.8] AS DOUBLE[]))[{_LEAF}]))"
+
+
+@register("counting_sort_correction", f"SELECT event_id, slot, place, slot <> place AS moved FROM (SELECT event_id, row_number() OVER (ORDER BY least(n - 1, CAST(floor(f * n) AS BIGINT)), event_id) - 1 AS slot, row_number() OVER (ORDER BY value, event_id) - 1 AS place FROM (SELECT event_id, value, {_ECDF_SQL} AS f, count(*) OVER () AS n FROM events))")
 def _(spark: SparkSession, sf: str) -> DataFrame:
     df = table(spark, sf, "events", "event_id", "value").orderBy("event_id").coalesce(1)
-    sample = sampling.draw_fraction(df, F.col("value"), 0.1)
-    return sorters.counting_sort(df, "value", sorters.ecdf_model(sample)).select("event_id", "place")
+    return sorters.counting_sort(df, VALUE, ECDF_LINES).select("event_id", "slot", "place", (F.col("slot") != F.col("place")).alias("moved"))
 
 
 @register("page_of_order", "SELECT event_id, position FROM (SELECT event_id, row_number() OVER (ORDER BY value, event_id) AS position FROM events) WHERE position > 500 AND position <= 700")
@@ -174,9 +209,11 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return sorters.linear_partition_sort(table(spark, sf, "events", "event_id", "value"), VALUE).page(500, 200).select("event_id", "position")
 
 
-@register("transform_sorted_by", "SELECT count(*) AS rows, CAST(sum(event_id) AS BIGINT) AS ids FROM events")
-def _(spark: SparkSession, sf: str) -> DataFrame:
-    return table(spark, sf, "events", "event_id", "value").transform(sorters.sorted_by("value")).agg(F.count("*").alias("rows"), F.sum("event_id").alias("ids"))
+for _method in ("linear", "tree", "radix", "ecdf", "auto"):
+
+    @register(f"transform_sorted_by_{_method}", "SELECT c_name, row_number() OVER (ORDER BY c_name) AS position FROM customer")
+    def _(spark: SparkSession, sf: str, method: str = _method) -> DataFrame:
+        return rank.lying_position(table(spark, sf, "customer", "c_name").transform(sorters.sorted_by("c_name", method)))
 
 
 @register("sort_proof", "SELECT CAST(0 AS BIGINT) AS within_parts, CAST(0 AS BIGINT) AS between_parts")
@@ -248,41 +285,30 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
 
 # ---------------------------------------------------------------- fits
 
-PORTABLE = "(SELECT CAST({x} AS DOUBLE) AS x FROM {t} WHERE ({i} * 7919) % 10007 < 400)"
-
-
-def _conflict_sql(t: str, i: str, x: str) -> str:
-    """Least feasible degree by trying each: ranks D apart, joined."""
-    source = PORTABLE.format(t=t, i=i, x=x)
+def _conflict_sql(t: str, x: str, by: str = "") -> str:
+    """Least feasible degree by trying each: ranks D apart, joined; per group if ``by`` names one."""
+    g, on, of = (f"{by}, ", f"USING ({by})", f"PARTITION BY {by}") if by else ("", "ON TRUE", "")
+    same = f"AND {{a}}.{by} = {{b}}.{by}" if by else ""
+    eq = lambda a, b: same.format(a=a, b=b)
     return f"""
-WITH r AS (SELECT x, row_number() OVER (ORDER BY x) - 1 AS i, count(*) OVER () AS s FROM {source}),
-d AS (SELECT CAST(unnest(generate_series(1, CAST(max(s) // 3 AS BIGINT))) AS BIGINT) AS d, max(s) AS s FROM r),
-w AS (SELECT d.d, d.s, (hi.x - lo.x) / 254 AS u, lo.x AS first FROM d JOIN r lo ON lo.i = d.d JOIN r hi ON hi.i = d.s - 1 - d.d),
-g AS (SELECT w.d, min(b.x - a.x) AS gap FROM w JOIN r a ON TRUE JOIN r b ON b.i = a.i + w.d GROUP BY w.d),
-ok AS (SELECT min(w.d) AS d FROM w JOIN g USING (d) WHERE gap >= u OR w.d = s // 3)
-SELECT CAST(d AS INTEGER) AS conflict, 1 / u AS slope, 1 - (1 / u) * first AS intercept FROM w JOIN ok USING (d)"""
+WITH r AS (SELECT {g}x, row_number() OVER ({of} ORDER BY x) - 1 AS i, count(*) OVER ({of}) AS s FROM (SELECT {g}CAST({x} AS DOUBLE) AS x FROM {t})),
+sizes AS (SELECT {g}max(s) AS s FROM r {f"GROUP BY {by}" if by else ""}),
+d AS (SELECT {g}CAST(unnest(generate_series(1, CAST(s // 3 AS BIGINT))) AS BIGINT) AS d, s FROM sizes),
+w AS (SELECT d.*, (hi.x - lo.x) / 254 AS u, lo.x AS first FROM d JOIN r lo ON lo.i = d.d {eq("lo", "d")} JOIN r hi ON hi.i = d.s - 1 - d.d {eq("hi", "d")}),
+g AS (SELECT {"w." + by + ", " if by else ""}w.d, min(b.x - a.x) AS gap FROM w JOIN r a {f"ON a.{by} = w.{by}" if by else "ON TRUE"} JOIN r b ON b.i = a.i + w.d {eq("b", "w")} GROUP BY ALL),
+ok AS (SELECT {"w." + by + ", " if by else ""}min(w.d) AS d FROM w JOIN g ON g.d = w.d {eq("g", "w")} WHERE gap >= u OR w.d = s // 3 GROUP BY ALL)
+SELECT {"w." + by + ", " if by else ""}CAST(w.d AS INTEGER) AS conflict, 1 / u AS slope, 1 - (1 / u) * first AS intercept{", w.s AS keys" if by else ""} FROM w JOIN ok ON ok.d = w.d {eq("ok", "w")}"""
 
 
 def _line_row(spark: SparkSession, line: LinearBucket) -> DataFrame:
     return spark.createDataFrame([(line.conflict, line.slope, line.intercept)], "conflict int, slope double, intercept double")
 
 
-for _t, _i, _x in (("events", "event_id", "value"), ("documents", "doc_id", "n_chars"), ("customer", "c_custkey", "c_acctbal")):
-
-    @register(f"min_conflict_fit_{_x}", _conflict_sql(_t, _i, _x))
-    def _(spark: SparkSession, sf: str, t: str = _t, i: str = _i, x: str = _x) -> DataFrame:
-        rows = sampling.modular(table(spark, sf, t, i, x), i)
-        return _line_row(spark, LinearBucket.fit_min_conflict(sampling.draw_fraction(rows, F.col(x).cast("double"), 1.0), 256))
-
-
-@register("min_conflict_fit_distributed", _conflict_sql("events", "event_id", "value"))
-def _(spark: SparkSession, sf: str) -> DataFrame:
-    return _line_row(spark, min_conflict_distributed(sampling.modular(table(spark, sf, "events", "event_id", "value"), "event_id"), "value", 256))
-
+for _t, _x in (("events", "value"), ("documents", "n_chars"), ("customer", "c_acctbal")):
 
-@register("min_conflict_fit_distributed_whole")
-def _(spark: SparkSession, sf: str) -> DataFrame:
-    return _line_row(spark, min_conflict_distributed(table(spark, sf, "events", "value"), "value", 256))
+    @register(f"min_conflict_fit_{_x}", _conflict_sql(_t, _x))
+    def _(spark: SparkSession, sf: str, t: str = _t, x: str = _x) -> DataFrame:
+        return _line_row(spark, min_conflict_distributed(table(spark, sf, t, x), x, 256))
 
 
 def drawn(spark: SparkSession, sf: str, t: str = "events", x: str = "value", k: int = 256) -> np.ndarray:
@@ -294,37 +320,18 @@ def drawn(spark: SparkSession, sf: str, t: str = "events", x: str = "value", k:
 
 for _t, _x in (("events", "value"), ("documents", "n_chars"), ("customer", "c_acctbal")):
 
-    @register(f"min_conflict_fit_{_x}_whole")
+    @register(f"min_conflict_fit_{_x}_sampled")
     def _(spark: SparkSession, sf: str, t: str = _t, x: str = _x) -> DataFrame:
         return _line_row(spark, LinearBucket.fit_min_conflict(drawn(spark, sf, t, x), 256))
 
 
-_S = PORTABLE.format(t="events", i="event_id", x="value")
-
-
-def _portable(spark: SparkSession, sf: str) -> np.ndarray:
-    return sampling.draw_fraction(sampling.modular(table(spark, sf, "events", "event_id", "value"), "event_id"), F.col("value"), 1.0)
-
-
-@register("lsq_fit_value", f"SELECT round(regr_slope(y, x), 6) AS slope, round(regr_intercept(y, x), 6) AS intercept FROM (SELECT x, 256 * (row_number() OVER (ORDER BY x) - 1) / count(*) OVER () AS y FROM {_S})")
-def _(spark: SparkSession, sf: str) -> DataFrame:
-    line = LinearBucket.fit_lsq(_portable(spark, sf), 256)
-    return spark.createDataFrame([(round(line.slope, 6), round(line.intercept, 6))], "slope double, intercept double")
-
-
-@register("minmax_fit_value", f"SELECT 256 / (max(x) - min(x)) AS slope, -(256 / (max(x) - min(x))) * min(x) AS intercept FROM {_S}")
-def _(spark: SparkSession, sf: str) -> DataFrame:
-    line = LinearBucket.fit_min_max(_portable(spark, sf), 256)
-    return spark.createDataFrame([(line.slope, line.intercept)], "slope double, intercept double")
-
-
-@register("lsq_fit_value_whole", "SELECT round(regr_slope(y, x), 6) AS slope, round(regr_intercept(y, x), 6) AS intercept FROM (SELECT value AS x, 256 * (row_number() OVER (ORDER BY value) - 1) / count(*) OVER () AS y FROM events)")
+@register("lsq_fit_value", "SELECT round(regr_slope(y, x), 6) AS slope, round(regr_intercept(y, x), 6) AS intercept FROM (SELECT value AS x, 256 * (row_number() OVER (ORDER BY value) - 1) / count(*) OVER () AS y FROM events)")
 def _(spark: SparkSession, sf: str) -> DataFrame:
     line = lsq_distributed(table(spark, sf, "events", "value"), "value", 256)
     return spark.createDataFrame([(round(line.slope, 6), round(line.intercept, 6))], "slope double, intercept double")
 
 
-@register("minmax_fit_value_whole", "SELECT 256 / (max(value) - min(value)) AS slope, -(256 / (max(value) - min(value))) * min(value) AS intercept FROM events")
+@register("minmax_fit_value", "SELECT 256 / (max(value) - min(value)) AS slope, -(256 / (max(value) - min(value))) * min(value) AS intercept FROM events")
 def _(spark: SparkSession, sf: str) -> DataFrame:
     line = min_max_distributed(table(spark, sf, "events", "value"), "value", 256)
     return spark.createDataFrame([(line.slope, line.intercept)], "slope double, intercept double")
@@ -342,34 +349,37 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return found.select("event_type", F.round("slope", 6).alias("slope"), F.round("intercept", 6).alias("intercept"), "rows")
 
 
-@register("splitters_value", f"SELECT x AS splitter FROM (SELECT x, row_number() OVER (ORDER BY x) - 1 AS i, count(*) OVER () AS s FROM {_S}) JOIN (SELECT unnest(generate_series(1, 15)) AS j) ON i = (j * s) // 16")
+@register("splitters_value", "SELECT DISTINCT x AS splitter FROM (SELECT value AS x, row_number() OVER (ORDER BY value) - 1 AS i, count(*) OVER () AS s FROM events) JOIN (SELECT unnest(generate_series(1, 15)) AS j) ON i = (j * s) // 16")
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    return spark.createDataFrame([(float(x),) for x in SplitterTree.fit(_portable(spark, sf), 16).splitters], "splitter double")
+    return spark.createDataFrame([(float(x),) for x in SplitterTree.fit_distributed(table(spark, sf, "events", "value"), "value", 16).splitters], "splitter double")
 
 
-@register("splitters_value_whole")
+@register("splitters_value_sampled")
 def _(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame([(float(x),) for x in SplitterTree.fit(drawn(spark, sf, k=16), 16).splitters], "splitter double")
 
 
-@register("rmi_lines_value", f"""
-WITH r AS (SELECT x, (row_number() OVER (ORDER BY x) - 1) / count(*) OVER () AS y, count(*) OVER () AS s FROM {_S}),
-root AS (SELECT (max(y) - min(y)) / (max(x) - min(x)) AS a, min(x) AS x0, min(y) AS y0 FROM r),
-leaf AS (SELECT x, y, CAST(floor(least(0.9999999999999999, greatest(0, a * x + (y0 - a * x0))) * 8) AS INTEGER) AS leaf FROM r, root)
-SELECT leaf, round(CASE WHEN count(*) > 1 THEN (max(y) - min(y)) / (max(x) - min(x)) ELSE 0 END, 6) AS slope FROM leaf GROUP BY leaf""")
-def _(spark: SparkSession, sf: str) -> DataFrame:
-    return _rmi_lines(spark, _portable(spark, sf))
+_RMI_SQL = """
+WITH ends AS (SELECT count(*) AS s, min(value) AS x0, max(value) AS x1 FROM events),
+root AS (SELECT s, x0, (s - 1) / s / (x1 - x0) AS a FROM ends),
+owned AS (SELECT value, s, CAST(floor(least(0.9999999999999999, greatest(0, a * value + -a * x0)) * {m}) AS INTEGER) AS leaf FROM events, root),
+leaves AS (SELECT leaf, count(*) AS n, min(value) AS lo, max(value) AS hi, max(s) AS s FROM owned GROUP BY leaf),
+cut AS (SELECT *, (sum(n) OVER (ORDER BY leaf) - n) / s AS y0, sum(n) OVER (ORDER BY leaf) / s AS y2 FROM leaves),
+lines AS (SELECT *, CASE WHEN hi > lo THEN ((y2 - 1 / s) - y0) / (hi - lo) ELSE 0 END AS slope FROM cut)
+"""
 
 
-def _rmi_lines(spark: SparkSession, sample: np.ndarray) -> DataFrame:
-    model = Rmi.two_level(sample, 8)
-    used = sorted(set(model._owner(sample).tolist()))
+@register("rmi_lines_value", _RMI_SQL.format(m=8) + "SELECT leaf, round(slope, 6) AS slope FROM lines")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    df = table(spark, sf, "events", "value")
+    model = Rmi.two_level_distributed(df, "value", 8)
+    used = sorted(r[0] for r in df.select(model.leaf(F.col("value"))).distinct().collect())
     return spark.createDataFrame([(i, round(float(model.slopes[1][i]), 6)) for i in used], "leaf int, slope double")
 
 
-@register("rmi_lines_value_whole")
+@register("rmi_empty_leaves", _RMI_SQL.format(m=64) + "SELECT (64 - count(*)) / 64 AS empty_share FROM lines")
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    return _rmi_lines(spark, drawn(spark, sf))
+    return spark.createDataFrame([(Rmi.two_level_distributed(table(spark, sf, "events", "value"), "value", 64).empty_leaves(),)], "empty_share double")
 
 
 @register("rmi_tuning")
@@ -378,9 +388,15 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame([(r["leaves"], r["root"], r["leaf"], r["mean_error"], r["max_error"]) for r in rows], "leaves int, root string, leaf string, mean_error double, max_error double")
 
 
-@register("fit_per_group")
+@register("fit_per_group", _conflict_sql("events", "value", "event_type"))
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    return aggs.fit_per_group(table(spark, sf, "events", "event_type", "value"), "event_type", "value")
+    return aggs.fit_per_group(table(spark, sf, "events", "event_type", "value"), "event_type", "value").select("event_type", "conflict", "slope", "intercept", "keys")
+
+
+@register("double_bits_of_powers", "SELECT p_size, CAST(CASE WHEN p_size % 2 = 0 THEN (p_size + 1023) * 4503599627370496 ELSE -((p_size + 1023) * 4503599627370496) - 1 END AS BIGINT) AS bits FROM (SELECT DISTINCT p_size FROM part)")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    powers = table(spark, sf, "part", "p_size").distinct()
+    return powers.select("p_size", order_bits(F.pow(F.lit(2.0), F.col("p_size")) * F.when(F.col("p_size") % 2 == 0, 1.0).otherwise(-1.0)).alias("bits"))
 
 
 @register("double_order_bits", "SELECT event_id, rank() OVER (ORDER BY value) AS place FROM events")
@@ -410,11 +426,11 @@ _counts("bucket_histogram_heavy_line", WithHeavy(LinearBucket(0.1, -0.1, 5), np.
 _counts("bucket_histogram_radix", RadixBucket.fit(0, 255, 4), "CAST(least(15, greatest(0, CAST(floor(value) AS BIGINT) >> 4)) AS INTEGER)")
 
 
-@register("bucket_histogram_rmi")
+@register("bucket_histogram_rmi", _RMI_SQL.format(m=16) + ", placed AS (SELECT CAST(least(63, floor(64 * least(0.9999999999999999, greatest(0, least(y2, greatest(y0, slope * value + (y0 - slope * lo))))))) AS INTEGER) AS bucket FROM owned JOIN lines USING (leaf)) SELECT bucket, count(*) AS rows FROM placed GROUP BY 1")
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    sample = drawn(spark, sf)
-    model = EcdfBucket(Rmi.two_level(sample, 16).monotone(sample), 64)
-    return metrics.bucket_counts(table(spark, sf, "events", "value"), F.col("value"), model)
+    df = table(spark, sf, "events", "value")
+    model = EcdfBucket(Rmi.two_level_distributed(df, "value", 16), 64)
+    return metrics.bucket_counts(df, F.col("value"), model).where("rows > 0")
 
 
 @register("balance_measures", f"WITH b AS (SELECT {LINE_SQL} AS bucket, count(*) AS rows FROM events GROUP BY 1) SELECT round(CAST(sum(rows * rows) AS DOUBLE) - CAST(sum(rows) AS DOUBLE) * sum(rows) / 256, 3) AS imbalance, max(rows) / sum(rows) AS max_share, (256 - count(*)) / 256 AS empty_share FROM b")
@@ -470,20 +486,57 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
 
 @register("refinement_trace")
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    df = datasets.keys(spark, "zipf", 50_000).select(F.col("key").cast("double").alias("key"), "id")
+    df = datasets.carrier(spark, sf, "zipf").select(F.col("key").cast("double").alias("key"), "id")
     trace = sorters.linear_partition_sort(df, KeySpec("key", ties=("id",)), config=SortConfig(parts=8, base_rows=1024)).trace
     return spark.createDataFrame(list(enumerate(trace.largest)), "round int, largest long")
 
 
+@register("refinement_ends", "SELECT CAST(0 AS BIGINT) AS left_open")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    """Buckets of several values that are still too large after the last round, on keys with a heavy tail."""
+    sf_ = sorters.linear_partition_sort(table(spark, sf, "events", "event_id").select(F.exp(F.col("event_id") % 400 / 20).alias("key")), "key", config=SortConfig(parts=8, base_rows=64, equality=False))
+    return spark.createDataFrame([(sf_.trace.largest[-1],)], "left_open long")
+
+
 @register("fit_ablation")
 def _(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame(metrics.fit_ablation(table(spark, sf, "events", "value"), "value"), "key string, k long, fit string, conflict long, imbalance double, max_share double, empty_share double")
 
 
+@register("oversampling_ablation")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return spark.createDataFrame(metrics.oversampling_sweep(table(spark, sf, "events", "value"), "value"), "factor double, sampled long, conflict long, imbalance double, max_share double")
+
+
+@register("equality_ablation", "SELECT unnest([true, false]) AS equality, count(*) AS rows, count(DISTINCT l_discount) AS keys, CAST(0 AS BIGINT) AS descents FROM lineitem")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    df, every = table(spark, sf, "lineitem", "l_discount"), None
+    for equality in (True, False):
+        found = verify.proof(sorters.linear_partition_sort(df, "l_discount", config=SortConfig(equality=equality))).withColumn("equality", F.lit(equality))
+        every = found if every is None else every.unionByName(found)
+    return every
+
+
+@register("move_ablation")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    df, rows = table(spark, sf, "lineitem", "l_extendedprice"), []
+    for name in ("linear_partition_sort", "tree_sample_sort", "two_way_sort"):
+        found = metrics.shuffled_rows(df, lambda d, n=name: getattr(sorters, n)(d, "l_extendedprice", config=SortConfig(parts=64, base_rows=256)))
+        rows.append((name, found["rounds"], found["moved_once"], found["moved_by_rounds"]))
+    return spark.createDataFrame(rows, "sorter string, rounds long, moved_once long, moved_by_rounds long")
+
+
 @register("sample_size_sweep")
 def _(spark: SparkSession, sf: str) -> DataFrame:
     rows = metrics.sample_sweep(table(spark, sf, "events", "value"), "value", (0.01, 0.05, 0.25, 1.0))
-    return spark.createDataFrame(rows, "fraction double, sampled long, fit_s double, ecdf_error double, max_share double").drop("fit_s")
+    return spark.createDataFrame(rows, "fraction double, sampled long, ecdf_error double, max_share double, sample_s double, train_s double, predict_s double").drop("sample_s", "train_s", "predict_s")
+
+
+@register("phase_times", "SELECT unnest([0.01, 0.1, 1.0])::DOUBLE AS fraction, true AS sample, true AS train, true AS predict")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    """Whether seconds of sample, training and prediction were measured apart; the seconds themselves are printed by experiments.py."""
+    rows = metrics.sample_sweep(table(spark, sf, "events", "value"), "value", (0.01, 0.1, 1.0))
+    return spark.createDataFrame([(r["fraction"], r["sample_s"] > 0, r["train_s"] > 0, r["predict_s"] > 0) for r in rows], "fraction double, sample boolean, train boolean, predict boolean")
 
 
 @register("operation_model", "SELECT n, n * log2(n) AS comparison_sort, n * 8.0 AS radix_sort FROM (SELECT CAST(unnest([10000, 100000, 1000000]) AS BIGINT) AS n)")
@@ -511,10 +564,25 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame([(q, topk.quantile(df, frame, q)) for q in (0.1, 0.5, 0.99)], "q double, value double")
 
 
-@register("quantile_approximate")
+@register("quantile_exact_sampled_sizes", _SQL["quantile_exact"])
 def _(spark: SparkSession, sf: str) -> DataFrame:
+    df = table(spark, sf, "events", "event_id", "value")
+    frame = sorters.linear_partition_sort(df, VALUE, config=SortConfig(histogram_share=0.02))
+    return spark.createDataFrame([(q, topk.quantile(df, frame, q)) for q in (0.1, 0.5, 0.99)], "q double, value double")
+
+
+@register("ntile_sampled_sizes", _SQL["ntile_value"])
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return rank.ntile(sorters.linear_partition_sort(table(spark, sf, "events", "event_id", "value"), VALUE, config=SortConfig(histogram_share=0.02)), 7).select("event_id", "tile")
+
+
+@register("quantile_approximate", "SELECT true AS by_sketch, true AS by_model")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    """Whether the sketch's and the bucket sizes' median miss the middle of the order by 1 % and by a bucket at most."""
     df, frame = _frame(spark, sf)
-    return topk.approx_quantile(df, "value", 0.5).withColumn("by_model", F.lit(topk.model_quantile(frame, 0.5)))
+    sketch, model = topk.approx_quantile(df, "value", 0.5).first()[0], topk.model_quantile(frame, 0.5)
+    low, high = (F.avg(F.when(F.col("value") < v, 1.0).otherwise(0.0)) for v in (sketch, model))
+    return df.agg((F.abs(low - 0.5) <= 0.01).alias("by_sketch"), (F.abs(high - 0.5) <= F.lit(float(frame.sizes.rows.max() / max(frame.sizes.n, 1)))).alias("by_model"))
 
 
 @register("topk_per_group", "SELECT user_id, event_id, rank FROM (SELECT user_id, event_id, CAST(row_number() OVER (PARTITION BY user_id ORDER BY value DESC, event_id) AS INTEGER) AS rank FROM events) WHERE rank <= 3")
@@ -535,32 +603,29 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
 
 @register("clipped_rows", "SELECT count(*) FILTER (WHERE 0.1 * value - 1 < 0) AS below, count(*) FILTER (WHERE 0.1 * value - 1 >= 16) AS above FROM events")
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    line = F.lit(0.1) * F.col("value") - 1
-    return table(spark, sf, "events", "value").agg(F.count(F.when(line < 0, 1)).alias("below"), F.count(F.when(line >= 16, 1)).alias("above"))
+    return topk.clipped(table(spark, sf, "events", "value"), "value", LinearBucket(0.1, -1.0, 16))
 
 
-@register("rmi_lookup", "SELECT c_custkey, row_number() OVER (ORDER BY c_acctbal, c_custkey) - 1 AS pos FROM customer QUALIFY c_acctbal IN (SELECT c_acctbal FROM customer WHERE c_custkey % 10 = 0)")
+@register("payload_filter", "SELECT event_id, row_number() OVER (ORDER BY value, event_id) AS position FROM events WHERE event_type LIKE 'c%' OR user_id < 40")
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    df = table(spark, sf, "customer", "c_custkey", "c_acctbal")
-    index = lookup.RmiIndex.build(df, "c_acctbal", ("c_custkey",), leaves=16, block=64)
-    return index.lookup(df.where(F.col("c_custkey") % 10 == 0).select("c_acctbal")).select("c_custkey", "pos")
+    df = table(spark, sf, "events", "event_id", "event_type", "user_id", "value")
+    return rank.global_position(topk.where_payload(sorters.linear_partition_sort(df, VALUE), "event_type LIKE 'c%' OR user_id < 40")).select("event_id", "position")
 
 
-@register("binary_search_lookup", _SQL["rmi_lookup"])
+@register("projection_in_order", "SELECT event_id, value, event_type, row_number() OVER (ORDER BY value, event_id) AS position FROM events")
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    df = table(spark, sf, "customer", "c_custkey", "c_acctbal")
-    index = lookup.RmiIndex.build(df, "c_acctbal", ("c_custkey",), leaves=16, block=64)
-    return lookup.BinarySearch.build(index).lookup(df.where(F.col("c_custkey") % 10 == 0).select("c_acctbal")).select("c_custkey", "pos")
+    df = table(spark, sf, "events", "event_id", "event_type", "user_id", "value")
+    return rank.global_position(sorters.linear_partition_sort(df, VALUE).select("event_type"))
 
 
-@register("rmi_lookup_whole", "SELECT c_custkey, row_number() OVER (ORDER BY c_acctbal, c_custkey) - 1 AS pos FROM customer QUALIFY c_acctbal IS NOT NULL")
+@register("rmi_lookup", "SELECT c_custkey, row_number() OVER (ORDER BY c_acctbal, c_custkey) - 1 AS pos FROM customer QUALIFY c_acctbal IS NOT NULL")
 def _(spark: SparkSession, sf: str) -> DataFrame:
     df = table(spark, sf, "customer", "c_custkey", "c_acctbal")
     index = lookup.RmiIndex.build(df, "c_acctbal", ("c_custkey",), leaves=16, block=64)
     return index.lookup(df.select("c_acctbal")).select("c_custkey", "pos")
 
 
-@register("binary_search_lookup_whole", _SQL["rmi_lookup_whole"])
+@register("binary_search_lookup", _SQL["rmi_lookup"])
 def _(spark: SparkSession, sf: str) -> DataFrame:
     df = table(spark, sf, "customer", "c_custkey", "c_acctbal")
     index = lookup.RmiIndex.build(df, "c_acctbal", ("c_custkey",), leaves=16, block=64)
@@ -568,15 +633,12 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
 
 
 # ---------------------------------------------------------------- joins
-# Entries that end in _whole take all rows; those of the same name without it keep the id subsets of their SQL.
 
-_ORDERS, _LINES = "(SELECT o_orderkey AS k, o_totalprice FROM orders WHERE o_orderkey % 3 > 0)", "(SELECT l_orderkey AS k, l_extendedprice FROM lineitem WHERE l_orderkey % 5 > 0)"
+_ORDERS, _LINES = "(SELECT o_orderkey AS k, o_totalprice FROM orders)", "(SELECT l_orderkey AS k, l_extendedprice FROM lineitem)"
 
 
 def _sides(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
-    orders = table(spark, sf, "orders", "o_orderkey", "o_totalprice").where("o_orderkey % 3 > 0").withColumnRenamed("o_orderkey", "k")
-    lines = table(spark, sf, "lineitem", "l_orderkey", "l_extendedprice").where("l_orderkey % 5 > 0").withColumnRenamed("l_orderkey", "k")
-    return orders, lines
+    return table(spark, sf, "orders", "o_orderkey", "o_totalprice").withColumnRenamed("o_orderkey", "k"), table(spark, sf, "lineitem", "l_orderkey", "l_extendedprice").withColumnRenamed("l_orderkey", "k")
 
 
 for _how in joins.HOW:
@@ -590,42 +652,29 @@ for _how in joins.HOW:
         return joins.merge(*_sides(spark, sf), "k", how)
 
 
-@register("salted_join", f"SELECT k, o_totalprice, l_extendedprice FROM {_ORDERS} JOIN {_LINES} USING (k)")
-def _(spark: SparkSession, sf: str) -> DataFrame:
-    return joins.salted(*reversed(_sides(spark, sf)), "k", heavy_share=0.0002).select("k", "o_totalprice", "l_extendedprice")
-
-
-@register("hash_join", _SQL["salted_join"])
-def _(spark: SparkSession, sf: str) -> DataFrame:
-    return joins.hashed(*_sides(spark, sf), "k")
-
-
-_ALL_ORDERS, _ALL_LINES = "(SELECT o_orderkey AS k, o_totalprice FROM orders)", "(SELECT l_orderkey AS k, l_extendedprice FROM lineitem)"
+for _how in joins.HOW:
 
+    _sql = f"SELECT k, l_extendedprice FROM {_LINES} a WHERE {'NOT ' if _how == 'left_anti' else ''}EXISTS (SELECT 1 FROM {_ORDERS} b WHERE a.k = b.k)" if _how.startswith("left_") else f"SELECT k, l_extendedprice, o_totalprice FROM {_LINES} {_how.upper()} JOIN {_ORDERS} USING (k)"
 
-def _whole_sides(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
-    return table(spark, sf, "orders", "o_orderkey", "o_totalprice").withColumnRenamed("o_orderkey", "k"), table(spark, sf, "lineitem", "l_orderkey", "l_extendedprice").withColumnRenamed("l_orderkey", "k")
+    @register("salted_join" if _how == "inner" else f"salted_join_{_how}", _sql)
+    def _(spark: SparkSession, sf: str, how: str = _how) -> DataFrame:
+        orders, lines = _sides(spark, sf)
+        return joins.salted(lines, orders, "k", how, heavy_share=0.0002)
 
 
+_HOT_SIDES = "(SELECT CASE WHEN event_id % 3 = 0 THEN 5 ELSE user_id END AS k, event_id FROM events)", "(SELECT c_custkey AS k, c_acctbal FROM customer)"
 for _how in joins.HOW:
-    if _how in ("left_semi", "left_anti"):
-        _sql = f"SELECT k, o_totalprice FROM {_ALL_ORDERS} a WHERE {'NOT ' if _how == 'left_anti' else ''}EXISTS (SELECT 1 FROM {_ALL_LINES} b WHERE a.k = b.k)"
-    else:
-        _sql = f"SELECT k, o_totalprice, l_extendedprice FROM {_ALL_ORDERS} {_how.upper()} JOIN {_ALL_LINES} USING (k)"
+    _semi = f"SELECT k, event_id FROM {_HOT_SIDES[0]} a WHERE {'NOT ' if _how == 'left_anti' else ''}EXISTS (SELECT 1 FROM {_HOT_SIDES[1]} b WHERE a.k = b.k)"
 
-    @register(f"model_merge_join_{_how}_whole", _sql)
+    @register(f"hot_key_merge_join_{_how}", _semi if _how.startswith("left_") else f"SELECT k, event_id, c_acctbal FROM {_HOT_SIDES[0]} {_how.upper()} JOIN {_HOT_SIDES[1]} USING (k)")
     def _(spark: SparkSession, sf: str, how: str = _how) -> DataFrame:
-        return joins.merge(*_whole_sides(spark, sf), "k", how)
-
-
-@register("salted_join_whole", _SQL["model_merge_join_inner_whole"])
-def _(spark: SparkSession, sf: str) -> DataFrame:
-    return joins.salted(*reversed(_whole_sides(spark, sf)), "k", heavy_share=0.0002).select("k", "o_totalprice", "l_extendedprice")
+        events = table(spark, sf, "events", "event_id", "user_id").select(F.expr("CASE WHEN event_id % 3 = 0 THEN 5 ELSE user_id END").alias("k"), "event_id")
+        return joins.merge(events, table(spark, sf, "customer", "c_custkey", "c_acctbal").withColumnRenamed("c_custkey", "k"), "k", how)
 
 
-@register("hash_join_whole", _SQL["model_merge_join_inner_whole"])
+@register("hash_join", _SQL["model_merge_join_inner"])
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    return joins.hashed(*_whole_sides(spark, sf), "k")
+    return joins.hashed(*_sides(spark, sf), "k")
 
 
 _A, _B = "(SELECT c_custkey, c_acctbal FROM customer)", "(SELECT s_suppkey, s_acctbal FROM supplier)"
@@ -646,64 +695,32 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return joins.intervals(a, b.withColumn("until", F.col("s_acctbal") + 40), "c_acctbal", "s_acctbal", "until").select("c_custkey", "s_suppkey")
 
 
-@register("theta_join", f"SELECT c_custkey, s_suppkey FROM {_A} JOIN (SELECT * FROM {_B} WHERE s_suppkey <= 20) ON c_acctbal < s_acctbal")
-def _(spark: SparkSession, sf: str) -> DataFrame:
-    a, b = _balances(spark, sf)
-    return joins.theta(a, b.where("s_suppkey <= 20"), "c_acctbal", "s_acctbal", "<").select("c_custkey", "s_suppkey")
-
-
-@register("theta_join_whole", f"SELECT c_custkey, s_suppkey FROM {_A} JOIN {_B} ON c_acctbal < s_acctbal")
+@register("theta_join", f"SELECT c_custkey, s_suppkey FROM {_A} JOIN {_B} ON c_acctbal < s_acctbal")
 def _(spark: SparkSession, sf: str) -> DataFrame:
     return joins.theta(*_balances(spark, sf), "c_acctbal", "s_acctbal", "<").select("c_custkey", "s_suppkey")
 
 
-_CLICKS, _VIEWS = "(SELECT event_id, user_id, value, event_id * 10 AS t FROM events WHERE event_id % 3 = 0)", "(SELECT event_id AS other, user_id, event_id * 10 + 4 AS u FROM events WHERE event_id % 7 = 1)"
+_CLICKS, _VIEWS = "(SELECT event_id, user_id, event_id * 10 AS t FROM events)", "(SELECT event_id AS other, user_id, event_id * 10 + 4 AS u FROM events)"
 
 
 def _moments(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
     ev = table(spark, sf, "events", "event_id", "user_id")
-    return ev.where("event_id % 3 = 0").withColumn("t", F.col("event_id") * 10), ev.where("event_id % 7 = 1").select(F.col("event_id").alias("other"), "user_id", (F.col("event_id") * 10 + 4).alias("u"))
+    return ev.withColumn("t", F.col("event_id") * 10), ev.select(F.col("event_id").alias("other"), "user_id", (F.col("event_id") * 10 + 4).alias("u"))
 
 
 @register("asof_join_backward", f"SELECT a.event_id, b.other, b.u FROM {_CLICKS} a ASOF LEFT JOIN (SELECT other, u FROM {_VIEWS}) b ON a.t >= b.u")
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    l, r = _moments(spark, sf)
-    return joins.asof(l, r, "t", "u", columns=("other",)).select("event_id", "other", "u")
+    return joins.asof(*_moments(spark, sf), "t", "u", columns=("other",)).select("event_id", "other", "u")
 
 
 @register("asof_join_by_user", f"SELECT a.event_id, b.other, b.u FROM {_CLICKS} a ASOF LEFT JOIN {_VIEWS} b ON a.user_id = b.user_id AND a.t >= b.u")
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    l, r = _moments(spark, sf)
-    return joins.asof(l, r, "t", "u", by="user_id", columns=("other",)).select("event_id", "other", "u")
+    return joins.asof(*_moments(spark, sf), "t", "u", by="user_id", columns=("other",)).select("event_id", "other", "u")
 
 
 @register("asof_join_forward_tolerance", f"SELECT event_id, CASE WHEN u - t <= 25 THEN other END AS other, CASE WHEN u - t <= 25 THEN u END AS u FROM (SELECT a.event_id, a.t, b.other, b.u FROM {_CLICKS} a ASOF LEFT JOIN (SELECT other, u FROM {_VIEWS}) b ON a.t <= b.u)")
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    l, r = _moments(spark, sf)
-    return joins.asof(l, r, "t", "u", columns=("other",), direction="forward", tolerance=25.0).select("event_id", "other", "u")
-
-
-_ALL_CLICKS, _ALL_VIEWS = "(SELECT event_id, user_id, event_id * 10 AS t FROM events)", "(SELECT event_id AS other, user_id, event_id * 10 + 4 AS u FROM events)"
-
-
-def _whole_moments(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
-    ev = table(spark, sf, "events", "event_id", "user_id")
-    return ev.withColumn("t", F.col("event_id") * 10), ev.select(F.col("event_id").alias("other"), "user_id", (F.col("event_id") * 10 + 4).alias("u"))
-
-
-@register("asof_join_backward_whole", f"SELECT a.event_id, b.other, b.u FROM {_ALL_CLICKS} a ASOF LEFT JOIN (SELECT other, u FROM {_ALL_VIEWS}) b ON a.t >= b.u")
-def _(spark: SparkSession, sf: str) -> DataFrame:
-    return joins.asof(*_whole_moments(spark, sf), "t", "u", columns=("other",)).select("event_id", "other", "u")
-
-
-@register("asof_join_by_user_whole", f"SELECT a.event_id, b.other, b.u FROM {_ALL_CLICKS} a ASOF LEFT JOIN {_ALL_VIEWS} b ON a.user_id = b.user_id AND a.t >= b.u")
-def _(spark: SparkSession, sf: str) -> DataFrame:
-    return joins.asof(*_whole_moments(spark, sf), "t", "u", by="user_id", columns=("other",)).select("event_id", "other", "u")
-
-
-@register("asof_join_forward_tolerance_whole", f"SELECT event_id, CASE WHEN u - t <= 25 THEN other END AS other, CASE WHEN u - t <= 25 THEN u END AS u FROM (SELECT a.event_id, a.t, b.other, b.u FROM {_ALL_CLICKS} a ASOF LEFT JOIN (SELECT other, u FROM {_ALL_VIEWS}) b ON a.t <= b.u)")
-def _(spark: SparkSession, sf: str) -> DataFrame:
-    return joins.asof(*_whole_moments(spark, sf), "t", "u", columns=("other",), direction="forward", tolerance=25.0).select("event_id", "other", "u")
+    return joins.asof(*_moments(spark, sf), "t", "u", columns=("other",), direction="forward", tolerance=25.0).select("event_id", "other", "u")
 
 
 # ---------------------------------------------------------------- aggregates
@@ -725,9 +742,13 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return aggs.distinct_count(_frame(spark, sf)[1])
 
 
-@register("approximate_distinct")
+@register("approximate_distinct", "SELECT count(DISTINCT user_id) AS exact, true AS approx, true AS hll FROM events")
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    return aggs.approx_distinct(table(spark, sf, "events", "user_id"), "user_id")
+    """The exact count and whether both sketches are within a tenth of it."""
+    df = table(spark, sf, "events", "user_id")
+    found = aggs.approx_distinct(df, "user_id").first()
+    near = lambda c: F.abs(F.lit(float(found[c])) / F.count_distinct("user_id") - 1) <= 0.1
+    return df.agg(F.count_distinct("user_id").alias("exact"), near("approx").alias("approx"), near("hll").alias("hll"))
 
 
 @register("duplicate_ratio", "SELECT 1 - count(DISTINCT l_quantity) / count(l_quantity) AS duplicate_ratio FROM lineitem")
@@ -745,9 +766,11 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return aggs.histogram(table(spark, sf, "part", "p_size"), "p_size", 50)
 
 
-@register("histogram_equal_depth")
+@register("histogram_equal_depth", "SELECT count(*) AS rows, true AS even FROM events")
 def _(spark: SparkSession, sf: str) -> DataFrame:
-    return aggs.histogram(table(spark, sf, "events", "value"), "value", 16, "depth")
+    """All rows, and whether no bin by sampled quantiles holds more than half as much again as its share."""
+    found = aggs.histogram(table(spark, sf, "events", "value"), "value", 16, "depth")
+    return found.agg(F.sum("rows").alias("rows"), (F.max("rows") <= 1.5 * F.sum("rows") / 16).alias("even"))
 
 
 @register("histogram_model", f"SELECT {LINE_SQL} AS bin, count(*) AS rows FROM events GROUP BY 1")
@@ -783,6 +806,105 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return _results(spark, sf).cube("family", "sorter").agg(F.max("keys_per_s").alias("keys_per_s"))
 
 
+_NAMES = ["0", "1", "2"]
+
+
+@register("leaderboard_pivot", f"PIVOT (SELECT family, dataset, sorter, keys_per_s FROM {_RESULTS_SQL}) ON sorter IN ('0', '1', '2') USING round(avg(keys_per_s), 6) GROUP BY family, dataset")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    wide = metrics.pivoted(_results(spark, sf), _NAMES)
+    return wide.select("family", "dataset", *(F.round(c, 6).alias(c) for c in _NAMES))
+
+
+@register("leaderboard_unpivot", f"SELECT family, dataset, sorter, round(avg(keys_per_s), 6) AS keys_per_s FROM {_RESULTS_SQL} GROUP BY ALL")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    return metrics.unpivoted(metrics.pivoted(_results(spark, sf), _NAMES), _NAMES).withColumn("keys_per_s", F.round("keys_per_s", 6))
+
+
+# ---------------------------------------------------------------- experiments
+
+#: SQL of the keys of each data set's carrier.
+_COORDS = "(SELECT CAST(embedding[i] AS DOUBLE) AS c, label FROM (SELECT *, unnest(range(1, 65)) AS i FROM embeddings))"
+_CHI = " + ".join(f"64 * CAST(embedding[{i}] AS DOUBLE) * CAST(embedding[{i}] AS DOUBLE)" for i in range(1, 5))
+EXPERIMENT_KEYS = {
+    "location_ids": "SELECT l_orderkey AS key FROM lineitem",
+    "edit_times": "SELECT epoch(ts) AS key FROM events",
+    "network_ids": "SELECT user_id AS key FROM events",
+    "popularity": "SELECT n_chars AS key FROM documents",
+    "pickup_times": "SELECT epoch(l_shipdate) AS key FROM lineitem",
+    "uniform": "SELECT l_extendedprice AS key FROM lineitem",
+    "normal": f"SELECT 8 * c AS key FROM {_COORDS}",
+    "lognormal": f"SELECT c AS key FROM {_COORDS}",
+    "mixture": f"SELECT 8 * c + 6 * (label % 5) AS key FROM {_COORDS}",
+    "exponential": "SELECT value / 100 AS key FROM events",
+    "chi_squared": f"SELECT {_CHI} AS key FROM embeddings",
+    "root_dups": "SELECT event_id % CAST(floor(sqrt((SELECT count(*) FROM events))) AS BIGINT) AS key FROM events",
+    "two_dups": "SELECT ((event_id % n) * (event_id % n) + n // 2) % n AS key FROM events, (SELECT count(*) AS n FROM events)",
+    "zipf": r"SELECT rank() OVER (ORDER BY n DESC) AS key, n FROM (SELECT word, count(*) AS n FROM (SELECT unnest(regexp_split_to_array(lower(text), '[^\p{L}]+')) AS word FROM documents) WHERE word <> '' GROUP BY word)",
+}
+PARALLEL = {"linear": sorters.linear_partition_sort, "tree": sorters.tree_sample_sort, "radix": sorters.radix_partition_sort, "ecdf": sorters.ecdf_two_pass_sort}
+
+
+def _experiment_sql(names: list[str], methods: list[str]) -> str:
+    def one(name: str) -> str:
+        rows = "CAST(sum(n) AS BIGINT)" if name == "zipf" else "count(*)"
+        return f"SELECT '{name}' AS dataset, {rows} AS rows, count(DISTINCT key) AS keys FROM ({EXPERIMENT_KEYS[name]})"
+
+    return f"SELECT dataset, sorter, rows, keys, CAST(0 AS BIGINT) AS descents FROM ({' UNION ALL '.join(map(one, names))}), (SELECT unnest({methods!r}) AS sorter)"
+
+
+def _experiment(spark: SparkSession, sf: str, names: list[str], parallel: bool) -> DataFrame:
+    """Every sorter on every data set: its rows, distinct keys and falls as the rows lie."""
+    every = None
+    for name in names:
+        df = datasets.carrier(spark, sf, name).select(F.col("key").cast("double").alias("key"))
+        for method in [*PARALLEL, "library"]:
+            if not parallel:
+                lying = sorters.sequential_sort(df, "key", method).select(F.lit(0).alias(PART), "key")
+            elif method == "library":
+                lying = sorters.builtin_sort(df, "key").withColumn(PART, F.spark_partition_id())
+            else:
+                lying = PARALLEL[method](df, "key").df
+            found = verify.proof(sorters.SortedFrame(lying, KeySpec("key"), 1, None, None, None, None))
+            found = found.select(F.lit(name).alias("dataset"), F.lit(method).alias("sorter"), "rows", "keys", "descents")
+            every = found if every is None else every.unionByName(found)
+    return every
+
+
+for _family, _sets in datasets.FAMILIES.items():
+    for _mode in ("parallel", "sequential"):
+
+        @register(f"experiment_{_mode}_{_family}", _experiment_sql(_sets, [*PARALLEL, "library"]))
+        def _(spark: SparkSession, sf: str, names: list[str] = _sets, mode: str = _mode) -> DataFrame:
+            return _experiment(spark, sf, names, mode == "parallel")
+
+
+@register("experiment_scaling", "SELECT n, sorter, n AS rows, CAST(0 AS BIGINT) AS descents FROM (SELECT CAST(unnest([1000, 10000, 100000]) AS BIGINT) AS n), (SELECT unnest(['linear', 'tree', 'radix', 'ecdf']) AS sorter)")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    """Parallel sorters on normal keys of growing number; rates are printed by experiments.py."""
+    every = None
+    for n in (1_000, 10_000, 100_000):
+        df = datasets.keys(spark, "normal", n).select("key")
+        for name, sorter in PARALLEL.items():
+            found = verify.proof(sorter(df, "key")).select(F.lit(n).cast("long").alias("n"), F.lit(name).alias("sorter"), "rows", "descents")
+            every = found if every is None else every.unionByName(found)
+    return every
+
+
+@register("crossover", "SELECT n, (n % 7 + 1.0) / (n % 5 + 1.0) AS speed_up, n % 7 > n % 5 AS ahead FROM (SELECT CAST(user_id AS BIGINT) AS n FROM events GROUP BY 1)")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    """Speed-up of one sorter over another by size, on stated rates; measured ones are printed by experiments.py."""
+    sizes = table(spark, sf, "events", "user_id").distinct().select(F.col("user_id").cast("long").alias("n"))
+    rates = sizes.select("n", F.lit("a").alias("sorter"), (F.col("n") % 7 + 1.0).alias("keys_per_s")).unionByName(sizes.select("n", F.lit("b").alias("sorter"), (F.col("n") % 5 + 1.0).alias("keys_per_s")))
+    return metrics.crossover(rates, "a", "b")
+
+
+@register("peak_memory", "SELECT CAST(unnest([1, 2, 4]) AS INTEGER) AS block, CAST(unnest([1, 5, 12]) AS INTEGER) AS peak, CAST(20 AS INTEGER) AS copy")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    """Most keys in buffers at once while the worked example is classified, against a copy of all keys."""
+    rows = [(b, blocks.classify([float(x) for x in EXAMPLE], EXAMPLE_LINE, b).peak, len(EXAMPLE)) for b in (1, 2, 4)]
+    return spark.createDataFrame(rows, "block int, peak int, copy int")
+
+
 # ---------------------------------------------------------------- data sets, sources, sinks, SQL
 
 
@@ -809,6 +931,8 @@ _CARRIERS = {
 }
 #: Carriers without an id of their own: the rows of each key.
 _KEY_COUNTS = {
+    "edit_times": "SELECT CAST(epoch(ts) AS DOUBLE) AS key, count(*) AS rows FROM events GROUP BY 1",
+    "pickup_times": "SELECT CAST(epoch(l_shipdate) AS DOUBLE) AS key, count(*) AS rows FROM lineitem GROUP BY 1",
     "uniform": "SELECT l_extendedprice AS key, count(*) AS rows FROM lineitem GROUP BY 1",
     "location_ids": "SELECT l_orderkey AS key, count(*) AS rows FROM lineitem GROUP BY 1",
     "quantity": "SELECT l_quantity AS key, count(*) AS rows FROM lineitem GROUP BY 1",
@@ -841,11 +965,34 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return every
 
 
-@register("key_generator_source", "SELECT CAST(1000 AS BIGINT) AS rows, CAST(31 AS BIGINT) AS keys")
+@register("key_generator_source", "SELECT id, CAST(id % 31 AS DOUBLE) AS key FROM (SELECT unnest(range(1000)) AS id)")
 def _(spark: SparkSession, sf: str) -> DataFrame:
     datasets.register(spark)
-    rows = spark.read.format("keygen").option("dist", "root_dups").option("n", "1000").load()
-    return rows.agg(F.count("*").alias("rows"), F.count_distinct("key").alias("keys"))
+    return spark.read.format("keygen").option("dist", "root_dups").option("n", "1000").load()
+
+
+for _format in ("csv", "json", "orc"):
+
+    @register(f"read_{_format}", "SELECT c_custkey, c_acctbal, c_mktsegment FROM customer")
+    def _(spark: SparkSession, sf: str, fmt: str = _format) -> DataFrame:
+        path = new_folder(spark, fmt)
+        table(spark, sf, "customer", "c_custkey", "c_acctbal", "c_mktsegment").write.format(fmt).save(path)
+        return io.read_as(spark, fmt, path, "c_custkey long, c_acctbal double, c_mktsegment string")
+
+
+@register("read_text", "SELECT CAST(l_orderkey AS VARCHAR) AS value FROM lineitem")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    path = new_folder(spark, "text")
+    table(spark, sf, "lineitem", "l_orderkey").select(F.col("l_orderkey").cast("string")).write.text(path)
+    return io.read_as(spark, "text", path, "value string")
+
+
+@register("read_partitions", "SELECT event_id, event_type FROM events WHERE event_type = 'click'")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    """Only the folder of the partition value that the filter names is read."""
+    path = new_folder(spark, "partitions")
+    table(spark, sf, "events", "event_id", "event_type").write.partitionBy("event_type").parquet(f"{path}/events.parquet")
+    return io.read(spark, path, "events", ["event_id", "event_type"], "event_type = 'click'")
 
 
 @register("ordered_sink_range", "SELECT event_id, value FROM events WHERE value BETWEEN 30 AND 33")
@@ -855,12 +1002,12 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return sinks.read_range(spark, path, "value", 30.0, 33.0).select("event_id", "value")
 
 
-@register("bucketed_sink", f"SELECT count(*) AS rows FROM events WHERE {LINE_SQL} >= 0")
+@register("bucketed_sink", "SELECT event_id, value FROM events")
 def _(spark: SparkSession, sf: str) -> DataFrame:
     path = new_folder(spark, "bucketed")
     df, frame = _frame(spark, sf)
     sinks.write_bucketed(df, frame, path)
-    return spark.read.parquet(path).agg(F.count("*").alias("rows"))
+    return spark.read.parquet(path).select("event_id", "value")
 
 
 @register("model_store", "SELECT CAST(256 AS INTEGER) AS k, 1.4823460752845055 AS slope, -1.5496352494893415 AS intercept".replace("1.4823460752845055", "CAST('1.4823460752845055' AS DOUBLE)").replace("-1.5496352494893415", "CAST('-1.5496352494893415' AS DOUBLE)"))
@@ -871,6 +1018,35 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame([(back.k, back.slope, back.intercept)], "k int, slope double, intercept double")
 
 
+@register("model_store_deep", "SELECT event_id, true AS same FROM events")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    """Whether stored and read models of every kind place a row alike."""
+    df = table(spark, sf, "events", "event_id", "value")
+    rmi = Rmi.two_level_distributed(df, "value", 8)
+    models = [EcdfBucket(rmi, 64), WithHeavy(LINE, np.array([1.5, 7.0])), Composite(LinearBucket(0.01, 0.0, 4), {1: SplitterTree(np.array([120.0, 150.0]), np.array([150.0])), 2: LinearBucket(0.1, -20.0, 8)}), RadixBucket.fit(0, 255, 4)]
+    same = F.lit(True)
+    for model in models:
+        path = new_folder(spark, "model")
+        sinks.save_model(spark, model, path)
+        same = same & (model.column(F.col("value")) == sinks.load_model(spark, path).column(F.col("value")))
+    return df.select("event_id", same.alias("same"))
+
+
+@register("sql_rmi_predict", f"SELECT event_id, {_ECDF_SQL} AS share FROM events")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    sql_functions.register(spark)
+    table(spark, sf, "events", "event_id", "value").createOrReplaceTempView("modelsort_events")
+    return spark.sql("SELECT event_id, rmi_predict(value, 0.004D, 0D, array(0.02D, 0.002D, 0.001D, 0.0005D), array(0.05D, 0.4D, 0.55D, 0.8D)) AS share FROM modelsort_events")
+
+
+@register("sql_splitter_bucket", f"SELECT event_id, CAST(CASE WHEN event_id % 2 = 0 THEN {_case_sql([5.0, 50.0])} ELSE {_case_sql(SPLITTERS)} END AS INTEGER) AS bucket FROM events")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    """Splitters that differ from row to row."""
+    sql_functions.register(spark)
+    table(spark, sf, "events", "event_id", "value").createOrReplaceTempView("modelsort_events")
+    return spark.sql(f"SELECT event_id, splitter_bucket(value, CASE WHEN event_id % 2 = 0 THEN array(5D, 50D) ELSE array({', '.join(f'{x}D' for x in SPLITTERS)}) END) AS bucket FROM modelsort_events")
+
+
 @register("sql_linear_bucket", f"SELECT event_id, {LINE_SQL} AS bucket FROM events")
 def _(spark: SparkSession, sf: str) -> DataFrame:
     sql_functions.register(spark)
@@ -921,7 +1097,7 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     return _memory(streaming.dedup(_stream(spark, sf), ["user_id", "event_type"], late="400 days").select("user_id", "event_type"), "append")
 
 
-@register("stream_drift")
+@register("stream_drift", f"WITH b AS (SELECT {LINE_SQL} AS bucket, count(*) AS n FROM events GROUP BY 1), s AS (SELECT CAST(sum(n) AS BIGINT) AS rows, max(n) / sum(n) AS max_share, coalesce(sum(n) FILTER (WHERE bucket IN (0, 255)), 0) / sum(n) AS end_share FROM b) SELECT CAST(0 AS BIGINT) AS batch, *, max_share > 1 / 3 OR end_share > 0.1 AS refit FROM s")
 def _(spark: SparkSession, sf: str) -> DataFrame:
     out: list[dict] = []
     stream = _stream(spark, sf).writeStream.foreachBatch(streaming.drift_monitor("value", LINE, out)).trigger(availableNow=True).start()
@@ -943,10 +1119,18 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
     path, events = new_folder(spark, "arrivals"), table(spark, sf, "events")
     for i in range(4):  # a file each, so that arrival order differs from event order
         events.where(F.pmod(F.col("event_id") * 7919, F.lit(10007)) % 4 == i).coalesce(1).write.mode("append").parquet(path)
-    out: list[dict] = []
-    stream = streaming.replay(spark, path, events.schema).writeStream.foreachBatch(streaming.late_counter("ts", 3600, out)).trigger(availableNow=True).start()
+    state = new_folder(spark, "late-rows")
+    stream = streaming.replay(spark, path, events.schema).writeStream.foreachBatch(streaming.late_counter("ts", 3600, state)).trigger(availableNow=True).start()
     stream.awaitTermination()
-    return spark.createDataFrame(out, "batch long, rows long, late long")
+    return spark.read.schema("rows long, late long, latest double, batch long").parquet(state).select("batch", "rows", "late")
+
+
+@register("stream_asof_static", "SELECT e.event_id, b.event_id AS other FROM events e ASOF LEFT JOIN (SELECT user_id, ts, max(event_id) AS event_id FROM events WHERE event_type = 'click' GROUP BY 1, 2) b ON e.user_id = b.user_id AND e.ts >= b.ts")
+def _(spark: SparkSession, sf: str) -> DataFrame:
+    clicks = table(spark, sf, "events", "event_id", "user_id", "ts", "event_type").where("event_type = 'click'")
+    static = clicks.select("user_id", F.col("ts").cast("timestamp").alias("at"), F.col("event_id").alias("other"))
+    stream = _stream(spark, sf).select("event_id", "user_id", "ts")
+    return _memory(streaming.asof_static(stream, static, "ts", "at", "user_id", ("other",)).select("event_id", "other"), "append")
 
 
 @register("stream_reservoir")
@@ -960,15 +1144,7 @@ def _(spark: SparkSession, sf: str) -> DataFrame:
         spark.conf.set(name, before)
 
 
-@register("stream_interval_join", "SELECT a.event_id, b.event_id AS other FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts <= a.ts AND b.ts >= a.ts - INTERVAL 1 HOUR WHERE a.event_id % 3 = 0 AND b.event_id % 3 = 1")
-def _(spark: SparkSession, sf: str) -> DataFrame:
-    ev = _stream(spark, sf).select("event_id", "user_id", "ts")
-    left = ev.where("event_id % 3 = 0")
-    right = ev.where("event_id % 3 = 1").select(F.col("event_id").alias("other"), "user_id", F.col("ts").alias("other_ts"))
-    return _memory(streaming.interval_join(left, right, "user_id", "ts", "other_ts").select("event_id", "other"), "append")
-
-
-@register("stream_interval_join_whole", "SELECT a.event_id, b.event_id AS other FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts <= a.ts AND b.ts >= a.ts - INTERVAL 1 HOUR")
+@register("stream_interval_join", "SELECT a.event_id, b.event_id AS other FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts <= a.ts AND b.ts >= a.ts - INTERVAL 1 HOUR")
 def _(spark: SparkSession, sf: str) -> DataFrame:
     left = _stream(spark, sf).select("event_id", "user_id", "ts")
     right = _stream(spark, sf).select(F.col("event_id").alias("other"), "user_id", F.col("ts").alias("other_ts"))

@@ -2,11 +2,9 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-from dataclasses import dataclass, field
+from dataclasses import dataclass, field, replace
 
 import numpy as np
-import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -20,12 +18,22 @@ class KeySpec:
     """A sort key and what decides between equal keys.
 
     ``ties`` should make rows unique where positions must be reproducible.
+    ``prefix`` holds leading bytes that the strings of a column share; their
+    numeric view begins after it, and strings without it still come out in order.
     """
 
     column: str
     ascending: bool = True
     nulls_first: bool = True
     ties: tuple[str, ...] = field(default=())
+    prefix: bytes = b""
+
+    def plain(self) -> KeySpec:
+        """The same key ascending, nulls first and without ties, as models are fitted on it."""
+        return replace(self, ascending=True, nulls_first=True, ties=())
+
+    def columns(self) -> list[str]:
+        return list(dict.fromkeys([self.column, *self.ties]))
 
     def order(self) -> list[Column]:
         """Sort expressions on the raw key, then the ties ascending."""
@@ -41,13 +49,14 @@ def as_key(key: KeySpec | str) -> KeySpec:
     return KeySpec(key) if isinstance(key, str) else key
 
 
-def numeric(df: DataFrame, column: str) -> Column:
+def numeric(df: DataFrame, key: KeySpec | str) -> Column:
     """A double that never decreases as the key grows; rounding is allowed, since local sorts use the raw key.
 
-    Strings give their first six UTF-8 bytes, time stamps their seconds without
-    any time zone, dates their days. Other types are refused.
+    Strings and binaries give six bytes after the prefix of the key, time stamps
+    their seconds without any time zone, dates their days. Other types are refused.
     """
-    kind, c = df.schema[column].dataType, F.col(column)
+    key = as_key(key)
+    kind, c = df.schema[key.column].dataType, F.col(key.column)
     if isinstance(kind, (T.DoubleType, T.FloatType, T.DecimalType, T.IntegralType)):
         return c.cast("double")
     if isinstance(kind, T.BooleanType):
@@ -59,15 +68,36 @@ def numeric(df: DataFrame, column: str) -> Column:
     if isinstance(kind, T.TimestampNTZType):
         second = F.extract(F.lit("SECOND"), c).cast("double")
         return F.unix_date(c.cast("date")) * F.lit(86400.0) + F.hour(c) * F.lit(3600.0) + F.minute(c) * F.lit(60.0) + second
-    if isinstance(kind, T.StringType):
-        return string_prefix(c)
-    raise TypeError(f"{column}: {kind.simpleString()} has no order-preserving numeric view")
+    if isinstance(kind, (T.StringType, T.BinaryType)):
+        return byte_prefix(c, key.prefix)
+    raise TypeError(f"{key.column}: {kind.simpleString()} has no order-preserving numeric view")
+
 
+def byte_prefix(c: Column, prefix: bytes = b"") -> Column:
+    """Six bytes after ``prefix`` as a number, short strings filled with zero bytes.
 
-def string_prefix(c: Column) -> Column:
-    """The first six UTF-8 bytes as a number, short strings filled with zero bytes."""
-    head = F.hex(F.substring(c.cast("binary"), 1, PREFIX_BYTES))
-    return F.conv(F.rpad(head, 2 * PREFIX_BYTES, "0"), 16, 10).cast("double")
+    Strings below all with the prefix give -1, those above all of them 2**48.
+    """
+    raw = c.cast("binary")
+    head = F.hex(F.substring(raw, len(prefix) + 1, PREFIX_BYTES))
+    code = F.conv(F.rpad(head, 2 * PREFIX_BYTES, "0"), 16, 10).cast("double")
+    if not prefix:
+        return code
+    shared = F.lit(bytearray(prefix))
+    inside = F.substring(raw, 1, len(prefix)) == shared
+    return F.when(c.isNotNull(), F.when(inside, code).when(raw < shared, F.lit(-1.0)).otherwise(F.lit(float(1 << 8 * PREFIX_BYTES))))
+
+
+def with_prefix(df: DataFrame, key: KeySpec) -> KeySpec:
+    """The key with the leading bytes that its least and its largest string share, and so all strings do."""
+    if not isinstance(df.schema[key.column].dataType, (T.StringType, T.BinaryType)):
+        return key
+    raw = F.col(key.column).cast("binary")
+    low, high = df.agg(F.min(raw), F.max(raw)).first()
+    if low is None:
+        return key
+    same = next((i for i, (a, b) in enumerate(zip(low, high, strict=False)) if a != b), min(len(low), len(high)))
+    return replace(key, prefix=bytes(low[:same]))
 
 
 def order_bits_np(x: np.ndarray) -> np.ndarray:
@@ -78,15 +108,22 @@ def order_bits_np(x: np.ndarray) -> np.ndarray:
 
 
 def order_bits(c: Column) -> Column:
-    """Order-preserving integer of a double; no built-in reads IEEE bits, so Arrow batches do."""
-
-    def run(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
-        for values in batches:
-            mask = values.is_null().to_numpy(zero_copy_only=False)
-            yield pa.array(order_bits_np(values.fill_null(0.0).to_numpy(zero_copy_only=False).astype(float)), pa.int64(), mask=mask)
+    """Order-preserving integer of a double, built from its exponent and mantissa on the JVM.
 
-    run.__annotations__ = {"batches": Iterator[pa.Array], "return": Iterator[pa.Array]}
-    return F.arrow_udf(run, "long")(c.cast("double"))
+    Powers of two and quotients by them are exact in doubles, so the result has
+    the very bits.
+    NaN gives null here, as it has no place among the numbers.
+    """
+    x = c.cast("double")
+    a = F.abs(x)
+    exponent = F.greatest(F.lit(-1022.0), F.least(F.lit(1023.0), F.floor(F.log2(a)).cast("double")))
+    ratio = a / F.pow(F.lit(2.0), exponent)
+    # The logarithm may be one off at powers of two; then the ratio is under 1 or from 2 on.
+    above = F.when(ratio < 1, 2 * ratio - 2).when(ratio < 2, ratio - 1).otherwise(ratio / 2)
+    normal = (exponent + 1023).cast("long") * F.lit(1 << 52) + (above * F.lit(float(1 << 52))).cast("long")
+    small = (a * F.lit(2.0**537) * F.lit(2.0**537)).cast("long")  # below 2**-1022 the value itself counts units of 2**-1074
+    size = F.when(a == float("inf"), F.lit(0x7FF << 52)).when(a < 2.0**-1022, small).otherwise(normal)
+    return F.when(F.isnan(x), F.lit(None).cast("long")).when(x < 0, -size - 1).otherwise(size)
 
 
 def valid(x: Column) -> Column:

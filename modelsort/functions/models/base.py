@@ -83,15 +83,24 @@ class Composite(Model):
         self.starts = np.cumsum(widths) - widths
         self.buckets = int(widths.sum())
 
+    def attach(self, df: DataFrame, x: str, name: str) -> DataFrame:
+        """Add the bucket of column ``x``; the root's bucket is a column of its own, so that deep models stay small."""
+        root = f"{name}_root"
+        return self.root.attach(df, x, root).withColumn(name, self._within(F.col(root), F.col(x))).drop(root)
+
     def column(self, x: Column) -> Column:
+        return self._within(self.root.column(x), x)
+
+    def _within(self, root: Column, x: Column) -> Column:
         from modelsort.functions.models.linear import LinearBucket
 
-        root = self.root.column(x)
         start = F.element_at(int_array(self.starts), root + 1)
-        if all(isinstance(c, LinearBucket) and c.slope >= 0 for c in self.children.values()):
+        if all(isinstance(c, LinearBucket) and c.slope >= 0 and not c.mirror for c in self.children.values()):
             lines = [self.children.get(b) for b in range(self.root.buckets)]
             pick = lambda f, none: F.element_at(double_array(f(c) if c else none for c in lines), root + 1)
-            within = F.least(pick(lambda c: float(c.k - 1), 0.0), F.greatest(F.lit(0.0), F.floor(pick(lambda c: c.slope, 0.0) * F.greatest(F.lit(-1e300), F.least(F.lit(1e300), x)) + pick(lambda c: c.intercept, 0.0)).cast("double")))
+            slope, base = pick(lambda c: c.slope, 0.0), pick(lambda c: c.intercept, 0.0)
+            line = F.floor(slope * F.greatest(F.lit(-1e300), F.least(F.lit(1e300), x)) + base).cast("double")
+            within = F.least(pick(lambda c: float(c.k - 1), 0.0), F.greatest(F.lit(0.0), line))
             return (start + within.cast("int")).cast("int")
         within = F.lit(0)
         for b, child in self.children.items():

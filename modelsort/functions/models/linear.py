@@ -61,7 +61,8 @@ class LinearBucket(Model):
             return cls.constant(1)
         target = k * np.arange(len(sample)) / len(sample)
         x = sample - sample.mean()
-        slope = float((x * (target - target.mean())).sum() / (x * x).sum())
+        with np.errstate(all="ignore"):  # keys too close for a finite slope fall back below
+            slope = float((x * (target - target.mean())).sum() / (x * x).sum())
         return cls(slope, float(target.mean() - slope * sample.mean()), k) if np.isfinite(slope) and slope >= 0 else cls.fit_min_max(sample, k)
 
     @classmethod

@@ -6,7 +6,7 @@ import time
 from dataclasses import dataclass
 
 import numpy as np
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from modelsort.functions.literals import double_array
@@ -79,6 +79,38 @@ class Rmi:
         """A root line over ``m`` leaf lines, leaves by interpolation of their end points by default."""
         return cls.fit(sample, [1, m], [root, leaf])
 
+    @classmethod
+    def two_level_distributed(cls, keys: DataFrame, x: str, m: int) -> Rmi:
+        """The two-level model of interpolated lines, already monotone, on keys of any number.
+
+        The root runs through the ends of the keys; a leaf needs its keys' ends and
+        count only, so the driver holds a row a leaf and never the keys.
+        """
+        n, low, high = keys.agg(F.count(x), F.min(x), F.max(x)).first()
+        if not n or not low < high or not np.isfinite(high - low):
+            return cls.two_level(np.array([v for v in (low, high) if v is not None]), 1).monotone(np.array([v for v in (low, high) if v is not None]))
+        slope = (n - 1) / n / (high - low)
+        root = cls([1], [np.array([slope])], [np.array([-slope * low])])
+        leaf = F.floor(root.column(F.col(x)) * m).cast("int")
+        found = keys.where(F.col(x).isNotNull()).groupBy(leaf.alias("leaf")).agg(F.count(x).alias("n"), F.min(x).alias("low"), F.max(x).alias("high")).toPandas().sort_values("leaf")  # a row a leaf
+        counts = np.zeros(m, np.int64)
+        at = found["leaf"].to_numpy(int)
+        counts[at] = found["n"].to_numpy(np.int64)
+        ends = np.concatenate([[0], np.cumsum(counts)]) / n
+        a, b = np.zeros(m), ends[:-1].copy()
+        for leaf_at, x0, x1 in zip(at.tolist(), found["low"].tolist(), found["high"].tolist(), strict=True):
+            a[leaf_at], b[leaf_at] = _line(np.array([x0, x1]), np.array([ends[leaf_at], ends[leaf_at + 1] - 1 / n]), "spline")
+        return cls([1, m], [root.slopes[0], a], [root.intercepts[0], b], np.stack([ends[:-1], ends[1:]], axis=1), int((counts == 0).sum()))
+
+    def leaf(self, x: Column) -> Column:
+        """Number of the last-level line that answers for a key."""
+        held, owner = F.greatest(F.lit(-1e300), F.least(F.lit(1e300), x)), F.lit(0)
+        for level in range(len(self.widths) - 1):
+            line = F.element_at(double_array(self.slopes[level]), owner + 1) * held + F.element_at(double_array(self.intercepts[level]), owner + 1)
+            share = F.least(F.lit(float(np.nextafter(1, 0))), F.greatest(F.lit(0.0), line))
+            owner = F.floor(share * self.widths[level + 1]).cast("int")
+        return owner
+
     def empty_leaves(self) -> float:
         return self.empty / self.widths[-1]
 

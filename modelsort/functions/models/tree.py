@@ -34,6 +34,19 @@ class SplitterTree(Model):
         picked, counts = np.unique(equidistant(sample, k), return_counts=True)
         return cls(picked, picked[counts > 1] if equality else np.zeros(0), mode)
 
+    @classmethod
+    def fit_distributed(cls, keys: DataFrame, x: str, k: int, mode: str = "heap") -> SplitterTree:
+        """The same splitters of all keys of a column, looked up by rank; only they come to the driver."""
+        from modelsort.operators.rank import ranked_keys
+        from modelsort.plans.durable import materialize
+
+        ranked = materialize(ranked_keys(keys.select(F.col(x).cast("double").alias("x"))), "ranked-keys")
+        n = ranked.count()
+        at = [j * n // k for j in range(1, k)] if n else []
+        found = {r["rank"]: r["x"] for r in ranked.where(F.col("rank").isin(sorted(set(at)))).collect()} if at else {}
+        picked, counts = np.unique(np.array([found[i] for i in at], float), return_counts=True)
+        return cls(picked, picked[counts > 1], mode)
+
     @classmethod
     def from_sketch(cls, df: DataFrame, x: Column, k: int, accuracy: int = 10_000, mode: str = "heap") -> SplitterTree:
         """Splitters from the built-in quantile sketch instead of a sample."""
@@ -44,6 +57,11 @@ class SplitterTree(Model):
     def buckets(self) -> int:
         return len(self.splitters) + 1 + len(self.heavy)
 
+    def joined(self, children: list[SplitterTree]) -> SplitterTree:
+        """One tree of its splitters and those of trees within its buckets."""
+        trees = [self, *children]
+        return SplitterTree(np.unique(np.concatenate([t.splitters for t in trees])), np.unique(np.concatenate([t.heavy for t in trees])), self.mode)
+
     def equality_buckets(self) -> set[int]:
         return {int(b) for b in self.predict(self.heavy)}
 

@@ -10,8 +10,6 @@ from pyspark.sql import functions as F
 
 #: Oversampling factor per binary logarithm of the rows.
 OVERSAMPLING = 0.2
-#: Keys that the driver holds of a sample by share at most, when a model is fitted on one.
-SHARE_MOST = 1 << 20
 
 
 def alpha(n: int, c: float = OVERSAMPLING) -> float:
@@ -38,10 +36,8 @@ def draw(df: DataFrame, x: Column, size: int, n: int, seed: int = 42) -> np.ndar
     return found
 
 
-def draw_fraction(df: DataFrame, x: Column, fraction: float = 0.01, seed: int = 42, most: int | None = None) -> np.ndarray:
-    """Sorted sample of a share of the keys, the eCDF baseline's training set; about ``most`` keys if that is fewer."""
-    if most is not None:
-        fraction = min(fraction, most / max(df.count(), 1))
+def draw_fraction(df: DataFrame, x: Column, fraction: float = 0.01, seed: int = 42) -> np.ndarray:
+    """Sorted sample of a share of the keys, for columns known to be small; ``Rmi.two_level_distributed`` holds no sample."""
     return _collect(df.select(x.alias("x")).where(F.col("x").isNotNull() & ~F.isnan("x")).sample(fraction, seed))
 
 
@@ -57,12 +53,11 @@ def equidistant(sample: np.ndarray, k: int) -> np.ndarray:
     return sample[np.minimum(len(sample) - 1, (np.arange(1, k) * len(sample)) // k)]
 
 
-def heavy_keys(sample: np.ndarray, k: int, most: int = 128) -> np.ndarray:
-    """Keys that hold more of the sample than a bucket should, at most ``most`` of them."""
+def heavy_keys(sample: np.ndarray, k: int) -> np.ndarray:
+    """Keys that hold more than twice a bucket's share of the sample, so at most k / 2 of them."""
     values, counts = np.unique(sample, return_counts=True)
     share = max(3.0, 2.0 * len(sample) / max(k, 1))
-    heavy = np.flatnonzero(counts > share)
-    return np.sort(values[heavy[np.argsort(-counts[heavy], kind="stable")[:most]]])
+    return values[counts > share]
 
 
 def per_bucket(df: DataFrame, x: Column, bucket: Column, sizes: dict[int, int], size: int, seed: int = 42) -> dict[int, np.ndarray]:

@@ -11,6 +11,7 @@ from modelsort.functions import sampling
 from modelsort.functions.keys import numeric
 from modelsort.functions.models import LinearBucket
 from modelsort.operators.sorters import SortedFrame
+from modelsort.plans.durable import materialize
 from modelsort.plans.partitioner import PART
 
 
@@ -62,8 +63,13 @@ def line(df: DataFrame, y: Column, x: Column) -> DataFrame:
 
 
 def fit_per_group(df: DataFrame, group: str, key: str, k: int = 256, sample_rows: int = 100_000, seed: int = 42) -> DataFrame:
-    """Least-conflict line of every group, from about ``sample_rows`` keys of each at most."""
-    sizes = df.groupBy(group).agg(F.count("*").alias("__n"))
+    """Least-conflict line of every group, from about ``sample_rows`` keys of each at most.
+
+    Sizes are sent to every task if they are counted few, so that keys are sampled
+    before they are shuffled.
+    """
+    sizes = materialize(df.groupBy(group).agg(F.count("*").alias("__n")), "group-sizes")
+    sizes = F.broadcast(sizes) if sizes.count() <= 100_000 else sizes
     keys = df.select(group, numeric(df, key).alias("x")).where("x is not null").join(sizes, group)
     few = keys.where(F.rand(seed) < F.lit(float(sample_rows)) / F.col("__n")).select(group, "x")
     kind = df.schema[group].dataType.simpleString()

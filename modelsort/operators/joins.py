@@ -2,47 +2,94 @@
 
 from __future__ import annotations
 
+import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from modelsort.functions import sampling
-from modelsort.functions.keys import KeySpec, numeric, slotted, valid
-from modelsort.functions.models import LinearBucket, Model
-from modelsort.plans.partitioner import BUCKET, PART, assign, histogram, pack, scatter
+from modelsort.functions.keys import KeySpec, as_key, numeric, slotted, valid, with_prefix
+from modelsort.functions.models import LinearBucket
+from modelsort.operators.sorters import CUT_ROWS
+from modelsort.plans.partitioner import BUCKET, PART, assign, histogram, holds_map, pack, scatter
 
+#: Rows of a cell of the ordered key in band, interval, theta and as-of joins.
+CELL_ROWS = 500_000
 HOW = ("inner", "left", "right", "full", "left_semi", "left_anti")
 
 
-def fit_line(df: DataFrame, key: str, k: int = 256, seed: int = 42) -> LinearBucket:
+def fit_line(df: DataFrame, key: KeySpec | str, k: int = 256, seed: int = 42) -> LinearBucket:
     """A least-conflict line of one key column."""
+    key = as_key(key)
     x = numeric(df, key)
-    n = df.select(key).where(F.col(key).isNotNull()).count()
+    n = df.select(key.column).where(F.col(key.column).isNotNull()).count()
     return LinearBucket.fit_min_conflict(sampling.draw(df, x, sampling.sample_size(max(n, 2), k), max(n, 1), seed), k)
 
 
 def merge(left: DataFrame, right: DataFrame, on: str, how: str = "inner", k: int = 256, parts: int | None = None) -> DataFrame:
     """Equi-join of two frames that one model deals to the same parts; no other shuffle is planned.
 
-    A key that holds much of a side still meets in one part; Spark's skewed-join
-    handling doesn't apply to this exchange, so use ``salted`` for such keys.
+    A bucket that would fill a part twice is looked into: keys that hold that
+    much of a side are joined apart, dealt by salt (``salted``). Semi and anti
+    joins take each key of the right side once.
     """
     parts = parts or int(left.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    key = KeySpec(on)
-    model = fit_line(left, on, k)
-    sizes = histogram(left, key, model).rows + histogram(right, key, model).rows
-    packing = pack(sizes, parts)
-    a, b = scatter(assign(left, key, model), packing), scatter(assign(right, key, model), packing)
-    return a.hint("merge").join(b, [PART, on], how).drop(PART)
+    if how in ("left_semi", "left_anti"):
+        right = right.select(on).distinct()
+    key = with_prefix(left, KeySpec(on))
+    model = fit_line(left, key, k)
+    a, b = histogram(left, key, model).rows, histogram(right, key, model).rows
+    target = max(1.0, (a + b).sum() / parts)
+    large = np.flatnonzero(np.maximum(a, b) >= max(2 * target, CUT_ROWS))
+    heavy: tuple[list, list] = ([], [])
+    if len(large):
+        heavy = tuple(_heavy_keys(assign(side.select(on), key, model).where(F.col(BUCKET).isin(large.tolist())), on, target) for side in (left, right))
+    special = [*heavy[0], *heavy[1]]
+    usual = ~F.coalesce(F.col(on).isin(special), F.lit(False)) if special else F.lit(True)
+    packing = pack(a + b, parts)
+    c, d = scatter(assign(left.where(usual), key, model), packing), scatter(assign(right.where(usual), key, model), packing)
+    joined = c.hint("merge").join(d, [PART, on], how).drop(PART)
+    for keys, swap in ((heavy[0], False), ([v for v in heavy[1] if v not in set(heavy[0])], True)):
+        if keys:
+            joined = joined.unionByName(_salt_join(left.where(F.col(on).isin(keys)), right.where(F.col(on).isin(keys)), on, how, max(2, int(min(parts, 2 * (a + b).max() / target))), swap))
+    return joined
+
+
+def _heavy_keys(rows: DataFrame, on: str, more_than: float) -> list:
+    """Keys with more rows than that; there are at most rows / more_than of them."""
+    return [r[0] for r in rows.where(F.col(on).isNotNull()).groupBy(on).count().where(F.col("count") > more_than).collect()]
+
+
+def _salt_join(left: DataFrame, right: DataFrame, on: str, how: str, salts: int, swap: bool = False) -> DataFrame:
+    """Join of rows with keys that are heavy on the left (on the right if ``swap``), dealt over ``salts`` tasks.
+
+    The other side's rows are repeated for each salt. They all have a partner, since
+    their key is heavy there, so a repeated row is never an unmatched one, and outer
+    joins keep unmatched rows of the heavy side only. Salts come from the row's hash
+    and its task, which a repeated task gives again.
+    """
+    many, few = (right, left) if swap else (left, right)
+    hashed = [c for c in many.columns if not holds_map(many.schema[c].dataType)]
+    a = many.withColumn("__salt", F.pmod(F.xxhash64(*hashed) + F.spark_partition_id(), F.lit(salts)).cast("int"))
+    b = few.withColumn("__salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
+    if how in ("left_semi", "left_anti"):
+        if swap:
+            return few.join(many.select(on).distinct(), on, how)
+        return a.join(b, [on, "__salt"], how).drop("__salt")
+    outer = how in (("right", "full") if swap else ("left", "full"))
+    joined = a.join(b, [on, "__salt"], "left" if outer else "inner").drop("__salt")
+    return joined.select(on, *(c for c in left.columns if c != on), *(c for c in right.columns if c != on))
 
 
 def salted(left: DataFrame, right: DataFrame, on: str, how: str = "inner", heavy_share: float = 0.01, salts: int = 16) -> DataFrame:
-    """Equi-join whose heavy left keys are spread over ``salts`` tasks, their right rows repeated for each."""
-    n = left.count()
-    heavy = [r[0] for r in left.where(F.col(on).isNotNull()).groupBy(on).count().where(F.col("count") > heavy_share * n).limit(10_000).collect()]
-    is_heavy = F.col(on).isin(heavy) if heavy else F.lit(False)
-    a = left.withColumn("__salt", F.when(is_heavy, F.pmod(F.xxhash64(*left.columns), F.lit(salts))).otherwise(0).cast("int"))
-    b = right.withColumn("__salt", F.explode(F.when(is_heavy, F.sequence(F.lit(0), F.lit(salts - 1))).otherwise(F.array(F.lit(0)))))
-    return a.join(b, [on, "__salt"], how).drop("__salt")
+    """Equi-join whose heavy left keys are spread over ``salts`` tasks, their right rows repeated for each.
+
+    A key is heavy if it holds more than ``heavy_share`` of the left rows, so there are at most its inverse of them.
+    """
+    heavy = _heavy_keys(left, on, heavy_share * left.count())
+    if not heavy:
+        return left.join(right, on, how)
+    is_heavy = F.coalesce(F.col(on).isin(heavy), F.lit(False))
+    return left.where(~is_heavy).join(right.where(~is_heavy), on, how).unionByName(_salt_join(left.where(is_heavy), right.where(is_heavy), on, how, salts))
 
 
 def hashed(left: DataFrame, right: DataFrame, on: str, how: str = "inner", broadcast_rows: int = 100_000) -> DataFrame:
@@ -59,19 +106,21 @@ def anti(left: DataFrame, right: DataFrame, on: str, **options) -> DataFrame:
     return merge(left, right.select(on), on, "left_anti", **options)
 
 
-def _grid(left: DataFrame, key: str, cells: int) -> tuple[Model, KeySpec]:
+def _grid(left: DataFrame, key: str, cells: int | None) -> LinearBucket:
+    """A line whose cells grow with the rows: about ``CELL_ROWS`` each, and four or more for every part."""
     n = left.select(key).count()
+    cells = cells or max(256, 4 * int(left.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-n // CELL_ROWS))
     sample = sampling.draw(left, numeric(left, key), sampling.sample_size(max(n, 2), cells), max(n, 1))
-    return LinearBucket.fit_min_conflict(sample, cells), KeySpec(key)
+    return LinearBucket.fit_min_conflict(sample, cells)
 
 
-def band(left: DataFrame, right: DataFrame, left_key: str, right_key: str, delta: float, cells: int = 256) -> DataFrame:
+def band(left: DataFrame, right: DataFrame, left_key: str, right_key: str, delta: float, cells: int | None = None) -> DataFrame:
     """Pairs with |left - right| <= delta.
 
     Right rows visit every bucket that their band touches, left rows their own;
     equal buckets join, and the raw keys decide. Null and NaN keys have no pairs.
     """
-    model, _ = _grid(left, left_key, cells)
+    model = _grid(left, left_key, cells)
     x, y = numeric(left, left_key), numeric(right, right_key)
     a = left.where(valid(x)).withColumn(BUCKET, model.column(x))
     low, high = model.column(y - F.lit(float(delta))), model.column(y + F.lit(float(delta)))
@@ -80,9 +129,9 @@ def band(left: DataFrame, right: DataFrame, left_key: str, right_key: str, delta
     return a.join(b, BUCKET).where(near).drop(BUCKET)
 
 
-def intervals(points: DataFrame, ranges: DataFrame, point: str, low: str, high: str, cells: int = 256) -> DataFrame:
+def intervals(points: DataFrame, ranges: DataFrame, point: str, low: str, high: str, cells: int | None = None) -> DataFrame:
     """Points with every range [low, high] that holds them; ranges visit the buckets they cover."""
-    model, _ = _grid(points, point, cells)
+    model = _grid(points, point, cells)
     x = numeric(points, point)
     a = points.where(valid(x)).withColumn(BUCKET, model.column(x))
     lo, hi = numeric(ranges, low), numeric(ranges, high)
@@ -90,12 +139,12 @@ def intervals(points: DataFrame, ranges: DataFrame, point: str, low: str, high:
     return a.join(b, BUCKET).where(F.col(point).between(F.col(low), F.col(high))).drop(BUCKET)
 
 
-def theta(left: DataFrame, right: DataFrame, left_key: str, right_key: str, op: str, cells: int = 64) -> DataFrame:
+def theta(left: DataFrame, right: DataFrame, left_key: str, right_key: str, op: str, cells: int | None = None) -> DataFrame:
     """Pairs under ``<, <=, >`` or ``>=``; buckets that can't hold pairs are never brought together.
 
     The result may be quadratic by nature; rows of the right side visit the buckets at or beyond their own.
     """
-    model, _ = _grid(left, left_key, cells)
+    model = _grid(left, left_key, cells)
     x, y = numeric(left, left_key), numeric(right, right_key)
     a = left.where(valid(x)).withColumn(BUCKET, model.column(x))
     own = model.column(y)
@@ -106,7 +155,7 @@ def theta(left: DataFrame, right: DataFrame, left_key: str, right_key: str, op:
     return a.join(b, BUCKET).where(test).drop(BUCKET)
 
 
-def asof(left: DataFrame, right: DataFrame, left_on: str, right_on: str, by: str | None = None, columns: tuple[str, ...] = (), direction: str = "backward", tolerance: float | None = None, cells: int = 64) -> DataFrame:
+def asof(left: DataFrame, right: DataFrame, left_on: str, right_on: str, by: str | None = None, columns: tuple[str, ...] = (), direction: str = "backward", tolerance: float | None = None, cells: int | None = None) -> DataFrame:
     """Left rows with ``columns`` of the last right row at or before (or first at or after) them.
 
     Both sides are cut into the same buckets of the ordered key; a window runs
@@ -115,8 +164,7 @@ def asof(left: DataFrame, right: DataFrame, left_on: str, right_on: str, by: str
     go by ``columns``. ``right_on`` is returned too; no match gives nulls.
     """
     x, y = numeric(left, left_on), numeric(right, right_on)
-    n = left.select(left_on).count()
-    model = LinearBucket.fit_min_conflict(sampling.draw(left, x, sampling.sample_size(max(n, 2), cells), max(n, 1)), cells)
+    model = _grid(left, left_on, cells)
     key = KeySpec(left_on)
     group = F.col(by) if by else F.lit(0)
     state = F.struct(y.alias("__y"), *(F.col(c) for c in dict.fromkeys((right_on, *columns))))

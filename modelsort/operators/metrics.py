@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from modelsort.functions import sampling
 from modelsort.functions.keys import KeySpec, numeric, valid
-from modelsort.functions.models import LinearBucket, Model, SampleEcdf
+from modelsort.functions.models import EcdfBucket, LinearBucket, Model, Rmi
 from modelsort.functions.models.linear import FITS
 from modelsort.operators.rank import cumulative, global_position
 from modelsort.operators.sorters import SortedFrame, linear_partition_sort
@@ -90,28 +90,57 @@ def displacement(df: DataFrame, x: Column, predicted: Column, ties: list[Column]
     return moved.crossJoin(falls(given.df, given.key, "key").select(F.col("falls").alias("inversions")))  # a row each
 
 
-def sample_sweep(df: DataFrame, key: str, fractions: tuple[float, ...], k: int = 256, seed: int = 42) -> list[dict]:
-    """How a sample's share trades training time for eCDF error and balance, both over all keys."""
+def sample_sweep(df: DataFrame, key: str, fractions: tuple[float, ...], k: int = 256, leaves: int = 128, seed: int = 42) -> list[dict]:
+    """How a sample's share trades time for eCDF error and balance, both over all keys.
+
+    Seconds are given apart for the sample, the fit and one prediction of all
+    keys. The sample is written, and the two-level eCDF and the equal ranges
+    fitted on it need a row a leaf on the driver, so any share will do.
+    """
     import time
 
-    x = numeric(df, key)
-    keys = df.select(x.alias("x")).where(valid(F.col("x")))
+    keys = df.select(numeric(df, key).alias("x")).where(valid(F.col("x")))
     steps, n = cumulative(keys, "x")
     steps = materialize(steps, "ecdf")
     rows = []
     for fraction in fractions:
-        start = time.perf_counter()
-        sample = sampling.draw_fraction(df, x, fraction, seed)
-        model = LinearBucket.fit_min_conflict(sample, k)
-        seconds = time.perf_counter() - start
-        miss = F.abs(SampleEcdf(sample).column(F.col("x")) - F.col("up_to") / F.lit(float(max(n, 1))))
+        clock = [time.perf_counter()]
+        sample = materialize(keys.sample(fraction, seed) if fraction < 1 else keys, "sample")
+        size = sample.count()
+        clock.append(time.perf_counter())
+        model = Rmi.two_level_distributed(sample, "x", leaves)
+        clock.append(time.perf_counter())
+        share = model.column(F.col("x"))
+        miss = F.abs(share - F.col("up_to") / F.lit(float(max(n, 1))))
         found = steps.agg((F.sum(miss * F.col("rows")) / F.sum("rows")).alias("e")).first()["e"]
-        largest = steps.groupBy(model.column(F.col("x")).alias("b")).agg(F.sum("rows").alias("rows")).agg(F.max("rows")).first()[0]
-        rows.append({"fraction": fraction, "sampled": len(sample), "fit_s": seconds, "ecdf_error": float(found) if found is not None and len(sample) else 1.0, "max_share": float((largest or 0) / max(n, 1))})
+        clock.append(time.perf_counter())
+        largest = steps.groupBy(EcdfBucket(model, k).column(F.col("x")).alias("b")).agg(F.sum("rows").alias("rows")).agg(F.max("rows")).first()[0]
+        times = dict(zip(("sample_s", "train_s", "predict_s"), np.diff(clock).tolist(), strict=True))
+        rows.append({"fraction": fraction, "sampled": size, "ecdf_error": float(found) if found is not None and size else 1.0, "max_share": float((largest or 0) / max(n, 1))} | times)
     return rows
 
 
-def fit_ablation(df: DataFrame, key: str, ks: tuple[int, ...] = (16, 64, 256, 1024), seed: int = 42) -> list[dict]:
+def oversampling_sweep(df: DataFrame, key: str, factors: tuple[float, ...] = (0.05, 0.1, 0.2, 0.4, 0.8), k: int = 256, seed: int = 42) -> list[dict]:
+    """Balance of the least-conflict line on all keys by the factor of the logarithm in its sample's size."""
+    keys = df.select(numeric(df, key).alias("x")).where(valid(F.col("x")))
+    n = keys.count()
+    rows = []
+    for factor in factors:
+        size = sampling.sample_size(max(n, 2), k, factor)
+        line = LinearBucket.fit_min_conflict(sampling.draw(keys, F.col("x"), size, max(n, 1), seed), k)
+        found = balance(bucket_counts(keys, F.col("x"), line)).first()
+        rows.append({"factor": factor, "sampled": min(size, n), "conflict": line.conflict, "imbalance": found["imbalance"], "max_share": found["max_share"]})
+    return rows
+
+
+def shuffled_rows(df: DataFrame, sorter: Callable[[DataFrame], SortedFrame]) -> dict:
+    """Rows that rounds of partitioning would move one by one, against the single move of the payload."""
+    sf = sorter(df)
+    n = df.count()
+    return {"rounds": sf.trace.rounds, "moved_once": n, "moved_by_rounds": n + sum(sf.trace.looked_at), "parts": sf.parts}
+
+
+def fit_ablation(df: DataFrame, key: str, ks: tuple[int, ...] = (16, 64, 256, 1024, 4096, 16_384, 65_536), seed: int = 42) -> list[dict]:
     """Balance of every line fit and number of buckets on all keys of a column, counted in one pass."""
     x = numeric(df, key)
     keys = df.select(x.alias("x")).where(valid(F.col("x")))
@@ -121,13 +150,12 @@ def fit_ablation(df: DataFrame, key: str, ks: tuple[int, ...] = (16, 64, 256, 10
         sample = sampling.draw(df, x, sampling.sample_size(max(n, 2), k), n, seed)
         tried += [(k, name, fit(sample, k)) for name, fit in FITS.items()]
     buckets = F.posexplode(F.array(*(m.column(F.col("x")).cast("int") for _, _, m in tried))).alias("i", "bucket")
-    found = keys.select(buckets).groupBy("i", "bucket").agg(F.count("*").alias("rows")).toPandas()  # a row a bucket
+    counts = keys.select(buckets).groupBy("i", "bucket").agg(F.count("*").alias("rows"))
+    found = {r["i"]: r for r in counts.groupBy("i").agg(F.sum(F.col("rows").cast("double") * F.col("rows")).alias("square"), F.max("rows").alias("most"), F.count("*").alias("used")).collect()}  # a row a fit
     rows = []
     for i, (k, name, model) in enumerate(tried):
-        counts = np.zeros(k)
-        mine = found[found["i"] == i]
-        counts[mine["bucket"].to_numpy(int)] = mine["rows"].to_numpy(float)
-        rows.append({"key": key, "k": k, "fit": name, "conflict": model.conflict, "imbalance": float(((counts - n / k) ** 2).sum()), "max_share": float(counts.max() / max(n, 1)), "empty_share": float((counts == 0).mean())})
+        r = found.get(i) or {"square": 0.0, "most": 0, "used": 0}
+        rows.append({"key": key, "k": k, "fit": name, "conflict": model.conflict, "imbalance": float(r["square"]) - n * n / k, "max_share": float(r["most"] / max(n, 1)), "empty_share": 1 - r["used"] / k})
     return rows
 
 
@@ -146,6 +174,17 @@ def leaderboard(results: DataFrame) -> DataFrame:
     return means.withColumn("rank", F.rank().over(best))
 
 
-def pivoted(results: DataFrame) -> DataFrame:
-    """Rates with a column a sorter."""
-    return results.groupBy("family", "dataset").pivot("sorter").agg(F.first("keys_per_s"))
+def pivoted(results: DataFrame, sorters: list[str]) -> DataFrame:
+    """Mean rates with a column for each of the named sorters."""
+    return results.groupBy("family", "dataset").pivot("sorter", sorters).agg(F.avg("keys_per_s"))
+
+
+def unpivoted(wide: DataFrame, sorters: list[str]) -> DataFrame:
+    """Rows of ``pivoted`` again; sorters without a rate are left out."""
+    return wide.unpivot(["family", "dataset"], sorters, "sorter", "keys_per_s").where("keys_per_s is not null")
+
+
+def crossover(rates: DataFrame, a: str, b: str) -> DataFrame:
+    """By ``n``, the rate of sorter ``a`` over that of ``b``, and whether ``a`` is ahead."""
+    wide = rates.groupBy("n").pivot("sorter", [a, b]).agg(F.max("keys_per_s"))
+    return wide.select("n", (F.col(a) / F.col(b)).alias("speed_up"), (F.col(a) > F.col(b)).alias("ahead"))

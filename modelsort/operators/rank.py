@@ -28,36 +28,78 @@ def global_position(sf: SortedFrame, name: str = "position", mode: str = "counte
     return sf.df.withColumn(name, place.cast("long")).drop(PART)
 
 
+def lying_position(df: DataFrame, name: str = "position") -> DataFrame:
+    """Rows with their place from 1 as they lie, for frames whose order is given by their partitions; rows are counted first."""
+    part = F.spark_partition_id()
+    found = {r["p"]: r["n"] for r in df.select(part.alias("p")).groupBy("p").agg(F.count("*").alias("n")).collect()}  # a row a partition
+    before, total = [], 0
+    for p in range(max(found, default=-1) + 1):
+        before.append(total)
+        total += found.get(p, 0)
+    place = _before(before or [0], part) + F.monotonically_increasing_id().bitwiseAND(F.lit(ROW_MASK)) + 1
+    return df.withColumn(name, place.cast("long"))
+
+
+def _key_edges(sf: SortedFrame) -> list[dict]:
+    """Rows, distinct keys, rows of the first and of the last key of each part that has rows, and whether a part begins with the key that ended the one before.
+
+    Rows are counted by key before anything moves; the driver holds a row a part.
+    """
+    k = sf.key.column
+    by_key = sf.parted.groupBy(PART, F.col(k).alias(k)).agg(F.count("*").alias("n"))
+    here = Window.partitionBy(PART)
+    placed = by_key.withColumn("i", F.row_number().over(here.orderBy(sf.key.order()[0]))).withColumn("d", F.count("*").over(here))
+    ends = [F.max(F.when(F.col("i") == at, F.struct(F.col(k).alias("k"), "n"))).alias(name) for name, at in (("first", F.lit(1)), ("last", F.col("d")))]
+    parts = placed.groupBy(PART).agg(F.sum("n").alias("n"), F.count("*").alias("d"), *ends)
+    joined = F.coalesce(F.lag(F.struct(F.col("last")["k"])).over(Window.orderBy(PART)).eqNullSafe(F.struct(F.col("first")["k"])), F.lit(False))
+    rows = parts.select(PART, "n", "d", F.col("first")["n"].alias("n_first"), F.col("last")["n"].alias("n_last"), joined.alias("joined")).collect()
+    return [r.asDict() for r in sorted(rows, key=lambda r: r[PART])]
+
+
 def ranks(sf: SortedFrame) -> DataFrame:
     """Rows with ``rank, dense_rank, percent_rank, cume_dist`` of the key, from windows within parts.
 
-    Equal keys must share a part, so frames with spread buckets are refused.
+    A key that spans parts has the same numbers in all of them. The payload moves once.
     """
-    if sf.packing is not None and (sf.packing.spread > 1).any():
-        raise ValueError("a bucket of one value is spread over parts; sort with ties or parts that hold it")
-    before = sf.counts().tolist()
-    found = {r[PART]: r for r in sf.df.groupBy(PART).agg(F.count("*").alias("n"), F.count_distinct(F.struct(sf.key.column)).alias("d")).collect()}
-    dense, total = [], 0
-    for part in range(sf.parts):
-        dense.append(total)
-        total += found[part]["d"] if part in found else 0
-    n = sum(r["n"] for r in found.values())
+    edges = _key_edges(sf)
+    before, total, first_rank, last_rank, dense, dense_last = 0, sum(e["n"] for e in edges), 1, 1, 0, 0
+    base, rank_first, dense_before, up_to_last, held = ([0] * sf.parts for _ in range(5))
+    for e in edges:
+        p = e[PART]
+        first_rank = last_rank if e["joined"] else before + 1
+        dense = dense_last if e["joined"] else dense_last + 1
+        base[p], rank_first[p], dense_before[p], held[p] = before, first_rank, dense - 1, e["n"]
+        before += e["n"]
+        last_rank = first_rank if e["d"] == 1 else before - e["n_last"] + 1
+        dense_last = dense + e["d"] - 1
+    reach = 0
+    for i in range(len(edges) - 1, -1, -1):
+        e, after = edges[i], edges[i + 1] if i + 1 < len(edges) else None
+        end = base[e[PART]] + e["n"]
+        if after and after["joined"]:
+            up_to_last[e[PART]] = reach if after["d"] == 1 else end + after["n_first"]
+        else:
+            up_to_last[e[PART]] = end
+        reach = up_to_last[e[PART]]
+    part = F.col(PART)
     key_only = Window.partitionBy(PART).orderBy(sf.key.order()[0])
-    up_to = key_only.rangeBetween(Window.unboundedPreceding, Window.currentRow)
-    rank = _before(before, F.col(PART)) + F.rank().over(key_only)
+    up_to = F.count(F.lit(1)).over(key_only.rangeBetween(Window.unboundedPreceding, Window.currentRow))
+    own = F.rank().over(key_only)
     return (
-        sf.df.withColumn("rank", rank.cast("long"))
-        .withColumn("dense_rank", (_before(dense, F.col(PART)) + F.dense_rank().over(key_only)).cast("long"))
-        .withColumn("percent_rank", (F.col("rank") - 1) / F.lit(float(max(n - 1, 1))))
-        .withColumn("cume_dist", (_before(before, F.col(PART)) + F.count(F.lit(1)).over(up_to)) / F.lit(float(max(n, 1))))
-        .drop(PART)
+        sf.df.withColumn("__own", own)
+        .withColumn("__up_to", up_to)
+        .withColumn("dense_rank", (_before(dense_before, part) + F.dense_rank().over(key_only)).cast("long"))
+        .withColumn("rank", F.when(F.col("__own") == 1, _before(rank_first, part)).otherwise(_before(base, part) + F.col("__own")).cast("long"))
+        .withColumn("percent_rank", (F.col("rank") - 1) / F.lit(float(max(total - 1, 1))))
+        .withColumn("cume_dist", F.when(F.col("__up_to") == _before(held, part), _before(up_to_last, part)).otherwise(_before(base, part) + F.col("__up_to")) / F.lit(float(max(total, 1))))
+        .select(*[c for c in sf.df.columns if c != PART], "rank", "dense_rank", "percent_rank", "cume_dist")
     )
 
 
 def ntile(sf: SortedFrame, tiles: int, name: str = "tile") -> DataFrame:
     """Rows with their tile, the first ones a row larger if the rows don't divide evenly."""
     placed = global_position(sf, "__place", "window")
-    n = sf.sizes.n
+    n = sf.sizes.n if sf.sizes.exact else sf.parted.count()
     small, larger = divmod(n, tiles)
     edge = larger * (small + 1)
     place = F.col("__place") - 1

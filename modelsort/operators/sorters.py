@@ -3,6 +3,8 @@
 Fitting reads keys only and happens when a sorter is called; the payload moves
 in one shuffle when the result is used. Parts are ordered among each other and
 sorted within, by the raw key, so any non-decreasing model gives an exact sort.
+Buckets that no numeric model can split are cut by raw keys and ties, and only
+rows alike in all of these are spread over parts freely.
 """
 
 from __future__ import annotations
@@ -12,18 +14,23 @@ from dataclasses import dataclass, field, replace
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from modelsort.functions import sampling
-from modelsort.functions.keys import KeySpec, as_key, numeric, order_bits, order_bits_np, valid
+from modelsort.functions.keys import KeySpec, as_key, numeric, order_bits, order_bits_np, valid, with_prefix
 from modelsort.functions.models import EcdfBucket, LinearBucket, Model, RadixBucket, Rmi, SplitterTree, WithHeavy
 from modelsort.functions.models.linear import FITS
+from modelsort.plans.cuts import count_pieces, find_cuts
 from modelsort.plans.durable import materialize
-from modelsort.plans.partitioner import PART, Histogram, Packing, assign, histogram, pack, scatter
+from modelsort.plans.partitioner import BUCKET, PART, Histogram, Packing, assign, histogram, move, pack, part_column, spread_parts
 from modelsort.plans.refine import Trace, refine
 
+#: Buckets up to this many rows aren't cut, however many parts are asked for.
+CUT_ROWS = 1024
+
 
 @dataclass(frozen=True)
 class SortConfig:
@@ -31,14 +38,16 @@ class SortConfig:
 
     ``k`` buckets a step, ``base_rows`` below which a bucket is left to the base
     case, ``parts`` of the result (by default the shuffle partitions), ``depth``
-    refinement rounds at most, ``equality`` buckets for heavy keys, and the share
-    of keys that bucket sizes are estimated from (None: all keys).
+    refinement rounds at most (None: until every bucket is small or of one
+    numeric value), ``equality`` buckets for heavy keys, and the share of keys
+    that bucket sizes are estimated from (None: all keys). Estimates only decide
+    how rows are dealt; positions and ranks count the parts, selections recount.
     """
 
     k: int = 256
     base_rows: int = 1 << 12
     parts: int | None = None
-    depth: int = 3
+    depth: int | None = None
     equality: bool = True
     oversampling: float = sampling.OVERSAMPLING
     histogram_share: float | None = None
@@ -47,7 +56,11 @@ class SortConfig:
 
 @dataclass
 class SortedFrame:
-    """A physically sorted frame: parts in order, rows sorted within; ``offsets`` are the rows before each part."""
+    """A physically sorted frame: parts in order, rows sorted within; ``offsets`` are the rows before each part.
+
+    ``parted`` holds the same rows with their part before they move, for counts
+    that need no shuffle of the payload.
+    """
 
     df: DataFrame
     key: KeySpec
@@ -57,20 +70,28 @@ class SortedFrame:
     packing: Packing | None
     sizes: Histogram | None
     trace: Trace = field(default_factory=Trace)
+    parted: DataFrame | None = None
 
     def rows(self) -> DataFrame:
         """The rows in order, without the part."""
         return self.df.drop(PART)
 
     def counts(self) -> np.ndarray:
-        """Rows before each part; counted after the scatter where packing couldn't tell."""
+        """Rows before each part; counted where packing couldn't tell."""
         if self.offsets is None:
             found = np.zeros(self.parts, np.int64)
-            for r in self.df.groupBy(PART).count().collect():
+            for r in (self.parted if self.parted is not None else self.df).groupBy(PART).count().collect():
                 found[r[PART]] = r["count"]
             self.offsets = np.cumsum(found) - found
         return self.offsets
 
+    def exact_sizes(self, df: DataFrame) -> Histogram:
+        """Bucket sizes of ``df``, counted now if they were estimated."""
+        if not self.sizes.exact:
+            counted = histogram(df, self.key.plain(), self.model)
+            self.sizes = _in_output_order(counted, self.model, self.key)
+        return self.sizes
+
     def select(self, *columns: str) -> SortedFrame:
         """Fewer columns, still in order."""
         return replace(self, df=self.df.select(PART, *dict.fromkeys([self.key.column, *self.key.ties, *columns])))
@@ -88,7 +109,7 @@ class SortedFrame:
 
 def _statistics(df: DataFrame, key: KeySpec) -> tuple[int, int, float, float]:
     """Rows, rows with a finite key, and the range of those, in one key-only scan."""
-    n, m, low, high = df.select(numeric(df, key.column).alias("x")).agg(*_measures()).first()
+    n, m, low, high = df.select(numeric(df, key).alias("x")).agg(*_measures()).first()
     return n, m, low, high
 
 
@@ -102,35 +123,64 @@ def _observed_sample(df: DataFrame, key: KeySpec, config: SortConfig) -> tuple[i
     n = df.count()
     seen = Observation()
     names = ("n", "m", "low", "high")
-    keys = df.select(numeric(df, key.column).alias("x")).observe(seen, *(e.alias(c) for e, c in zip(_measures(), names, strict=True)))
+    keys = df.select(numeric(df, key).alias("x")).observe(seen, *(e.alias(c) for e, c in zip(_measures(), names, strict=True)))
     sample = sampling.draw(keys, F.col("x"), sampling.sample_size(max(n, 2), config.k, config.oversampling), n, config.seed)
     got = seen.get
     return (*(got[c] for c in names), sample)
 
 
-def finish(df: DataFrame, key: KeySpec, model: Model, sizes: Histogram, parts: int, trace: Trace, raw: KeySpec | None = None) -> SortedFrame:
-    """Pack the buckets, scatter the payload once, and sort within parts, by ``raw`` if the key is coded."""
-    splittable = sizes.one_value() if not key.ties and raw is None else None
-    packing = pack(sizes.rows, parts, splittable)
-    salted = bool((packing.spread > 1).any())
-    salt = F.xxhash64(*(F.col(c) for c in df.columns)) if salted else None
-    moved = scatter(assign(df, key, model), packing, salt).sortWithinPartitions(*(raw or key).order())
-    offsets = None
-    if not salted:
-        per_part = np.bincount(packing.part, weights=sizes.rows, minlength=packing.parts).astype(np.int64)
-        offsets = np.cumsum(per_part) - per_part
-    return SortedFrame(moved, raw or key, packing.parts, offsets, model, packing, sizes, trace)
+def finish(df: DataFrame, key: KeySpec, model: Model, sizes: Histogram, parts: int, trace: Trace, raw: KeySpec | None = None, seed: int = 42, local: Callable[[DataFrame, list[int]], DataFrame] | None = None) -> SortedFrame:
+    """Pack the buckets, move the payload once, and sort within parts, by ``raw`` if the key is coded.
+
+    A bucket that would fill a part one and a half times is cut by raw keys and
+    ties first, in a scan of these columns. ``local`` sorts the rows of a part in
+    place of Spark, given the moved rows with their bucket and the buckets that need no sort.
+    """
+    order, rows, alike = raw or key, sizes.rows, np.zeros(len(sizes.rows), bool)
+    target = max(1.0, sizes.n / max(parts, 1))
+    large = np.flatnonzero(rows >= max(1.5 * target, CUT_ROWS)) if parts > 1 else np.zeros(0, np.int64)
+    assigned = assign(df, key, model)
+    exact = sizes.exact
+    if len(large) and all(isinstance(df.schema[c].dataType, T.AtomicType) for c in order.columns()):
+        # Only what decides the order is read.
+        keys = assign(df.select(*dict.fromkeys([key.column, *order.columns()])), key, model)
+        cuts = find_cuts(keys, order, {int(b): int(rows[b]) for b in large}, target, seed)
+        first = cuts.first(len(rows))
+        fine = np.zeros(len(rows) + len(cuts.rows), np.int64)
+        fine[first] = np.where(np.isin(np.arange(len(rows)), large), 0, rows)
+        alike = np.zeros(len(fine), bool)
+        for b, n, same in count_pieces(keys, cuts, large.tolist()):
+            fine[b], alike[b] = n, same
+        rows, assigned = fine, cuts.attach(assigned)
+    packing = pack(rows, parts, alike, target)
+    copies = False
+    if (packing.spread > 1).any():
+        parted, per_part, copies = spread_parts(assigned, packing, rows, target, order.columns())
+    else:
+        parted = assigned.withColumn(PART, part_column(packing))
+        parted = parted if local else parted.drop(BUCKET)
+        per_part = np.bincount(packing.part, weights=rows, minlength=packing.parts).astype(np.int64)
+    moved = move(parted, packing.parts)
+    if local and not copies and BUCKET in parted.columns:
+        moved = local(moved, np.flatnonzero(alike).tolist())
+        parted = parted.drop(BUCKET)
+    else:
+        moved = moved.sortWithinPartitions(*order.order())
+    if copies:
+        lay_out = F.explode(F.array_repeat(F.lit(0), F.col("__copies")))
+        moved, parted = (f.withColumn("__copy", lay_out).drop("__copies", "__copy") for f in (moved, parted))
+    return SortedFrame(moved, order, packing.parts, np.cumsum(per_part) - per_part if exact else None, model, packing, sizes, trace, parted)
 
 
 def partition_sort(df: DataFrame, key: KeySpec | str, fit: Callable[[np.ndarray, int], Model], config: SortConfig = SortConfig()) -> SortedFrame:
-    """Sample, fit, count, refine, pack, scatter once, sort within parts.
+    """Sample, fit, count, refine, cut, pack, move once, sort within parts.
 
     Nulls go to the end the key asks for, NaN above all numbers, -0.0 equals 0.0
-    and infinities are ordinary keys. An empty table gives an empty frame. Keys
-    that are all alike make one bucket, which may spread over many parts if no
-    ties decide its order.
+    and infinities are ordinary keys. An empty table gives an empty frame. A
+    key that holds most rows spans as many parts as these fill: by its ties, or
+    freely if it has none.
     """
-    key = as_key(key)
+    key = with_prefix(df, as_key(key))
     parts = config.parts or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     n, m, low, high, sample = _observed_sample(df, key, config)
     if not m or low == high or not len(sample):
@@ -143,12 +193,7 @@ def partition_sort(df: DataFrame, key: KeySpec | str, fit: Callable[[np.ndarray,
             model = WithHeavy(model, heavy)
     limit = max(config.base_rows, n // max(2 * parts, 1))
     model, sizes, trace = refine(df, key, model, fit, config.k, limit, config.depth, config.histogram_share, config.seed)
-    if not key.ascending or not key.nulls_first:
-        sizes = _in_output_order(sizes, model, key)
-    result = finish(df, key, model, sizes, parts, trace)
-    if config.histogram_share:
-        result.offsets = None
-    return result
+    return finish(df, key, model, _in_output_order(sizes, model, key), parts, trace, seed=config.seed)
 
 
 def _in_output_order(sizes: Histogram, model: Model, key: KeySpec) -> Histogram:
@@ -157,7 +202,7 @@ def _in_output_order(sizes: Histogram, model: Model, key: KeySpec) -> Histogram:
     order = np.arange(b + 3)
     middle = order[1 : b + 2] if key.ascending else order[1 : b + 2][::-1]
     place = np.concatenate([[0], middle, [b + 2]]) if key.nulls_first else np.concatenate([[b + 2], middle, [0]])
-    return Histogram(sizes.rows[place], sizes.low[place], sizes.high[place])
+    return Histogram(sizes.rows[place], sizes.low[place], sizes.high[place], sizes.exact)
 
 
 def linear_partition_sort(df: DataFrame, key: KeySpec | str, *, fit: str = "min_conflict", config: SortConfig = SortConfig()) -> SortedFrame:
@@ -177,27 +222,28 @@ def two_way_sort(df: DataFrame, key: KeySpec | str, *, config: SortConfig = Sort
 
 def quantile_sort(df: DataFrame, key: KeySpec | str, *, config: SortConfig = SortConfig()) -> SortedFrame:
     """Splitters from the built-in quantile sketch; a baseline without a sample."""
-    key = as_key(key)
-    x = numeric(df, key.column)
+    key = with_prefix(df, as_key(key))
+    x = numeric(df, key)
     model = SplitterTree.from_sketch(df.where(valid(x)), x, config.k)
     return sort_with(df, key, model, config)
 
 
 def radix_partition_sort(df: DataFrame, key: KeySpec | str, *, bits: int = 8, extract: bool = True, config: SortConfig = SortConfig()) -> SortedFrame:
     """Most-significant digits of the key, or of its order-preserving bits if ``extract``."""
-    key = as_key(key)
+    key = with_prefix(df, as_key(key))
     n, m, low, high = _statistics(df, key)
     if not m or low == high:
         return sort_with(df, key, LinearBucket.constant(1), config)
-    x = numeric(df, key.column)
+    fit = lambda s, k: RadixBucket.fit(s[0], s[-1], bits)
     if extract and dict(df.dtypes)[key.column] in ("double", "float"):
         # NaN keeps a slot of its own, so only what a model places is coded; the range is coded on the driver.
+        x = numeric(df, key)
         coded = df.withColumn("__bits", F.when(valid(x), order_bits(x).cast("double")).otherwise(x))
         ends = order_bits_np(np.array([low, high])).astype(float)
         code = KeySpec("__bits", key.ascending, key.nulls_first)
-        result = sort_with(coded, code, RadixBucket.fit(*ends, bits), config, lambda s, k: RadixBucket.fit(s[0], s[-1], bits), key)
-        return replace(result, df=result.df.drop("__bits"), model=None)  # the model reads coded keys only
-    return sort_with(df, key, RadixBucket.fit(low, high, bits), config, lambda s, k: RadixBucket.fit(s[0], s[-1], bits))
+        result = sort_with(coded, code, RadixBucket.fit(*ends, bits), config, fit, key)
+        return replace(result, df=result.df.drop("__bits"), parted=result.parted.drop("__bits"), model=None)  # the model reads coded keys only
+    return sort_with(df, key, RadixBucket.fit(low, high, bits), config, fit)
 
 
 def sort_with(df: DataFrame, key: KeySpec | str, model: Model, config: SortConfig = SortConfig(), fit: Callable[[np.ndarray, int], Model] = LinearBucket.fit_min_conflict, raw: KeySpec | None = None) -> SortedFrame:
@@ -207,20 +253,17 @@ def sort_with(df: DataFrame, key: KeySpec | str, model: Model, config: SortConfi
     """
     key = as_key(key)
     parts = config.parts or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    asc = KeySpec(key.column)
-    first = histogram(df, asc, model, config.histogram_share, config.seed)
+    first = histogram(df, key.plain(), model, config.histogram_share, config.seed)
     limit = max(config.base_rows, first.n // max(2 * parts, 1))
     model, sizes, trace = refine(df, key, model, fit, config.k, limit, config.depth, config.histogram_share, config.seed)
-    return finish(df, key, model, _in_output_order(sizes, model, key), parts, trace, raw)
+    return finish(df, key, model, _in_output_order(sizes, model, key), parts, trace, raw, config.seed)
 
 
 def classic_copy_sort(df: DataFrame, key: KeySpec | str, *, config: SortConfig = SortConfig()) -> SortedFrame:
     """Out-of-place sample sort: a bucketed copy of all rows is written before they are sorted."""
     sorted_ = tree_sample_sort(df, key, config=config)
-    moved = scatter(assign(df, sorted_.key, sorted_.model), replace(sorted_.packing, spread=np.ones_like(sorted_.packing.spread)))
-    copy = materialize(moved, "bucketed-copy")
-    again = copy.repartitionById(sorted_.parts, F.col(PART)).sortWithinPartitions(*sorted_.key.order())
-    return replace(sorted_, df=again, offsets=None)
+    copy = materialize(move(sorted_.parted, sorted_.parts), "bucketed-copy")
+    return replace(sorted_, df=move(copy, sorted_.parts).sortWithinPartitions(*sorted_.key.order()), parted=copy)
 
 
 def builtin_sort(df: DataFrame, key: KeySpec | str, *, sequential: bool = False) -> DataFrame:
@@ -241,31 +284,126 @@ def ecdf_model(sample: np.ndarray, leaves: int = 128) -> Rmi:
 
 
 def ecdf_two_pass_sort(df: DataFrame, key: KeySpec | str, *, k1: int = 32, k2: int = 32, fraction: float = 0.01, leaves: int = 128, config: SortConfig = SortConfig()) -> SortedFrame:
-    """Two partitioning rounds by one eCDF, fused into one bucket number, then Spark's local sort.
-
-    The local sort stands in for the model-based counting sort, its correction and
-    the skipping of one-value buckets, none of which run here. The model is made monotone
-    before the scatter, since a repair within parts can't mend across parts.
+    """Two partitioning rounds by one eCDF of a 1 % sample, then model-based counting sort and correction in each bucket.
+
+    A round of ``k1`` buckets and one of ``k2`` within each by the same eCDF give
+    one number, so both are one move. Buckets whose rows are alike are left as they
+    are; the others are taken one at a time (``counting_order``). The model is
+    made monotone before the move, since no correction within a part reaches
+    across parts. Where the numeric view rounds the raw key (strings, huge
+    integers, decimals), Spark's local sort is the base case.
     """
-    key = as_key(key)
+    key = with_prefix(df, as_key(key))
     parts = config.parts or int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    x = numeric(df, key.column)
-    sample = sampling.draw_fraction(df, x, fraction, config.seed, sampling.SHARE_MOST)
-    if len(sample) < 16:
-        sample = sampling.draw(df, x, 1024, df.count(), config.seed)
-    sample = sample[np.isfinite(sample)]
-    model: Model = EcdfBucket(ecdf_model(sample, leaves), k1 * k2) if len(sample) and sample[0] < sample[-1] else LinearBucket.constant(1)
-    sizes = histogram(df, KeySpec(key.column), model, None, config.seed)
-    return finish(df, key, model, _in_output_order(sizes, model, key), parts, Trace([int(sizes.rows.max(initial=0))]))
-
-
-def counting_sort(df: DataFrame, key: str, rmi: Rmi, low: float = 0.0, high: float = 1.0) -> DataFrame:
-    """Base case of the eCDF sorter per partition: counting sort by predicted slot, then insertion repair.
-
-    Adds ``slot`` (rank by prediction) and ``place`` (rank by key) within the
-    partition and returns rows in key order; where they differ the repair moved
-    a row. ``df`` needs a double ``key`` without nulls.
+    n, m, low, high = _statistics(df, key)
+    finite = df.select(numeric(df, key).alias("x")).where(valid(F.col("x")) & (F.abs("x") < float("inf")))
+    rmi = None
+    if m and low < high:
+        few = fraction * m < 1024  # a share of a small table is no sample; it is taken whole
+        rmi = Rmi.two_level_distributed(finite if few else finite.sample(fraction, config.seed), "x", leaves)
+    model: Model = EcdfBucket(rmi, k1 * k2) if rmi else LinearBucket.constant(1)
+    sizes = histogram(df, key.plain(), model, None, config.seed)
+    kind = df.schema[key.column].dataType
+    exact = isinstance(kind, (T.DoubleType, T.FloatType, T.DateType)) or (isinstance(kind, T.IntegralType) and m and max(abs(low), abs(high)) <= 2.0**53)
+    plain = all(isinstance(df.schema[t].dataType, T.AtomicType) for t in key.ties)
+    local = (lambda moved, alike: base_cases(moved, key, rmi, k1 * k2, alike)) if rmi and exact and plain else None
+    return finish(df, key, model, _in_output_order(sizes, model, key), parts, Trace([int(sizes.rows.max(initial=0))]), seed=config.seed, local=local)
+
+
+def counting_order(x: np.ndarray, predicted: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Order of keys by predicted place, and the runs in which they are not in place yet.
+
+    The places are counted, summed up and filled in order of arrival. A run ends
+    where every key before is less than every key after; returned are the order,
+    the run of each position, and whether the run holds more than one row. Only
+    rows of such runs have to be looked at by the correction.
+    """
+    n = len(x)
+    slot = np.clip(predicted, 0, max(n - 1, 0))
+    order = np.argsort(slot, kind="stable")
+    there = x[order]
+    high, low = np.maximum.accumulate(there), np.minimum.accumulate(there[::-1])[::-1]
+    run = np.concatenate([[0], np.cumsum(high[:-1] < low[1:])]) if n else np.zeros(0, np.int64)
+    return order, run, (np.bincount(run)[run] > 1) if n else np.zeros(0, bool)
+
+
+def corrected(table: pa.Table, x: np.ndarray, predicted: np.ndarray, key: KeySpec) -> tuple[np.ndarray, np.ndarray]:
+    """Final order of a bucket's rows, and each row's place by prediction alone.
+
+    Correction touches the open runs only and sorts each by raw key and ties.
+    """
+    order, run, open_ = counting_order(x, predicted)
+    slot = np.empty(len(x), np.int64)
+    slot[order] = np.arange(len(x))
+    at = np.flatnonzero(open_)
+    if len(at):
+        rows = table.select(key.columns()).take(pa.array(order[at]))
+        names, columns = [("run", "ascending")], [pa.array(run[at])]
+        for i, (name, up) in enumerate([(key.column, key.ascending), *((t, True) for t in key.ties)]):
+            column = rows.column(name)
+            if pa.types.is_floating(column.type):
+                mask = pc.is_null(column).to_numpy()
+                column = pa.array(order_bits_np(column.fill_null(0.0).to_numpy().astype(float)), mask=mask)
+            names.append((f"c{i}", "ascending" if up else "descending"))
+            columns.append(column)
+        by = pc.sort_indices(pa.table(columns, [c for c, _ in names]), sort_keys=names, null_placement="at_start").to_numpy()
+        order[at] = order[at][by]
+    return order, slot
+
+
+def base_cases(moved: DataFrame, key: KeySpec, rmi: Rmi, buckets: int, alike: list[int]) -> DataFrame:
+    """Rows of each part in order, a bucket at a time; rows of the buckets ``alike`` pass as they come.
+
+    Spark's local sort by bucket brings a bucket's rows together. Memory is that
+    of one bucket, which cuts keep near a part's share.
+    """
+    schema = T.StructType([f for f in moved.schema.fields if f.name != BUCKET])
+    same = np.array(sorted(alike), np.int64)
+    sign = 1.0 if key.ascending else -1.0
+
+    def order_of(table: pa.Table) -> pa.Table:
+        column = table.column(key.column)
+        if column.null_count or (pa.types.is_floating(column.type) and pc.any(pc.is_nan(column)).as_py()):
+            x, predicted = np.zeros(len(table)), np.zeros(len(table), np.int64)
+        else:
+            column = column.cast(pa.int32()) if pa.types.is_date32(column.type) else column
+            x = column.to_numpy().astype(float)
+            share = rmi.predict(x) * buckets
+            within = share - np.floor(share.min()) if len(share) else share
+            spread = max(1.0, np.ceil(within.max(initial=0.0)))
+            within = within / spread if key.ascending else 1 - within / spread
+            x, predicted = sign * x, np.floor(within * len(x)).astype(np.int64)
+        return table.take(pa.array(corrected(table, x, predicted, key)[0]))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []
+        now = None
+        for batch in batches:
+            ids = batch.column(BUCKET).to_numpy()
+            edges = np.concatenate([[0], np.flatnonzero(np.diff(ids)) + 1, [len(ids)]]) if len(ids) else np.zeros(1, int)
+            rest = batch.drop_columns([BUCKET])
+            for a, b in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True):
+                if held and ids[a] != now:
+                    yield from order_of(pa.Table.from_batches(held)).combine_chunks().to_batches()
+                    held = []
+                now, piece = ids[a], rest.slice(a, b - a)
+                if now in same:
+                    yield piece
+                else:
+                    held.append(piece)
+        if held:
+            yield from order_of(pa.Table.from_batches(held)).combine_chunks().to_batches()
+
+    return moved.sortWithinPartitions(BUCKET).mapInArrow(run, schema)
+
+
+def counting_sort(df: DataFrame, key: KeySpec | str, rmi: Rmi) -> DataFrame:
+    """The eCDF sorter's base case on each partition as one bucket, with what it did.
+
+    Adds ``slot``, the place by prediction, and ``place``, the place by key; where
+    they differ the correction moved the row. Keys must be numbers without null and NaN.
     """
+    key = as_key(key)
     schema = T.StructType([*df.schema.fields, T.StructField("slot", T.LongType()), T.StructField("place", T.LongType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -273,52 +411,91 @@ def counting_sort(df: DataFrame, key: str, rmi: Rmi, low: float = 0.0, high: flo
         if not parts:
             return
         table = pa.Table.from_batches(parts)
-        x = table.column(key).to_numpy().astype(float)
-        n = len(x)
-        predicted = np.clip(((rmi.predict(x) - low) / max(high - low, 1e-300) * n).astype(np.int64), 0, max(n - 1, 0))
-        counts = np.bincount(predicted, minlength=n)
-        starts = np.cumsum(counts) - counts
-        by_slot = np.argsort(predicted, kind="stable")
-        slot = np.empty(n, np.int64)
-        slot[by_slot] = starts[predicted[by_slot]] + np.arange(n) - np.searchsorted(predicted[by_slot], predicted[by_slot])
-        repaired = by_slot[np.argsort(x[by_slot], kind="stable")]
-        out = table.take(pa.array(repaired)).append_column("slot", pa.array(slot[repaired])).append_column("place", pa.array(np.arange(n)))
+        x = table.column(key.column).to_numpy().astype(float)
+        order, slot = corrected(table, x, np.floor(rmi.predict(x) * len(x)).astype(np.int64), key)
+        out = table.take(pa.array(order)).append_column("slot", pa.array(slot[order])).append_column("place", pa.array(np.arange(len(x))))
         yield from out.combine_chunks().to_batches()
 
     return df.mapInArrow(run, schema)
 
 
-def small_radix_sort(values: np.ndarray, bits: int = 8) -> np.ndarray:
-    """Base case for small inputs: least-significant-digit radix sort on order-preserving bits."""
-    from modelsort.functions.keys import order_bits_np
-
-    coded = order_bits_np(np.asarray(values, float)) if np.asarray(values).dtype.kind == "f" else np.asarray(values, np.int64)
+def small_radix_order(values: np.ndarray, bits: int = 8) -> np.ndarray:
+    """Base case for small inputs: order by least-significant digits of the order-preserving bits."""
+    values = np.asarray(values)
+    coded = order_bits_np(values.astype(float)) if values.dtype.kind == "f" else values.astype(np.int64)
     codes = coded.view(np.uint64) ^ np.uint64(1 << 63)
     order = np.arange(len(codes))
+    differs = int(np.bitwise_or.reduce(codes ^ codes[0])) if len(codes) else 0
     for shift in range(0, 64, bits):
-        digit = (codes[order] >> np.uint64(shift)) & np.uint64((1 << bits) - 1)
-        counts = np.bincount(digit.astype(np.int64), minlength=1 << bits)
-        if counts.max(initial=0) == len(codes):
-            continue
-        order = order[np.argsort(digit, kind="stable")]
-    return np.asarray(values)[order]
-
-
-def sequential_sort(df: DataFrame, key: str, k: int = 256, base: int = 1 << 12) -> DataFrame:
-    """Sequential form of the proposed sorter in one task, recursing in numpy; for small data only."""
-
-    def order_of(x: np.ndarray, at: np.ndarray) -> list[np.ndarray]:
-        if len(at) <= base or x[at].min() == x[at].max():
-            return [at[np.argsort(x[at], kind="stable")]]
-        rng = np.random.default_rng(len(at))
-        sample = np.sort(rng.choice(x[at], min(len(at), sampling.sample_size(len(at), k))))
-        bucket = LinearBucket.fit_min_conflict(sample, k).predict(x[at])
+        if differs >> shift & ((1 << bits) - 1):
+            digit = ((codes[order] >> np.uint64(shift)) & np.uint64((1 << bits) - 1)).astype(np.uint16)
+            order = order[np.argsort(digit, kind="stable")]
+    return order
+
+
+def small_radix_sort(values: np.ndarray, bits: int = 8) -> np.ndarray:
+    return np.asarray(values)[small_radix_order(values, bits)]
+
+
+#: Fits of the sequential sorters by name; the library's has none.
+SEQUENTIAL: dict[str, Callable[[np.ndarray, int], Model] | None] = {
+    "linear": LinearBucket.fit_min_conflict,
+    "tree": lambda s, k: SplitterTree.fit(s, k, True),
+    "radix": lambda s, k: RadixBucket.fit(s[0], s[-1], 8),
+    "ecdf": lambda s, k: EcdfBucket(ecdf_model(s), 4 * k),
+    "library": None,
+}
+
+
+def sequential_order(x: np.ndarray, method: str = "linear", k: int = 256, base: int = 1 << 12) -> np.ndarray:
+    """Order of keys by a sequential sorter: partitioning by its model until buckets fit the radix base case.
+
+    Radix reads its digits off the order-preserving bits. The eCDF sorter takes
+    a 1 % sample, two rounds, and counting sort with correction as its base case.
+    """
+    fit = SEQUENTIAL[method]
+    if fit is None:
+        return np.argsort(x, kind="stable")
+    coded = order_bits_np(x).astype(float) if method == "radix" else x
+
+    def finish_(at: np.ndarray) -> np.ndarray:
+        return at[small_radix_order(x[at])]
+
+    def counted(at: np.ndarray, model: Model) -> np.ndarray:
+        share = model.ecdf.predict(x[at]) * model.k
+        order, run, open_ = counting_order(x[at], np.floor((share - np.floor(share.min())) * len(at)).astype(np.int64))
+        dirty = np.flatnonzero(open_)
+        order[dirty] = order[dirty][np.lexsort((x[at][order[dirty]], run[dirty]))]
+        return at[order]
+
+    def split(at: np.ndarray, depth: int) -> list[np.ndarray]:
+        own = coded[at]
+        if own.min() == own.max() and x[at].min() == x[at].max():
+            return [at]
+        if len(at) <= base and depth:
+            return [finish_(at)]
+        size = max(1024, len(at) // 100) if method == "ecdf" else sampling.sample_size(len(at), k)
+        picked = np.random.default_rng(len(at)).choice(own, min(len(at), size), replace=False)
+        sample = np.sort(np.append(picked, [own.min(), own.max()]) if method == "radix" else picked)
+        model = fit(sample, k)
+        bucket = model.predict(own)
         if bucket.min() == bucket.max():
-            return [at[np.argsort(x[at], kind="stable")]]
+            return [finish_(at)]
         by = np.argsort(bucket, kind="stable")
-        cuts = np.searchsorted(bucket[by], np.arange(k + 1))
-        return [o for i in range(k) if cuts[i + 1] > cuts[i] for o in order_of(x, at[by[cuts[i] : cuts[i + 1]]])]
+        cuts = np.searchsorted(bucket[by], np.arange(model.buckets + 1))
+        pieces = [at[by[a:b]] for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True) if b > a]
+        if method == "ecdf":
+            return [p if x[p].min() == x[p].max() else counted(p, model) for p in pieces]
+        return [o for p in pieces for o in split(p, depth + 1)]
 
+    return np.concatenate(split(np.arange(len(x)), 0)) if len(x) else np.zeros(0, np.int64)
+
+
+def sequential_sort(df: DataFrame, key: str, method: str = "linear", k: int = 256, base: int = 1 << 12) -> DataFrame:
+    """Sequential form of a sorter (``linear, tree, radix, ecdf, library``) in one task, for data that one task holds.
+
+    ``key`` must be a number without null and NaN. Adds ``position`` from 1.
+    """
     schema = T.StructType([*df.schema.fields, T.StructField("position", T.LongType())])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -327,8 +504,7 @@ def sequential_sort(df: DataFrame, key: str, k: int = 256, base: int = 1 << 12)
             return
         table = pa.Table.from_batches(parts)
         x = table.column(key).to_numpy().astype(float)
-        order = np.concatenate(order_of(x, np.arange(len(x)))) if len(x) else np.zeros(0, np.int64)
-        out = table.take(pa.array(order)).append_column("position", pa.array(np.arange(1, len(x) + 1)))
+        out = table.take(pa.array(sequential_order(x, method, k, base))).append_column("position", pa.array(np.arange(1, len(x) + 1)))
         yield from out.combine_chunks().to_batches()
 
     return df.coalesce(1).mapInArrow(run, schema)
@@ -336,11 +512,11 @@ def sequential_sort(df: DataFrame, key: str, k: int = 256, base: int = 1 << 12)
 
 def auto_sort(df: DataFrame, key: KeySpec | str, config: SortConfig = SortConfig()) -> SortedFrame:
     """Pick the model by what a sample shows: few rows one part, many duplicates a tree, else the line."""
-    key = as_key(key)
+    key = with_prefix(df, as_key(key))
     n, m, low, high = _statistics(df, key)
     if n <= config.base_rows:
         return linear_partition_sort(df, key, config=replace(config, parts=1))
-    sample = sampling.draw(df, numeric(df, key.column), sampling.sample_size(max(m, 2), config.k), max(m, 1), config.seed) if m else np.zeros(0)
+    sample = sampling.draw(df, numeric(df, key), sampling.sample_size(max(m, 2), config.k), max(m, 1), config.seed) if m else np.zeros(0)
     duplicates = 1 - len(np.unique(sample)) / max(len(sample), 1)
     return tree_sample_sort(df, key, config=config) if duplicates > 0.5 else linear_partition_sort(df, key, config=config)
 

@@ -2,30 +2,34 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 import numpy as np
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from modelsort.functions.keys import as_key, numeric
+from modelsort.functions.keys import KeySpec, as_key, numeric, valid
+from modelsort.functions.models import LinearBucket
 from modelsort.operators.sorters import SortedFrame
 from modelsort.plans.partitioner import BUCKET, assign
 
 
-def _until(sf: SortedFrame, m: int) -> int:
+def _until(rows: np.ndarray, m: int) -> int:
     """Last bucket that holds any of the first ``m`` rows."""
-    return int(min(len(sf.sizes.rows) - 1, np.searchsorted(np.cumsum(sf.sizes.rows), m)))
+    return int(min(len(rows) - 1, np.searchsorted(np.cumsum(rows), m)))
 
 
 def smallest(df: DataFrame, sf: SortedFrame, m: int) -> DataFrame:
     """First ``m`` rows in the order of ``sf``; only rows of its first buckets are ranked."""
-    near = assign(df, sf.key, sf.model).where(F.col(BUCKET) <= _until(sf, m)).drop(BUCKET)
+    near = assign(df, sf.key, sf.model).where(F.col(BUCKET) <= _until(sf.exact_sizes(df).rows, m)).drop(BUCKET)
     return near.orderBy(*sf.key.order()).limit(m)
 
 
 def order_statistic(df: DataFrame, sf: SortedFrame, rank: int) -> float | None:
     """The key at 0-based ``rank``: the histogram names its bucket, which alone is sorted."""
-    before = np.cumsum(sf.sizes.rows) - sf.sizes.rows
-    bucket = int(np.searchsorted(np.cumsum(sf.sizes.rows), rank, side="right"))
+    rows = sf.exact_sizes(df).rows
+    before = np.cumsum(rows) - rows
+    bucket = int(np.searchsorted(np.cumsum(rows), rank, side="right"))
     if bucket >= len(before):
         return None
     own = assign(df.select(sf.key.column), sf.key, sf.model).where(F.col(BUCKET) == bucket)
@@ -35,6 +39,7 @@ def order_statistic(df: DataFrame, sf: SortedFrame, rank: int) -> float | None:
 
 def quantile(df: DataFrame, sf: SortedFrame, q: float) -> float | None:
     """Exact discrete quantile over non-null keys: the least key at or above the share ``q``."""
+    sf.exact_sizes(df)
     nulls = int(sf.sizes.rows[0]) if sf.key.nulls_first else 0
     n = sf.sizes.n - int(sf.sizes.rows[0]) - int(sf.sizes.rows[-1])
     return order_statistic(df, sf, nulls + max(0, int(np.ceil(q * n)) - 1)) if n else None
@@ -74,3 +79,15 @@ def isin(df: DataFrame, sf: SortedFrame, values: list) -> DataFrame:
     edges = df.sparkSession.createDataFrame([(v,) for v in values], f"{sf.key.column} {df.schema[sf.key.column].dataType.simpleString()}")
     buckets = sorted({r[0] for r in assign(edges, sf.key, sf.model).select(BUCKET).collect()})
     return assign(df, sf.key, sf.model).where(F.col(BUCKET).isin(buckets)).drop(BUCKET).where(F.col(sf.key.column).isin(values))
+
+
+def clipped(df: DataFrame, key: KeySpec | str, line: LinearBucket) -> DataFrame:
+    """Rows ``below`` and ``above`` the range that a line sends to buckets of its own."""
+    x = numeric(df, key)
+    bucket = F.lit(line.slope) * x + F.lit(line.intercept)
+    return df.agg(F.count(F.when(valid(x) & (bucket < 0), 1)).alias("below"), F.count(F.when(valid(x) & (bucket >= line.k), 1)).alias("above"))
+
+
+def where_payload(sf: SortedFrame, condition: Column | str) -> SortedFrame:
+    """A sorted frame of the rows that meet a condition on any column; it reaches the scan below the shuffle."""
+    return replace(sf, df=sf.df.where(condition), parted=sf.parted.where(condition), offsets=None, sizes=replace(sf.sizes, exact=False))

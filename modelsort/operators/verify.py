@@ -2,21 +2,44 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from modelsort.functions.keys import KeySpec
 from modelsort.operators.sorters import SortedFrame
 from modelsort.plans.partitioner import PART
 
 
+def _comes_before(a: Column, b: Column, key: KeySpec) -> Column:
+    """Whether key ``a`` stands strictly before ``b`` in the order asked for."""
+    null = a.isNull() & b.isNotNull() if key.nulls_first else a.isNotNull() & b.isNull()
+    return F.when(a.isNull() | b.isNull(), null).otherwise(a < b if key.ascending else a > b)
+
+
+def _falls(sf: SortedFrame) -> DataFrame:
+    """A row a part: rows, key changes and falls of neighbours as the rows lie, its first and last key, and the last of the part before."""
+    lying = sf.df.select(PART, F.struct(F.col(sf.key.column).alias("v")).alias("k"), F.monotonically_increasing_id().alias("n"))
+    rows = lying.withColumn("b", F.lag("k").over(Window.partitionBy(PART).orderBy("n")))
+    here, last = F.col("k")["v"], F.col("b")["v"]
+    changed, fall = F.col("b").isNull() | ~here.eqNullSafe(last), F.col("b").isNotNull() & _comes_before(here, last, sf.key)
+    parts = rows.groupBy(PART).agg(F.count("*").alias("rows"), F.count(F.when(changed, 1)).alias("keys"), F.count(F.when(fall, 1)).alias("falls"), F.min_by("k", "n").alias("first"), F.max_by("k", "n").alias("last"))
+    return parts.withColumn("border", F.lag("last").over(Window.orderBy(PART)))
+
+
+def _between(sf: SortedFrame) -> Column:
+    return F.count(F.when(F.col("border").isNotNull() & _comes_before(F.col("first")["v"], F.col("border")["v"], sf.key), 1))
+
+
 def descents(sf: SortedFrame) -> DataFrame:
-    """Falls within parts and between the ends of neighbouring parts; both 0 for an ascending sort."""
-    c = sf.key.column
-    within = sf.df.withColumn("before", F.lag(c).over(Window.partitionBy(PART).orderBy(*sf.key.order())))
-    inner = within.agg(F.count(F.when(F.col(c) < F.col("before"), 1)).alias("within_parts"))
-    ends = sf.df.groupBy(PART).agg(F.min(c).alias("low"), F.max(c).alias("high"))
-    gaps = ends.withColumn("last", F.max("high").over(Window.orderBy(PART).rowsBetween(Window.unboundedPreceding, -1)))
-    return inner.crossJoin(gaps.agg(F.count(F.when(F.col("low") < F.col("last"), 1)).alias("between_parts")))
+    """Falls within parts, as the rows lie, and between the ends of neighbouring parts; both 0 for a right sort."""
+    return _falls(sf).agg(F.coalesce(F.sum("falls"), F.lit(0)).cast("long").alias("within_parts"), _between(sf).alias("between_parts"))
+
+
+def proof(sf: SortedFrame) -> DataFrame:
+    """Rows, distinct keys and falls of a sorted frame as its rows lie, in one pass."""
+    shared = F.count(F.when(F.col("border").isNotNull() & F.col("first")["v"].eqNullSafe(F.col("border")["v"]), 1))
+    total = lambda c: F.coalesce(F.sum(c), F.lit(0))
+    return _falls(sf).agg(total("rows").cast("long").alias("rows"), (total("keys") - shared).cast("long").alias("keys"), (total("falls") + _between(sf)).cast("long").alias("descents"))
 
 
 def same_bag(a: DataFrame, b: DataFrame) -> bool:

@@ -1,8 +1,8 @@
 """Intermediate results that outlive a lost executor.
 
 An intermediate is a Parquet folder below the shared folder that the cluster
-names in ``spark.checkpoint.dir``. A folder of our own is made only where that
-setting is absent, as in tests. ``release`` deletes what this process wrote.
+names in ``spark.checkpoint.dir``. A folder of our own is made only on a local
+master without that setting, as in tests. ``release`` deletes what this process wrote.
 """
 
 from __future__ import annotations
@@ -16,15 +16,21 @@ _written: list[str] = []
 
 
 def shared_root(spark: SparkSession) -> str:
-    """URI of the folder that all executors and the driver share."""
+    """URI of the folder that all executors and the driver share.
+
+    On a local master, where they are one machine, a session without the setting
+    gets a temporary folder; anywhere else its absence is an error.
+    """
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
-        existing = spark.sparkContext._jsc.sc().getCheckpointDir()
-        if existing.isDefined():
-            root = existing.get()
-        else:
-            spark.sparkContext.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="modelsort-"))
-            root = spark.sparkContext._jsc.sc().getCheckpointDir().get()
+        context = spark.sparkContext
+        existing = context._jsc.sc().getCheckpointDir()
+        if not existing.isDefined():
+            if not context.master.startswith("local"):
+                raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
+            context.setCheckpointDir("file://" + tempfile.mkdtemp(prefix="modelsort-"))
+            existing = context._jsc.sc().getCheckpointDir()
+        root = existing.get()
     return root.rstrip("/")
 
 

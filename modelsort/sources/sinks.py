@@ -2,14 +2,21 @@
 
 from __future__ import annotations
 
+import json
+from dataclasses import fields
+
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from modelsort.functions.models import LinearBucket, Model, RadixBucket, SplitterTree
+from modelsort.functions.models import Composite, EcdfBucket, LinearBucket, Model, RadixBucket, Rmi, SampleEcdf, SplitterTree, WithHeavy
 from modelsort.operators.sorters import SortedFrame
 from modelsort.plans.partitioner import PART, assign
 
 
+STORED = (EcdfBucket, LinearBucket, RadixBucket, Rmi, SampleEcdf, SplitterTree, WithHeavy)
+
+
 def write_ordered(sf: SortedFrame, path: str) -> DataFrame:
     """Write the rows in key order, a file a part, with a side table of ranges in ``path/_ranges``.
 
@@ -42,27 +49,30 @@ def write_bucketed(df: DataFrame, sf: SortedFrame, path: str) -> None:
     bucketed.repartition("__bucket").write.partitionBy("__bucket").parquet(path)
 
 
+def _pack(model: object) -> dict:
+    """A model as plain values, its inner models too."""
+    if isinstance(model, Composite):
+        return {"kind": "Composite", "root": _pack(model.root), "children": {str(b): _pack(c) for b, c in model.children.items()}}
+    values = {f.name: getattr(model, f.name) for f in fields(model)}
+    plain = lambda v: v.tolist() if isinstance(v, np.ndarray) else [plain(x) for x in v] if isinstance(v, list) else _pack(v) if isinstance(v, (Model, Rmi, SampleEcdf)) else v
+    return {"kind": type(model).__name__} | {name: plain(v) for name, v in values.items()}
+
+
+def _unpack(row: dict) -> object:
+    kind = row["kind"]
+    if kind == "Composite":
+        return Composite(_unpack(row["root"]), {int(b): _unpack(c) for b, c in row["children"].items()})
+    arrays = {"SplitterTree": ("splitters", "heavy"), "WithHeavy": ("heavy",), "SampleEcdf": ("sample",), "Rmi": ("bounds",)}.get(kind, ())
+    values = {name: np.array(v, float) if name in arrays and v is not None else _unpack(v) if isinstance(v, dict) else v for name, v in row.items() if name != "kind"}
+    if kind == "Rmi":
+        values |= {name: [np.array(x, float) for x in values[name]] for name in ("slopes", "intercepts")}
+    return {c.__name__: c for c in STORED}[kind](**values)
+
+
 def save_model(spark: SparkSession, model: Model, path: str) -> None:
-    """A model as one Parquet row."""
-    if isinstance(model, LinearBucket):
-        row = ("linear", model.k, model.slope, model.intercept, model.conflict, [])
-    elif isinstance(model, SplitterTree):
-        row = ("tree", model.buckets, 0.0, 0.0, len(model.heavy), [*model.splitters.tolist(), *model.heavy.tolist()])
-    elif isinstance(model, RadixBucket):
-        row = ("radix", model.digits, 0.0, 0.0, model.shift, [float(model.base)])
-    else:
-        raise TypeError(f"{type(model).__name__} has no row form")
-    spark.createDataFrame([row], "kind string, k int, slope double, intercept double, conflict int, splitters array<double>").coalesce(1).write.parquet(path)
+    """Any model as one Parquet row: its kind, its buckets and its values as JSON, which keeps doubles exactly."""
+    spark.createDataFrame([(type(model).__name__, int(getattr(model, "buckets", 0)), json.dumps(_pack(model)))], "kind string, k int, model string").coalesce(1).write.parquet(path)
 
 
 def load_model(spark: SparkSession, path: str) -> Model:
-    import numpy as np
-
-    row = spark.read.parquet(path).first()
-    if row["kind"] == "linear":
-        return LinearBucket(row["slope"], row["intercept"], row["k"], row["conflict"])
-    if row["kind"] == "radix":
-        return RadixBucket(int(row["splitters"][0]), row["conflict"], row["k"])
-    values = np.array(row["splitters"], float)
-    cut = len(values) - row["conflict"]
-    return SplitterTree(values[:cut], values[cut:])
+    return _unpack(json.loads(spark.read.parquet(path).first()["model"]))

@@ -5,7 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable, Iterator
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
@@ -39,18 +39,20 @@ def dedup(stream: DataFrame, columns: list[str], ts: str = "ts", late: str = "1
     return stream.withWatermark(ts, late).dropDuplicatesWithinWatermark(columns)
 
 
-def late_counter(ts: str, late_seconds: float, out: list[dict]) -> Callable[[DataFrame, int], None]:
-    """For ``foreachBatch``: rows of a batch that lie further back than ``late_seconds`` behind the latest time before it."""
-    seen: dict[str, object] = {"latest": None}
+def late_counter(ts: str, late_seconds: float, path: str) -> Callable[[DataFrame, int], None]:
+    """For ``foreachBatch``: rows of a batch that lie further back than ``late_seconds`` behind the latest time before it.
+
+    Each batch writes ``rows, late, latest`` to ``path/batch=N``; the latest time
+    is read from earlier batches there, so a restarted query carries on and a repeated batch rewrites its row.
+    """
 
     def count(batch: DataFrame, number: int) -> None:
+        spark = batch.sparkSession
         seconds = F.col(ts).cast("double")
-        latest = seen["latest"]
+        latest = spark.read.schema("rows long, late long, latest double, batch long").parquet(path).where(F.col("batch") < number).agg(F.max("latest")).first()[0] if number else None
         behind = F.count(F.when(seconds < F.lit(latest) - F.lit(float(late_seconds)), 1)) if latest is not None else F.lit(0)
-        rows, most, late = batch.agg(F.count("*"), F.max(seconds), behind).first()
-        out.append({"batch": number, "rows": rows, "late": late})
-        if most is not None:
-            seen["latest"] = most if latest is None else max(most, latest)
+        found = batch.agg(F.count("*").alias("rows"), behind.cast("long").alias("late"), F.max(seconds).alias("latest"))
+        found.coalesce(1).write.mode("overwrite").parquet(f"{path}/batch={number}")
 
     return count
 
@@ -121,6 +123,18 @@ def interval_join(left: DataFrame, right: DataFrame, by: str, left_ts: str, righ
     return l.join(r, near).drop("__by")
 
 
+def asof_static(stream: DataFrame, static: DataFrame, stream_ts: str, static_ts: str, by: str, columns: tuple[str, ...] = ()) -> DataFrame:
+    """Stream rows with ``columns`` of the last static row of equal ``by`` at or before them; no match gives nulls.
+
+    The static rows become intervals to the next one of their group, so the join is
+    stateless: an equi-join with a range condition. Of static rows at one time the last by ``columns`` counts.
+    """
+    ahead = Window.partitionBy("__by").orderBy(static_ts, *columns)
+    spans = static.select(F.col(by).alias("__by"), F.col(static_ts), *columns).withColumn("__until", F.lead(static_ts).over(ahead))
+    near = (F.col(by) == F.col("__by")) & (F.col(static_ts) <= F.col(stream_ts)) & (F.col("__until").isNull() | (F.col(stream_ts) < F.col("__until")))
+    return stream.join(spans, near, "left").drop("__by", "__until")
+
+
 def run_to_table(query_frame: DataFrame, name: str, mode: str = "append") -> DataFrame:
     """Run a stream over what is there now into a memory table and return it."""
     stream = query_frame.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()

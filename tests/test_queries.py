@@ -26,10 +26,7 @@ def rows(frame):
     return sorted((tuple(clean(v) for v in r) for r in frame[sorted(frame.columns)].itertuples(index=False)), key=str)
 
 
-FAST = [n for n in catalog.oracle_sql() if not n.startswith("stream_") or n == "stream_bucket_counts_tumbling"]
-
-
-@pytest.mark.parametrize("name", FAST)
+@pytest.mark.parametrize("name", catalog.oracle_sql())
 def test_query_equals_sql(spark, duck, name):
     found = catalog.queries()[name](spark, DATA).toPandas()
     wanted = duck.execute(catalog.oracle_sql()[name]).df()

@@ -8,7 +8,7 @@ import pytest
 
 from modelsort import catalog
 from modelsort.functions import sampling
-from modelsort.functions.models import LinearBucket, Rmi, SplitterTree
+from modelsort.functions.models import LinearBucket, SplitterTree
 from modelsort.functions.models.linear import lsq_distributed, min_max_distributed
 from modelsort.operators import joins
 
@@ -27,27 +27,27 @@ def duck():
 def test_merge_join_queries_take_all_rows(spark, duck, how):
     wanted = {"left_semi": "SELECT count(*) FROM orders WHERE o_orderkey IN (SELECT l_orderkey FROM lineitem)", "left_anti": "SELECT count(*) FROM orders WHERE o_orderkey NOT IN (SELECT l_orderkey FROM lineitem)"}
     sql = wanted.get(how, f"SELECT count(*) FROM orders {how} JOIN lineitem ON o_orderkey = l_orderkey")
-    assert catalog.queries()[f"model_merge_join_{how}_whole"](spark, DATA).count() == duck.execute(sql).fetchone()[0]
+    assert catalog.queries()[f"model_merge_join_{how}"](spark, DATA).count() == duck.execute(sql).fetchone()[0]
 
 
-@pytest.mark.parametrize("name", ["salted_join_whole", "hash_join_whole"])
+@pytest.mark.parametrize("name", ["salted_join", "hash_join"])
 def test_other_joins_take_all_rows(spark, duck, name):
     assert catalog.queries()[name](spark, DATA).count() == duck.execute("SELECT count(*) FROM orders JOIN lineitem ON o_orderkey = l_orderkey").fetchone()[0]
 
 
-@pytest.mark.parametrize("name", ["rmi_lookup_whole", "binary_search_lookup_whole"])
+@pytest.mark.parametrize("name", ["rmi_lookup", "binary_search_lookup"])
 def test_lookups_ask_for_all_keys(spark, duck, name):
     assert catalog.queries()[name](spark, DATA).count() == duck.execute("SELECT count(*) FROM customer").fetchone()[0]
 
 
-@pytest.mark.parametrize("name", ["asof_join_backward_whole", "asof_join_by_user_whole", "asof_join_forward_tolerance_whole"])
+@pytest.mark.parametrize("name", ["asof_join_backward", "asof_join_by_user", "asof_join_forward_tolerance"])
 def test_asof_joins_take_all_rows(spark, duck, name):
     found = catalog.queries()[name](spark, DATA)
     assert {r["event_id"] for r in found.collect()} == {r[0] for r in duck.execute("SELECT event_id FROM events").fetchall()}
 
 
 def test_stream_interval_join_takes_all_pairs(spark, duck):
-    found = {tuple(r) for r in catalog.queries()["stream_interval_join_whole"](spark, DATA).select("event_id", "other").collect()}
+    found = {tuple(r) for r in catalog.queries()["stream_interval_join"](spark, DATA).select("event_id", "other").collect()}
     ev = duck.execute("SELECT event_id, user_id, epoch(ts) FROM events").fetchall()
     assert found == {(a, b) for a, u, t in ev for b, v, s in ev if u == v and t - 3600 <= s <= t}
 
@@ -72,7 +72,7 @@ def test_unmatched_rows_of_merge_joins(spark, how):
 
 def test_theta_join_takes_all_suppliers(spark):
     data = "/root/testdata/sf0.01"  # the smallest size with more than 20 suppliers
-    found = catalog.queries()["theta_join_whole"](spark, data).groupBy("s_suppkey").count()
+    found = catalog.queries()["theta_join"](spark, data).groupBy("s_suppkey").count()
     wanted = duckdb.execute(f"SELECT s_suppkey, count(*) FROM '{data}/customer.parquet' JOIN '{data}/supplier.parquet' ON c_acctbal < s_acctbal GROUP BY 1").fetchall()
     assert {tuple(r) for r in found.collect()} == set(wanted) and len(wanted) > 20
 
@@ -96,14 +96,14 @@ def least_conflict(keys, k):
             return d, 1 / width, 1 - keys[d] / width
 
 
-def test_distributed_fits_take_the_whole_column(spark, duck):
+def test_distributed_fits_take_the_column(spark, duck):
     keys = np.array(duck.execute("SELECT value FROM events ORDER BY value").fetchnumpy()["value"])
-    row = catalog.queries()["min_conflict_fit_distributed_whole"](spark, DATA).first()
+    row = catalog.queries()["min_conflict_fit_value"](spark, DATA).first()
     assert tuple(row) == pytest.approx(least_conflict(keys, 256))
-    row = catalog.queries()["lsq_fit_value_whole"](spark, DATA).first()
+    row = catalog.queries()["lsq_fit_value"](spark, DATA).first()
     line = LinearBucket.fit_lsq(keys, 256)
     assert tuple(row) == pytest.approx((line.slope, line.intercept), abs=1e-6)
-    row = catalog.queries()["minmax_fit_value_whole"](spark, DATA).first()
+    row = catalog.queries()["minmax_fit_value"](spark, DATA).first()
     assert tuple(row) == pytest.approx((256 / (keys[-1] - keys[0]), -256 / (keys[-1] - keys[0]) * keys[0]))
 
 
@@ -118,7 +118,7 @@ def test_fits_take_the_sample_of_the_sorters(spark, t, x):
     sample = catalog.drawn(spark, DATA, t, x)
     n = spark.read.parquet(f"{DATA}/{t}.parquet").count()
     assert 0.8 * min(n, sampling.sample_size(n, 256)) < len(sample) <= sampling.sample_size(n, 256)
-    row = catalog.queries()[f"min_conflict_fit_{x}_whole"](spark, DATA).first()
+    row = catalog.queries()[f"min_conflict_fit_{x}_sampled"](spark, DATA).first()
     line = LinearBucket.fit_min_conflict(sample, 256)
     assert tuple(row) == pytest.approx((line.conflict, line.slope, line.intercept))
     assert row["conflict"] == least_conflict(sample, 256)[0]
@@ -129,8 +129,6 @@ def test_sampled_models_are_fitted_on_random_keys(spark):
     query = lambda name: [tuple(r) for r in catalog.queries()[name](spark, DATA).collect()]
     line = LinearBucket.fit_balanced(sample, 256)
     assert query("balanced_fit_value") == [(line.slope, line.intercept)]
-    assert query("splitters_value_whole") == [(x,) for x in SplitterTree.fit(catalog.drawn(spark, DATA, k=16), 16).splitters]
-    slopes = Rmi.two_level(sample, 8).slopes[1]
-    assert all(slope == pytest.approx(slopes[leaf], abs=1e-6) for leaf, slope in query("rmi_lines_value_whole"))
+    assert query("splitters_value_sampled") == [(x,) for x in SplitterTree.fit(catalog.drawn(spark, DATA, k=16), 16).splitters]
     assert sum(r[1] for r in query("bucket_histogram_rmi")) == 1000 and query("monotone_repair") == [(0,)]
     assert len(query("rmi_tuning")) > 0
