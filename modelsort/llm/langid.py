@@ -24,8 +24,6 @@ from modelsort.llm.samples import least_hashes
 ORDER = 4
 #: Training texts per language, those of least hash: the documented bound of the sample.
 TRAIN_TEXTS = 1_000
-#: Longest training text in bytes; longer ones aren't chosen for training.
-TRAIN_BYTES = 200_000
 UNDETERMINED = "und"
 PAD = 10
 
@@ -174,7 +172,7 @@ def train(docs: DataFrame, lang_col: str = "lang", text_col: str = "text", order
     Rows without language or text teach nothing; no rows at all give trees
     without languages, which predict ``und``.
     """
-    rows = docs.select(F.col(lang_col).cast("string").alias("lang"), F.col(text_col).cast("string").alias("text")).where(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.octet_length("text").between(1, TRAIN_BYTES))
+    rows = docs.select(F.col(lang_col).cast("string").alias("lang"), F.col(text_col).cast("string").alias("text")).where(F.col("lang").isNotNull() & F.col("text").isNotNull() & (F.col("text") != ""))
     sample = least_hashes(rows.withColumn("h", F.xxhash64("text")), "h", texts, "lang")
 
     def count(table: pa.Table) -> pa.Table:

@@ -39,14 +39,23 @@ def fold_of(id_col: str, parts: int) -> Column:
     return F.pmod(F.crc32(F.col(id_col).cast("string").cast("binary")), F.lit(parts))
 
 
-def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, n: int, most_bytes: int, id_col: str = "doc_id", text_col: str = "text", parts: int = 5) -> DataFrame:
-    """Columns ``text, label`` of at most ``n`` labelled documents outside fold 0.
+def labelled_sample(docs: DataFrame, labels: DataFrame, label: str, n: int, id_col: str = "doc_id", text_col: str = "text", parts: int = 5) -> DataFrame:
+    """Columns ``text, label, fold`` of at most ``n`` labelled documents outside fold 0.
 
     The ids of least hash are taken from the labels and sent to every task (``n``
     longs), so no text is shuffled. An id with both labels counts as 1, null
-    labels and ids teach nothing, texts over ``most_bytes`` aren't chosen.
+    labels and ids teach nothing, a null text is empty. Other columns are not
+    read; no labels or documents give no rows.
     """
-    known = labels.select(F.col(id_col).cast("long").alias("__id"), F.col(label).cast("int").alias("label")).where("__id is not null and label is not null").where(fold_of("__id", parts) != 0)
+    known = labels.select(F.col("doc_id").cast("long").alias("__id"), F.col(label).cast("int").alias("label")).where("__id is not null and label is not null").where(fold_of("__id", parts) != 0)
     chosen = known.groupBy("__id").agg(F.max("label").alias("label")).orderBy(F.xxhash64("__id"), "__id").limit(n)
-    texts = docs.select(F.col(id_col).cast("long").alias("__id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text")).where(F.octet_length("text") <= most_bytes)
-    return texts.join(F.broadcast(chosen), "__id").select("text", "label")
+    texts = docs.select(F.col(id_col).cast("long").alias("__id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).alias("text"))
+    return texts.join(F.broadcast(chosen), "__id").select("text", "label", fold_of("__id", parts).cast("int").alias("fold"))
+
+
+def free_name(df: DataFrame, name: str) -> str:
+    """``name``, with underscores before it until no column of ``df`` has it in any case."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name = f"_{name}"
+    return name

@@ -22,6 +22,7 @@ from pyspark.sql import functions as F
 
 from modelsort.llm.bytetext import blocks, row_sums, utf8_view
 from modelsort.llm.components import connected_components
+from modelsort.llm.samples import free_name
 from modelsort.plans.durable import materialize
 
 SEED = 42
@@ -118,6 +119,11 @@ class VantageTree:
 
     def within(self, queries: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
         """All (query index, print index) with a Hamming distance of ``radius`` or less."""
+        parts = list(self.near(queries, radius)) or [(np.zeros(0, np.int64), np.zeros(0, np.int64))]
+        return tuple(np.concatenate(x) for x in zip(*parts, strict=True))
+
+    def near(self, queries: np.ndarray, radius: int, most: int = 1 << 21) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """The same in pieces of about ``most`` candidates, so that dense groups need no more memory."""
         q = np.arange(len(queries)) if len(self.prints) else np.zeros(0, np.int64)
         node, left = np.zeros(len(q), np.int64), np.full(len(q), radius)
         for mask, (points, child) in zip(self.masks, self.levels, strict=True):
@@ -131,10 +137,16 @@ class VantageTree:
                 parts.append((q[ok], to, left[ok] - abs(step)))
             q, node, left = (np.concatenate(x) for x in zip(*parts, strict=True))
         sizes = self.starts[node + 1] - self.starts[node]
-        at = np.repeat(self.starts[node] - (np.cumsum(sizes) - sizes), sizes) + np.arange(sizes.sum())
-        q, x = np.repeat(q, sizes), self.order[at]
-        near = np.bitwise_count(queries[q] ^ self.prints[x]) <= radius
-        return q[near], x[near]
+        ends = np.cumsum(sizes)
+        first = 0
+        while first < len(q):
+            last = max(first + 1, int(np.searchsorted(ends, (ends[first - 1] if first else 0) + most, side="right")))
+            own = sizes[first:last]
+            at = np.repeat(self.starts[node[first:last]] - (np.cumsum(own) - own), own) + np.arange(own.sum())
+            who, x = np.repeat(q[first:last], own), self.order[at]
+            near = np.bitwise_count(queries[who] ^ self.prints[x]) <= radius
+            yield who[near], x[near]
+            first = last
 
 
 def _union(labels: np.ndarray, a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -161,8 +173,8 @@ def _link_shard(shard: pa.Table, radius: int, block: int = 4096) -> pa.Table:
     if len(own):
         tree = VantageTree(prints[own])
         for start in range(0, len(prints), block):
-            q, x = tree.within(prints[start : start + block], radius)
-            labels = _union(labels, q + start, own[x])
+            for q, x in tree.near(prints[start : start + block], radius):
+                labels = _union(labels, q + start, own[x])
     moved = np.flatnonzero(labels != np.arange(len(labels)))
     return pa.table({"u": nodes[moved], "v": nodes[labels[moved]]}, schema=pa.schema([("u", pa.int64()), ("v", pa.int64())]))
 
@@ -209,35 +221,50 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     ``node`` is the least id with the same fingerprint, ``component_id`` the
     least id reachable through links of ``radius`` bits or fewer. Null, empty
     and blank texts have fingerprint zero and are linked like any other. Ids
-    must be whole numbers; a null id gets the component of its fingerprint, and
-    null if no document with an id shares it. Repeated rows each keep a row. An
-    empty table gives none. Other columns are not read.
+    must be whole numbers; documents without an id link others all the same, and
+    get null where no document of their component has one. Repeated rows each
+    keep a row. An empty table gives none. Other columns are not read.
     """
     prints = materialize(docs.select(F.col(id_col).cast("long").alias("doc_id"), fingerprint(F.col(text_col), size).alias("print")), "prints")
     classes = prints.groupBy("print").agg(F.min("doc_id").alias("node"))
-    linked = connected_components(link_classes(classes.where("node is not null"), radius), "simhash-links")
-    resolved = classes.join(linked, "node", "left").select("print", "node", F.coalesce("component", "node").alias("component_id"))
+    grouped = materialize(_grouped(classes, radius), "simhash-groups")
+    least = grouped.groupBy("group").agg(F.min("node").alias("component_id"))
+    resolved = grouped.join(least, "group").select("print", "node", "component_id")
     return prints.join(resolved, "print").select("doc_id", "print", "node", "component_id")
 
 
+def _grouped(classes: DataFrame, radius: int) -> DataFrame:
+    """Classes with their ``group``, the least fingerprint that links reach; a fingerprint is its own node, ids play no part."""
+    linked = connected_components(link_classes(classes.select("print", F.col("print").alias("node")), radius), "simhash-links")
+    return classes.join(linked.withColumnRenamed("node", "print"), "print", "left").withColumn("group", F.coalesce("component", "print")).drop("component")
+
+
 def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", radius: int = RADIUS) -> DataFrame:
     """Documents with one kept per group: the one of least id, and of its repeats one.
 
-    An id with several fingerprints is a document for each of them. Documents
-    without an id can't be told apart and all stay. Columns are unchanged.
+    An id with texts of several fingerprints is a document for each of them, so a
+    text that is near no other is never lost to one that shares its id. Null,
+    empty and blank texts form one group. Documents without an id can't be told
+    apart and all stay. Columns are unchanged, whatever their names; an empty
+    table stays empty.
     """
-    own = docs.withColumn("__keep", F.col(id_col).cast("long"))
-    prints = materialize(own.where("__keep is not null").select(F.col("__keep").alias("doc_id"), fingerprint(F.col(text_col)).alias("print")), "prints")
+    names = {n: free_name(docs, f"__{n}") for n in ("keep", "lead", "several", "print")}
+    keep, lead, several, mark = names.values()
+    own = docs.withColumn(keep, F.col(id_col).cast("long"))
+    prints = materialize(own.where(F.col(keep).isNotNull()).select(F.col(keep).alias("doc_id"), fingerprint(F.col(text_col)).alias("print")), "prints")
     classes = prints.groupBy("print").agg(F.min("doc_id").alias("least"))
-    linked = connected_components(link_classes(classes.select("print", F.col("print").alias("node")), radius), "simhash-groups")
-    grouped = classes.join(linked.withColumnRenamed("node", "print"), "print", "left").withColumn("group", F.coalesce("component", "print"))
-    leads = grouped.groupBy("group").agg(F.min(F.struct("least", "print")).alias("lead")).select(F.col("lead")["least"].alias("doc_id"), F.col("lead")["print"].alias("__lead"))
-    texts = prints.groupBy("doc_id").agg((F.min("print") != F.max("print")).alias("__several"))
-    kept = own.join(leads.join(texts, "doc_id").withColumnRenamed("doc_id", "__keep"), "__keep")
+    leads = _grouped(classes, radius).groupBy("group").agg(F.min(F.struct("least", "print")).alias("lead")).select(F.col("lead")["least"].alias(keep), F.col("lead")["print"].alias(lead))
+    texts = prints.groupBy(F.col("doc_id").alias(keep)).agg((F.min("print") != F.max("print")).alias(several))
+    kept = own.join(leads.join(texts, keep), keep)
     # Only texts whose id has several fingerprints are read again.
-    kept = kept.withColumn("__print", fingerprint(F.when(F.col("__several"), F.col(text_col)))).where("not __several or __print = __lead")
-    repeats = keep_one(kept, "__keep", "__lead").select(*docs.columns)
-    return repeats.unionByName(own.where("__keep is null").select(*docs.columns))
+    kept = kept.withColumn(mark, fingerprint(F.when(F.col(several), F.col(text_col)))).where(~F.col(several) | (F.col(mark) == F.col(lead)))
+    repeats = keep_one(kept, keep, lead).select(*quoted(docs))
+    return repeats.unionByName(own.where(F.col(keep).isNull()).select(*quoted(docs)))
+
+
+def quoted(df: DataFrame) -> list[str]:
+    """Column names as they can be selected whatever they hold."""
+    return [f"`{c.replace('`', '``')}`" for c in df.columns]
 
 
 def keep_one(df: DataFrame, *key: str) -> DataFrame:

@@ -5,6 +5,7 @@ import random
 import numpy as np
 import pytest
 import xxhash
+from pyspark.sql import functions as F
 
 from modelsort.llm import catalog, components, decontaminate, simhash
 
@@ -92,6 +93,30 @@ def test_nulls_repeats_and_empty_tables(spark):
     assert simhash.near_duplicates(spark.createDataFrame([], DOCS)).count() == 0
 
 
+def test_documents_without_id_link_others(spark, monkeypatch):
+    prints = {"a": 0, "b": 7, "c": 63, "far": 2**40 - 1}
+    monkeypatch.setattr(simhash, "fingerprint", lambda text, size=3: F.element_at(F.create_map(*(x for k, v in prints.items() for x in (F.lit(k), F.lit(v).cast("long")))), text))
+    df = spark.createDataFrame([(1, "a", ""), (None, "b", ""), (2, "c", ""), (None, "far", "")], DOCS)
+    found = sorted((str(r["doc_id"]), str(r["component_id"])) for r in simhash.near_duplicates(df).collect())
+    assert found == [("1", "1"), ("2", "1"), ("None", "1"), ("None", "None")]
+
+
+def test_dedup_keeps_unlike_texts_of_one_id_and_clashing_columns(spark):
+    rng = random.Random(2)
+    a, b = (" ".join(f"{c}{rng.randrange(10**6)}" for _ in range(200)) for c in "ab")
+    rows = [(5, a, 1, 2, 3), (5, b, 4, 5, 6), (3, a, 7, 8, 9), (8, "", 0, 0, 0), (9, None, 1, 1, 1)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, __keep int, `__lead` int, `a.b` int")
+    kept = simhash.deduplicate(df)
+    assert kept.columns == df.columns
+    assert {tuple(r) for r in kept.collect()} == {rows[1], rows[2], rows[3]}
+
+
+def test_near_copies_in_pieces():
+    prints = np.arange(256, dtype=np.uint64)
+    pieces = list(simhash.VantageTree(prints).near(prints, 8, most=100))
+    assert len(pieces) > 100 and sum(len(q) for q, _ in pieces) == 256 * 256
+
+
 def test_components_of_paths_and_stars(spark):
     chain = [(i, i + 1) for i in range(100, 140)]
     star = [(7, i) for i in range(8, 60)]

@@ -3,6 +3,7 @@
 import itertools
 import math
 import zlib
+from fractions import Fraction
 
 import numpy as np
 import pyarrow as pa
@@ -222,11 +223,11 @@ def test_mixing_splits_at_any_white_space(spark):
 
 
 def brute_top(rows, k):
-    ints = {i: [math.floor(256 * float(x)) for x in v] for i, v in rows if i is not None and v is not None and all(x is not None and math.isfinite(x) and abs(x) <= balltree.MOST for x in v)}
+    ints = {i: [math.floor(256 * Fraction(float(x))) for x in v] for i, v in rows if i is not None and v is not None and all(x is not None and math.isfinite(x) for x in v)}
     out = set()
     for q in ints:
         if q % 50 == 0:
-            scored = sorted((-sum(a * b for a, b in zip(ints[q], ints[c], strict=True)), c) for c in ints if c != q and len(ints[c]) == len(ints[q]))
+            scored = sorted((-min(balltree.HIGHEST, max(balltree.LOWEST, sum(a * b for a, b in zip(ints[q], ints[c], strict=True)))), c) for c in ints if c != q and len(ints[c]) == len(ints[q]))
             out |= {(q, n + 1, c, -s) for n, (s, c) in enumerate(scored[:k])}
     return out
 
@@ -240,6 +241,11 @@ def test_search_equals_brute_force(spark):
     for blocks in (balltree.BLOCK_QUERIES, 5):
         found = balltree.top_inner_products(df, F.col("vec_id") % 50 == 0, shard_rows=128, block_queries=blocks)
         assert {tuple(r) for r in found.collect()} == brute_top(rows, 5)
+    wide = [(i, (rng.normal(size=4) * 10.0 ** rng.integers(-3, 12)).tolist()) for i in range(400)]
+    wide += [(0, [1.0, 2.0, 0.0, 0.0]), (501, [3e6, 1.0, 0.0, 0.0]), (502, [1.0, 1.0, 0.0, 0.0]), (550, [1e200, -1e200, 1e-9, 0.0]), (551, [1.7e308, 1.0, 2.0, 3.0]), (600, [-3e6, 1e17, 5.0, 1e9])]
+    wide = list({i: (i, v) for i, v in wide}.values())
+    found = balltree.top_inner_products(spark.createDataFrame(wide, "vec_id long, embedding array<double>").repartition(3), F.col("vec_id") % 50 == 0, shard_rows=100)
+    assert {tuple(r) for r in found.collect()} == brute_top(wide, 5)
     assert balltree.top_inner_products(df.limit(0), F.col("vec_id") % 50 == 0).count() == 0
 
 
