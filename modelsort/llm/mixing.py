@@ -1,13 +1,16 @@
 """Mixing to target weights by soft membership, in DataFrame functions only.
 
-A naive Bayes classifier over words, learned from a labelled table, gives every
-document a posterior over domains. Rates then start at 1 and are fitted so that
-the expected tokens of each domain, the sum of rate x tokens x posterior, meet
-their targets: projected gradient steps on the squared miss, scaled by the Gram
-matrix of the documents that still have a positive rate, with the projection on
-rates of 0 or more applied to the running sum of steps. A rate therefore depends
-on its posterior and one vector of a number per domain, so a step is one
-aggregate over the documents and leaves no state behind.
+A naive Bayes classifier over hashed words, learned from a labelled table, gives
+every document a posterior over domains. Every document then has a rate, 1 to
+begin with, and rates are fitted so that the expected tokens of each domain, the
+sum of rate x tokens x posterior, meet their targets: projected gradient descent
+on half the squared miss over rates of 0 or more. A step moves each rate along its own
+gradient, its tokens times the posterior-weighted miss, and clips it at 0. Domains
+are scaled by the Gram matrix of the documents whose rates can follow the gradient
+(those above 0 or drawn upwards); plain steps of several lengths are tried along
+with it. One aggregate gives that matrix, another the outcome of all trials, and
+the best is taken. Rates are written every few steps and carried as an expression
+in between.
 """
 
 from __future__ import annotations
@@ -21,15 +24,21 @@ from pyspark.sql import functions as F
 
 from modelsort.plans.durable import materialize
 
-#: Labelled documents that the classifier learns from at most, and the words it keeps.
+#: Labelled documents that the classifier learns from at most.
 TRAIN_DOCS = 10_000
-VOCABULARY = 20_000
+#: Words are hashed to so many numbers, which bounds the table of likelihoods that tasks get.
+BUCKETS = 1 << 17
 SMOOTHING = 0.5
 SPACE = r"[ \t\n\x0B\f\r]+"
-#: Words that a posterior counts as independent at most; longer texts get no surer than that.
-SURE_WORDS = 200
+#: A fit that hasn't come to rest after so many steps says so.
 MOST_STEPS = 40
 TOLERANCE = 1e-9
+#: A step that gains no larger share of the objective is the last.
+STALLED = 1e-10
+#: Steps that a rate is carried as an expression before it is written.
+WRITE_EVERY = 4
+#: Lengths tried of the scaled step, and of the plain one in units of the length that is safe for any rates.
+SCALED, PLAIN = (1.0, 0.5, 0.2, 0.05, 0.01), (1.0, 10.0, 100.0, 1000.0)
 
 
 def words(text: Column) -> Column:
@@ -39,31 +48,34 @@ def words(text: Column) -> Column:
 
 @dataclass
 class Domains:
-    """Domain names, their log priors, the default per word and the words' log likelihoods (a bounded frame)."""
+    """Domain names, their log priors, and log likelihoods by hashed word, at most ``BUCKETS`` rows."""
 
     names: list[str]
     priors: list[float]
     likelihoods: DataFrame
 
 
-def learn_domains(docs: DataFrame, labelled: DataFrame, n: int = TRAIN_DOCS, vocabulary: int = VOCABULARY, id_col: str = "doc_id", text_col: str = "text") -> Domains:
+def _bucket(word: Column) -> Column:
+    return F.pmod(F.xxhash64(word), F.lit(BUCKETS)).cast("int")
+
+
+def learn_domains(docs: DataFrame, labelled: DataFrame, n: int = TRAIN_DOCS, id_col: str = "doc_id", text_col: str = "text") -> Domains:
     """Classifier of ``labelled`` (columns ``doc_id, domain``) from the texts of at most ``n`` ids, those of least hash.
 
     Null ids, domains and texts teach nothing; an id with several domains counts
-    as the least. Fewer than one domain gives a classifier that is always unsure.
+    as the least; repeated rows teach again. Fewer than one domain gives a classifier that is always unsure.
     """
     known = labelled.select(F.col("doc_id").cast("long").alias("__id"), F.col("domain").cast("string").alias("domain")).where("__id is not null and domain is not null")
     chosen = known.groupBy("__id").agg(F.min("domain").alias("domain")).orderBy(F.xxhash64("__id"), "__id").limit(n)
     sample = docs.select(F.col(id_col).cast("long").alias("__id"), F.col(text_col).cast("string").alias("text")).where("text is not null").join(F.broadcast(chosen), "__id")
-    counts = materialize(sample.select("domain", F.explode(words(F.col("text"))).alias("word")).groupBy("domain", "word").count(), "domain-words")
-    sizes = {r["domain"]: (r["words"], r["kinds"]) for r in counts.groupBy("domain").agg(F.sum("count").alias("words"), F.count("*").alias("kinds")).collect()}  # a row a domain
+    counts = materialize(sample.select("domain", F.explode(words(F.col("text"))).alias("word")).groupBy("domain", _bucket(F.col("word")).alias("word")).count(), "domain-words")
+    sizes = {r["domain"]: r["words"] for r in counts.groupBy("domain").agg(F.sum("count").alias("words")).collect()}  # a row a domain
     names = sorted(sizes)
-    total = sum(w for w, _ in sizes.values())
-    kept = counts.groupBy("word").agg(F.sum("count").alias("n"), *(F.sum(F.when(F.col("domain") == name, F.col("count")).otherwise(0)).alias(f"n{j}") for j, name in enumerate(names)))
-    top = kept.orderBy(F.desc("n"), "word").limit(vocabulary)
-    likelihood = lambda j, name: F.log((F.col(f"n{j}") + SMOOTHING) / (sizes[name][0] + SMOOTHING * vocabulary))
-    frame = materialize(top.select("word", *(likelihood(j, name).alias(f"l{j}") for j, name in enumerate(names))), "domain-likelihoods")
-    priors = [float(np.log(sizes[name][0] / total)) for name in names]
+    total = sum(sizes.values())
+    table = counts.groupBy("word").agg(F.sum("count").alias("n"), *(F.sum(F.when(F.col("domain") == name, F.col("count")).otherwise(0)).alias(f"n{j}") for j, name in enumerate(names)))
+    likelihood = lambda j, name: F.log((F.col(f"n{j}") + SMOOTHING) / (sizes[name] + SMOOTHING * BUCKETS))
+    frame = materialize(table.select("word", *(likelihood(j, name).alias(f"l{j}") for j, name in enumerate(names))), "domain-likelihoods")
+    priors = [float(np.log(sizes[name] / total)) for name in names]
     return Domains(names, priors, frame)
 
 
@@ -71,79 +83,84 @@ def memberships(docs: DataFrame, domains: Domains, id_col: str = "doc_id", text_
     """Columns ``doc_id, tokens, p`` of each id: whole-text words and the posterior array, in the order of names.
 
     Null, empty and blank texts have no tokens and the prior as posterior. Rows that
-    repeat an id count together, rows without id too. An empty table gives none.
+    repeat an id count together; rows without id are taken together by their text.
+    An empty table gives none. Words that no labelled text hashes to tell nothing.
     """
     text = F.when(F.length(text_col) > 0, F.col(text_col).cast("string"))
-    each = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.explode_outer(words(text)).alias("word"))
+    nameless = F.when(F.col(id_col).isNull(), F.xxhash64(text))  # keeps rows without id out of one group
+    each = docs.select(F.col(id_col).cast("long").alias("doc_id"), nameless.alias("__text"), F.explode_outer(words(text)).alias("__word")).withColumn("word", _bucket(F.col("__word")))
     rated = each.join(F.broadcast(domains.likelihoods), "word", "left")
     names = range(len(domains.names))
-    sums = rated.groupBy("doc_id").agg(F.count("word").alias("tokens"), F.count("l0" if domains.names else "word").alias("known"), *(F.coalesce(F.sum(f"l{j}"), F.lit(0.0)).alias(f"s{j}") for j in names))
-    soft = F.lit(float(SURE_WORDS)) / F.greatest(F.lit(float(SURE_WORDS)), F.col("known").cast("double"))
-    logits = F.array(*(F.lit(domains.priors[j]) + F.col(f"s{j}") * soft for j in names)) if domains.names else F.array().cast("array<double>")
+    sums = rated.groupBy("doc_id", "__text").agg(F.count("__word").alias("tokens"), *(F.coalesce(F.sum(f"l{j}"), F.lit(0.0)).alias(f"s{j}") for j in names))
+    logits = F.array(*(F.lit(domains.priors[j]) + F.col(f"s{j}") for j in names)) if domains.names else F.array().cast("array<double>")
     odds = F.transform("logits", lambda x: F.exp(x - F.array_max("logits")))
     total = F.aggregate("odds", F.lit(0.0), lambda a, x: a + x)
     return sums.withColumn("logits", logits).withColumn("odds", odds).select("doc_id", "tokens", F.transform("odds", lambda x: x / total).alias("p"))
 
 
-def rate_of(p: Column, pull: list[float]) -> Column:
-    """Rate of a posterior under the summed steps ``pull``: 1 less their product, at least 0."""
-    product = sum((p[j] * F.lit(float(v)) for j, v in enumerate(pull)), F.lit(0.0))
-    return F.greatest(F.lit(0.0), F.lit(1.0) - product)
-
-
 @dataclass
 class Fit:
-    """The fitted vector, the targets and totals by domain, and the miss after each step."""
+    """Targets and fitted totals by domain, half the squared miss after each step, and whether the fit met its tolerance."""
 
-    pull: list[float]
     targets: list[float]
     totals: list[float]
-    misses: list[float]
+    objectives: list[float]
+    converged: bool
 
 
-def fit_rates(members: DataFrame, names: list[str], weights: Mapping[str, float] | None = None, budget: float | None = None) -> Fit:
-    """Fit rates to token targets ``weights[name] * budget``; by default equal weights and all tokens.
+def _stepped(rate: Column, direction: np.ndarray) -> Column:
+    """A rate after a step: less its tokens times the posterior-weighted direction, at least 0."""
+    product = sum((F.col("p")[j] * F.lit(float(v)) for j, v in enumerate(direction)), F.lit(0.0))
+    return F.greatest(F.lit(0.0), rate - F.col("tokens") * product)
+
+
+def fit_rates(members: DataFrame, names: list[str], weights: Mapping[str, float] | None = None, budget: float | None = None, tolerance: float = TOLERANCE) -> tuple[DataFrame, Fit]:
+    """``members`` with the fitted ``rate``, for token targets ``weights[name] * budget``; by default equal weights and all tokens.
 
     Domains missing in ``weights`` get 0. Targets that no rates of 0 or more can
-    meet are met as closely as the steps get; a corpus without tokens keeps rate 1.
+    meet are met as closely as such rates can. The fit has converged when the miss is within the tolerance or no step gains any more; otherwise ``converged`` is false. A corpus without tokens keeps rate 1.
     """
     d = len(names)
     weights = weights or dict.fromkeys(names, 1.0)
     scale = sum(max(0.0, weights.get(n, 0.0)) for n in names)
-
-    def evaluate(pull: np.ndarray) -> tuple[np.ndarray, np.ndarray, float]:
-        rate, t = rate_of(F.col("p"), pull.tolist()), F.col("tokens").cast("double")
-        on = F.when(rate > 0, t).otherwise(0.0)
-        sums = [F.sum(rate * t * F.col("p")[i]) for i in range(d)]
-        gram = [F.sum(on * F.col("p")[i] * F.col("p")[j]) for i in range(d) for j in range(i, d)]
-        row = [float(x or 0.0) for x in members.agg(*sums, *gram, F.sum(t)).first()]
-        full = np.zeros((d, d))
-        full[np.triu_indices(d)] = row[d:-1]
-        return np.array(row[:d]), full + np.triu(full, 1).T, row[-1]
-
-    pull = np.zeros(d)
+    tokens, p = F.col("tokens").cast("double"), F.col("p")
+    members = members.withColumn("rate", F.lit(1.0))
     if not d:
-        return Fit([], [], [], [])
-    totals, gram, tokens = evaluate(pull)
-    budget = tokens if budget is None else budget
+        return members, Fit([], [], [], True)
+    square = F.aggregate(p, F.lit(0.0), lambda a, x: a + x * x)
+    first = members.agg(F.sum(tokens), F.sum(tokens * tokens * square), *(F.sum(tokens * p[j]) for j in range(d))).first()
+    n_tokens, trace, totals = float(first[0] or 0.0), float(first[1] or 0.0), np.array([float(x or 0.0) for x in first[2:]])
+    budget = n_tokens if budget is None else budget
     targets = np.array([max(0.0, weights.get(n, 0.0)) for n in names]) / (scale or 1.0) * budget
-    miss = float(np.square(totals - targets).sum())
-    misses, length = [miss], 1.0
-    while tokens and len(misses) <= MOST_STEPS and miss > (TOLERANCE * max(budget, 1.0)) ** 2:
-        step = np.linalg.pinv(gram, rcond=1e-10) @ (totals - targets)
-        trial, trial_gram, _ = evaluate(pull + length * step)
-        now = float(np.square(trial - targets).sum())
-        if now < miss:
-            gained = (miss - now) > 1e-12 * miss
-            pull, totals, gram, miss, length = pull + length * step, trial, trial_gram, now, min(1.0, 2 * length)
-            misses.append(miss)
-            if not gained:
-                break
-        elif length > 1e-3:
-            length /= 2
-        else:
+    miss = totals - targets
+    objectives, converged = [float(miss @ miss) / 2], False
+    if not n_tokens:
+        return members, Fit(targets.tolist(), totals.tolist(), objectives, True)
+    floor = (tolerance * max(budget, 1.0)) ** 2 / 2
+    rate, carried = F.col("rate"), 0
+    for _ in range(MOST_STEPS):
+        if objectives[-1] <= floor:
+            converged = True
+            break
+        gradient = sum((p[j] * F.lit(float(v)) for j, v in enumerate(miss)), F.lit(0.0))
+        weight = F.when((rate > 0) | (gradient < 0), tokens * tokens).otherwise(0.0)
+        half = members.agg(*(F.sum(weight * p[i] * p[j]) for i in range(d) for j in range(i, d))).first()
+        gram = np.zeros((d, d))
+        gram[np.triu_indices(d)] = [float(x) for x in half]
+        scaled = np.linalg.pinv(gram + np.triu(gram, 1).T, rcond=1e-12) @ miss
+        tries = [x * scaled for x in SCALED] + [x / trace * miss for x in PLAIN]
+        sums = members.agg(*(F.sum(_stepped(rate, v) * tokens * p[j]) for v in tries for j in range(d))).first()
+        after = np.array([float(x) for x in sums]).reshape(len(tries), d)
+        left = np.square(after - targets).sum(axis=1) / 2
+        best = int(left.argmin())
+        if left[best] >= objectives[-1] * (1 - STALLED):
+            converged = True
             break
-    return Fit(pull.tolist(), targets.tolist(), totals.tolist(), misses)
+        rate, miss, totals, carried = _stepped(rate, tries[best]), after[best] - targets, after[best], carried + 1
+        objectives.append(float(left[best]))
+        if carried == WRITE_EVERY:
+            members, rate, carried = materialize(members.withColumn("rate", rate), "rates"), F.col("rate"), 0
+    return members.withColumn("rate", rate), Fit(targets.tolist(), totals.tolist(), objectives, converged)
 
 
 def copies(rate: Column, doc_id: Column) -> Column:
@@ -156,9 +173,8 @@ def mix(docs: DataFrame, labelled: DataFrame, weights: Mapping[str, float] | Non
     """Columns ``doc_id, tokens, domain, rate, copies`` of each id, the fit, and the domain names."""
     domains = learn_domains(docs, labelled, id_col=id_col, text_col=text_col)
     members = materialize(memberships(docs, domains, id_col, text_col), "memberships")
-    found = fit_rates(members, domains.names, weights, budget)
-    rate = rate_of(F.col("p"), found.pull)
+    fitted, found = fit_rates(members, domains.names, weights, budget)
     names = F.array(*(F.lit(n) for n in domains.names)) if domains.names else F.array().cast("array<string>")
     best = F.try_element_at(names, F.array_position("p", F.array_max("p")).cast("int")) if domains.names else F.lit(None).cast("string")
-    rated = members.withColumn("rate", rate).select("doc_id", "tokens", best.alias("domain"), "rate", copies(F.col("rate"), F.col("doc_id")).alias("copies"))
+    rated = fitted.select("doc_id", "tokens", best.alias("domain"), "rate", copies(F.col("rate"), F.col("doc_id")).alias("copies"))
     return rated, found, domains.names

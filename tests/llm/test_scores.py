@@ -186,18 +186,47 @@ def test_rates_meet_targets(spark, tables):
     assert sum(r["copies"] for r in rows) == pytest.approx(sum(r["rate"] for r in rows), rel=0.1)
 
 
+def least_squares(p, t, targets):
+    """Rates of 0 or more that bring tokens nearest to the targets, by an active-set search in numpy."""
+    a = (p * t[:, None]).T
+    x, active = np.zeros(len(t)), np.zeros(len(t), bool)
+    while True:
+        w = a.T @ (targets - a @ x)
+        w[active] = -np.inf
+        if w.max() <= 1e-10 * np.abs(a).max() * np.abs(targets).max():
+            return x
+        active[w.argmax()] = True
+        while True:
+            z = np.zeros(len(t))
+            z[active] = np.linalg.lstsq(a[:, active], targets, rcond=None)[0]
+            if (z[active] > 0).all():
+                break
+            bad = active & (z <= 0)
+            step = (x[bad] / (x[bad] - z[bad])).min()
+            x = x + step * (z - x)
+            active &= x > 1e-14
+        x = z
+
+
 def test_rates_solve_the_constrained_problem(spark):
     rng = np.random.default_rng(2)
     p = rng.dirichlet([0.3, 0.3, 0.3], 60)
     t = rng.integers(0, 50, 60)
-    members = spark.createDataFrame([(i, int(t[i]), p[i].tolist()) for i in range(60)], "doc_id long, tokens long, p array<double>")
-    for weights in ({"a": 1.0, "b": 1.0, "c": 1.0}, {"a": 1.0}, {"a": 5.0, "b": 1.0, "z": 3.0}):
-        fit = mixing.fit_rates(members, ["a", "b", "c"], weights)
-        rate = np.maximum(0, 1 - p @ np.array(fit.pull))
+    members = spark.createDataFrame([(i, int(t[i]), p[i].tolist()) for i in range(60)], "doc_id long, tokens long, p array<double>").coalesce(2).cache()
+    # Targets within reach are met as by an active-set search; those out of reach nearly so, and the fit says that it hasn't come to rest.
+    for weights, budget in (({"a": 1.0, "b": 1.0, "c": 1.0}, None), ({"a": 4.0, "b": 2.0, "c": 3.0}, 200.0), ({"a": 2.0, "b": 1.0, "c": 1.0}, 1e5), ({"a": 5.0, "b": 1.0, "z": 3.0}, None)):
+        rated, fit = mixing.fit_rates(members, ["a", "b", "c"], weights, budget)
+        rows = sorted(rated.collect(), key=lambda r: r["doc_id"])
+        rate = np.array([r["rate"] for r in rows])
+        assert (rate >= 0).all() and fit.objectives == sorted(fit.objectives, reverse=True)
         assert (rate * t) @ p == pytest.approx(np.array(fit.totals), rel=1e-6, abs=1e-6)
-        assert fit.misses == sorted(fit.misses, reverse=True)
-        # The step direction is spent: projected gradients of the squared miss vanish relative to the start.
-        assert fit.misses[-1] <= 0.2 * fit.misses[0] + 1e-6
+        targets = np.array(fit.targets)
+        best = least_squares(p, t.astype(float), targets)
+        wanted = np.square((best * t) @ p - targets).sum() ** 0.5
+        assert fit.converged == ("c" in weights)
+        assert np.square(np.array(fit.totals) - targets).sum() ** 0.5 <= wanted + (1e-6 if fit.converged else 3e-3) * targets.sum()
+    none, fit = mixing.fit_rates(members.where("tokens = 0"), ["a", "b", "c"])
+    assert fit.converged and none.where("rate <> 1").count() == 0
 
 
 def test_mixing_awkward_rows(spark):
@@ -207,6 +236,8 @@ def test_mixing_awkward_rows(spark):
     rates, _, names = mixing.mix(docs, labelled)
     found = {r["doc_id"]: r for r in rates.collect()}
     assert names == ["en", "fr"] and set(found) == {1, None, 3, 4, 5} and found[3]["tokens"] == 0 and found[1]["tokens"] == 6
+    clash = docs.withColumn("word", F.lit(1)).withColumn("tokens", F.lit("x")).withColumn("rate", F.lit(None)).withColumn("__text", F.lit(0))
+    assert {r["doc_id"]: r["tokens"] for r in mixing.mix(clash, labelled)[0].collect()} == {i: r["tokens"] for i, r in found.items()}
     empty, fit, names = mixing.mix(docs.limit(0), labelled)
     assert empty.count() == 0 and names == []
 
@@ -218,8 +249,7 @@ def test_mixing_splits_at_any_white_space(spark):
     found = {r["doc_id"]: r for r in mixing.mix(docs, labelled)[0].collect()}
     assert {i: r["tokens"] for i, r in found.items()} == {i: len(t.split()) for i, t in rows}
     assert found[3]["domain"] == "fr" and found[5]["domain"] == "en"
-    known = mixing.learn_domains(docs, labelled).likelihoods.select("word").collect()
-    assert {r["word"] for r in known} == {"la", "le", "the", "of"}
+    assert mixing.learn_domains(docs, labelled).likelihoods.count() == 4  # la, le, the, of
 
 
 def brute_top(rows, k):
