@@ -1,11 +1,16 @@
 """Benchmark decontamination with suffix arrays over the training texts.
 
-Each block of training text gets a word-level suffix array. Every suffix of
-every benchmark item is then binary-searched in it, all suffixes at once and
-one word deeper at a time: the interval of training suffixes that share the
-first k words shrinks until the window is found whole or the interval is empty.
-Only training suffixes whose first words start some benchmark window enter the
-array; no other suffix can match one, so nothing is lost.
+Each block of training text gets the suffix array of all its words, in the
+order of their next ``DEPTH`` words, by prefix doubling. Every suffix of every
+benchmark item is binary-searched in it, all at once and one word deeper at a
+time: an interval of training suffixes shares the first k words, and the next
+word is looked up within it. Where a search ends is the longest verbatim match;
+intervals that survive to the array's depth are followed word by word. A
+window's hits are the interval that its suffix has at the window's length, and a
+text's longest match is that of its best suffix.
+
+Words are compared as numbers, which the hashes of the benchmark's words give;
+the bytes of every word that a result rests on are compared too.
 
 The benchmark is the stated query set. It is sent to the tasks in blocks of
 bounded size; more than one block means one more pass per block.
@@ -22,7 +27,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from modelsort.llm.bytetext import LOWER, HashIndex, blocks, mix, row_sums, utf8_view, word_bounds, word_hashes
+from modelsort.llm.bytetext import LOWER, HashIndex, blocks, row_sums, utf8_view, word_bounds, word_hashes
+from modelsort.llm.samples import free_name, quoted
 from modelsort.plans.durable import materialize
 
 WINDOW = 13
@@ -30,7 +36,9 @@ WINDOW = 13
 HIT_ONE_IN = 20
 #: Benchmark characters that one pass sends to every task.
 PASS_CHARS = 4_000_000
+#: Bytes of training text that one suffix array holds (more if one text does), and words that its order compares.
 TEXT_BLOCK = 4 << 20
+DEPTH = 16
 
 MATCH = pa.struct([
     ("n_words", pa.int64()),
@@ -42,155 +50,197 @@ MATCH = pa.struct([
 MATCH_DDL = "n_words long, n_hit long, items array<string>, spans array<struct<start:long,stop:long>>, longest struct<item_id:string,words:long,doc_word:long,item_word:long>"
 
 
-def _words(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Word hashes of lower-cased texts, and the offsets of rows among them."""
-    low = LOWER[data]
-    starts, ends, bounds = word_bounds(low, offsets)
-    return word_hashes(low, starts, ends), bounds
+def _gather(data: np.ndarray, starts: np.ndarray, lengths: np.ndarray) -> np.ndarray:
+    """Bytes of some words, one after another."""
+    ends = np.cumsum(lengths)
+    return data[np.arange(ends[-1] if len(ends) else 0) + np.repeat(starts - (ends - lengths), lengths)]
 
 
-def _starts_code(ids: np.ndarray, at: np.ndarray, length: int) -> np.ndarray:
-    code = np.zeros(len(at), np.uint64)
-    for k in range(length):
-        code = mix(code * np.uint64(0x9E3779B97F4A7C15) + ids[at + k].astype(np.uint64))
-    return code
+def suffix_array(ids: np.ndarray, n: int, most: int) -> np.ndarray:
+    """Positions 0 to n - 1 in the order of the next ``DEPTH`` numbers from each.
+
+    ``ids`` are numbers from 0 to ``most``, with zeros from n on. The first keys
+    hold as many words as fit 62 bits; each round doubles the words compared.
+    """
+    bits = max(1, int(most).bit_length())
+    depth = max(1, min(DEPTH, 62 // bits))
+    key = np.zeros(n, np.int64)
+    for k in range(depth):
+        key = (key << bits) | ids[k : n + k]
+    while True:
+        order = np.argsort(key, kind="stable")
+        if depth >= DEPTH:
+            return order
+        ranked = key[order]
+        rank = np.empty(n, np.int64)
+        rank[order] = np.cumsum(np.append(True, ranked[1:] != ranked[:-1])) if n else rank
+        after = np.zeros(n, np.int64)
+        after[: max(n - depth, 0)] = rank[depth:]
+        key, depth = rank * np.int64(n + 1) + after, 2 * depth
+
+
+def _bisect(array: np.ndarray, ids: np.ndarray, depth: int, low: np.ndarray, high: np.ndarray, word: np.ndarray, right: bool) -> np.ndarray:
+    """In each interval of the array, the first place whose word at ``depth`` is not less than (or above) the one wanted."""
+    low, high = low.copy(), high.copy()
+    while (open_ := np.flatnonzero(low < high)).size:
+        middle = (low[open_] + high[open_]) >> 1
+        found = ids[array[middle] + depth]
+        less = found <= word[open_] if right else found < word[open_]
+        low[open_[less]] = middle[less] + 1
+        high[open_[~less]] = middle[~less]
+    return low
 
 
 @dataclass
 class BenchmarkIndex:
-    """Benchmark words as ids, its distinct windows, and the items of each window."""
+    """Benchmark words as numbers from 1, their bytes, and the items they belong to."""
 
     names: list[str]  # of each item text
     labels: list[str]  # the distinct names
+    label: np.ndarray  # of each item text among the labels
     vocabulary: HashIndex
-    words: np.ndarray  # ids of all items' words, then WINDOW zeros
+    word_bytes: np.ndarray  # of the distinct words, one after another
+    word_starts: np.ndarray
+    words: np.ndarray  # numbers of all items' words, then zeros
     bounds: np.ndarray  # offsets of items in ``words``
-    starts: np.ndarray  # first word of each distinct window
-    lengths: np.ndarray
-    owners: np.ndarray  # labels by window, and their offsets
-    owner_bounds: np.ndarray
-    gram: int
-    grams: HashIndex
+    item: np.ndarray  # of each word
+    window: np.ndarray  # words of the window that starts at each word, 0 where none does
 
     @classmethod
     def build(cls, names: list[str], texts: list[str | None], window: int = WINDOW) -> BenchmarkIndex:
         data, offsets = utf8_view(pa.array(texts, pa.string()))
-        hashes, bounds = _words(data, offsets)
-        known, ids = np.unique(hashes, return_inverse=True)
-        words = np.append(ids + 1, np.zeros(window, np.int64)).astype(np.int64)
+        low = LOWER[data]
+        starts, ends, bounds = word_bounds(low, offsets)
+        known, first, ids = np.unique(word_hashes(low, starts, ends), return_index=True, return_inverse=True)
+        lengths = (ends - starts)[first]
+        held = _gather(low, starts[first], lengths)
+        word_starts = np.cumsum(np.append(0, lengths))
+        # Different words with one hash would pass for one another; none are known, and none may go unnoticed.
+        if not (np.array_equal(ends - starts, lengths[ids]) and np.array_equal(_gather(low, starts, ends - starts), _gather(held, word_starts[ids], lengths[ids]))):
+            raise ValueError("two benchmark words share a hash")
+        sizes = np.diff(bounds)
+        item = np.repeat(np.arange(len(names)), sizes)
+        size = np.minimum(window, sizes)[item]
+        windows = np.where(np.arange(len(item)) + size <= bounds[1:][item], size, 0)
         labels = sorted(set(names))
-        label = {name: i for i, name in enumerate(labels)}
-        seen: dict[bytes, int] = {}
-        starts, lengths, pairs = [], [], []
-        for item in range(len(names)):
-            a, b = int(bounds[item]), int(bounds[item + 1])
-            size = min(window, b - a)
-            for p in range(a, b - size + 1) if size else ():
-                w = seen.setdefault(words[p : p + size].tobytes(), len(seen))
-                if w == len(starts):
-                    starts.append(p)
-                    lengths.append(size)
-                pairs.append((w, label[names[item]]))
-        pair = np.unique(np.array(pairs, np.int64).reshape(-1, 2), axis=0)
-        starts_, lengths_ = np.array(starts, np.int64), np.array(lengths, np.int64)
-        gram = int(min(4, lengths_.min())) if len(lengths_) else 1
-        grams = HashIndex(np.unique(_starts_code(words, starts_, gram)))
-        return cls(names, labels, HashIndex(known), words, bounds, starts_, lengths_, pair[:, 1], np.searchsorted(pair[:, 0], np.arange(len(starts_) + 1)), gram, grams)
-
-    def suffix_array(self, ids: np.ndarray, ends: np.ndarray, bounds: np.ndarray) -> np.ndarray:
-        """Word positions whose suffix may begin a window, in the order of their suffixes.
-
-        ``ids`` end with WINDOW zeros; ``ends`` has the end of each position's text.
-        """
-        n = len(ends)
-        maybe = ids[:n] > 0
-        for k in range(1, self.gram):
-            maybe &= ids[k : n + k] > 0
-        at = np.flatnonzero(maybe)
-        at = at[at + self.gram <= ends[at]]
-        at = at[self.grams.find(_starts_code(ids, at, self.gram)) >= 0]
-        depth = int(self.lengths.max()) if len(self.lengths) else 0
-        columns = [np.where(at + k < ends[at], ids[at + k], 0) for k in range(depth)]
-        return at[np.lexsort(columns[::-1])] if len(at) and depth else at
-
-    def intervals(self, ids: np.ndarray, ends: np.ndarray, suffixes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Windows found whole, and the interval of each in the suffix array."""
-        base = int(self.words.max()) + 1 if len(self.words) else 1
-        group = np.zeros(len(suffixes), np.int64)
-        window = np.arange(len(self.starts))
-        within = np.zeros(len(window), np.int64)
-        done: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
-        depth = 0
-        while len(window) and len(suffixes):
-            at = suffixes + depth
-            keys = group * base + np.where(at < ends[suffixes], ids[at], 0)
-            wanted = within * base + self.words[self.starts[window] + depth]
-            lo, hi = np.searchsorted(keys, wanted), np.searchsorted(keys, wanted, side="right")
-            fresh = np.ones(len(keys), bool)
-            fresh[1:] = keys[1:] != keys[:-1]
-            group = np.cumsum(fresh) - 1
-            alive = hi > lo
-            window, lo, hi = window[alive], lo[alive], hi[alive]
-            within = group[lo]
-            depth += 1
-            whole = self.lengths[window] == depth
-            done.append((window[whole], lo[whole], hi[whole]))
-            window, within = window[~whole], within[~whole]
-        return tuple(np.concatenate(x) for x in zip(*done, strict=True)) if done else (np.zeros(0, np.int64),) * 3
-
-    def match(self, data: np.ndarray, offsets: np.ndarray) -> list[dict]:
-        """Hits of each text of a block."""
-        hashes, bounds = _words(data, offsets)
-        n, rows = len(hashes), len(offsets) - 1
-        ids = np.zeros(n + WINDOW + 1, np.int64)
-        ids[:n] = self.vocabulary.find(hashes) + 1
-        counts = np.diff(bounds)
-        ends = np.repeat(bounds[1:], counts)
-        suffixes = self.suffix_array(ids, ends, bounds)
-        window, lo, hi = self.intervals(ids, ends, suffixes)
-        sizes = hi - lo
-        where = suffixes[np.repeat(lo - (np.cumsum(sizes) - sizes), sizes) + np.arange(sizes.sum())]
-        which = np.repeat(window, sizes)
-        edge = np.bincount(where, minlength=n + 1) - np.bincount(where + self.lengths[which], minlength=n + 1) if len(where) else np.zeros(n + 1, np.int64)
-        hit = np.cumsum(edge[:n]) > 0
-        hits = row_sums(hit, bounds)
-        out = [{"n_words": int(c), "n_hit": 0, "items": [], "spans": [], "longest": None} for c in counts]
-        if not len(where):
-            return out
-        row = np.searchsorted(bounds, where, side="right") - 1
-        pair = np.unique(row * len(self.starts) + which)
-        owned = np.diff(self.owner_bounds)[pair % len(self.starts)]
-        items = self.owners[np.repeat(self.owner_bounds[pair % len(self.starts)] - (np.cumsum(owned) - owned), owned) + np.arange(owned.sum())]
-        found = np.unique(np.repeat(pair // len(self.starts), owned) * len(self.labels) + items)
-        for r, i in zip((found // len(self.labels)).tolist(), (found % len(self.labels)).tolist(), strict=True):
-            out[r]["items"].append(self.labels[i])
-        flips = np.flatnonzero(np.diff(np.concatenate([[False], hit, [False]]).astype(np.int8)))
-        cuts = np.unique(np.concatenate([flips, bounds[1:-1][(bounds[1:-1] > 0) & (bounds[1:-1] < n)]]))
-        inner = [(a, b) for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True) if hit[a]]
-        for a, b in inner:
-            r = int(np.searchsorted(bounds, a, side="right")) - 1
-            out[r]["spans"].append({"start": a - int(bounds[r]), "stop": b - int(bounds[r])})
-        best = self._longest(ids, ends, where, which)
-        order = np.lexsort((where, -best, row))
-        for k in order[np.flatnonzero(np.append(True, row[order][1:] != row[order][:-1]))].tolist():
-            r, owner = int(row[k]), int(np.searchsorted(self.bounds, self.starts[which[k]], side="right")) - 1
-            out[r]["longest"] = {"item_id": self.names[owner], "words": int(best[k]), "doc_word": int(where[k] - bounds[r]), "item_word": int(self.starts[which[k]] - self.bounds[owner])}
-        for r in np.flatnonzero(hits).tolist():
-            out[r]["n_hit"] = int(hits[r])
-        return out
-
-    def _longest(self, ids: np.ndarray, ends: np.ndarray, where: np.ndarray, which: np.ndarray) -> np.ndarray:
-        """Words that each found window's item and text go on sharing, window included."""
-        best = self.lengths[which].copy()
-        item_end = self.bounds[np.searchsorted(self.bounds, self.starts[which], side="right")]
-        going = np.arange(len(where))
+        of = {name: i for i, name in enumerate(labels)}
+        words = np.append(ids + 1, np.zeros(1, np.int64)).astype(np.int64)
+        return cls(names, labels, np.array([of[n] for n in names], np.int64), HashIndex(known), held, word_starts, words, bounds, item, windows)
+
+    def _numbers(self, low: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+        """Number of each word, 0 for those that the benchmark doesn't hold, byte for byte."""
+        ids = self.vocabulary.find(word_hashes(low, starts, ends)).astype(np.int64) + 1
+        at = np.flatnonzero(ids)
+        lengths = (ends - starts)[at]
+        wanted = np.diff(self.word_starts)[ids[at] - 1] if len(at) else lengths
+        wrong = lengths != wanted
+        same = at[~wrong]
+        size = lengths[~wrong]
+        different = _gather(low, starts[same], size) != _gather(self.word_bytes, self.word_starts[ids[same] - 1], size)
+        if different.any():
+            ids[same[np.unique(np.searchsorted(np.cumsum(size), np.flatnonzero(different), side="right"))]] = 0
+        ids[at[wrong]] = 0
+        return ids
+
+    def search(self, ids: np.ndarray, array: np.ndarray) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray]]:
+        """For each number of words, the benchmark suffixes that some training suffix shares them with, and its interval."""
+        suffix = np.arange(len(self.item))
+        low, high = np.zeros(len(suffix), np.int64), np.full(len(suffix), len(array))
+        end = self.bounds[1:][self.item]
+        for depth in range(DEPTH):
+            going = np.flatnonzero((suffix + depth < end[suffix]) & (low < high))
+            suffix, low, high = suffix[going], low[going], high[going]
+            word = self.words[suffix + depth]
+            low, high = _bisect(array, ids, depth, low, high, word, False), _bisect(array, ids, depth, low, high, word, True)
+            alive = low < high
+            suffix, low, high = suffix[alive], low[alive], high[alive]
+            if not len(suffix):
+                return
+            yield depth + 1, suffix, low, high
+
+    def _follow(self, ids: np.ndarray, where: np.ndarray, suffix: np.ndarray) -> np.ndarray:
+        """Words that each pair of a training and a benchmark position goes on sharing after ``DEPTH``."""
+        length = np.full(len(where), DEPTH)
+        end = self.bounds[1:][self.item[suffix]]
+        going = np.flatnonzero(suffix + DEPTH < end)
         while len(going):
-            d, i = where[going] + best[going], self.starts[which[going]] + best[going]
-            ok = (d < ends[where[going]]) & (i < item_end[going])
-            going, d, i = going[ok], d[ok], i[ok]
-            going = going[ids[d] == self.words[i]]
-            best[going] += 1
-        return best
+            same = ids[where[going] + length[going]] == self.words[suffix[going] + length[going]]
+            going = going[same]
+            length[going] += 1
+            going = going[suffix[going] + length[going] < end[going]]
+        return length
+
+    def match(self, data: np.ndarray, offsets: np.ndarray) -> pa.StructArray:
+        """Hits of each text of a block."""
+        low_case = LOWER[data]
+        starts, ends, bounds = word_bounds(low_case, offsets)
+        n, rows, counts = len(starts), len(offsets) - 1, np.diff(bounds)
+        plain = self._numbers(low_case, starts, ends)
+        # A text's end is a number that no benchmark word has; so is a word of other texts.
+        ids = np.zeros(n + rows + DEPTH + 1, np.int64)
+        row = np.repeat(np.arange(rows), counts)
+        at = np.arange(n) + row
+        ids[at] = plain
+        total = n + rows
+        array = suffix_array(ids, total, int(self.words.max(initial=0))) if plain.any() else np.zeros(0, np.int64)
+        best, place = np.zeros(total, np.int64), np.full(total, -1)  # longest match of each training suffix, and with what
+        found_where, found_suffix = [], []
+        for depth, suffix, low, high in self.search(ids, array) if len(array) else ():
+            by = np.lexsort((suffix, low))
+            first = by[np.append(True, low[by][1:] != low[by][:-1])]  # intervals of one depth are equal or disjoint
+            sizes = (high - low)[first]
+            spot = array[np.repeat(low[first] - (np.cumsum(sizes) - sizes), sizes) + np.arange(sizes.sum())]
+            best[spot], place[spot] = depth, np.repeat(suffix[first], sizes)
+            whole = np.flatnonzero(self.window[suffix] == depth)
+            if len(whole):
+                sizes = (high - low)[whole]
+                found_where.append(array[np.repeat(low[whole] - (np.cumsum(sizes) - sizes), sizes) + np.arange(sizes.sum())])
+                found_suffix.append(np.repeat(suffix[whole], sizes))
+            if depth == DEPTH:
+                sizes = high - low
+                spot = array[np.repeat(low - (np.cumsum(sizes) - sizes), sizes) + np.arange(sizes.sum())]
+                with_ = np.repeat(suffix, sizes)
+                length = self._follow(ids, spot, with_)
+                by = np.lexsort((with_, -length, spot))
+                top = by[np.append(True, spot[by][1:] != spot[by][:-1])]
+                best[spot[top]], place[spot[top]] = length[top], with_[top]
+        where = np.concatenate(found_where) if found_where else np.zeros(0, np.int64)
+        which = np.concatenate(found_suffix) if found_suffix else np.zeros(0, np.int64)
+        return self._collected(bounds, row, at, total, best, place, where, which)
+
+    def _collected(self, bounds: np.ndarray, row: np.ndarray, at: np.ndarray, total: int, best: np.ndarray, place: np.ndarray, where: np.ndarray, which: np.ndarray) -> pa.StructArray:
+        """Columns of ``MATCH`` from longest matches by position and the windows found."""
+        rows, counts = len(bounds) - 1, np.diff(bounds)
+        edge = np.bincount(where, minlength=total + 1) - np.bincount(where + self.window[which], minlength=total + 1) if len(where) else np.zeros(total + 1, np.int64)
+        hit = (np.cumsum(edge[:total]) > 0)[at]
+        n_hit = row_sums(hit, bounds)
+        first_of = np.searchsorted(at, where) if len(where) else where  # back to words without text ends
+        text = row[first_of] if len(where) else where
+        pair = np.unique(text * max(1, len(self.labels)) + self.label[self.item[which]]) if len(where) else where
+        item_rows, item_labels = pair // max(1, len(self.labels)), pair % max(1, len(self.labels))
+        names = pa.array(self.labels, pa.string()).take(pa.array(item_labels, pa.int64()))
+        items = pa.ListArray.from_arrays(pa.array(np.searchsorted(item_rows, np.arange(rows + 1)), pa.int32()), names)
+        begins = hit & np.append(True, ~hit[:-1] | (row[1:] != row[:-1])) if len(hit) else hit
+        stops = hit & np.append(~hit[1:] | (row[1:] != row[:-1]), True) if len(hit) else hit
+        a, b = np.flatnonzero(begins), np.flatnonzero(stops) + 1
+        spans = pa.StructArray.from_arrays([pa.array(a - bounds[row[a]], pa.int64()), pa.array(b - bounds[row[a]], pa.int64())], names=["start", "stop"])
+        span_lists = pa.ListArray.from_arrays(pa.array(np.searchsorted(a, bounds), pa.int32()), spans)
+        length = best[at]
+        top = np.zeros(rows, np.int64)
+        full = counts > 0
+        if full.any():
+            top[full] = np.maximum.reduceat(length, bounds[:-1][full])
+        lead = np.flatnonzero((length == top[row]) & (length > 0))
+        first = lead[np.append(True, row[lead][1:] != row[lead][:-1])] if len(lead) else lead
+        doc_word, suffix, item_id, item_word = (np.zeros(rows, np.int64) for _ in range(4))
+        doc_word[row[first]], suffix[row[first]] = first - bounds[row[first]], place[at[first]]
+        if len(first):
+            item_id[row[first]] = self.item[suffix[row[first]]]
+            item_word[row[first]] = suffix[row[first]] - self.bounds[item_id[row[first]]]
+        none = top == 0
+        texts = pa.array(self.names or [""], pa.string()).take(pa.array(item_id, pa.int64()))
+        longest = pa.StructArray.from_arrays([texts, pa.array(top), pa.array(doc_word), pa.array(item_word)], names=["item_id", "words", "doc_word", "item_word"], mask=pa.array(none))
+        return pa.StructArray.from_arrays([pa.array(counts.astype(np.int64)), pa.array(n_hit.astype(np.int64)), items, span_lists, longest], fields=list(MATCH))
 
 
 def match_column(text: Column, index: BenchmarkIndex, spark) -> Column:
@@ -200,10 +250,8 @@ def match_column(text: Column, index: BenchmarkIndex, spark) -> Column:
     def run(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
         for texts in batches:
             data, offsets = utf8_view(texts)
-            found: list[dict] = []
-            for a, b in blocks(offsets, TEXT_BLOCK):
-                found += shared.value.match(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a])
-            yield pa.array(found, MATCH)
+            found = [shared.value.match(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a]) for a, b in blocks(offsets, TEXT_BLOCK)]
+            yield pa.concat_arrays(found) if found else pa.array([], MATCH)
 
     run.__annotations__ = {"batches": Iterator[pa.Array], "return": Iterator[pa.Array]}
     return F.arrow_udf(run, MATCH_DDL).asNondeterministic()(text)
@@ -228,7 +276,8 @@ def with_matches(docs: DataFrame, benchmark: DataFrame, out: str = "match", text
     Null and empty texts have no words. Benchmark rows with a null id or text
     are no items; rows that repeat an id are one item with all their windows.
     An empty benchmark hits nothing, an empty table stays empty. Columns and
-    rows of ``docs`` are kept; ``out`` must not be among them.
+    rows of ``docs`` are kept, whatever their names; ``out`` must not be among
+    them. Repeated rows are each matched; very long texts are one block each.
     """
     spark = docs.sparkSession
     items = benchmark.select(F.col("item_id").cast("string").alias("item_id"), F.col("text").cast("string").alias("text")).where("item_id is not null and text is not null")
@@ -236,6 +285,7 @@ def with_matches(docs: DataFrame, benchmark: DataFrame, out: str = "match", text
     passes = max(1, -(-chars // pass_chars))
     part = F.pmod(F.xxhash64("item_id"), F.lit(passes))
     result = docs
+    more = free_name(docs, "__more")
     for k in range(passes):
         rows = items.where(part == k).collect()  # about pass_chars characters of the query set
         index = BenchmarkIndex.build([r["item_id"] for r in rows], [r["text"] for r in rows])
@@ -243,8 +293,8 @@ def with_matches(docs: DataFrame, benchmark: DataFrame, out: str = "match", text
         if k == 0:
             result = result.withColumn(out, column)
         else:
-            result = result.withColumn("__more", column)
-            result = materialize(result, "matches").withColumn(out, _merge(F.col(out), F.col("__more"))).drop("__more")
+            result = result.withColumn(more, column)
+            result = materialize(result, "matches").withColumn(out, _merge(F.col(out), F.col(more))).drop(more)
     return result
 
 
@@ -259,20 +309,20 @@ def items_digest(items: Column) -> Column:
 
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame, text_col: str = "text") -> DataFrame:
-    """Documents that are not contaminated, with their columns as they were."""
-    return with_matches(docs, benchmark, "__match", text_col).where(~is_contaminated(F.col("__match"))).select(*docs.columns)
+    """Documents that are not contaminated, with their columns as they were, whatever their names.
+
+    Null and empty texts are clean, repeated rows are judged alike; an empty
+    table or benchmark drops nothing.
+    """
+    found = free_name(docs, "__match")
+    return with_matches(docs, benchmark, found, text_col).where(~is_contaminated(F.col(found))).select(*quoted(docs))
 
 
 def brute_force(text: str | None, items: list[tuple[str, str]]) -> tuple[int, int, int, str, bool]:
     """The same counts by plain search, for tests."""
-    import re
-
-    def split(t):
-        return re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", re.sub("[A-Z]", lambda m: m[0].lower(), t or ""))
-
-    words, hit, found = split(text), set(), set()
+    words, hit, found = plain_words(text), set(), set()
     for name, item in items:
-        own = split(item)
+        own = plain_words(item)
         size = min(WINDOW, len(own))
         for p in range(len(own) - size + 1) if size else ():
             for q in range(len(words) - size + 1):
@@ -280,3 +330,24 @@ def brute_force(text: str | None, items: list[tuple[str, str]]) -> tuple[int, in
                     hit |= set(range(q, q + size))
                     found.add(name)
     return len(words), len(hit), len(found), hashlib.sha256(",".join(sorted(found)).encode()).hexdigest(), bool(hit) and HIT_ONE_IN * len(hit) >= len(words)
+
+
+def brute_longest(text: str | None, items: list[tuple[str, str]]) -> int:
+    """Words of the longest verbatim match by plain search, for tests."""
+    words, best = plain_words(text), 0
+    for _, item in items:
+        own = plain_words(item)
+        before = [0] * (len(own) + 1)
+        for w in words:
+            row = [0] * (len(own) + 1)
+            for j, v in enumerate(own):
+                if v == w:
+                    row[j + 1] = before[j] + 1
+            best, before = max(best, max(row)), row
+    return best
+
+
+def plain_words(text: str | None) -> list[str]:
+    import re
+
+    return re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", re.sub("[A-Z]", lambda m: m[0].lower(), text or ""))

@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 
 from modelsort.llm.bytetext import blocks, row_sums, utf8_view
 from modelsort.llm.components import connected_components
-from modelsort.llm.samples import free_name
+from modelsort.llm.samples import free_name, quoted
 from modelsort.plans.durable import materialize
 
 SEED = 42
@@ -262,11 +262,6 @@ def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     return repeats.unionByName(own.where(F.col(keep).isNull()).select(*quoted(docs)))
 
 
-def quoted(df: DataFrame) -> list[str]:
-    """Column names as they can be selected whatever they hold."""
-    return [f"`{c.replace('`', '``')}`" for c in df.columns]
-
-
 def keep_one(df: DataFrame, *key: str) -> DataFrame:
     """One row of each non-null key (Spark combines before the shuffle)."""
     return df.dropDuplicates(list(key))

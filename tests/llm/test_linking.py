@@ -154,10 +154,15 @@ def test_decontamination_equals_brute_force(spark):
             m = found[i]
             assert (m["n_words"], m["n_hit"], len(m["items"])) == (words, hits, items)
             assert sum(s["stop"] - s["start"] for s in m["spans"]) == hits
-            assert (m["longest"] is None) == (hits == 0)
+            assert (m["longest"]["words"] if m["longest"] else 0) == decontaminate.brute_longest(t, real)
+            if m["longest"]:
+                own = next(words for name, text in real if name == m["longest"]["item_id"] for words in [decontaminate.plain_words(text)] if words[m["longest"]["item_word"] :][: m["longest"]["words"]] == decontaminate.plain_words(t)[m["longest"]["doc_word"] :][: m["longest"]["words"]])
+                assert own
     assert found[0]["longest"]["words"] == 14 and found[0]["longest"]["doc_word"] == 1
     kept = decontaminate.decontaminate(docs, bench)
     assert kept.columns == ["doc_id", "text", "extra"]
+    clash = docs.withColumn("__match", F.lit("mine")).withColumn("__more", F.lit(1))
+    assert {r["__match"] for r in decontaminate.decontaminate(clash, bench).collect()} == {"mine"}
     assert {r["doc_id"] for r in kept.collect()} == {i for i, t in enumerate(TEXTS) if not decontaminate.brute_force(t, real)[4]}
 
 
@@ -178,8 +183,38 @@ def test_random_windows_equal_brute_force():
     from modelsort.llm.bytetext import utf8_view
 
     docs = [" ".join(rng.choice(words) for _ in range(rng.randrange(0, 60))) for _ in range(40)]
-    for doc, got in zip(docs, index.match(*utf8_view(pa.array(docs))), strict=True):
+    for doc, got in zip(docs, index.match(*utf8_view(pa.array(docs))).to_pylist(), strict=True):
         assert (got["n_words"], got["n_hit"], len(got["items"])) == decontaminate.brute_force(doc, items)[:3]
+        assert (got["longest"]["words"] if got["longest"] else 0) == decontaminate.brute_longest(doc, items)
+
+
+def test_suffix_arrays_are_sorted():
+    rng = np.random.default_rng(1)
+    for most in (1, 3, 2**20, 2**33):
+        ids = np.zeros(500 + decontaminate.DEPTH + 1, np.int64)
+        ids[:500] = rng.integers(0, most + 1, 500)
+        ids[100:160] = ids[300:360]
+        array = decontaminate.suffix_array(ids, 500, most)
+        keys = [tuple(ids[i : i + decontaminate.DEPTH].tolist()) for i in array]
+        assert sorted(array.tolist()) == list(range(500)) and keys == sorted(keys)
+
+
+def test_long_matches_and_words_of_one_hash(monkeypatch):
+    import pyarrow as pa
+
+    from modelsort.llm.bytetext import utf8_view
+
+    item = " ".join(f"w{i}" for i in range(90))
+    docs = [f"w1 w2 {item} w0", " ".join(f"w{i}" for i in range(20, 70)) + " x " + " ".join(f"w{i}" for i in range(5, 70)), "w3", "", "w88 w89 w0 w1"]
+    index = decontaminate.BenchmarkIndex.build(["a"], [item])
+    got = index.match(*utf8_view(pa.array(docs))).to_pylist()
+    assert [g["longest"]["words"] if g["longest"] else 0 for g in got] == [90, 65, 1, 0, 2]
+    assert got[1]["longest"] == {"item_id": "a", "words": 65, "doc_word": 51, "item_word": 5}
+    # Training words whose hash is that of a benchmark word are told apart by their bytes.
+    monkeypatch.setattr(decontaminate, "word_hashes", lambda data, starts, ends: (ends - starts).astype(np.uint64))
+    index = decontaminate.BenchmarkIndex.build(["a"], ["a bb ccc"])
+    got = index.match(*utf8_view(pa.array(["x yy zzz", "a bb ccc", "a bb ddd"]))).to_pylist()
+    assert [g["n_hit"] for g in got] == [0, 3, 0] and [g["longest"]["words"] if g["longest"] else 0 for g in got] == [0, 3, 2]
 
 
 def test_queries_have_the_contract_columns(spark):
