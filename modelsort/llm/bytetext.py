@@ -87,7 +87,7 @@ def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, prefixes
     """64-bit hash of each word: a polynomial over random byte codes, then mixed.
 
     With ``prefixes`` a column follows for each length, the hash of the word's
-    first bytes, or 0 where the word is not longer.
+    first bytes, or 0 where the word is not longer or a character would be cut.
     """
     if not len(starts):
         return np.zeros((0, 1 + len(prefixes)) if prefixes else 0, np.uint64)
@@ -106,6 +106,7 @@ def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, prefixes
         sums = np.append(np.uint64(0), np.cumsum(terms))
         for k, size in enumerate(prefixes, 1):
             longer = np.flatnonzero(lengths > size)
+            longer = longer[data[starts[longer] + size] & 0xC0 != 0x80]
             out[longer, k] = mix(sums[at[longer] + size] - sums[at[longer]] + np.uint64(size + (1 << 20)) * np.uint64(0xD6E8FEB86659FD93))
         return out
 

@@ -1,8 +1,9 @@
 """Quality by attention-based multiple-instance learning.
 
 A text is a bag of passages of ``PASSAGE`` words; only the bag has a label. Each
-passage is described by its byte classes and the repetition of its words, then
-encoded by a learned layer. Gated attention gives each passage its weight, and
+passage is encoded by a learned layer over the mean of its words' and character
+trigrams' hashed indicators, which is the mean of learned embeddings of hashed words
+and trigrams, and over its byte classes and the repetition of its words. Gated attention gives each passage its weight, and
 the weighted sum of encodings gives the document's probability. Encoder, gates
 and classifier are trained together on the document labels.
 """
@@ -18,14 +19,16 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from modelsort.llm.bytetext import LOWER, NOT_SPACE, blocks, utf8_view, word_bounds, word_hashes
-from modelsort.llm.samples import labelled_sample
+from modelsort.llm.samples import free_name, labelled_sample, quoted
 
 PASSAGE = 128
-#: Labelled documents that the model is fitted on at most, and their longest text.
+#: Labelled documents that the model is fitted on at most.
 TRAIN_DOCS = 8_000
-TRAIN_BYTES = 200_000
+#: Hash buckets of words and of character trigrams, each with an embedding of its own.
+WORD_BUCKETS, GRAM_BUCKETS = 256, 256
 THRESHOLD = 0.3
 EPOCHS = 12
+DECAY = 1e-3
 HIDDEN, GATES = 16, 8
 
 #: Byte classes, each as the bytes that belong to it; what is left forms the last class.
@@ -34,7 +37,8 @@ _CLASS = np.full(256, len(CLASSES), np.int64)
 for _k, _members in enumerate(CLASSES):
     _CLASS[np.frombuffer(_members, np.uint8)] = _k
 N_CLASSES = len(CLASSES) + 1
-N_FEATURES = N_CLASSES + 5
+N_SHAPE = N_CLASSES + 5
+N_FEATURES = N_SHAPE + WORD_BUCKETS + GRAM_BUCKETS
 
 
 def describe(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -61,6 +65,7 @@ def describe(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndar
     x[:, :N_CLASSES] = np.bincount(of_byte * N_CLASSES + _CLASS[data], minlength=total * N_CLASSES).reshape(total, N_CLASSES)
     size = np.maximum(x[:, :N_CLASSES].sum(axis=1), 1.0)
     x[:, :N_CLASSES] = np.sqrt(x[:, :N_CLASSES] / size[:, None])
+    x[:, N_SHAPE + WORD_BUCKETS :] = _shares(of_byte, _trigrams(data, offsets) >> np.uint32(32 - 8), total, GRAM_BUCKETS)
     if not len(starts):
         return x, first
     lengths = (ends - starts).astype(float)
@@ -69,6 +74,7 @@ def describe(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndar
     x[:, N_CLASSES + 1] = np.bincount(passage, weights=lengths, minlength=total) / some / 10
     x[:, N_CLASSES + 2] = np.bincount(passage, weights=lengths == 1, minlength=total) / some
     hashes = word_hashes(LOWER[data], starts, ends)
+    x[:, N_SHAPE : N_SHAPE + WORD_BUCKETS] = _shares(passage, hashes >> np.uint64(64 - 8), total, WORD_BUCKETS)
     pairs = hashes[:-1] * np.uint64(3) + hashes[1:]
     x[:, N_CLASSES + 3] = _distinct(passage, hashes, total) / some
     same = passage[1:] == passage[:-1]
@@ -76,6 +82,27 @@ def describe(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndar
     return x, first
 
 
+def _trigrams(data: np.ndarray, offsets: np.ndarray) -> np.ndarray:
+    """Hash of each byte and its two predecessors within its text, in lower case."""
+    low = LOWER[data].astype(np.uint32)
+    one, two = np.zeros_like(low), np.zeros_like(low)
+    one[1:], two[2:] = low[:-1], low[:-2]
+    begins = offsets[:-1][offsets[:-1] < len(low)]
+    one[begins] = two[begins] = 0
+    second = begins + 1
+    two[second[second < len(low)]] = 0
+    code = low | (one << np.uint32(8)) | (two << np.uint32(16))
+    with np.errstate(over="ignore"):
+        code *= np.uint32(0x9E3779B1)
+        return (code ^ (code >> np.uint32(15))) * np.uint32(0x85EBCA77)
+
+
+def _shares(passage: np.ndarray, bucket: np.ndarray, total: int, buckets: int) -> np.ndarray:
+    """Root of the share of each passage's items that fall to each bucket."""
+    counts = np.bincount(passage * buckets + bucket.astype(np.int64), minlength=total * buckets).reshape(total, buckets)
+    return np.sqrt(counts / np.maximum(counts.sum(axis=1), 1)[:, None])
+
+
 def _distinct(passage: np.ndarray, hashes: np.ndarray, total: int) -> np.ndarray:
     """Distinct hashes of each passage (by their upper bits)."""
     bits = np.uint64(max(1, int(total).bit_length()))
@@ -150,7 +177,7 @@ def fit(x: np.ndarray, first: np.ndarray, y: np.ndarray, epochs: int = EPOCHS, b
             rows = np.repeat(first[:-1][bags] - at[:-1], sizes) + np.arange(at[-1])
             step += 1
             for k, g in net.gradients(net.forward(x[rows], at), at, y[bags]).items():
-                g = g + 1e-4 * net.weights[k]
+                g = g + DECAY * net.weights[k]
                 slow[k] = 0.9 * slow[k] + 0.1 * g
                 square[k] = 0.99 * square[k] + 0.01 * g * g
                 now = rate * (1 - step / (steps + 1))
@@ -161,7 +188,8 @@ def fit(x: np.ndarray, first: np.ndarray, y: np.ndarray, epochs: int = EPOCHS, b
 def train(docs: DataFrame, labels: DataFrame, label: str = "quality", n: int = TRAIN_DOCS, text_col: str = "text") -> Network:
     """Network of ``label`` from at most ``n`` labelled documents outside fold 0.
 
-    With examples of one class only, or none, every text scores 1 or 0.
+    With examples of one class only, or none, every text scores 1 or 0. Null texts
+    are empty ones, repeated rows teach again; columns beside id and text are not read.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -169,15 +197,15 @@ def train(docs: DataFrame, labels: DataFrame, label: str = "quality", n: int = T
             data, offsets = utf8_view(batch.column("text"))
             for a, b in blocks(offsets):
                 x, first = describe(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a])
-                parts = [x[s:e].astype(np.float32).tobytes() for s, e in zip(first[:-1], first[1:], strict=True)]
+                parts = [x[s:e].astype(np.float16).tobytes() for s, e in zip(first[:-1], first[1:], strict=True)]
                 yield pa.RecordBatch.from_arrays([batch.column("label")[a:b].cast(pa.int32()), pa.array(parts, pa.binary())], names=["label", "features"])
 
-    sample = labelled_sample(docs, labels, label, n, TRAIN_BYTES, text_col=text_col)
+    sample = labelled_sample(docs, labels, label, n, text_col=text_col).select("text", "label")
     rows = sample.mapInArrow(run, "label int, features binary").collect()  # bounded by the sample
     rows.sort(key=lambda r: (r["features"], r["label"]))
-    bags = [np.frombuffer(r["features"], np.float32).reshape(-1, N_FEATURES) for r in rows]
+    bags = [np.frombuffer(r["features"], np.float16).reshape(-1, N_FEATURES) for r in rows]
     first = np.concatenate([[0], np.cumsum([len(b) for b in bags])]).astype(np.int64)
-    return fit(np.concatenate(bags).astype(float) if bags else np.zeros((0, N_FEATURES)), first, np.array([r["label"] for r in rows], float))
+    return fit(np.concatenate(bags).astype(np.float32) if bags else np.zeros((0, N_FEATURES)), first, np.array([r["label"] for r in rows], float))
 
 
 RESULT_DDL = "score double, n_passages long, weightiest long, weight double"
@@ -213,6 +241,10 @@ def quality(text: Column, net: Network, spark) -> Column:
 
 
 def keep_good(docs: DataFrame, net: Network, threshold: float = THRESHOLD, text_col: str = "text") -> DataFrame:
-    """Documents that score ``threshold`` or more, with their columns as they were."""
-    scored = docs.withColumn("__quality", quality(F.col(text_col), net, docs.sparkSession))
-    return scored.where(F.col("__quality")["score"] >= threshold).select(*docs.columns)
+    """Documents that score ``threshold`` or more, with their columns as they were, whatever their names.
+
+    Null and empty texts score as one passage without words, repeated rows alike; an empty table stays empty.
+    """
+    found = free_name(docs, "__quality")
+    scored = docs.withColumn(found, quality(F.col(text_col), net, docs.sparkSession))
+    return scored.where(F.col(found)["score"] >= threshold).select(*quoted(docs))

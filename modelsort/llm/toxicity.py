@@ -1,19 +1,25 @@
 """Toxicity by maximum-scoring segments.
 
-A token is a word or one of its leading byte strings, so that the forms of a stem
-share evidence. Every token has a score: its log-odds between toxic and clean
+A token is a word or one of its leading strings, so that the forms of a stem share
+evidence. Every token has a signed score: its log-odds between toxic and clean
 labelled texts that hold it, repeats within a text apart, under an informative
-Dirichlet prior, kept where it stands out by its own standard error; a word takes the largest score among its tokens, less a
-constant drift. One linear scan gives all maximal scoring
-segments of a text. Scores of best segments of clean texts follow an extreme-
-value law; its two constants (the decay from the token distribution, the size
-factor from clean training texts) turn a segment's score into an expected
-number of chance segments. A logistic fit of the text's best and total
-significance gives the probability of the label.
+Dirichlet prior, brought nearer to 0 by a number of its own standard errors. A word
+takes the strongest score among its tokens, less a constant drift. One linear
+scan gives all maximal scoring segments of a text. Scores of best segments of
+clean texts follow an extreme-value law; its two constants (the decay from the
+distribution of word scores in clean texts, the size factor from their best
+segments) turn a segment's score into an expected number of chance segments. A
+logistic fit of the text's best and total significance gives the probability.
+
+All that is fitted on segments is fitted on texts whose fold had no part in the
+token scores they were found with. ``PRIOR_SHARE``, ``SHRINK`` and ``DRIFT`` come from
+``cross_validate`` on the learning folds: the least drift whose loss is within a
+standard error (0.003) of the least.
 """
 
 from __future__ import annotations
 
+import itertools
 import math
 from collections.abc import Iterator
 from dataclasses import dataclass
@@ -23,23 +29,24 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from modelsort.llm.bytetext import HashIndex, blocks, utf8_view, word_bounds, word_hashes
+from modelsort.llm.bytetext import HashIndex, blocks, row_sums, utf8_view, word_bounds, word_hashes
 from modelsort.llm.langid import fold
-from modelsort.llm.samples import labelled_sample
+from modelsort.llm.samples import free_name, labelled_sample, quoted
 from modelsort.plans.durable import materialize
 
 #: Labelled documents that the model is fitted on at most.
 TRAIN_DOCS = 20_000
-TRAIN_BYTES = 200_000
-#: Tokens whose score is kept at most, those that stand out most.
-LEXICON = 100_000
+#: Folds that labels are learned from; fold 0 is held out.
+FOLDS = (1, 2, 3, 4)
 #: Weight of the Dirichlet prior against the labelled texts' own counts.
 PRIOR_SHARE = 0.02
-STAND_OUT = 3.0
-LEAST_DOCS = 3
-DRIFT = 0.5
+#: Standard errors by which a score is brought nearer to 0.
+SHRINK = 2.0
+DRIFT = 1.0
+#: Decays between which the extreme-value law's own is looked for.
+DECAYS = np.geomspace(0.05, 12.0, 28)
 SIGNIFICANT = 0.05
-#: Lengths in bytes of the leading strings that count as tokens.
+#: Lengths in bytes of the leading strings that count as tokens, where they end with a character.
 STEMS = (4, 5, 6, 7, 8, 9)
 EULER = 0.5772156649015329
 
@@ -55,19 +62,16 @@ def tokens(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarra
     return word_hashes(low, starts, ends, STEMS), bounds
 
 
-def maximal_segments(places: list[int], scores: list[float], drift: float) -> list[tuple[int, int, float]]:
+def maximal_segments(places: list[int], befores: list[float], afters: list[float]) -> list[tuple[int, int, float]]:
     """All maximal scoring segments of a sequence, in one scan.
 
-    ``places`` are the positions with a positive score, ``scores`` those scores;
-    every other position scores ``-drift``. A stack holds candidates with the
-    running totals before and after them; a new candidate swallows those that
-    it improves.
+    ``places`` are the positions with a positive score, ``befores`` and ``afters``
+    the running totals of all scores up to and with each. A stack holds
+    candidates with their totals; a new candidate swallows those that it improves.
     """
     stack: list[tuple[int, int, float, float]] = []
-    total, last = 0.0, 0
-    for place, score in zip(places, scores, strict=True):
-        total -= drift * (place - last)
-        start, stop, before, after = place, place + 1, total, total + score
+    for place, before, after in zip(places, befores, afters, strict=True):
+        start, stop = place, place + 1
         while stack:
             k = len(stack) - 1
             while k >= 0 and stack[k][2] >= before:
@@ -77,7 +81,6 @@ def maximal_segments(places: list[int], scores: list[float], drift: float) -> li
             start, before = stack[k][0], stack[k][2]
             del stack[k:]
         stack.append((start, stop, before, after))
-        total, last = total + score, place + 1
     return [(a, b, after - before) for a, b, before, after in stack]
 
 
@@ -92,22 +95,32 @@ class Model:
     size_factor: float
     weights: np.ndarray
 
-    def segments(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, list[list[tuple[int, int, float]]]]:
-        """Words of each text and its maximal segments."""
-        hashes, bounds = tokens(data, offsets)
+    def word_scores(self, hashes: np.ndarray) -> np.ndarray:
+        """Score of each word: that of its strongest token, less the drift."""
         best = np.zeros(len(hashes))
         for k in range(hashes.shape[1]):
             found = self.lexicon.find(hashes[:, k])
             at = np.flatnonzero(found >= 0)
-            best[at] = np.maximum(best[at], self.scores[found[at]])
-        at = np.flatnonzero(best > self.drift)
-        value = best[at] - self.drift
+            value = self.scores[found[at]]
+            stronger = np.abs(value) > np.abs(best[at])
+            best[at[stronger]] = value[stronger]
+        return best - self.drift
+
+    def segments(self, data: np.ndarray, offsets: np.ndarray, word_scores: list | None = None) -> tuple[np.ndarray, list[list[tuple[int, int, float]]]]:
+        """Words of each text and its maximal segments; scores of all words go to ``word_scores`` if it is given."""
+        hashes, bounds = tokens(data, offsets)
+        value = self.word_scores(hashes)
+        if word_scores is not None:
+            word_scores.append(value)
+        total = np.cumsum(value)
+        at = np.flatnonzero(value > 0)
         cut = np.searchsorted(at, bounds)
         out: list[list[tuple[int, int, float]]] = [[] for _ in range(len(bounds) - 1)]
-        places, values = at.tolist(), value.tolist()
+        places, befores, afters = at.tolist(), (total[at] - value[at]).tolist(), total[at].tolist()
         for r in np.flatnonzero(np.diff(cut)).tolist():
             a, b, base = int(cut[r]), int(cut[r + 1]), int(bounds[r])
-            out[r] = maximal_segments([p - base for p in places[a:b]], values[a:b], self.drift)
+            found = maximal_segments(places[a:b], befores[a:b], afters[a:b])
+            out[r] = [(s - base, e - base, v) for s, e, v in found]
         return np.diff(bounds), out
 
     def expected(self, score: float, words: int) -> float:
@@ -138,91 +151,121 @@ def logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1.0, steps: int = 25)
 
 
 def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Token and document counts of the labelled texts of a task, by class."""
+    """Texts of a task that hold each token, by fold and class."""
     for batch in batches:
         data, offsets = utf8_view(batch.column("text"))
-        toxic = batch.column("label").to_numpy(zero_copy_only=False) == 1
+        group = 2 * np.searchsorted(FOLDS, batch.column("fold").to_numpy()) + (batch.column("label").to_numpy(zero_copy_only=False) == 1)
         for a, b in blocks(offsets):
             hashes, bounds = tokens(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a])
             row = np.repeat(np.repeat(np.arange(b - a), np.diff(bounds)), hashes.shape[1])
             used = hashes.ravel() != 0
-            row = row[used]
             known, which = np.unique(hashes.ravel()[used], return_inverse=True)
-            label = toxic[a:b][row]
-            of = np.unique(which * np.int64(b - a) + row)
-            docs, doc_label = of // (b - a), toxic[a:b][of % (b - a)]
-            n = len(known)
-            columns = [np.bincount(which[label], minlength=n), np.bincount(which[~label], minlength=n), np.bincount(docs[doc_label], minlength=n), np.bincount(docs[~doc_label], minlength=n)]
-            yield pa.RecordBatch.from_arrays([pa.array(known.view(np.int64)), *(pa.array(c.astype(np.int64)) for c in columns)], names=["token", "toxic", "clean", "toxic_docs", "clean_docs"])
-
-
-def _decay(scores: np.ndarray, share: np.ndarray, rest: float, drift: float) -> float:
-    """Positive root of E[exp(x * score)] = 1 under the clean token distribution; 1 if there is none."""
-    excess = lambda x: float((share * np.exp(np.minimum(x * (scores - drift), 600))).sum() + rest * math.exp(-x * drift) - 1)
-    low, high = 1e-3, 1e-3
-    if not len(scores) or excess(low) >= 0:
-        return 1.0
-    while excess(high) < 0 and high < 64:
-        high *= 2
-    for _ in range(60):
-        mid = (low + high) / 2
-        low, high = (mid, high) if excess(mid) < 0 else (low, mid)
-    return high
-
-
-def train(docs: DataFrame, labels: DataFrame, label: str = "toxic", n: int = TRAIN_DOCS, text_col: str = "text") -> Model:
+            of = np.unique(which * np.int64(b - a) + row[used])
+            found = np.bincount(of // (b - a) * 2 * len(FOLDS) + group[a:b][of % (b - a)], minlength=len(known) * 2 * len(FOLDS)).reshape(len(known), -1)
+            yield pa.RecordBatch.from_arrays([pa.array(known.view(np.int64)), *(pa.array(c) for c in found.T.astype(np.int64))], names=["token", *COUNTS])
+
+
+#: Texts with a token: clean and toxic ones of each learning fold.
+COUNTS = [f"{name}{f}" for f in FOLDS for name in ("clean", "toxic")]
+
+
+def token_scores(toxic: Column, clean: Column, n_toxic: Column, n_clean: Column, prior_share: float, shrink: float) -> Column:
+    """Signed log-odds of tokens, ``shrink`` standard errors nearer to 0."""
+    prior, mass = F.lit(prior_share) * (toxic + clean), F.lit(prior_share) * (n_toxic + n_clean)
+    odds = lambda y, total: F.log(F.try_divide(y + prior, total + mass - y - prior))
+    delta = odds(toxic, n_toxic) - odds(clean, n_clean)
+    deviation = F.sqrt(F.try_divide(F.lit(1.0), toxic + prior) + F.try_divide(F.lit(1.0), clean + prior))
+    sure = F.greatest(F.lit(0.0), F.abs(delta) - F.lit(shrink) * deviation)
+    return F.when((toxic + clean > 0) & (n_toxic > 0) & (n_clean > 0), F.signum(delta) * sure).otherwise(0.0)
+
+
+def _decay(means: np.ndarray) -> float:
+    """Positive root of the mean of exp(x * score) = 1, between the decays tried; 1 if all scores are alike."""
+    logs = np.log(means)
+    over = np.flatnonzero(logs >= 0)
+    if not len(over) or not over[0]:
+        return float(DECAYS[-1]) if not len(over) else 1.0
+    k = over[0]
+    share = logs[k - 1] / (logs[k - 1] - logs[k])
+    return float(DECAYS[k - 1] + share * (DECAYS[k] - DECAYS[k - 1]))
+
+
+def train(docs: DataFrame, labels: DataFrame, label: str = "toxic", n: int = TRAIN_DOCS, text_col: str = "text", prior_share: float = PRIOR_SHARE, shrink: float = SHRINK, drift: float = DRIFT) -> Model:
     """Model of ``label`` from at most ``n`` labelled documents outside fold 0.
 
     Without any toxic or any clean example the model has no lexicon and scores
-    every text by the share of label 1, or 0 if there are no labels.
+    every text by the share of label 1, or 0 if there are no labels. Null texts
+    are empty ones; columns beside id and text are not read.
     """
+    return _train(docs, labels, label, n, text_col, prior_share, shrink, drift)[0]
+
+
+def cross_validate(docs: DataFrame, labels: DataFrame, label: str = "toxic", n: int = TRAIN_DOCS) -> list[tuple[float, float, float, float]]:
+    """Mean log loss on the learning folds, each scored without its own labels, by prior share, shrinkage and drift; best first."""
+    grid = itertools.product((0.005, 0.02, 0.1), (1.0, 2.0, 3.0), (0.25, 0.5, 1.0, 1.5))
+    return sorted((_train(docs, labels, label, n, "text", *choice)[1], *choice) for choice in grid)
+
+
+def _train(docs: DataFrame, labels: DataFrame, label: str, n: int, text_col: str, prior_share: float, shrink: float, drift: float) -> tuple[Model, float]:
+    """The model and its mean log loss on cross-fitted features."""
     spark = docs.sparkSession
-    sample = materialize(labelled_sample(docs, labels, label, n, TRAIN_BYTES, text_col=text_col), "toxicity-sample")
-    counts = sample.mapInArrow(_count, "token long, toxic long, clean long, toxic_docs long, clean_docs long").groupBy("token").agg(*(F.sum(c).alias(c) for c in ("toxic", "clean", "toxic_docs", "clean_docs")))
+    sample = materialize(labelled_sample(docs, labels, label, n, text_col=text_col), "toxicity-sample")
+    counts = sample.mapInArrow(_count, "token long, " + ", ".join(f"{c} long" for c in COUNTS)).groupBy("token").agg(*(F.sum(c).alias(c) for c in COUNTS))
     counts = materialize(counts, "toxicity-counts")
-    totals = F.struct(*(F.sum(c).alias(c) for c in ("toxic_docs", "clean_docs", "clean")))
-    size = counts.agg(totals.alias("n")).first()["n"]
-    n_toxic, n_clean, clean_tokens = (float(size[c] or 0) for c in ("toxic_docs", "clean_docs", "clean"))
-    lexicon, scores, share, decay = np.zeros(0, np.uint64), np.zeros(0), np.zeros(0), 1.0
-    if n_toxic and n_clean:
-        prior = PRIOR_SHARE * (F.col("toxic_docs") + F.col("clean_docs"))
-        mass = PRIOR_SHARE * (n_toxic + n_clean)
-        odds = lambda y, total: F.log((y + prior) / (total + mass - y - prior))
-        delta = odds(F.col("toxic_docs"), n_toxic) - odds(F.col("clean_docs"), n_clean)
-        deviation = F.sqrt(1 / (F.col("toxic_docs") + prior) + 1 / (F.col("clean_docs") + prior))
-        kept = counts.where(F.col("toxic_docs") >= LEAST_DOCS).select("token", delta.alias("delta"), (delta / deviation).alias("z"), ((F.col("clean") + prior) / (clean_tokens + mass)).alias("share"))
-        rows = kept.where(F.col("z") >= STAND_OUT).orderBy(F.desc("z"), "token").limit(LEXICON).toPandas()
-        lexicon, scores, share = rows["token"].to_numpy(np.int64).view(np.uint64), rows["delta"].to_numpy(float), rows["share"].to_numpy(float)
-        decay = _decay(scores, share, 1 - share.sum(), DRIFT)
-    model = Model(HashIndex(lexicon), scores, DRIFT, decay, 1.0, np.zeros(3))
-    found = sample.select("label", _segments_column(F.col("text"), model, spark).alias("s")).select("label", "s.*").toPandas()  # a few numbers per training text
+    size = counts.agg(F.struct(*(F.sum(c).alias(c) for c in COUNTS)).alias("n")).first()["n"]
+
+    def scores(folds: list[int]) -> Column:
+        take = lambda name: sum((F.col(f"{name}{f}") for f in folds), F.lit(0))
+        total = lambda name: F.lit(float(sum(size[f"{name}{f}"] or 0 for f in folds)))
+        return token_scores(take("toxic"), take("clean"), total("toxic"), total("clean"), prior_share, shrink)
+
+    # One lexicon for each fold without its own texts, and the final one of all.
+    rated = counts.select("token", *(scores([g for g in FOLDS if g != f]).alias(f"s{f}") for f in FOLDS), scores(list(FOLDS)).alias("s0"))
+    rows = rated.where(F.greatest(*(F.abs(f"s{f}") for f in (0, *FOLDS))) > 0).toPandas()  # tokens of the sample that tell something
+    models = {}
+    for f in (0, *FOLDS):
+        told = rows[rows[f"s{f}"] != 0]
+        models[f] = Model(HashIndex(told["token"].to_numpy(np.int64).view(np.uint64)), told[f"s{f}"].to_numpy(float), drift, 1.0, 1.0, np.zeros(3))
+    model = models[0]
+    found = sample.select("label", _cross_fitted(models, spark).alias("s")).select("label", "s.*").toPandas()  # a few numbers per training text
     if not len(found):
         model.weights = np.array([-30.0, 0.0, 0.0])
-        return model
+        return model, 0.0
     clean = found[(found["label"] == 0) & (found["n_words"] > 0)]
-    best = clean["scores"].map(lambda s: max(s, default=0.0)).to_numpy(float)
     if len(clean):
-        model.size_factor = float(np.exp(np.mean(decay * best - np.log(clean["n_words"].to_numpy(float))) - EULER))
+        model.decay = _decay(np.stack(clean["powers"].to_list()).sum(axis=0) / clean["n_words"].sum())
+        best = clean["scores"].map(lambda s: max(s, default=0.0)).to_numpy(float)
+        model.size_factor = float(np.exp(np.mean(model.decay * best - np.log(clean["n_words"].to_numpy(float))) - EULER))
     x = np.array([model.features(w, [(0, 0, s) for s in ss]) for w, ss in zip(found["n_words"], found["scores"], strict=True)])
-    model.weights = logistic(x, found["label"].to_numpy(float))
-    return model
+    y = found["label"].to_numpy(float)
+    model.weights = logistic(x, y)
+    p = np.clip(1 / (1 + np.exp(-np.clip(x @ model.weights, -30, 30))), 1e-12, 1 - 1e-12)
+    return model, float(-(y * np.log(p) + (1 - y) * np.log(1 - p)).mean())
 
 
-def _segments_column(text: Column, model: Model, spark) -> Column:
-    shared = spark.sparkContext.broadcast(model)
+def _cross_fitted(models: dict[int, Model], spark) -> Column:
+    """Words, segment scores and summed powers of word scores of each training text, by the model without its fold."""
+    shared = spark.sparkContext.broadcast(models)
 
-    def run(batches: Iterator[pa.Array]) -> Iterator[pa.Array]:
-        for texts in batches:
+    def run(batches: Iterator[tuple[pa.Array, pa.Array]]) -> Iterator[pa.Array]:
+        for texts, folds in batches:
             data, offsets = utf8_view(texts)
-            words, scores = [], []
-            for a, b in blocks(offsets):
-                n, segments = shared.value.segments(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a])
-                words += n.tolist()
-                scores += [[s for _, _, s in row] for row in segments]
-            yield pa.StructArray.from_arrays([pa.array(words, pa.int64()), pa.array(scores, pa.list_(pa.float64()))], names=["n_words", "scores"])
-
-    run.__annotations__ = {"batches": Iterator[pa.Array], "return": Iterator[pa.Array]}
-    return F.arrow_udf(run, "n_words long, scores array<double>").asNondeterministic()(text)
+            fold = folds.to_numpy()
+            out: list[dict] = [{} for _ in range(len(fold))]
+            for f in np.unique(fold).tolist():
+                at = np.flatnonzero(fold == f)
+                own, own_offsets = utf8_view(texts.take(pa.array(at)))
+                for a, b in blocks(own_offsets):
+                    values: list[np.ndarray] = []
+                    words, segments = shared.value[f].segments(own[own_offsets[a] : own_offsets[b]], own_offsets[a : b + 1] - own_offsets[a], values)
+                    ends = np.concatenate([[0], np.cumsum(words)])
+                    powers = np.stack([row_sums(np.exp(np.minimum(d * values[0], 300.0)), ends) for d in DECAYS], axis=1)
+                    for i in range(b - a):
+                        out[at[a + i]] = {"n_words": int(words[i]), "scores": [s for _, _, s in segments[i]], "powers": powers[i].tolist()}
+            yield pa.array(out, pa.struct([("n_words", pa.int64()), ("scores", pa.list_(pa.float64())), ("powers", pa.list_(pa.float64()))]))
+
+    run.__annotations__ = {"batches": Iterator[tuple[pa.Array, pa.Array]], "return": Iterator[pa.Array]}
+    return F.arrow_udf(run, "n_words long, scores array<double>, powers array<double>").asNondeterministic()(F.col("text"), F.col("fold"))
 
 
 def score_array(model: Model, texts: pa.Array) -> pa.Array:
@@ -251,6 +294,10 @@ def toxicity(text: Column, model: Model, spark) -> Column:
 
 
 def keep_clean(docs: DataFrame, model: Model, threshold: float = 0.5, text_col: str = "text") -> DataFrame:
-    """Documents that score below ``threshold``, with their columns as they were."""
-    scored = docs.withColumn("__toxicity", toxicity(F.col(text_col), model, docs.sparkSession))
-    return scored.where(F.col("__toxicity")["score"] < threshold).select(*docs.columns)
+    """Documents that score below ``threshold``, with their columns as they were, whatever their names.
+
+    Null and empty texts score as texts without words, repeated rows alike; an empty table stays empty.
+    """
+    found = free_name(docs, "__toxicity")
+    scored = docs.withColumn(found, toxicity(F.col(text_col), model, docs.sparkSession))
+    return scored.where(F.col(found)["score"] < threshold).select(*quoted(docs))

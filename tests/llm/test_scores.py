@@ -48,16 +48,36 @@ def naive_segments(scores):
 
 
 @settings(max_examples=150, deadline=None)
-@given(st.lists(st.sampled_from([0.0, 0.0, 0.0, 1.3, 2.7, 5.1]), max_size=14))
-def test_maximal_segments(values):
-    drift = 0.83
-    scores = [v - drift if v > drift else -drift for v in values]
-    places = [i for i, v in enumerate(values) if v > drift]
-    found = toxicity.maximal_segments(places, [scores[i] for i in places], drift)
+@given(st.lists(st.sampled_from([-2.1, -0.83, -0.83, -0.4, 0.47, 1.87, 4.27]), max_size=14))
+def test_maximal_segments(scores):
+    places = [i for i, v in enumerate(scores) if v > 0]
+    total = [0.0, *itertools.accumulate(scores)]
+    found = toxicity.maximal_segments(places, [total[i] for i in places], [total[i + 1] for i in places])
     assert [(a, b) for a, b, _ in found] == [(a, b) for a, b, _ in naive_segments(scores)]
     assert all(math.isclose(v, sum(scores[a:b]), abs_tol=1e-9) for a, b, v in found)
 
 
+def test_token_scores_against_plain_arithmetic(spark):
+    rows = [(0, 5, 40, 60), (5, 0, 40, 60), (40, 60, 40, 60), (0, 0, 40, 60), (3, 1, 0, 60)]
+    df = spark.createDataFrame(rows, "t int, c int, n long, m long")
+    got = [r[0] for r in df.select(toxicity.token_scores(F.col("t"), F.col("c"), F.col("n"), F.col("m"), 0.02, 1.0)).collect()]
+    for (t, c, n, m), s in zip(rows, got, strict=True):
+        if not (t + c and n and m):
+            assert s == 0
+            continue
+        prior, mass = 0.02 * (t + c), 0.02 * (n + m)
+        delta = math.log((t + prior) / (n + mass - t - prior)) - math.log((c + prior) / (m + mass - c - prior))
+        sure = max(0.0, abs(delta) - math.sqrt(1 / (t + prior) + 1 / (c + prior)))
+        assert s == pytest.approx(math.copysign(sure, delta), abs=1e-12)
+
+
+def test_decay_is_the_root_of_the_mean_power():
+    scores, share = np.array([-1.0, 2.0]), np.array([0.8, 0.2])
+    means = np.array([(share * np.exp(d * scores)).sum() for d in toxicity.DECAYS])
+    root = toxicity._decay(means)
+    assert abs((share * np.exp(root * scores)).sum() - 1) < 0.05
+
+
 @pytest.fixture(scope="module")
 def tables(spark):
     return spark.read.parquet(f"{SF}/documents.parquet"), spark.read.parquet(f"{SF}/labels.parquet")
@@ -101,6 +121,15 @@ def test_scores_on_odd_texts_and_tables(spark, tables):
     assert df.select(langid.predict(F.col("text"), langid.train(docs.limit(0)), spark).alias("s")).first()["s"]["lang"] == "und"
 
 
+def test_filters_leave_clashing_columns_alone(spark, tables):
+    docs, labels = tables
+    clash = docs.withColumns({"__toxicity": F.lit("mine"), "__quality": F.lit(3), "fold": F.lit(9), "label": F.lit("x")})
+    kept = toxicity.keep_clean(clash, toxicity.train(clash, labels))
+    assert kept.columns == clash.columns and {r[0] for r in kept.select("__toxicity").collect()} == {"mine"}
+    kept = quality.keep_good(clash, quality.train(clash, labels))
+    assert kept.columns == clash.columns and {r[0] for r in kept.select("__quality").collect()} == {3}
+
+
 def test_filters_keep_columns(spark, tables):
     docs, labels = tables
     assert toxicity.keep_clean(docs, toxicity.train(docs, labels)).columns == docs.columns
@@ -157,6 +186,33 @@ def test_features_of_a_text_are_its_own():
     assert alone[3][0, quality._CLASS[ord(" ")]] == 1 and alone[0][0, quality._CLASS[ord(" ")]] == pytest.approx((1 / 5) ** 0.5)
 
 
+def test_features_against_plain_counts():
+    text = "The cat.  The CAT sat\n é!"
+    x, first = quality.describe(*utf8_view(pa.array(["zz top", text, ""])))
+    row = x[first[1]]
+    data = np.frombuffer(text.lower().encode() if text.isascii() else bytes(b + 32 if 65 <= b <= 90 else b for b in text.encode()), np.uint8)
+    words = bytes(data).split()
+    assert row[quality.N_SHAPE : quality.N_SHAPE + 256].max() ** 2 * len(words) == pytest.approx(2, abs=1.01) and (row[quality.N_SHAPE : quality.N_SHAPE + 256] ** 2).sum() == pytest.approx(1)
+    hashes = {}
+    grams = quality._trigrams(data, np.array([0, len(data)]))
+    for i in range(len(data)):
+        assert hashes.setdefault(bytes(data[max(0, i - 2) : i + 1]), grams[i]) == grams[i]
+    assert len(set(hashes.values())) == len(hashes)
+    counts = np.bincount((grams >> np.uint32(24)).astype(int), minlength=256) / len(data)
+    assert np.allclose(row[quality.N_SHAPE + 256 :] ** 2, counts)
+
+
+def test_words_decide_where_shapes_are_alike(spark):
+    rng = np.random.default_rng(0)
+    good, bad = [f"g{a}od" for a in "abcdefghij"], [f"b{a}dx" for a in "abcdefghij"]
+    rows = [(i, " ".join(rng.choice(good if i % 2 else bad, 60)), i % 2) for i in range(500)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, quality int")
+    net = quality.train(df.select("doc_id", "text"), df.select("doc_id", "quality"))
+    scored = df.select("doc_id", "quality", quality.quality(F.col("text"), net, spark)["score"].alias("s")).collect()
+    out = [r for r in scored if held(r["doc_id"], 5, 0)]
+    assert len(out) > 60 and all((r["s"] >= 0.5) == bool(r["quality"]) for r in out)
+
+
 def test_gradients_of_the_network():
     rng = np.random.default_rng(0)
     x, first, y = rng.normal(size=(9, quality.N_FEATURES)), np.array([0, 2, 3, 9]), np.array([1.0, 0.0, 1.0])
