@@ -176,7 +176,7 @@ def token_scores(toxic: Column, clean: Column, n_toxic: Column, n_clean: Column,
     delta = odds(toxic, n_toxic) - odds(clean, n_clean)
     deviation = F.sqrt(F.try_divide(F.lit(1.0), toxic + prior) + F.try_divide(F.lit(1.0), clean + prior))
     sure = F.greatest(F.lit(0.0), F.abs(delta) - F.lit(shrink) * deviation)
-    return F.when((toxic + clean > 0) & (n_toxic > 0) & (n_clean > 0), F.signum(delta) * sure).otherwise(0.0)
+    return F.when((toxic + clean > 0) & (n_toxic > 0) & (n_clean > 0), F.coalesce(F.signum(delta) * sure, F.lit(0.0))).otherwise(0.0)  # a token of every text tells nothing
 
 
 def _decay(means: np.ndarray) -> float:
