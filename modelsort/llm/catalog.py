@@ -156,16 +156,24 @@ def op9_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return licences.scan(table(spark, sf_dir, "documents"), licences.known_table(spark))
+    """All documents, and a variant of every known text: capitals, other spelling and spacing, a copyright line."""
+    known = licences.known_table(spark)
+    return licences.scan(table(spark, sf_dir, "documents").select("doc_id", "text").unionByName(with_variants(known)), known.drop("n"))
+
+
+def with_variants(known: DataFrame) -> DataFrame:
+    text = F.replace(F.replace(F.upper("text"), F.lit("LICENSE"), F.lit("LICENCE")), F.lit(" "), F.lit(" \t "))
+    return known.select((-F.col("n")).alias("doc_id"), F.concat(F.lit("Copyright (c) 2020 Some Owner\n\n"), text).alias("text"))
 
 
 def op10_sql() -> str:
-    known = ", ".join("('" + name + "', '" + text.replace("'", "''") + "')" for name, text in licences.KNOWN)
+    known = ", ".join(f"({n}, '{name}', '" + text.replace("'", "''") + "')" for n, name, text in licences.known_texts())
     return f"""
-WITH known(license_id, text) AS (VALUES {known}),
+WITH known(n, license_id, text) AS (VALUES {known}),
+variants AS (SELECT -n AS doc_id, 'Copyright (c) 2020 Some Owner' || chr(10) || chr(10) || replace(replace(upper(text), 'LICENSE', 'LICENCE'), ' ', ' ' || chr(9) || ' ') AS text FROM known),
 digests AS (SELECT sha256(form) AS digest, min(license_id) AS license_id FROM (SELECT license_id, {licences.canonical_sql("text")} AS form FROM known) WHERE form <> '' GROUP BY 1),
-forms AS (SELECT doc_id, {licences.canonical_sql("text")} AS form FROM documents)
-SELECT doc_id, CAST(length(form) AS BIGINT) AS canonical_chars, sha256(form) AS digest, license_id
+forms AS (SELECT doc_id, {licences.canonical_sql("text")} AS form FROM (SELECT doc_id, text FROM documents UNION ALL SELECT * FROM variants))
+SELECT CAST(doc_id AS BIGINT) AS doc_id, CAST(length(form) AS BIGINT) AS canonical_chars, sha256(form) AS digest, license_id
 FROM forms LEFT JOIN digests ON sha256(form) = digests.digest
 """
 

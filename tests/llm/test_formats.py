@@ -2,11 +2,13 @@
 
 import hashlib
 import io
+import re
 
 import duckdb
 import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
+from pyspark.sql import functions as F
 
 from modelsort.llm import catalog, chat, licences, warc
 
@@ -69,6 +71,31 @@ def test_reader_refuses_broken_archives():
             list(warc.read_records(io.BytesIO(bad)))
 
 
+def plain_canonical(text):
+    """The canonical form by words, for tests."""
+    text = re.sub(licences.COPYRIGHT_LINE, " ", (text or "").lower())
+    words = re.sub(licences.PUNCTUATION, " ", text).split(" ")
+    line = "  ".join(w for w in words if w)
+    for pattern, new in licences.spelling_patterns():
+        line = re.sub(pattern, new.replace("{1}", r"\1").replace("{2}", r"\2"), f" {line} ").strip(" ")
+    return line.replace("  ", " ")
+
+
+def test_whole_licences_are_known_in_other_spelling(spark):
+    known = licences.known_table(spark)
+    found = {r["doc_id"]: r["license_id"] for r in licences.scan(catalog.with_variants(known), known.drop("n")).collect()}
+    assert len(found) > 25 and found == {-n: name for n, name, _ in licences.known_texts()}
+    assert {"GPL-3.0", "Apache-2.0", "MPL-2.0", "LGPL-2.1", "CC0-1.0"} <= set(found.values())
+
+
+def test_spellings_stop_at_words(spark):
+    texts = ["super center", "supercenter", "Centre, centre; CENTRES", "center center centers", "organise organisation organism emphasis emphasise", "sub-licence licence licenced", "per cent percentile", "a https://x whilst", "elabour labour", "élabour", "copyright owners", "reporganise", *(f"{b} {b}x x{b}" for b in licences.WORDS_CHANGED), "café centre naïve"]
+    df = spark.createDataFrame(list(enumerate(texts)), "i int, t string")
+    got = {r["i"]: r["c"] for r in df.select("i", licences.canonical(F.col("t")).alias("c")).collect()}
+    assert got == {i: plain_canonical(t) for i, t in enumerate(texts)}
+    assert got[0] != got[1] and got[2] == got[3] and got[4] == "organize organization organism emphasis emphasize" and got[5] == "sublicense license licensed" and got[8] == "elabour labor"
+
+
 def test_licences(spark):
     mit = licences.KNOWN[0][1]
     variants = [mit, "Copyright (c) 2020 Someone\n\n" + mit.upper(), "  # Copyright 1999-2001, A. B.\nAll rights reserved.\n" + mit.replace("Software", "software").replace("sublicense", "sub-license"), mit + " and more", None, "", "©  2020\n", "released under the  MIT licence", "This work is licensed under the GNU General Public License, version 3.", "x " * 100_000]
