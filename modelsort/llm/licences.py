@@ -30,7 +30,7 @@ SPELLINGS = [
     ("(calib|cent)re", "s", "{1}er"),
     ("(cancel|label|model)l", "ed ing", "{1}"),
     ("(fulfil)", "ment ments s", "{1}l"),
-    ("(|sub)licence", "s d", "{1}license"),
+    ("(|sub)licence", "s d e es r rs", "{1}license"),
     ("(pract)ise", "s d", "{1}ice"),
     ("(program)me", "s", "{1}"),
     ("(non)  commercial", "", "{1}commercial"),
