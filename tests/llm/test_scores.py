@@ -348,16 +348,3 @@ def test_ball_bound_prunes():
     scores = queries @ points.T
     scores[np.arange(len(queries)), ids[::400]] = balltree.NONE
     assert (best.scores == -np.sort(-scores, axis=1)[:, :5]).all()
-
-
-def test_pipeline_on_planted_rows(spark, tmp_path):
-    import corpus_pipeline
-
-    docs, _ = spark.read.parquet(f"{SF}/documents.parquet"), None
-    stages = dict(corpus_pipeline.STAGES)
-    assert list(stages) == ["toxicity", "quality classifier", "SimHash near-dedup", "benchmark decontamination", "mixing sources to target weights"]
-    for name, stage in itertools.islice(corpus_pipeline.STAGES, 4):
-        out = stage(spark, docs, SF)
-        assert out.columns == docs.columns, name
-    mixed = corpus_pipeline.mix_languages(spark, docs, SF)
-    assert mixed.columns == [*docs.columns, "rate", "copies"] and mixed.where("rate <= 0").count() == 0
