@@ -93,6 +93,7 @@ class Composite(Model):
 
     def _within(self, root: Column, x: Column) -> Column:
         from modelsort.functions.models.linear import LinearBucket
+        from modelsort.functions.models.radix import RadixBucket
 
         start = F.element_at(int_array(self.starts), root + 1)
         if all(isinstance(c, LinearBucket) and c.slope >= 0 and not c.mirror for c in self.children.values()):
@@ -102,6 +103,12 @@ class Composite(Model):
             line = F.floor(slope * F.greatest(F.lit(-1e300), F.least(F.lit(1e300), x)) + base).cast("double")
             within = F.least(pick(lambda c: float(c.k - 1), 0.0), F.greatest(F.lit(0.0), line))
             return (start + within.cast("int")).cast("int")
+        if all(isinstance(c, RadixBucket) for c in self.children.values()):
+            digits = [self.children.get(b) or RadixBucket(0, 0, 1) for b in range(self.root.buckets)]
+            part = lambda f: F.element_at(int_array(map(f, digits)), root + 1)
+            digit = F.call_function("shiftright", RadixBucket.whole(x), part(lambda c: c.shift).cast("int"))
+            within = F.least(part(lambda c: c.digits - 1), F.greatest(F.lit(0), digit - part(lambda c: c.base)))
+            return (start + within).cast("int")
         within = F.lit(0)
         for b, child in self.children.items():
             within = F.when(root == b, child.column(x)).otherwise(within)

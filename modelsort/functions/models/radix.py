@@ -35,9 +35,13 @@ class RadixBucket(Model):
     def buckets(self) -> int:
         return self.digits
 
+    @staticmethod
+    def whole(x: Column) -> Column:
+        """The integer whose digits are read."""
+        return F.floor(F.least(F.greatest(x, F.lit(-_MOST)), F.lit(_MOST))).cast("long")
+
     def column(self, x: Column) -> Column:
-        held = F.least(F.greatest(x, F.lit(-_MOST)), F.lit(_MOST))
-        digit = F.shiftright(F.floor(held).cast("long"), self.shift)
+        digit = F.shiftright(self.whole(x), self.shift)
         return (F.least(F.lit(self.base + self.digits - 1), F.greatest(F.lit(self.base), digit)) - F.lit(self.base)).cast("int")
 
     def predict(self, x: np.ndarray) -> np.ndarray:

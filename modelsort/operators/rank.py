@@ -9,7 +9,7 @@ from modelsort.functions.keys import KeySpec
 from modelsort.functions.literals import int_array
 from modelsort.operators.sorters import SortedFrame, linear_partition_sort
 from modelsort.plans.durable import materialize
-from modelsort.plans.partitioner import PART
+from modelsort.plans.partitioner import PART, move
 
 ROW_MASK = (1 << 33) - 1
 
@@ -59,7 +59,8 @@ def _key_edges(sf: SortedFrame) -> list[dict]:
 def ranks(sf: SortedFrame) -> DataFrame:
     """Rows with ``rank, dense_rank, percent_rank, cume_dist`` of the key, from windows within parts.
 
-    A key that spans parts has the same numbers in all of them. The payload moves once.
+    A key that spans parts has the same numbers in all of them. The payload moves
+    once and is sorted once, by the windows.
     """
     edges = _key_edges(sf)
     before, total, first_rank, last_rank, dense, dense_last = 0, sum(e["n"] for e in edges), 1, 1, 0, 0
@@ -86,7 +87,7 @@ def ranks(sf: SortedFrame) -> DataFrame:
     up_to = F.count(F.lit(1)).over(key_only.rangeBetween(Window.unboundedPreceding, Window.currentRow))
     own = F.rank().over(key_only)
     return (
-        sf.df.withColumn("__own", own)
+        move(sf.parted, sf.parts).withColumn("__own", own)
         .withColumn("__up_to", up_to)
         .withColumn("dense_rank", (_before(dense_before, part) + F.dense_rank().over(key_only)).cast("long"))
         .withColumn("rank", F.when(F.col("__own") == 1, _before(rank_first, part)).otherwise(_before(base, part) + F.col("__own")).cast("long"))

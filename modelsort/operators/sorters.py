@@ -238,7 +238,9 @@ def radix_partition_sort(df: DataFrame, key: KeySpec | str, *, bits: int = 8, ex
     if extract and dict(df.dtypes)[key.column] in ("double", "float"):
         # NaN keeps a slot of its own, so only what a model places is coded; the range is coded on the driver.
         x = numeric(df, key)
-        coded = df.withColumn("__bits", F.when(valid(x), order_bits(x).cast("double")).otherwise(x))
+        # Nothing is added by the sign of a partition number, but the bits are then worked out once, not wherever they are used.
+        zero = F.shiftright(F.spark_partition_id(), 31)
+        coded = df.withColumn("__bits", F.when(valid(x), order_bits(x).cast("double")).otherwise(x) + zero)
         ends = order_bits_np(np.array([low, high])).astype(float)
         code = KeySpec("__bits", key.ascending, key.nulls_first)
         result = sort_with(coded, code, RadixBucket.fit(*ends, bits), config, fit, key)
