@@ -22,6 +22,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from modelsort.functions.literals import double_array
 from modelsort.plans.durable import materialize
 
 #: Labelled documents that the classifier learns from at most.
@@ -38,7 +39,7 @@ STALLED = 1e-10
 #: Steps that a rate is carried as an expression before it is written.
 WRITE_EVERY = 4
 #: Lengths tried of the scaled step, and of the plain one in units of the length that is safe for any rates.
-SCALED, PLAIN = (1.0, 0.5, 0.2, 0.05, 0.01), (1.0, 10.0, 100.0, 1000.0)
+SCALED, PLAIN = (1.0, 0.5, 0.1, 0.01), (1.0, 100.0)
 
 
 def words(text: Column) -> Column:
@@ -108,10 +109,15 @@ class Fit:
     converged: bool
 
 
+def _along(direction: np.ndarray) -> Column:
+    """Posterior times a direction. Its numbers are read from an array, so that code compiled for one step serves the next."""
+    numbers = double_array(direction)
+    return sum((F.col("p")[j] * numbers[j] for j in range(len(direction))), F.lit(0.0))
+
+
 def _stepped(rate: Column, direction: np.ndarray) -> Column:
     """A rate after a step: less its tokens times the posterior-weighted direction, at least 0."""
-    product = sum((F.col("p")[j] * F.lit(float(v)) for j, v in enumerate(direction)), F.lit(0.0))
-    return F.greatest(F.lit(0.0), rate - F.col("tokens") * product)
+    return F.greatest(F.lit(0.0), rate - F.col("tokens") * _along(direction))
 
 
 def fit_rates(members: DataFrame, names: list[str], weights: Mapping[str, float] | None = None, budget: float | None = None, tolerance: float = TOLERANCE) -> tuple[DataFrame, Fit]:
@@ -142,7 +148,7 @@ def fit_rates(members: DataFrame, names: list[str], weights: Mapping[str, float]
         if objectives[-1] <= floor:
             converged = True
             break
-        gradient = sum((p[j] * F.lit(float(v)) for j, v in enumerate(miss)), F.lit(0.0))
+        gradient = _along(miss)
         weight = F.when((rate > 0) | (gradient < 0), tokens * tokens).otherwise(0.0)
         half = members.agg(*(F.sum(weight * p[i] * p[j]) for i in range(d) for j in range(i, d))).first()
         gram = np.zeros((d, d))
