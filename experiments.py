@@ -1,10 +1,12 @@
 """The reference's experiments on generated keys: rates, rankings, scaling, balance.
 
-python experiments.py [rates|scaling|balance] [--n N] [--sequential]
+python experiments.py [rates|scaling|balance|phases] [--n N] [--sequential]
 
 ``rates`` runs every sorter on every data set of the real, synthetic and
 duplicate families and prints ranks; ``scaling`` goes through sizes of normal
-keys; ``balance`` reports bucket measures. ``--sequential`` uses one core.
+keys and prints speed-ups over the library; ``balance`` reports bucket measures;
+``phases`` prints the seconds of sample, training and prediction by sample share.
+``--sequential`` uses one core and adds the sequential forms.
 """
 
 from __future__ import annotations
@@ -27,10 +29,7 @@ SORTERS = {
     "ecdf": lambda df: sorters.ecdf_two_pass_sort(df, KEY).df,
     "library": lambda df: sorters.builtin_sort(df, KEY),
 }
-BARE = {
-    "linear_sequential": lambda df: sorters.sequential_sort(df.select(F.col("key").cast("double").alias("key")), "key"),
-    "library_sequential": lambda df: sorters.builtin_sort(df, KEY, sequential=True),
-}
+BARE = {f"{m}_sequential": lambda df, m=m: sorters.sequential_sort(df.select(F.col("key").cast("double").alias("key")), "key", m) for m in sorters.SEQUENTIAL}
 
 
 def measure(spark: SparkSession, family: str, name: str, n: int, which: dict) -> list[tuple]:
@@ -69,7 +68,7 @@ def balance(spark: SparkSession, n: int) -> DataFrame:
 
 def main() -> None:
     args = argparse.ArgumentParser()
-    args.add_argument("what", choices=["rates", "scaling", "balance"], nargs="?", default="rates")
+    args.add_argument("what", choices=["rates", "scaling", "balance", "phases"], nargs="?", default="rates")
     args.add_argument("--n", type=int, default=1_000_000)
     args.add_argument("--sequential", action="store_true")
     o = args.parse_args()
@@ -81,7 +80,15 @@ def main() -> None:
         found = rates(spark, o.n, which)
         metrics.leaderboard(found).orderBy("level", "family", "dataset", "rank").show(500, False)
     elif o.what == "scaling":
-        scaling(spark, [n for n in (10_000, 100_000, 1_000_000, 10_000_000) if n <= o.n], which).groupBy("n").pivot("sorter").agg(F.round(F.first("keys_per_s"))).orderBy("n").show(50, False)
+        found = scaling(spark, [n for n in (10_000, 100_000, 1_000_000, 10_000_000) if n <= o.n], which).cache()
+        found.groupBy("n").pivot("sorter").agg(F.round(F.first("keys_per_s"))).orderBy("n").show(50, False)
+        for name in which:
+            if name != "library":
+                print(name)
+                metrics.crossover(found, name, "library").orderBy("n").show(50, False)
+    elif o.what == "phases":
+        rows = metrics.sample_sweep(datasets.keys(spark, "normal", o.n), "key", (0.001, 0.01, 0.1, 1.0))
+        spark.createDataFrame(rows).show(50, False)
     else:
         balance(spark, o.n).show(500, False)
 
