@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from modelsort.llm import balltree, chat, decontaminate, langid, licences, mixing, quality, simhash, toxicity, warc
 from modelsort.llm.samples import fold_of
+from modelsort.plans.durable import materialize
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -103,7 +104,7 @@ def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op6_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     records = warc.read_archives(warc.write_archives(table(spark, sf_dir, "pages")))
-    return records.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+    return warc.check_revisits(materialize(records.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to"), "warc-records"))
 
 
 OP6_SQL = """

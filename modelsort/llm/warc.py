@@ -27,6 +27,8 @@ from modelsort.plans.durable import materialize, new_folder
 DATE = "1970-01-01T00:00:00Z"
 #: Payloads of at least so many bytes are stored once.
 REVISIT_BYTES = 0
+#: Places that the rows of one payload are dealt over when they learn which of them answers.
+SALTS = 256
 LEVEL = 6
 CHUNK = 1 << 16
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
@@ -184,12 +186,17 @@ def with_revisits(pages: DataFrame, least: int = REVISIT_BYTES) -> DataFrame:
     """Columns ``page_id, url, payload, sha1, refers_to``; ``refers_to`` is set for revisits only.
 
     Of equal payloads the one of largest page_id answers; rows that repeat that
-    id and payload answer too. A group without any id has no revisits.
+    id and payload answer too. A group without any id has no revisits. Payloads
+    move once, a group of any size dealt over ``SALTS`` places; what they meet
+    there is at most that many rows of a digest.
     """
-    rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.encode(F.coalesce(F.col("html"), F.lit("")), "utf-8").alias("payload")).withColumn("sha1", F.sha1("payload"))
-    repeated = rows.where(F.length("payload") >= least).groupBy("sha1").agg(F.max("page_id").alias("first"), F.count("*").alias("n")).where("n > 1 and first is not null").select("sha1", "first")
+    salt = F.pmod(F.xxhash64("page_id", "url"), F.lit(SALTS)).cast("int")
+    rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.encode(F.coalesce(F.col("html"), F.lit("")), "utf-8").alias("payload")).withColumn("sha1", F.sha1("payload")).withColumn("salt", salt)
+    dealt = rows.where(F.length("payload") >= least).groupBy("sha1", "salt").agg(F.max("page_id").alias("largest"), F.count("*").alias("n"))
+    repeated = dealt.groupBy("sha1").agg(F.max("largest").alias("first"), F.sum("n").alias("n")).where("n > 1 and first is not null").select("sha1", "first")
+    places = dealt.select("sha1", "salt").join(repeated, "sha1")
     refers = F.when(~F.col("page_id").eqNullSafe(F.col("first")), F.col("first"))
-    return rows.join(repeated, "sha1", "left").select("page_id", "url", "payload", "sha1", refers.alias("refers_to"))
+    return rows.join(places, ["sha1", "salt"], "left").select("page_id", "url", "payload", "sha1", refers.alias("refers_to"))
 
 
 def write_archives(pages: DataFrame, folder: str | None = None, least: int = REVISIT_BYTES, level: int = LEVEL) -> DataFrame:
@@ -244,3 +251,16 @@ def read_archives(manifest: DataFrame, keep_payload: bool = False) -> DataFrame:
 
     files = manifest.count()
     return manifest.select("path").repartition(max(1, files), "path").mapInArrow(run, ddl)
+
+
+def check_revisits(records: DataFrame) -> DataFrame:
+    """The same records; ``WarcError`` if a revisit states a digest or size that no response it refers to has.
+
+    Revisits are combined by what they state before they meet the responses, so
+    a payload of many revisits is one row. Records must be stable when read again.
+    """
+    stated = records.where("record_type = 'revisit'").select("refers_to", "payload_digest", "payload_bytes").distinct()
+    there = records.where("record_type = 'response'").select(F.col("page_id").alias("refers_to"), "payload_digest", "payload_bytes")
+    if wrong := stated.join(there, ["refers_to", "payload_digest", "payload_bytes"], "left_anti").head():
+        raise WarcError(f"no response of page {wrong['refers_to']} has payload digest {wrong['payload_digest']} and {wrong['payload_bytes']} bytes")
+    return records

@@ -62,6 +62,19 @@ def test_archives_round_trip(spark):
     assert warc.read_archives(warc.write_archives(spark.createDataFrame([], PAGES))).count() == 0
 
 
+def test_revisits_of_one_payload_meet_their_response(spark, monkeypatch):
+    monkeypatch.setattr(warc, "SALTS", 7)
+    rows = [(i, f"u{i}", "same" if i % 3 else f"own {i}") for i in range(300)]
+    records = warc.read_archives(warc.write_archives(spark.createDataFrame(rows, "page_id long, url string, html string").repartition(5))).cache()
+    found = {r["page_id"]: (r["record_type"], r["refers_to"]) for r in warc.check_revisits(records).collect()}
+    assert found == {i: ("revisit", 299) if i % 3 and i != 299 else ("response", None) for i in range(300)}
+    for wrong in ({"payload_bytes": F.lit(5).cast("long")}, {"payload_digest": F.lit("A" * 32)}, {"refers_to": F.lit(0).cast("long")}):
+        told = {k: F.when(F.col("page_id") == 7, v).otherwise(F.col(k)) for k, v in wrong.items()}
+        with pytest.raises(warc.WarcError):
+            warc.check_revisits(records.withColumns(told))
+    records.unpersist()
+
+
 def test_reader_refuses_broken_archives():
     good = warc.write_record(1, "u", b"hello world" * 1000, warc.base32_sha1(b"hello world" * 1000), None)
     assert [r.payload_bytes for r in warc.read_records(io.BytesIO(good * 3))] == [11_000] * 3
