@@ -452,19 +452,23 @@ SEQUENTIAL: dict[str, Callable[[np.ndarray, int], Model] | None] = {
 def sequential_order(x: np.ndarray, method: str = "linear", k: int = 256, base: int = 1 << 12) -> np.ndarray:
     """Order of keys by a sequential sorter: partitioning by its model until buckets fit the radix base case.
 
-    Radix reads its digits off the order-preserving bits. The eCDF sorter takes
-    a 1 % sample, two rounds, and counting sort with correction as its base case.
+    Neighbouring buckets that fit the base case together share one. Radix reads
+    its digits off the order-preserving bits. The eCDF sorter takes a 1 % sample,
+    two rounds, and counting sort with correction as its base case.
     """
     fit = SEQUENTIAL[method]
     if fit is None:
         return np.argsort(x, kind="stable")
-    coded = order_bits_np(x).astype(float) if method == "radix" else x
+    finite = x[np.isfinite(x)]
+    ends = (finite.min(), finite.max()) if len(finite) else (0.0, 0.0)
+    # Infinities go where the nearest finite key goes; base cases read the raw keys.
+    coded = order_bits_np(x).astype(float) if method == "radix" else np.clip(x, *ends)
 
     def finish_(at: np.ndarray) -> np.ndarray:
         return at[small_radix_order(x[at])]
 
     def counted(at: np.ndarray, model: Model) -> np.ndarray:
-        share = model.ecdf.predict(x[at]) * model.k
+        share = model.ecdf.predict(coded[at]) * model.k
         order, run, open_ = counting_order(x[at], np.floor((share - np.floor(share.min())) * len(at)).astype(np.int64))
         dirty = np.flatnonzero(open_)
         order[dirty] = order[dirty][np.lexsort((x[at][order[dirty]], run[dirty]))]
@@ -472,8 +476,8 @@ def sequential_order(x: np.ndarray, method: str = "linear", k: int = 256, base:
 
     def split(at: np.ndarray, depth: int) -> list[np.ndarray]:
         own = coded[at]
-        if own.min() == own.max() and x[at].min() == x[at].max():
-            return [at]
+        if own.min() == own.max():
+            return [at if x[at].min() == x[at].max() else finish_(at)]
         if len(at) <= base and depth:
             return [finish_(at)]
         size = max(1024, len(at) // 100) if method == "ecdf" else sampling.sample_size(len(at), k)
@@ -488,7 +492,16 @@ def sequential_order(x: np.ndarray, method: str = "linear", k: int = 256, base:
         pieces = [at[by[a:b]] for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True) if b > a]
         if method == "ecdf":
             return [p if x[p].min() == x[p].max() else counted(p, model) for p in pieces]
-        return [o for p in pieces for o in split(p, depth + 1)]
+        out: list[np.ndarray] = []
+        near: list[np.ndarray] = []
+        for piece in [*pieces, None]:
+            if near and (piece is None or sum(map(len, near)) + len(piece) > base):
+                out, near = [*out, finish_(np.concatenate(near))], []
+            if piece is not None and len(piece) <= base:
+                near.append(piece)
+            elif piece is not None:
+                out += split(piece, depth + 1)
+        return out
 
     return np.concatenate(split(np.arange(len(x)), 0)) if len(x) else np.zeros(0, np.int64)
 

@@ -185,3 +185,12 @@ def test_late_rows_after_a_restart(spark, tmp_path):
     streaming.late_counter("t", 60, str(tmp_path / "s"))(batches[1], 1)
     found = {r["batch"]: (r["rows"], r["late"]) for r in spark.read.schema("rows long, late long, latest double, batch long").parquet(str(tmp_path / "s")).collect()}
     assert found == {0: (2, 0), 1: (2, 1), 2: (0, 0), 3: (1, 1)}
+
+
+@pytest.mark.parametrize("method", sorted(sorters.SEQUENTIAL))
+def test_sequential_orders_of_infinite_and_equal_keys(method):
+    g = np.random.default_rng(3)
+    ends = np.array([-0.0, 0.0, np.inf, -np.inf, 5.0])
+    for x in (np.tile(ends, 3000), np.concatenate([g.normal(size=9000), np.tile(ends, 2000)]), np.full(9000, np.inf), np.tile([np.inf, -np.inf], 5000)):
+        order = sorters.sequential_order(x, method, base=1024)
+        assert np.array_equal(np.sort(order), np.arange(len(x))) and np.array_equal(x[order], np.sort(x))
