@@ -69,7 +69,8 @@ class RmiIndex:
         low = F.floor(F.greatest(F.lit(0), guess - F.element_at(int_array(self.below), leaf)) / self.block).cast("long")
         high = F.floor(F.greatest(F.lit(0), F.least(F.lit(max(self.n - 1, 0)), guess + F.element_at(int_array(self.above), leaf))) / self.block).cast("long")
         wanted = keys.where(F.col(self.key).isNotNull()).distinct().withColumn("block", F.explode(F.sequence(low, F.greatest(low, high))))
-        return self.table.join(wanted, ["block", self.key]).drop("block")
+        # A key is many rows by now, which Spark's estimate doesn't see: they are sorted, not broadcast from the driver.
+        return self.table.join(wanted.hint("merge"), ["block", self.key]).drop("block")
 
 
 @dataclass
