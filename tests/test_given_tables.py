@@ -24,3 +24,7 @@ def example():
 def test_blocks_of_all_events(spark):
     assert example().array() == [39, 33, 28, 25, 34, 47, 11, 2, 48, 50, 10, 6, 13, 9, 18, 22, 27, 29, 12, 36]
     assert found(spark, "worked_example_blocks").count() == rows_of("events")[0][0]
+
+
+def test_buckets_of_all_events(spark):
+    assert {r["idx"] for r in found(spark, "worked_example_buckets").collect()} == {r[0] for r in rows_of("events", "event_id")}
