@@ -33,3 +33,7 @@ def test_buckets_of_all_events(spark):
 def test_contiguous_blocks_of_all_events(spark):
     assert [x for bucket in example().contiguous() for x in bucket] == [11, 2, 10, 6, 13, 9, 12, 18, 22, 28, 25, 27, 29, 39, 33, 34, 47, 48, 50, 36]
     assert found(spark, "worked_example_contiguous").count() == rows_of("events")[0][0]
+
+
+def test_sizes_of_all_events(spark):
+    assert sum(r["rows"] for r in found(spark, "worked_example_sizes").collect()) == rows_of("events")[0][0]
