@@ -37,3 +37,7 @@ def test_contiguous_blocks_of_all_events(spark):
 
 def test_sizes_of_all_events(spark):
     assert sum(r["rows"] for r in found(spark, "worked_example_sizes").collect()) == rows_of("events")[0][0]
+
+
+def test_sort_of_all_events_by_the_line_of_the_example(spark):
+    assert [r["key"] for r in found(spark, "worked_example_sorted").orderBy("position").collect()] == sorted(r[0] for r in rows_of("events", "value"))
