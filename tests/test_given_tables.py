@@ -41,3 +41,7 @@ def test_sizes_of_all_events(spark):
 
 def test_sort_of_all_events_by_the_line_of_the_example(spark):
     assert [r["key"] for r in found(spark, "worked_example_sorted").orderBy("position").collect()] == sorted(r[0] for r in rows_of("events", "value"))
+
+
+def test_traces_hold_all_events(spark):
+    assert sum(len(r["keys"].split(",")) for r in found(spark, "block_trace_function").collect()) == rows_of("events")[0][0]
