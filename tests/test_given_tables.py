@@ -45,3 +45,9 @@ def test_sort_of_all_events_by_the_line_of_the_example(spark):
 
 def test_traces_hold_all_events(spark):
     assert sum(len(r["keys"].split(",")) for r in found(spark, "block_trace_function").collect()) == rows_of("events")[0][0]
+
+
+def test_peaks_of_all_events(spark):
+    keys = [float(x) for x in catalog.EXAMPLE]
+    assert [blocks.classify(keys, catalog.EXAMPLE_LINE, b).peak for b in (1, 2, 4)] == [1, 5, 12]
+    assert sum(r["copy"] for r in found(spark, "peak_memory").collect()) == 3 * rows_of("events")[0][0]
