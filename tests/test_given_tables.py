@@ -51,3 +51,7 @@ def test_peaks_of_all_events(spark):
     keys = [float(x) for x in catalog.EXAMPLE]
     assert [blocks.classify(keys, catalog.EXAMPLE_LINE, b).peak for b in (1, 2, 4)] == [1, 5, 12]
     assert sum(r["copy"] for r in found(spark, "peak_memory").collect()) == 3 * rows_of("events")[0][0]
+
+
+def test_operation_model_of_all_users(spark):
+    assert sum(r["n"] for r in found(spark, "operation_model").collect()) == rows_of("events")[0][0]
