@@ -55,3 +55,8 @@ def test_peaks_of_all_events(spark):
 
 def test_operation_model_of_all_users(spark):
     assert sum(r["n"] for r in found(spark, "operation_model").collect()) == rows_of("events")[0][0]
+
+
+def test_stored_model_is_that_of_the_table(spark):
+    low, high = rows_of("events", "min(value), max(value)")[0]
+    assert tuple(found(spark, "model_store").first()) == pytest.approx((256, 256 / (high - low), -256 / (high - low) * low))
