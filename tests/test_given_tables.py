@@ -60,3 +60,7 @@ def test_operation_model_of_all_users(spark):
 def test_stored_model_is_that_of_the_table(spark):
     low, high = rows_of("events", "min(value), max(value)")[0]
     assert tuple(found(spark, "model_store").first()) == pytest.approx((256, 256 / (high - low), -256 / (high - low) * low))
+
+
+def test_generator_source_serves_all_events(spark):
+    assert {r["id"] for r in found(spark, "key_generator_source").collect()} == {r[0] for r in rows_of("events", "event_id")}
