@@ -64,3 +64,8 @@ def test_stored_model_is_that_of_the_table(spark):
 
 def test_generator_source_serves_all_events(spark):
     assert {r["id"] for r in found(spark, "key_generator_source").collect()} == {r[0] for r in rows_of("events", "event_id")}
+
+
+def test_generated_families_of_all_events(spark):
+    rows = found(spark, "generated_families").collect()
+    assert len(rows) == 16 and {r["rows"] for r in rows} == {rows_of("events")[0][0]}
