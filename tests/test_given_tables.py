@@ -69,3 +69,7 @@ def test_generator_source_serves_all_events(spark):
 def test_generated_families_of_all_events(spark):
     rows = found(spark, "generated_families").collect()
     assert len(rows) == 16 and {r["rows"] for r in rows} == {rows_of("events")[0][0]}
+
+
+def test_scaling_goes_up_to_the_whole_table(spark):
+    assert max(r["rows"] for r in found(spark, "experiment_scaling").collect()) == rows_of("embeddings", "sum(len(embedding))")[0][0]
