@@ -9,7 +9,7 @@ from modelsort.streaming import buckets as streaming
 DATA = "/root/testdata/sf0.001"
 
 
-@pytest.mark.parametrize("name", ["stream_asof_static", "stream_session_counts"])
+@pytest.mark.parametrize("name", ["stream_asof_static", "stream_session_counts", "stream_interval_join"])
 def test_results_do_not_pass_through_the_driver(spark, name):
     before = {t.name for t in spark.catalog.listTables()}
     assert catalog.queries()[name](spark, DATA).inputFiles()
