@@ -71,3 +71,20 @@ def test_interval_join_reads_near_rows_only(spark, tmp_path):
         spark.conf.unset(key) if before is None else spark.conf.set(key, before)
     first = stream.recentProgress[0]["stateOperators"][0]["customMetrics"]
     assert 0 < first["rocksdbGetCount"] < 20 * 300  # each row against each other would be 90,000
+
+
+@pytest.mark.parametrize("days", [0, 20000])
+def test_session_counts_take_a_folder_of_files(spark, tmp_path, days):
+    """As a cluster writes a table, also with moments before 1970; one batch writes the result."""
+    spark.read.parquet(f"{DATA}/events.parquet").withColumn("ts", F.expr(f"ts - INTERVAL {days} DAYS")).repartition(3).write.parquet(str(tmp_path / "events.parquet"))
+    query = catalog.queries()["stream_session_counts"]
+    wanted, found = sorted(query(spark, DATA).collect()), query(spark, str(tmp_path))
+    assert wanted and sorted(found.collect()) == wanted
+    assert all("/batch=0/" in f for f in found.inputFiles())
+
+
+def test_streams_leave_the_session_as_it_was(spark, tmp_path):
+    keys = [*streaming.STATE, streaming.NO_DATA]
+    before = [spark.conf.get(k, None) for k in keys]
+    streaming.run_to_files(streaming.replay(spark, str(tmp_path), "id long"), "none", closing=False)
+    assert [spark.conf.get(k, None) for k in keys] == before
